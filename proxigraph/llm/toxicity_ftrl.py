@@ -22,7 +22,9 @@ BITS = 22
 #: Expected number of labelled rows to train on, at any size of the corpus.
 SAMPLE_ROWS = 16_000
 EPOCHS = 3
-ALPHA, BETA, L1, L2 = 0.1, 1.0, 1.0, 1.0
+ALPHA, BETA, L1, L2 = 2.0, 1.0, 8.0, 1.0
+#: Weight of a row with label 1, the rarer one.
+POSITIVE = 2.0
 CHUNK_BYTES = 1 << 20
 FOLDS = 5
 
@@ -64,6 +66,7 @@ def train(rows: list[tuple[np.ndarray, int]]) -> tuple[np.ndarray, np.ndarray]:
         for i, y in rows:
             w = weights(i)
             g = 1.0 / (1.0 + np.exp(-np.clip(w.sum(), -35, 35))) - y
+            g *= POSITIVE if y else 1.0
             root = np.sqrt(n[i])
             n[i] += g * g
             z[i] += g - (np.sqrt(n[i]) - root) / ALPHA * w
