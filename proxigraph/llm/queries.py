@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from proxigraph.runtime import read_table
+from proxigraph.runtime import fresh_path, read_table
 
 
 def op2_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -23,6 +23,27 @@ def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op.score(docs, model).select("doc_id", (op.fold() == 0).alias("held_out"), "score", "predicted")
 
 
+def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from proxigraph.llm import packing as op
+
+    return op.pack_documents(read_table(spark, sf_dir, "documents"))
+
+
+def op7_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from proxigraph.llm import token_files as op
+
+    folder = fresh_path(spark, "token-files")
+    op.write(read_table(spark, sf_dir, "documents"), folder)
+    return op.read(spark, folder)
+
+
+def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from proxigraph.llm import pareto_mix as op
+
+    docs = read_table(spark, sf_dir, "documents").select("doc_id", "source", op.word_count().alias("size"))
+    return op.mix(docs).select("doc_id", "size", "source_size", "target", "taken")
+
+
 def op10_langid(spark: SparkSession, sf_dir: str) -> DataFrame:
     from proxigraph.llm import ppm_langid as op
 
@@ -31,9 +52,17 @@ def op10_langid(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op.predict(docs.select("doc_id", "text"), model).select("doc_id", (op.fold() == 0).alias("held_out"), "lang_pred", "score")
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op2_simhash, op3_toxicity, op10_langid)}
+    return {f.__name__: f for f in (op2_simhash, op3_toxicity, op5_packing, op7_token_files, op9_mixing, op10_langid, pipeline)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    from proxigraph.llm import pareto_mix
+
+    return {"op9_mixing": pareto_mix.SQL}

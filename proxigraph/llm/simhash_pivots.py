@@ -205,8 +205,8 @@ def hex_fingerprint(column: str = "fp") -> F.col:
 
 def keep_one(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
     """The rows of docs without near-duplicates: of each component the row with the smallest doc_id
-    stays (of several rows with that id, one)."""
-    groups = near_duplicates(docs, radius=radius)
+    stays (of several rows with that id, one). Rows with a null doc_id cannot be named and stay."""
+    groups = near_duplicates(docs.filter("doc_id is not null"), radius=radius)
     kept = groups.filter(F.col("doc_id") == F.col("component_id")).select("doc_id").distinct()
-    out = docs.join(kept, "doc_id", "left_semi")
-    return out.dropDuplicates(["doc_id"]).select(*docs.columns)
+    out = docs.join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    return out.select(*docs.columns).unionByName(docs.filter("doc_id is null"))
