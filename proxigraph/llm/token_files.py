@@ -91,7 +91,7 @@ def write(docs: DataFrame, folder: str, end_id: int = END_ID, vocabulary: str |
 
     ordered = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").repartitionByRange(F.col("doc_id").asc_nulls_first())
     ordered = ordered.sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text")
-    done = settle(map_arrow(ordered, run, "shard string, first long, docs long, ids long, bytes_per_id int"), "token-shards")
+    done = settle(map_arrow(ordered, run, "shard string, first long, docs long, ids long, bytes_per_id long"), "token-shards")
     shards, at, first_doc = [], 0, 0
     for r in sorted(done.collect(), key=lambda r: (r["first"], r["shard"])):  # one short row per shard
         shards.append({"name": r["shard"], "docs": r["docs"], "ids": r["ids"], "first_id": at, "first_doc": first_doc, "bytes_per_id": r["bytes_per_id"]})
