@@ -8,6 +8,12 @@ from pyspark.sql import functions as F
 from proxigraph.runtime import fresh_path, read_table
 
 
+def op1_ann(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from proxigraph.llm import adaptive_scan as op
+
+    return op.search(read_table(spark, sf_dir, "embeddings"))
+
+
 def op2_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     from proxigraph.llm import simhash_pivots as op
 
@@ -23,12 +29,24 @@ def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op.score(docs, model).select("doc_id", (op.fold() == 0).alias("held_out"), "score", "predicted")
 
 
+def op4_html(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from proxigraph.llm import html_templates as op
+
+    return op.extract(read_table(spark, sf_dir, "pages")).withColumn("n_chars", F.length("text").cast("long"))
+
+
 def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from proxigraph.llm import packing as op
 
     return op.pack_documents(read_table(spark, sf_dir, "documents"))
 
 
+def op6_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from proxigraph.llm import mtree as op
+
+    return op.search(read_table(spark, sf_dir, "embeddings"))
+
+
 def op7_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     from proxigraph.llm import token_files as op
 
@@ -37,6 +55,12 @@ def op7_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op.read(spark, folder)
 
 
+def op8_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from proxigraph.llm import license_patience as op
+
+    return op.scan(read_table(spark, sf_dir, "documents"))
+
+
 def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from proxigraph.llm import pareto_mix as op
 
@@ -59,10 +83,10 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op2_simhash, op3_toxicity, op5_packing, op7_token_files, op9_mixing, op10_langid, pipeline)}
+    return {f.__name__: f for f in (op1_ann, op2_simhash, op3_toxicity, op4_html, op5_packing, op6_topk, op7_token_files, op8_licenses, op9_mixing, op10_langid, pipeline)}
 
 
 def oracle_sql() -> dict[str, str]:
-    from proxigraph.llm import pareto_mix
+    from proxigraph.llm import mtree, pareto_mix
 
-    return {"op9_mixing": pareto_mix.SQL}
+    return {"op6_topk": mtree.SQL, "op9_mixing": pareto_mix.SQL}
