@@ -2,23 +2,59 @@
 
 from __future__ import annotations
 
+import hashlib
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from proxigraph.functions.prng import draw
 from proxigraph.operators.model import PointSet
-from proxigraph.runtime import read_table
+from proxigraph.runtime import map_arrow, read_table
 
 
 def _scaled(vec: str, scale: float, low: int, high: int, kind: str) -> Column:
     return F.transform(vec, lambda x: F.greatest(F.lit(low), F.least(F.lit(high), F.round(x.cast("double") * scale))).cast(kind))
 
 
-def hashed_counts(text: Column, dims: int, most: int) -> Column:
-    """Counts of blank-separated lower-cased tokens per bucket of their md5, capped."""
-    tokens = F.filter(F.split(F.lower(text), " "), lambda t: t != "")
-    buckets = F.transform(tokens, lambda t: (F.conv(F.substring(F.md5(t), 1, 8), 16, 10).cast("long") % dims).cast("int"))
-    return F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda i: F.least(F.lit(most), F.size(F.filter(buckets, lambda b: b == i))).cast("short"))
+def hashed_vectors(rows: DataFrame, dims: int, signed: bool = False, low: int = 0, high: int = 255, kind: str = "smallint") -> DataFrame:
+    """rows (id, text, ...) with text turned into vec: counts of its blank-separated lower-cased tokens
+    per bucket of their md5, or, signed, with a second part of the md5 as sign; clamped.
+
+    An Arrow kernel: as an array expression this takes (tokens x dims) interpreted steps a text.
+    """
+    kept = [c for c in rows.columns if c != "text"]
+    plain = rows.select(*kept, F.lower(F.coalesce("text", F.lit(""))).alias("text"))
+    dtype = {"smallint": np.int16, "tinyint": np.int8}[kind]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known: dict[str, int] = {}
+        for batch in batches:
+            texts = batch.column(len(kept)).to_pylist()
+            out = np.zeros((len(texts), dims), dtype=np.int64)
+            for i, text in enumerate(texts):
+                hashes = []
+                for t in text.split(" "):
+                    if t:
+                        h = known.get(t)
+                        if h is None:
+                            if len(known) > 500_000:
+                                known.clear()
+                            h = known[t] = int(hashlib.md5(t.encode("utf-8", "surrogatepass")).hexdigest()[:8], 16)
+                        hashes.append(h)
+                if hashes:
+                    h = np.array(hashes)
+                    w = np.where((h // dims) % 2 == 0, 1, -1) if signed else np.ones(len(h), dtype=np.int64)
+                    np.add.at(out[i], h % dims, w)
+            clamped = np.clip(out, low, high).astype(dtype)
+            offsets = pa.array(np.arange(len(texts) + 1, dtype=np.int32) * dims)
+            vec = pa.ListArray.from_arrays(offsets, pa.array(clamped.reshape(-1)))
+            yield pa.RecordBatch.from_arrays([*(batch.column(j) for j in range(len(kept))), vec], [*kept, "vec"])
+
+    schema = plain.select(*kept).schema.simpleString()[7:-1]
+    return map_arrow(plain, run, f"{schema}, vec array<{kind}>")
 
 
 def emb(spark: SparkSession, sf_dir: str) -> PointSet:
@@ -33,29 +69,25 @@ def emb8(spark: SparkSession, sf_dir: str) -> PointSet:
 
 def doc(spark: SparkSession, sf_dir: str, dims: int = 128) -> PointSet:
     t = read_table(spark, sf_dir, "documents")
-    return PointSet(t.select(F.col("doc_id").alias("id"), hashed_counts(F.coalesce("text", F.lit("")), dims, 255).alias("vec"), "lang", "source"))
+    return PointSet(hashed_vectors(t.select(F.col("doc_id").alias("id"), "text", "lang", "source"), dims))
 
 
 def bench_text(spark: SparkSession, sf_dir: str, dims: int = 128) -> PointSet:
     t = read_table(spark, sf_dir, "benchmark")
-    return PointSet(t.select(F.col("item_id").alias("id"), hashed_counts(F.coalesce("text", F.lit("")), dims, 255).alias("vec")))
+    return PointSet(hashed_vectors(t.select(F.col("item_id").alias("id"), "text"), dims))
 
 
 def conv(spark: SparkSession, sf_dir: str, dims: int = 128) -> PointSet:
     """User turns, numbered conv_id * 1000 + turn."""
     t = read_table(spark, sf_dir, "conversations").filter("role = 'user'")
-    return PointSet(t.select((F.col("conv_id") * 1000 + F.col("turn")).alias("id"), hashed_counts(F.coalesce("text", F.lit("")), dims, 255).alias("vec")))
+    return PointSet(hashed_vectors(t.select((F.col("conv_id") * 1000 + F.col("turn")).alias("id"), "text"), dims))
 
 
 def web(spark: SparkSession, sf_dir: str, dims: int = 100) -> PointSet:
     """Signed hashed token counts of tag-free pages, clamped to a signed byte."""
     t = read_table(spark, sf_dir, "pages")
     text = F.regexp_replace(F.coalesce("html", F.lit("")), "<[^>]*>", " ")
-    tokens = F.filter(F.split(F.lower(text), " "), lambda x: x != "")
-    hashes = F.transform(tokens, lambda x: F.conv(F.substring(F.md5(x), 1, 8), 16, 10).cast("long"))
-    signed = F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda i: F.aggregate(
-        F.filter(hashes, lambda h: h % dims == i), F.lit(0).cast("long"), lambda a, h: a + F.when((F.floor(h / dims) % 2) == 0, 1).otherwise(-1)))
-    return PointSet(t.select(F.col("page_id").alias("id"), F.transform(signed, lambda x: F.greatest(F.lit(-127), F.least(F.lit(127), x)).cast("tinyint")).alias("vec")))
+    return PointSet(hashed_vectors(t.select(F.col("page_id").alias("id"), text.alias("text")), dims, True, -127, 127, "tinyint"))
 
 
 #: A key of lineitem that is unique in the given files.
@@ -89,12 +121,9 @@ def user_events(events: DataFrame, window: str = "1 day") -> DataFrame:
 def ood(spark: SparkSession, sf_dir: str, dims: int = 64) -> PointSet:
     """Benchmark passages as signed hashed unit vectors: queries from another distribution than emb."""
     t = read_table(spark, sf_dir, "benchmark")
-    tokens = F.filter(F.split(F.lower(F.coalesce("text", F.lit(""))), " "), lambda x: x != "")
-    hashes = F.transform(tokens, lambda x: F.conv(F.substring(F.md5(x), 1, 8), 16, 10).cast("long"))
-    raw = F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda i: F.aggregate(
-        F.filter(hashes, lambda h: h % dims == i), F.lit(0.0), lambda a, h: a + F.when((F.floor(h / dims) % 2) == 0, 1.0).otherwise(-1.0)))
-    size = F.sqrt(F.aggregate("raw", F.lit(0.0), lambda a, x: a + x * x))
-    return PointSet(t.select(F.col("item_id").alias("id"), raw.alias("raw")).withColumn("size", size).filter("size > 0").select("id", F.transform("raw", lambda x: x / F.col("size")).alias("vec")))
+    raw = hashed_vectors(t.select(F.col("item_id").alias("id"), "text"), dims, True, -32767, 32767)
+    size = F.sqrt(F.aggregate("vec", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double")))
+    return PointSet(raw.withColumn("size", size).filter("size > 0").select("id", F.transform("vec", lambda x: x.cast("double") / F.col("size")).alias("vec")))
 
 
 def sample_queries(points: PointSet, share: float, seed: int = 42) -> PointSet:

@@ -456,6 +456,16 @@ def hybrid_graph(
     return _build(points, "hybrid", {"trees": trees, "leaf": leaf, "degree": degree, "width": width, "alpha": alpha, "seed": seed}, kernel, shard_rows, shard_kind, seed)
 
 
+def fixed_graph(points: PointSet, edges: DataFrame, start: int) -> GraphIndex:
+    """An index of a given graph (src, dst, dist), in one shard."""
+    lists = edges.groupBy("src").agg(F.array_sort(F.collect_list(F.struct("dist", "dst"))).alias("c"))
+    rows = points.plain().join(lists, F.col("id") == F.col("src"), "left").select(
+        F.lit(0).cast("long").alias("shard"), "id", "vec", F.coalesce("c.dst", F.array().cast("array<bigint>")).alias("nbrs"), F.coalesce("c.dist", F.array().cast("array<double>")).alias("dists"),
+        F.lit(0).alias("level"), F.array().cast("array<array<bigint>>").alias("upper"), (F.col("id") == start).alias("start"), F.lit(0).cast("long").alias("build_comps"), F.lit(0).cast("long").alias("rounds"),
+    )
+    return GraphIndex("fixed", {}, points.metric, Shards(1), settle(rows, "graph"))
+
+
 BUILDERS = {"alpha": alpha_graph, "layered": layered_graph, "tree_mst": tree_mst_graph, "descent": descent_graph, "hybrid": hybrid_graph}
 
 

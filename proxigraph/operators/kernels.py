@@ -400,8 +400,8 @@ def _pivot_order(ids: np.ndarray, seed: int, tree: int, path: str) -> np.ndarray
 
 def tree_leaves(vecs: np.ndarray, ids: np.ndarray, leaf: int, tree: int = 0, kind: str = "pivots", seed: int = 42, metric: str = "l2") -> list[tuple[str, np.ndarray]]:
     """(path, positions) of the leaves of a random cluster tree. kind "pivots": members go to the
-    nearer of two drawn members; "hyperplane": to a side of a drawn direction at the median of two
-    drawn members' projections. A node whose points cannot be told apart is cut in halves."""
+    nearer of two drawn members; "hyperplane": to a side of the plane with a drawn normal through
+    the middle of the two members' projections. A node whose points cannot be told apart is cut in halves."""
     out, todo = [], [("", np.arange(len(ids)))]
     while todo:
         path, own = todo.pop()
@@ -423,8 +423,8 @@ def tree_leaves(vecs: np.ndarray, ids: np.ndarray, leaf: int, tree: int = 0, kin
             side = np.zeros(len(own))
             for w, row in zip(normal, vecs, strict=True):
                 side += w * row[own]
-            cut = np.sort(side, kind="stable")[len(own) // 2]
-            sides = side >= cut
+            cut = (side[own == a][0] + side[own == b][0]) / 2.0
+            sides = side > cut
             if sides.all() or not sides.any():
                 rank = np.lexsort((own, side))
                 sides = np.zeros(len(own), dtype=bool)
