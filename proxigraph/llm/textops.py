@@ -102,12 +102,13 @@ def _grown(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _powers[0], _powers[1]
 
 
-def slice_hashes(values: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Two independent 64-bit hashes of every slice values[starts[i]:ends[i]]."""
+def slice_hashes(values: np.ndarray, starts: np.ndarray, ends: np.ndarray, salt: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Two independent 64-bit hashes of every slice values[starts[i]:ends[i]]; salt holds a random
+    number for each possible value."""
     power, inverse = _grown(len(values) + 1)
     out = []
     with np.errstate(over="ignore"):
-        for salted in (values.astype(np.uint64) + np.uint64(1), mix64(values.astype(np.uint64) + np.uint64(77))):
+        for salted in (values.astype(np.uint64) + np.uint64(1), salt[values]):
             sums = np.zeros(len(values) + 1, dtype=np.uint64)
             np.cumsum(salted * power[: len(values)], out=sums[1:])
             out.append(mix64((sums[ends] - sums[starts]) * inverse[starts] + (ends - starts).astype(np.uint64)))

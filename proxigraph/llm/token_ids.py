@@ -9,7 +9,7 @@ from itertools import chain
 
 import numpy as np
 
-from proxigraph.llm.textops import chunks, slice_hashes
+from proxigraph.llm.textops import chunks, mix64, slice_hashes
 
 VOCABULARY = "byte_bpe_50k.json"
 CHUNK_BYTES = 1 << 20
@@ -33,6 +33,7 @@ def _classes() -> np.ndarray:
 
 
 _CLASS = _classes()
+_SALT = mix64(np.arange(_TABLED, dtype=np.uint64) + np.uint64(77))
 _BEYOND = re.compile("[^\t\n\r\x20-\x7e\xa1-\u024f]")
 
 
@@ -90,15 +91,16 @@ class Encoder:
         self._forget()
 
     def _forget(self) -> None:
-        self.place: dict[int, int] = {}
+        self.keys = np.empty(0, dtype=np.uint64)  # hashes of the known pre-tokens, sorted
+        self.order = np.empty(0, dtype=np.int64)  # where each stands in start and proof
         self.flat = np.empty(1 << 16, dtype=np.uint32)
         self.start = np.zeros(1 << 16, dtype=np.int64)
         self.proof = np.zeros(1 << 16, dtype=np.uint64)
         self.used = 0
 
-    def _learn(self, words: list[str], keys: list[int], proof: np.ndarray) -> None:
+    def _learn(self, words: list[str], proof: np.ndarray) -> None:
         ids = [e.ids for e in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
-        n, more = len(self.place), len(words)
+        n, more = len(self.keys), len(words)
         sizes = np.fromiter(map(len, ids), np.int64, more)
         need = self.used + int(sizes.sum())
         if need > len(self.flat):
@@ -110,7 +112,6 @@ class Encoder:
         self.start[n + 1: n + 1 + more] = self.used + np.cumsum(sizes)
         self.proof[n: n + more] = proof
         self.used = need
-        self.place.update(zip(keys, range(n, n + more), strict=True))
 
     def _whole(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         ids = [e.ids for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
@@ -135,18 +136,23 @@ class Encoder:
         start, stop = pre_tokens(code)
         if not len(start):
             return np.empty(0, np.uint32), np.zeros(len(texts), np.int64)
-        key, proof = slice_hashes(code, start, stop)
+        key, proof = slice_hashes(code, start, stop, _SALT)
         fresh, first, back = np.unique(key, return_index=True, return_inverse=True)
-        names = fresh.tolist()
-        if len(self.place) + len(names) > MOST_REMEMBERED:
+        if len(self.keys) + len(fresh) > MOST_REMEMBERED:
             self._forget()
-        at = np.fromiter((self.place.get(k, -1) for k in names), np.int64, len(names))
-        new = np.flatnonzero(at < 0)
+        place = np.searchsorted(self.keys, fresh)
+        known = place < len(self.keys)
+        known[known] = self.keys[place[known]] == fresh[known]
+        at = np.empty(len(fresh), dtype=np.int64)
+        at[known] = self.order[place[known]]
+        new = np.flatnonzero(~known)
         if len(new):
-            n = len(self.place)
+            n = len(self.keys)
             begin, end = start[first[new]].tolist(), stop[first[new]].tolist()
-            self._learn([joined[a:b] for a, b in zip(begin, end, strict=True)], fresh[new].tolist(), proof[first[new]])
+            self._learn([joined[a:b] for a, b in zip(begin, end, strict=True)], proof[first[new]])
             at[new] = np.arange(n, n + len(new))
+            self.keys = np.insert(self.keys, place[new], fresh[new])
+            self.order = np.insert(self.order, place[new], at[new])
         at = at[back]
         if not np.array_equal(self.proof[at], proof):  # two pre-tokens of one hash
             return self._whole(texts)
