@@ -8,6 +8,7 @@ import uuid
 import zipfile
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 _LOCAL_DIRS: dict[str, str] = {}
 _SHIPPED: set[str] = set()
@@ -73,3 +74,9 @@ def map_arrow(df: DataFrame, function, schema) -> DataFrame:
     """df.mapInArrow(function, schema) with this package at hand in the workers."""
     ship(df.sparkSession)
     return df.mapInArrow(function, schema)
+
+
+def broadcast_if_small(df: DataFrame, most_rows: int = 100_000) -> DataFrame:
+    """df with a broadcast hint if it has at most most_rows rows, else as it is. df should be settled,
+    as it is counted; its rows should be narrow."""
+    return F.broadcast(df) if df.count() <= most_rows else df
