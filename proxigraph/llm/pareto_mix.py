@@ -13,7 +13,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from proxigraph.runtime import settle
+from proxigraph.runtime import broadcast_if_small, settle
 
 WEIGHTS = (5, 2, 1)
 SHARE = 1.5
@@ -92,7 +92,7 @@ def mix(docs: DataFrame, weights=WEIGHTS, share: float = SHARE, most: int = MOST
     if "size" not in rows.columns:
         rows = rows.withColumn("size", word_count())
     narrow = settle(rows.select("doc_id", "source", "size", *([boost.alias("_boost")] if boost is not None else [])), "mix-sizes")
-    goal = settle(targets(narrow, weights, share, most), "mix-targets")
+    goal = broadcast_if_small(settle(targets(narrow, weights, share, most), "mix-targets"))  # one row a source
 
     def ranked(frame: DataFrame, lift: Column | None) -> DataFrame:
         t = rank_variable(F.col("part"), uniform(seed), lift)
@@ -100,9 +100,10 @@ def mix(docs: DataFrame, weights=WEIGHTS, share: float = SHARE, most: int = MOST
         return _join(frame, goal).withColumn("_t", t).withColumn("_b1", F.floor(scaled)).withColumn("_b2", F.floor((scaled - F.col("_b1")) * BUCKETS))
 
     sampled = ranked(narrow, None if boost is None else F.col("_boost")).filter("part > 0").select("source", "size", "extra", "_b1", "_b2", F.lit(0).cast("long").alias("_zero"))
-    cut = settle(_boundary(sampled, "_b1", "_zero", "_c1"), "mix-cut")
+    cut = broadcast_if_small(settle(_boundary(sampled, "_b1", "_zero", "_c1"), "mix-cut"))
     inner = _join(sampled, cut).filter("_b1 = _c1")
     cut = _join(cut, settle(_boundary(inner, "_b2", "_c1_before", "_c2"), "mix-cut")).select("source", "_c1", "_c2", "_c2_before")
+    cut = broadcast_if_small(settle(cut, "mix-cut"))
 
     # a source without a boundary has no part to sample
     other = cut.withColumnRenamed("source", "_source")

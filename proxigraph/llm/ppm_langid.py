@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 
 from proxigraph.llm.textops import chunks
 from proxigraph.llm.toxicity_ftrl import fold
-from proxigraph.runtime import map_arrow
+from proxigraph.runtime import broadcast_if_small, map_arrow, settle
 
 ORDER = 3
 #: Expected number of labelled texts per language to learn from, at any size of the corpus.
@@ -154,6 +154,7 @@ def fit(docs: DataFrame, per_language: int = SAMPLE_PER_LANGUAGE) -> Model:
     texts of each at most, chosen by hashed id. Null or empty lang and null text are not learnt."""
     known = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", "lang").filter("lang is not null and lang <> '' and text is not null").filter(fold() != 0)
     rates = known.groupBy("lang").count().select("lang", (F.lit(float(per_language)) / F.col("count") * F.lit(float(1 << 32))).alias("bound"))
+    rates = broadcast_if_small(settle(rates, "language-rates"))  # one row a language
     chosen = known.join(rates, "lang").filter(F.coalesce(F.xxhash64("doc_id", F.lit(10)).bitwiseAND(0xFFFFFFFF), F.lit(0)) < F.col("bound"))
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
