@@ -196,7 +196,7 @@ class GraphIndex:
         return one.agg(F.sum("c").alias("dist_comps"), F.sum("r").alias("rounds"))
 
     def search(
-        self, queries: PointSet, k: int = 10, width: int = 64, eps: float | None = None, visited: str = "exact", result_from: str = "visited",
+        self, queries: PointSet, k: int = 10, width: int = 64, eps: float | None = None, visited: str = "seen", result_from: str = "visited",
         probe: int | None = None, exclude_self: bool = False, start: str = "index", samples: int = 16,
     ) -> SearchResult:
         """k nearest of every query by beam search in the shards it is routed to. start "sample": of

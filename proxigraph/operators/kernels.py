@@ -77,7 +77,7 @@ class Found:
 
 
 def beam_search(
-    graph: Graph, queries: np.ndarray, width: int, k: int = 1, eps: float | None = None, visited: str = "exact",
+    graph: Graph, queries: np.ndarray, width: int, k: int = 1, eps: float | None = None, visited: str = "seen",
     starts: np.ndarray | None = None, max_hops: int | None = None,
 ) -> Found:
     """Beam search of every query (columns of queries) from its start over one snapshot.
@@ -85,8 +85,9 @@ def beam_search(
     A step processes the closest unprocessed member of the beam; its out-neighbours that are neither
     in the beam nor processed cost one distance each and enter the beam, of which the `width` closest
     stay. With eps, a query ends once that member is beyond (1 + eps) times the k-th distance.
-    visited="lossy" remembers processed vertices in width**2 slots, one each, so some may be forgotten;
-    visited="seen" never computes a distance twice, also not of a vertex that fell out of the beam.
+    visited="exact" remembers processed vertices only, so the distance of one that fell out of the beam
+    may be computed again; "seen" remembers all that were computed, with the same answers, as the beam
+    only gets closer; "lossy" remembers processed vertices in width**2 slots, so some may be forgotten.
     """
     n_q = queries.shape[1]
     parts = []
@@ -381,7 +382,7 @@ def layer_graph(graph: Graph, layer: int) -> Graph:
     return out
 
 
-def layered_search(graph: Graph, queries: np.ndarray, width: int, k: int = 1, eps: float | None = None, visited: str = "exact") -> Found:
+def layered_search(graph: Graph, queries: np.ndarray, width: int, k: int = 1, eps: float | None = None, visited: str = "seen") -> Found:
     """From the entry down with beams of one, then a full beam at the bottom."""
     at = np.full(queries.shape[1], graph.entry)
     comps = np.zeros(queries.shape[1], np.int64)

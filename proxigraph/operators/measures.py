@@ -53,11 +53,12 @@ def sweep(spark: SparkSession, method: str, search: Callable[..., object], queri
     """Long table of runs: recall, comparisons per query and queries per second of each setting."""
     rows = []
     ids = queries.plain().select(F.col("id").alias("qid"))
-    n = ids.count()
+    n = max(1, ids.count())
     for i, params in enumerate(grid):
         seconds, out = timed(lambda params=params: search(queries, k, **params))
-        spent, value = timed(lambda out=out: mean_recall(truth, out.results, ids, k).first()["recall"])
-        comps = out.stats.agg(F.avg("dist_comps")).first()[0]
+        both = recall(truth, out.results, ids, k).join(out.stats.select("qid", "dist_comps"), "qid", "left")
+        spent, r = timed(lambda both=both: both.agg(F.sum(F.round(F.col("recall") * k).cast("long")).alias("hits"), F.avg("dist_comps").alias("comps")).first())
+        value, comps = r["hits"] / (n * float(k)), r["comps"]
         named = {a: str(b) for a, b in params.items()}
         for metric, x in (("recall", value), ("dist_comps", comps), ("qps", n / (seconds + spent))):
             rows.append((f"{method}-{i}", method, named, metric, float(x if x is not None else 0.0)))

@@ -95,3 +95,12 @@ class ProductCodes:
         a = queries.plain().select(F.col("id").alias("qid"), F.col("vec").alias("a"))
         b = points.plain().select("id", F.col("vec").alias("b"))
         return top_k(close.join(a, "qid").join(b, "id").select("qid", "id", expression(points.metric, "b", "a").alias("dist")), k)
+
+
+def graph_search_reranked(coarse, points: PointSet, queries: PointSet, k: int = 10, rerank: int = 50, scale: float = 127.0, **params) -> DataFrame:
+    """qid, id, dist, rank: a graph over sq8(points), searched with sq8 queries for `rerank` candidates,
+    which are ranked anew by their exact distances."""
+    near = coarse.search(sq8(queries, scale), rerank, max(rerank, params.pop("width", rerank)), **params).results.select("qid", "id")
+    a = queries.plain().select(F.col("id").alias("qid"), F.col("vec").alias("a"))
+    b = points.plain().select("id", F.col("vec").alias("b"))
+    return top_k(near.join(a, "qid").join(b, "id").select("qid", "id", expression(points.metric, "b", "a").alias("dist")), k)

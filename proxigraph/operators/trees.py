@@ -70,3 +70,84 @@ def leaf_neighbours(assigned: DataFrame, points: PointSet, k: int) -> DataFrame:
     right = a.select("tree", "path", F.col("id").alias("dst"), F.col("vec").alias("y"))
     met = left.join(right, ["tree", "path"]).filter("src <> dst").select("src", "dst", expression(points.metric, "x", "y").alias("dist"))
     return nearest(met.dropDuplicates(["src", "dst"]), k)
+
+
+def _leaf_edges(assigned: DataFrame, points: PointSet, near: int | None, max_degree: int, key: tuple[str, ...]) -> DataFrame:
+    """src, dst, dist: the spanning-tree edges of all leaves, grouped by `key` into tasks."""
+    import numpy as np
+    import pyarrow as pa
+
+    from proxigraph.operators.kernels import leaf_mst
+    from proxigraph.operators.model import to_matrix
+    from proxigraph.runtime import ship
+
+    metric = points.metric
+    ship(points.df.sparkSession)
+
+    def one(table: pa.Table) -> pa.Table:
+        ids = table.column("id").to_numpy()
+        order = np.argsort(ids, kind="stable")
+        table = table.take(pa.array(order)).combine_chunks()
+        ids, paths = ids[order], np.array(table.column("path").to_pylist())
+        vecs = np.ascontiguousarray(to_matrix(table.column("vec")).T)
+        edges = [e for p in np.unique(paths) for e in leaf_mst(vecs, np.flatnonzero(paths == p), near, max_degree, metric)]
+        a, b = (ids[np.array([e[k] for e in edges], dtype=np.int64)] for k in (0, 1))
+        return pa.table({"src": pa.array(a, pa.int64()), "dst": pa.array(b, pa.int64()), "dist": pa.array([e[2] for e in edges], pa.float64())})
+
+    members = assigned.join(points.plain(), "id").select("tree", "path", "id", "vec")
+    return members.groupBy(*key).applyInArrow(one, "src long, dst long, dist double")
+
+
+def tree_mst_edges(
+    points: PointSet, trees: int = 30, leaf: int = 1000, near: int | None = 10, max_degree: int = 3, degree: int = 64, alpha: float = 1.0,
+    seed: int = 42, parallel: str = "leaves", most_levels: int = 64,
+) -> DataFrame:
+    """src, dst, dist of a tree-MST graph over all points at once, without shards.
+
+    All nodes of a level are split together, one settled table a level; a leaf, at most `leaf` points
+    (copies of one vector apart, which no pivot separates and which are halved by draw), is one task's
+    work. parallel "trees": one task per tree instead, as a baseline; the edges are the same.
+    """
+    from proxigraph.operators.edges import alpha_prune, union_local
+
+    assigned = settle(plant(points, trees), "tree")
+    for level in range(most_levels):
+        sizes = assigned.groupBy("tree", "path").count().filter(F.col("count") > leaf)
+        if sizes.isEmpty():
+            break
+        split = settle(split_level(assigned, points, leaf, "pivots", seed), "tree")
+        stuck = split.join(assigned.withColumnRenamed("path", "was"), ["tree", "id"]).filter("path = was")
+        big = settle(stuck.join(sizes.withColumnRenamed("count", "n"), ["tree", "path"]).select("tree", "id"), "stuck")
+        if not big.isEmpty():
+            half = (draw(seed, F.col("tree"), F.lit("half"), F.lit(level), F.col("id")) % 2).cast("string")
+            hit = split.join(big.withColumn("h", F.lit(1)), ["tree", "id"], "left")
+            split = settle(hit.select("tree", "id", F.when(F.col("h") == 1, F.concat("path", half)).otherwise(F.col("path")).alias("path")), "tree")
+        assigned = split
+    made = settle(_leaf_edges(assigned, points, near, max_degree, ("tree", "path") if parallel == "leaves" else ("tree",)), "leaf-edges")
+    both = union_local(made, made.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "dist"))
+    return alpha_prune(both, points, degree, alpha)
+
+
+def descent_edges(
+    points: PointSet, trees: int = 10, leaf: int = 100, k: int = 40, degree: int = 64, alpha: float = 1.2, cap: int | None = 2000, delta: float = 0.001,
+    max_rounds: int = 20, blocks: int = 1, levels: int | None = None, seed: int = 42,
+) -> tuple[DataFrame, int]:
+    """(src, dst, dist) of a descent graph over all points at once, by rounds of joins, and the number
+    of rounds: it stops when at most delta * n * k edges are new."""
+    import math
+
+    from proxigraph.operators.edges import alpha_prune, changed, descent_round, nearest
+
+    n = points.df.count()
+    depth = levels if levels is not None else max(0, math.ceil(math.log2(max(1, n / leaf))) + 2)
+    assigned = grow(points, depth, trees, leaf, "hyperplane", seed)
+    edges = settle(nearest(leaf_neighbours(assigned, points, k).dropDuplicates(["src", "dst"]), k), "descent")
+    rounds = 0
+    while rounds < max_rounds:
+        after = settle(descent_round(edges, points, k, cap, seed, rounds, blocks), "descent")
+        rounds += 1
+        new = changed(edges, after).count()
+        edges = after
+        if new <= delta * n * k:
+            break
+    return alpha_prune(edges, points, degree, alpha), rounds

@@ -271,7 +271,7 @@ def _fixed_sql(eps: float | None) -> str:
 
 def _fixed_run(spark, sf_dir, eps=None):
     g, q = _fixed(spark, sf_dir)
-    out = g.search(q, 10, 16, eps)
+    out = g.search(q, 10, 16, eps, visited="exact")
     return _ranked(out.results).join(out.stats.select("qid", "hops", "dist_comps"), "qid")
 
 
@@ -298,7 +298,7 @@ def beam_search_trace(spark, sf_dir):
 @query()
 def beam_search_lossy(spark, sf_dir):
     g, q = _fixed(spark, sf_dir)
-    a, b = g.search(q, 10, 16).stats, g.search(q, 10, 16, visited="lossy").stats
+    a, b = g.search(q, 10, 16, visited="exact").stats, g.search(q, 10, 16, visited="lossy").stats
     return a.join(b.select("qid", F.col("dist_comps").alias("lossy_comps")), "qid").select("qid", "dist_comps", "lossy_comps")
 
 
@@ -306,7 +306,7 @@ def beam_search_lossy(spark, sf_dir):
 def layered_flags_visited(spark, sf_dir):
     base, q = _emb(spark, sf_dir)
     g = index.layered_graph(base, 8, 48)
-    a, b = g.search(q, 10, 48).stats, g.search(q, 10, 48, visited="seen").stats
+    a, b = g.search(q, 10, 48, visited="exact").stats, g.search(q, 10, 48).stats
     return a.join(b.select("qid", F.col("dist_comps").alias("flag_comps")), "qid").select("qid", "dist_comps", "flag_comps")
 
 
@@ -483,6 +483,19 @@ def restricted_mst_edges(spark, sf_dir):
     return _edges(_leaf_edges(spark, sf_dir, 10, 3))
 
 
+@query(_SATURATED)
+def tree_mst_global_saturated(spark, sf_dir):
+    """The tree-MST graph built level by level over all points, searched at saturation."""
+    p, q = _small(spark, sf_dir, 300), _small(spark, sf_dir, 440, 400)
+    g = index.fixed_graph(p, trees.tree_mst_edges(p, 6, 60), 0)
+    return _ranked(g.search(q, 10, 300).results)
+
+
+@query()
+def tree_at_a_time_edges(spark, sf_dir):
+    return _edges(trees.tree_mst_edges(_small(spark, sf_dir, 200), 3, 40, parallel="trees"))
+
+
 # ---- neighbour descent
 
 _D0 = f"WITH {D.small(100)}, {D.graph(5, 'p', 'x0')}, g0 AS (SELECT src, dst, dist FROM x0 WHERE (src * 7 + dst) % 3 <> 0)"
@@ -521,6 +534,14 @@ def descent_changed_fraction(spark, sf_dir):
     return edges.changed(*_descent(spark, sf_dir, 2)).agg(F.round(F.count("*") / F.lit(500.0), 6).alias("fraction"))
 
 
+@query(_SATURATED)
+def descent_global_saturated(spark, sf_dir):
+    """The descent graph built by join rounds over all points, searched at saturation."""
+    p, q = _small(spark, sf_dir, 300), _small(spark, sf_dir, 440, 400)
+    made, _ = trees.descent_edges(p, 2, 60, 12, 24)
+    return _ranked(index.fixed_graph(p, made, 0).search(q, 10, 300).results)
+
+
 @query()
 def descent_random_start(spark, sf_dir):
     base, q = _emb(spark, sf_dir)
@@ -633,6 +654,22 @@ def pq_rerank_search(spark, sf_dir):
     return _ranked(codes.search(codes.encode(base), base, q, 10, 100))
 
 
+@query()
+def sq8_graph_reranked(spark, sf_dir):
+    base, q = _emb(spark, sf_dir)
+    g = index.alpha_graph(quantise.sq8(base), 24, 48)
+    return _ranked(quantise.graph_search_reranked(g, base, q, 10, 40))
+
+
+@query(f"WITH p AS (SELECT vec_id AS id, {D.INT8} AS vec FROM embeddings WHERE vec_id < 40) SELECT a.id AS src, b.id AS dst, list_sum(list_transform(list_zip(a.vec, b.vec), lambda z: (z[1]::bigint - z[2]::bigint) * (z[1]::bigint - z[2]::bigint)))::bigint AS dist_sq FROM p a JOIN p b ON a.id < b.id")
+def integer_distances(spark, sf_dir):
+    from proxigraph.functions.distance import l2_sq_int
+
+    p = carriers.emb8(spark, sf_dir).df.filter("id < 40")
+    a, b = p.select(F.col("id").alias("src"), F.col("vec").alias("x")), p.select(F.col("id").alias("dst"), F.col("vec").alias("y"))
+    return a.join(b, F.col("src") < F.col("dst")).select("src", "dst", l2_sq_int("x", "y").alias("dist_sq"))
+
+
 _TRUTH = f"WITH {D.EMB}, t AS (SELECT qid, id, {D.l2('vec', 'qvec')} AS dist FROM p, q QUALIFY row_number() OVER (PARTITION BY qid ORDER BY dist, id) <= 10)"
 
 

@@ -15,7 +15,7 @@ QUERIES: dict = {}
 BUILDS = {
     "alpha": {"degree": 32, "width": 64}, "layered": {"m": 16, "width": 64}, "tree_mst": {"trees": 10, "leaf": 200}, "descent": {"trees": 5, "leaf": 100, "k": 20, "degree": 32},
 }
-WIDTHS = (10, 20, 50, 100, 200)
+WIDTHS = (10, 30, 100)
 
 
 def workload(f):
@@ -51,8 +51,8 @@ def _curves(spark, sf_dir, names, methods=tuple(BUILDS), widths=WIDTHS) -> DataF
             parts.append(measures.sweep(spark, f"{m}/{name}", g.search, q, truth, [{"width": w} for w in widths]))
             parts.append(_rows(spark, [(f"{m}/{name}", f"{m}/{name}", {}, "build_s", seconds)]))
         cells = max(2, int(n ** 0.5))
-        seconds, i = measures.timed(lambda base=base, cells=cells: inverted.InvertedIndex.build(base, cells, 5))
-        parts.append(measures.sweep(spark, f"inverted/{name}", i.search, q, truth, [{"probe": p} for p in sorted({1, 2, 4, max(1, cells // 2), cells})]))
+        seconds, i = measures.timed(lambda base=base, cells=cells: inverted.InvertedIndex.build(base, cells, 3))
+        parts.append(measures.sweep(spark, f"inverted/{name}", i.search, q, truth, [{"probe": p} for p in sorted({1, max(1, cells // 4), cells})]))
         parts.append(_rows(spark, [(f"inverted/{name}", f"inverted/{name}", {}, "build_s", seconds)]))
     return _union(parts)
 
@@ -69,7 +69,7 @@ def w02_curves_comps(spark, sf_dir):
 
 @workload
 def w03_high_recall(spark, sf_dir):
-    wide = measures.wide(_curves(spark, sf_dir, ["emb"], widths=(50, 100, 200)))
+    wide = measures.wide(_curves(spark, sf_dir, ["emb"], widths=(30, 60, 120)))
     return wide.filter("recall >= 0.9").select("run_id", "method", "recall", "dist_comps")
 
 
@@ -92,7 +92,7 @@ def w05_one_thread_qps(spark, sf_dir):
     g = index.alpha_graph(base, **BUILDS["alpha"])
     one = PointSet(q.df.coalesce(1))
     n = q.df.count()
-    return _rows(spark, [(f"alpha-{w}", "alpha", {"width": str(w)}, "qps", n / measures.timed(lambda w=w: measures.drain(g.search(one, 10, w).results))[0]) for w in WIDTHS[:3]])
+    return _rows(spark, [(f"alpha-{w}", "alpha", {"width": str(w)}, "qps", n / measures.timed(lambda w=w: measures.drain(g.search(one, 10, w).results))[0]) for w in WIDTHS])
 
 
 @workload

@@ -9,6 +9,7 @@ import zipfile
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType, _parse_datatype_string
 
 _LOCAL_DIRS: dict[str, str] = {}
 _SHIPPED: set[str] = set()
@@ -76,6 +77,11 @@ def map_arrow(df: DataFrame, function, schema) -> DataFrame:
     return df.mapInArrow(function, schema)
 
 
+def with_fields(df: DataFrame, fields: str) -> StructType:
+    """The schema of df with the fields of a DDL string behind, whatever df's columns are called."""
+    return StructType(df.schema.fields + _parse_datatype_string(fields).fields)
+
+
 def broadcast_if_small(df: DataFrame, most_rows: int = 100_000) -> DataFrame:
     """df with a broadcast hint if it has at most most_rows rows, else as it is. df should be settled,
     as it is counted; its rows should be narrow."""
