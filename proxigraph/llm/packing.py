@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from proxigraph.llm import token_ids
-from proxigraph.runtime import map_arrow, settle
+from proxigraph.runtime import map_arrow, settle, with_fields
 
 CAPACITY = 2048
 END_ID = 0
@@ -134,22 +134,22 @@ def pack(found: DataFrame, capacity: int = CAPACITY) -> DataFrame:
     """Rows of found, which has doc_id, piece and length (1 to capacity), plus sequence_id and offset.
 
     found must give the same rows each time it is read (a written table). Repeated rows are pieces
-    of their own. An empty table gives an empty result.
+    of their own; columns of found with the new names are replaced. An empty table gives an empty result.
     """
     counts = {r["length"]: r["count"] for r in found.groupBy("length").count().collect()}  # at most `capacity` rows
     if any(not 1 <= s <= capacity for s in counts):
         raise ValueError(f"lengths must be 1 to {capacity}")
     made = found.sparkSession.sparkContext.broadcast(plan(counts, capacity))
-    sliced = found.withColumn("slice", F.pmod(F.xxhash64("doc_id", "piece"), F.lit(SLICES)).cast("int"))
-    bases = sliced.groupBy("length", "slice").count().select(
-        "length", "slice",
-        (F.sum("count").over(Window.partitionBy("length").orderBy("slice")) - F.col("count")).alias("base"),
+    plain = found.drop("sequence_id", "offset")
+    sliced = plain.withColumn("_pk_slice", F.pmod(F.xxhash64("doc_id", "piece"), F.lit(SLICES)).cast("int"))
+    bases = sliced.groupBy("length", "_pk_slice").agg(F.count("*").alias("_pk_n")).select(
+        "length", "_pk_slice",
+        (F.sum("_pk_n").over(Window.partitionBy("length").orderBy("_pk_slice")) - F.col("_pk_n")).alias("_pk_base"),
     )
-    inside = F.row_number().over(Window.partitionBy("length", "slice").orderBy("doc_id", "piece"))
-    ranked = sliced.withColumn("inside", inside).join(bases, ["length", "slice"]).withColumn("rank", F.col("base") + F.col("inside") - 1)
-    ranked = ranked.select(*found.columns, "rank")
-    place = (ranked.columns.index("length"), ranked.columns.index("rank"))
-    schema = found.schema.simpleString()[7:-1]
+    inside = F.row_number().over(Window.partitionBy("length", "_pk_slice").orderBy("doc_id", "piece"))
+    ranked = sliced.withColumn("_pk_inside", inside).join(bases, ["length", "_pk_slice"])
+    ranked = ranked.select(*plain.columns, (F.col("_pk_base") + F.col("_pk_inside") - 1).alias("_pk_rank"))
+    place = (ranked.columns.index("length"), ranked.columns.index("_pk_rank"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         p = made.value
@@ -164,7 +164,7 @@ def pack(found: DataFrame, capacity: int = CAPACITY) -> DataFrame:
                 [*batch.schema.names[:-1], "sequence_id", "offset"],
             )
 
-    return map_arrow(ranked, run, f"{schema}, sequence_id long, offset long")
+    return map_arrow(ranked, run, with_fields(plain, "sequence_id long, offset long"))
 
 
 def pack_documents(docs: DataFrame, capacity: int = CAPACITY, end_id: int = END_ID, vocabulary: str | None = None) -> DataFrame:

@@ -20,6 +20,8 @@ SHARE = 1.5
 MOST_COPIES = 2
 SEED = 42
 BUCKETS = 4096
+#: Column with how often a row is taken.
+TIMES = "_mx_times"
 WORD = r"[^\x20\x09-\x0D]+"
 
 
@@ -68,16 +70,16 @@ def rank_variable(part: Column, u: Column, boost: Column | None = None) -> Colum
 
 def _join(rows: DataFrame, table: DataFrame) -> DataFrame:
     """Inner join on source, in which null equals null."""
-    other = table.withColumnRenamed("source", "_source")
-    return rows.join(other, rows["source"].eqNullSafe(other["_source"])).drop("_source")
+    other = table.withColumnRenamed("source", "_mx_source")
+    return rows.join(other, rows["source"].eqNullSafe(other["_mx_source"])).drop("_mx_source")
 
 
 def _boundary(rows: DataFrame, bucket: str, before: str, found: str) -> DataFrame:
     """Per source, the bucket in which the running sum of sizes passes `extra`, and the sum before it."""
     run = Window.partitionBy("source").orderBy(bucket)
-    sums = rows.groupBy("source", "extra", before, bucket).agg(F.sum("size").alias("words"))
+    sums = rows.groupBy("source", "_mx_extra", before, bucket).agg(F.sum("size").alias("words"))
     sums = sums.withColumn("upto", F.col(before) + F.sum("words").over(run))
-    low = sums.filter("upto >= extra").groupBy("source").agg(F.min(F.struct(bucket, (F.col("upto") - F.col("words")).alias("b"))).alias("x"))
+    low = sums.filter("upto >= _mx_extra").groupBy("source").agg(F.min(F.struct(bucket, (F.col("upto") - F.col("words")).alias("b"))).alias("x"))
     return low.select("source", F.col(f"x.{bucket}").alias(found), F.col("x.b").alias(f"{found}_before"))
 
 
@@ -86,48 +88,51 @@ def mix(docs: DataFrame, weights=WEIGHTS, share: float = SHARE, most: int = MOST
 
     A null text has size 0; rows with a null source form a source of their own; rows of one doc_id
     share their random number and rank next to each other; an empty table gives an empty result.
-    Columns of docs with the new names are replaced, but for size, which is used if there.
+    Columns of docs with the new names are replaced, but for size, which is used if there, and the
+    column named by TIMES says how often a row is taken.
     """
     rows = docs.drop("source_size", "target", "taken")
     if "size" not in rows.columns:
         rows = rows.withColumn("size", word_count())
-    narrow = settle(rows.select("doc_id", "source", "size", *([boost.alias("_boost")] if boost is not None else [])), "mix-sizes")
-    goal = broadcast_if_small(settle(targets(narrow, weights, share, most), "mix-targets"))  # one row a source
+    narrow = settle(rows.select("doc_id", "source", "size", *([boost.alias("_mx_boost")] if boost is not None else [])), "mix-sizes")
+    goal = targets(narrow, weights, share, most)
+    goal = goal.select("source", "source_size", "target", *[F.col(c).alias(f"_mx_{c}") for c in ("copies", "part", "extra")])
+    goal = broadcast_if_small(settle(goal, "mix-targets"))  # one row a source
 
     def ranked(frame: DataFrame, lift: Column | None) -> DataFrame:
-        t = rank_variable(F.col("part"), uniform(seed), lift)
-        scaled = F.col("_t") * BUCKETS
-        return _join(frame, goal).withColumn("_t", t).withColumn("_b1", F.floor(scaled)).withColumn("_b2", F.floor((scaled - F.col("_b1")) * BUCKETS))
-
-    sampled = ranked(narrow, None if boost is None else F.col("_boost")).filter("part > 0").select("source", "size", "extra", "_b1", "_b2", F.lit(0).cast("long").alias("_zero"))
-    cut = broadcast_if_small(settle(_boundary(sampled, "_b1", "_zero", "_c1"), "mix-cut"))
-    inner = _join(sampled, cut).filter("_b1 = _c1")
-    cut = _join(cut, settle(_boundary(inner, "_b2", "_c1_before", "_c2"), "mix-cut")).select("source", "_c1", "_c2", "_c2_before")
+        t = rank_variable(F.col("_mx_part"), uniform(seed), lift)
+        scaled = F.col("_mx_t") * BUCKETS
+        return _join(frame, goal).withColumn("_mx_t", t).withColumn("_mx_b1", F.floor(scaled)).withColumn("_mx_b2", F.floor((scaled - F.col("_mx_b1")) * BUCKETS))
+
+    sampled = ranked(narrow, None if boost is None else F.col("_mx_boost")).filter("_mx_part > 0")
+    sampled = sampled.select("source", "size", "_mx_extra", "_mx_b1", "_mx_b2", F.lit(0).cast("long").alias("_mx_zero"))
+    cut = broadcast_if_small(settle(_boundary(sampled, "_mx_b1", "_mx_zero", "_mx_c1"), "mix-cut"))
+    inner = _join(sampled, cut).filter("_mx_b1 = _mx_c1")
+    cut = _join(cut, settle(_boundary(inner, "_mx_b2", "_mx_c1_before", "_mx_c2"), "mix-cut")).select("source", "_mx_c1", "_mx_c2", "_mx_c2_before")
     cut = broadcast_if_small(settle(cut, "mix-cut"))
 
     # a source without a boundary has no part to sample
-    other = cut.withColumnRenamed("source", "_source")
+    other = cut.withColumnRenamed("source", "_mx_source")
     full = ranked(rows, boost)
-    full = full.join(other, full["source"].eqNullSafe(other["_source"]), "left").drop("_source")
-    edge = F.col("_c1").isNotNull() & (F.col("_b1") == F.col("_c1")) & (F.col("_b2") == F.col("_c2"))
-    below = (F.col("_b1") < F.col("_c1")) | ((F.col("_b1") == F.col("_c1")) & (F.col("_b2") < F.col("_c2")))
-    plain = full.filter(~edge).withColumn("_more", F.when(F.col("_c1").isNotNull() & below, 1).otherwise(0))
-    order = Window.partitionBy("source").orderBy("_t", "doc_id", "size").rowsBetween(Window.unboundedPreceding, 0)
-    upto = F.col("_c2_before") + F.sum("size").over(order)
-    last = full.filter(edge).withColumn("_upto", upto)
-    start = F.col("_upto") - F.col("size")
-    near = (F.col("_upto") <= F.col("extra")) | ((start < F.col("extra")) & (F.col("_upto") - F.col("extra") < F.col("extra") - start))
-    last = last.withColumn("_more", F.when(near, 1).otherwise(0)).drop("_upto")
-    out = plain.unionByName(last)
-    taken = F.col("size") * (F.col("copies") + F.col("_more"))
-    return out.withColumn("taken", taken).withColumn("_times", F.col("copies") + F.col("_more")).drop("copies", "part", "extra", "_t", "_b1", "_b2", "_c1", "_c2", "_c2_before", "_more")
+    full = full.join(other, full["source"].eqNullSafe(other["_mx_source"]), "left").drop("_mx_source")
+    known, extra, upto = F.col("_mx_c1").isNotNull(), F.col("_mx_extra"), F.col("_mx_upto")
+    edge = known & (F.col("_mx_b1") == F.col("_mx_c1")) & (F.col("_mx_b2") == F.col("_mx_c2"))
+    below = (F.col("_mx_b1") < F.col("_mx_c1")) | ((F.col("_mx_b1") == F.col("_mx_c1")) & (F.col("_mx_b2") < F.col("_mx_c2")))
+    plain = full.filter(~edge).withColumn("_mx_more", F.when(known & below, 1).otherwise(0))
+    order = Window.partitionBy("source").orderBy("_mx_t", "doc_id", "size").rowsBetween(Window.unboundedPreceding, 0)
+    last = full.filter(edge).withColumn("_mx_upto", F.col("_mx_c2_before") + F.sum("size").over(order))
+    start = upto - F.col("size")
+    near = (upto <= extra) | ((start < extra) & (upto - extra < extra - start))
+    last = last.withColumn("_mx_more", F.when(near, 1).otherwise(0)).drop("_mx_upto")
+    out = plain.unionByName(last).withColumn(TIMES, F.col("_mx_copies") + F.col("_mx_more"))
+    return out.withColumn("taken", F.col("size") * F.col(TIMES)).drop(*[c for c in out.columns if c.startswith("_mx_") and c != TIMES])
 
 
 def repeated(docs: DataFrame, **options) -> DataFrame:
     """The mix itself: every row of docs as often as it is taken."""
-    mixed = mix(docs, **options)
-    copy = F.explode(F.array_repeat(F.lit(1), F.col("_times").cast("int"))).alias("_copy")
-    return mixed.filter("_times > 0").select(*docs.columns, copy).drop("_copy")
+    mixed = mix(docs.select("doc_id", "source", "text", F.struct(*docs.columns).alias("_mx_row")), **options)
+    copy = F.explode(F.array_repeat(F.lit(1), F.col(TIMES).cast("int"))).alias("_mx_copy")
+    return mixed.filter(F.col(TIMES) > 0).select("_mx_row.*", copy).drop("_mx_copy")
 
 
 SQL = r"""

@@ -17,9 +17,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from proxigraph.llm.textops import chunks
+from proxigraph.llm.textops import LONG, chunks
 from proxigraph.llm.toxicity_ftrl import fold
-from proxigraph.runtime import broadcast_if_small, map_arrow, settle
+from proxigraph.runtime import broadcast_if_small, map_arrow, settle, with_fields
 
 ORDER = 3
 #: Expected number of labelled texts per language to learn from, at any size of the corpus.
@@ -124,25 +124,34 @@ class Model:
                 found[s[2], s[1], s[0]] = i
         return found.reshape(-1)
 
+    def _nats(self, sym: np.ndarray) -> np.ndarray:
+        """Nats of each byte class after the first ORDER ones, under each language."""
+        a = self.size
+        node = self.context[(sym[:-3] * a + sym[1:-2]) * a + sym[2:-1]]
+        return self.cost[node * a + sym[3:]]
+
     def code_lengths(self, texts: list[str | None]) -> np.ndarray:
         """Nats of each whole text under each language."""
         raw = [(t or "").encode("utf-8", "surrogatepass") for t in texts]
         out = np.zeros((len(raw), self.cost.shape[1]))
-        a = self.size
         lengths = np.fromiter((len(t) for t in raw), np.int64, len(raw))
         for lo, hi in chunks(lengths, CHUNK_BYTES):
             size = lengths[lo:hi]
             if not size.sum():
                 continue
+            if size[0] > LONG:
+                for at in range(0, int(size[0]), CHUNK_BYTES):
+                    before = np.frombuffer(raw[lo][max(0, at - ORDER): at], dtype=np.uint8)
+                    own = self.symbol[np.frombuffer(raw[lo][at: at + CHUNK_BYTES], dtype=np.uint8)]
+                    sym = np.concatenate([np.zeros(ORDER - len(before), np.int32), self.symbol[before], own])
+                    out[lo] += self._nats(sym).sum(axis=0, dtype=np.float64)
+                continue
             stop = np.cumsum(size + ORDER)
-            sym = np.zeros(int(stop[-1]) + 1, dtype=np.int32)
             buf = np.frombuffer(b"".join(b + b"\0" * ORDER for b in raw[lo:hi]), dtype=np.uint8)
             sym = np.concatenate([np.zeros(ORDER, np.int32), self.symbol[buf]])
             for k in range(ORDER):  # what stands before a text is no byte
                 sym[stop - k + ORDER - 1] = 0
-            node = self.context[(sym[:-3] * a + sym[1:-2]) * a + sym[2:-1]]
-            nats = self.cost[node * a + sym[3:]]
-            ends = np.cumsum(nats, axis=0, dtype=np.float64)
+            ends = np.cumsum(self._nats(sym), axis=0, dtype=np.float64)
             ends = np.concatenate([np.zeros((1, ends.shape[1])), ends])
             begin = stop - size - ORDER
             out[lo:hi] = ends[begin + size] - ends[begin]
@@ -180,7 +189,6 @@ def predict(docs: DataFrame, model: Model) -> DataFrame:
     Columns of docs that have these names are replaced."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
     plain = docs.drop("lang_pred", "score")
-    schema = plain.schema.simpleString()[7:-1]
     place = plain.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -194,4 +202,4 @@ def predict(docs: DataFrame, model: Model) -> DataFrame:
             pred = [known.langs[b] if r else UNDETERMINED for b, r in zip(best, real, strict=True)]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(pred, pa.string()), pa.array(np.where(real, p, 0.0))], [*batch.schema.names, "lang_pred", "score"])
 
-    return map_arrow(plain, run, f"{schema}, lang_pred string, score double")
+    return map_arrow(plain, run, with_fields(plain, "lang_pred string, score double"))

@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from proxigraph.llm.components import components, local_components
-from proxigraph.llm.textops import chunks, mix64, xxh64_slices
+from proxigraph.llm.textops import LONG, chunks, mix64, segments, xxh64_slices
 from proxigraph.runtime import map_arrow, settle
 
 SHINGLE_WORDS = 3
@@ -38,31 +38,48 @@ CHUNK_BYTES = 1 << 20
 #: Sets byte k of a 64-bit lane for bit k of a byte, to count eight bits in one addition.
 _SPREAD = (np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1, bitorder="little").astype(np.uint64) << (np.arange(8, dtype=np.uint64) * np.uint64(8))).sum(axis=1, dtype=np.uint64)
 
+_NO_SPACE = np.arange(256) != 32
+
 
 def pivots(n: int = N_PIVOTS) -> np.ndarray:
     """n fixed reference fingerprints, drawn by a seeded mixer."""
     return mix64(np.arange(1, n + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
 
 
-def _majority(hashes: np.ndarray, doc: np.ndarray, n_docs: int) -> np.ndarray:
-    """For each document, the bits set in over half of its hashes (doc is ascending)."""
-    fingerprint = np.zeros(n_docs, dtype=np.uint64)
+def _counts(hashes: np.ndarray, doc: np.ndarray, n_docs: int) -> tuple[np.ndarray, np.ndarray]:
+    """For each document, how many of its hashes have each bit, and how many hashes it has (doc is
+    ascending)."""
+    counts, total = np.zeros((n_docs, 64), dtype=np.int64), np.zeros(n_docs, dtype=np.int64)
     if not len(hashes):
-        return fingerprint
+        return counts, total
     first = np.flatnonzero(np.diff(doc, prepend=-1))
-    inside = np.arange(len(doc)) - np.repeat(first, np.diff(np.append(first, len(doc))))
+    many = np.diff(np.append(first, len(doc)))
+    inside = np.arange(len(doc)) - np.repeat(first, many)
     block = np.flatnonzero(inside % 255 == 0)  # a lane counts to 255
     per_doc = np.searchsorted(block, first)
     lanes = hashes.view(np.uint8).reshape(-1, 8)
-    total = np.diff(np.append(first, len(doc)))
-    out = np.zeros(len(first), dtype=np.uint64)
+    total[doc[first]] = many
     for k in range(8):
         sums = np.add.reduceat(_SPREAD[lanes[:, k]], block)
-        counts = np.add.reduceat(sums.view(np.uint8).reshape(-1, 8).astype(np.int64), per_doc, axis=0)
-        bits = (counts * 2 > total[:, None]).astype(np.uint64)
-        out |= (bits << np.arange(8 * k, 8 * k + 8, dtype=np.uint64)).sum(axis=1, dtype=np.uint64)
-    fingerprint[doc[first]] = out
-    return fingerprint
+        counts[doc[first], 8 * k: 8 * k + 8] = np.add.reduceat(sums.view(np.uint8).reshape(-1, 8).astype(np.int64), per_doc, axis=0)
+    return counts, total
+
+
+def _shingle_counts(norm: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """_counts of the shingles of texts with single spaces between words."""
+    buf = b"\n".join(norm) + b"\n"
+    raw = np.frombuffer(buf, dtype=np.uint8)
+    stop = np.flatnonzero((raw == 32) | (raw == 10))  # ends of words, and of empty texts
+    start = np.append(0, stop[:-1] + 1)
+    doc = np.searchsorted(np.flatnonzero(raw == 10), start)
+    real = stop > start
+    start, stop, doc = start[real], stop[real], doc[real]
+    n = len(start)
+    first = np.flatnonzero(np.diff(doc, prepend=-1))
+    size = np.diff(np.append(first, n))
+    last = np.minimum(np.arange(n) + SHINGLE_WORDS - 1, np.repeat(first + size - 1, size))
+    whole = np.arange(n) - np.repeat(first, size) <= np.maximum(np.repeat(size, size) - SHINGLE_WORDS, 0)
+    return _counts(xxh64_slices(buf, start[whole], stop[last[whole]], SEED), doc[whole], len(norm))
 
 
 def fingerprint_texts(texts: list[str | None]) -> np.ndarray:
@@ -70,22 +87,15 @@ def fingerprint_texts(texts: list[str | None]) -> np.ndarray:
     norm = [b" ".join((t or "").encode("utf-8", "surrogatepass").lower().split()) for t in texts]
     out = np.zeros(len(texts), dtype=np.uint64)
     for lo, hi in chunks(np.fromiter((len(t) for t in norm), np.int64, len(norm)), CHUNK_BYTES):
-        buf = b"\n".join(norm[lo:hi]) + b"\n"
-        raw = np.frombuffer(buf, dtype=np.uint8)
-        stop = np.flatnonzero((raw == 32) | (raw == 10))  # ends of words, and of empty texts
-        start = np.append(0, stop[:-1] + 1)
-        doc = np.searchsorted(np.flatnonzero(raw == 10), start)
-        real = stop > start
-        start, stop, doc = start[real], stop[real], doc[real]
-        n = len(start)
-        if not n:
-            continue
-        first = np.flatnonzero(np.diff(doc, prepend=-1))
-        size = np.diff(np.append(first, n))
-        last = np.minimum(np.arange(n) + SHINGLE_WORDS - 1, np.repeat(first + size - 1, size))
-        whole = np.arange(n) - np.repeat(first, size) <= np.maximum(np.repeat(size, size) - SHINGLE_WORDS, 0)
-        a, b, d = start[whole], stop[last[whole]], doc[whole]
-        out[lo:hi] = _majority(xxh64_slices(buf, a, b, SEED), d, hi - lo)
+        if len(norm[lo]) <= LONG:
+            counts, total = _shingle_counts(norm[lo:hi])
+        else:
+            counts, total = np.zeros((1, 64), dtype=np.int64), np.zeros(1, dtype=np.int64)
+            for part in segments(norm[lo], CHUNK_BYTES, SHINGLE_WORDS - 1, _NO_SPACE):
+                more = _shingle_counts([part])
+                counts, total = counts + more[0], total + more[1]
+        bits = (counts * 2 > total[:, None]).astype(np.uint64)
+        out[lo:hi] = (bits << np.arange(64, dtype=np.uint64)).sum(axis=1, dtype=np.uint64)
     return out
 
 

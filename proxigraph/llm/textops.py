@@ -26,6 +26,34 @@ def chunks(sizes: np.ndarray, most: int) -> Iterator[tuple[int, int]]:
         yield start, len(sizes)
 
 
+#: A longer text is handled in segments, so that memory does not grow with it.
+LONG = 4 << 20
+
+
+def segments(raw: bytes, most: int, words_back: int, is_word: np.ndarray) -> Iterator[bytes]:
+    """Slices of a long text that end at spaces; each begins `words_back` words before the last one's
+    end, so that every run of words_back + 1 words lies whole in one of them. is_word tells word bytes."""
+    start = 0
+    while start < len(raw):
+        if len(raw) - start <= most:
+            yield raw[start:]
+            return
+        stop = raw.rfind(b" ", start + most // 2, start + most)
+        if stop < 0:
+            stop = raw.find(b" ", start + most)
+        if stop < 0:
+            yield raw[start:]
+            return
+        yield raw[start:stop]
+        back = stop
+        for _ in range(words_back):
+            while back > start and not is_word[raw[back - 1]]:
+                back -= 1
+            while back > start and is_word[raw[back - 1]]:
+                back -= 1
+        start = back if back > start else stop
+
+
 def mix64(h: np.ndarray) -> np.ndarray:
     """A bijective finaliser: every input bit moves about half of the output bits."""
     h = h ^ (h >> np.uint64(33))
@@ -115,8 +143,9 @@ def slice_hashes(values: np.ndarray, starts: np.ndarray, ends: np.ndarray, salt:
     return out[0], out[1]
 
 
-_WORD = np.zeros(256, dtype=bool)
-_WORD[[*range(48, 58), *range(97, 123), *range(128, 256)]] = True
+#: Bytes of the words of lower-cased texts: digits, letters and all of non-ASCII characters.
+WORD = np.zeros(256, dtype=bool)
+WORD[[*range(48, 58), *range(97, 123), *range(128, 256)]] = True
 
 
 def word_hashes(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
@@ -124,7 +153,7 @@ def word_hashes(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     order, and the index of each word's text."""
     buf = np.frombuffer(b"\n".join(texts) + b"\n", dtype=np.uint8)
     power, inverse = _grown(len(buf) + 1)
-    inside = _WORD[buf]
+    inside = WORD[buf]
     edge = np.flatnonzero(np.diff(inside, prepend=False, append=False))
     starts, ends = edge[0::2], edge[1::2]
     with np.errstate(over="ignore"):

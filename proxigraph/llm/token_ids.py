@@ -5,11 +5,12 @@ from __future__ import annotations
 import os
 import re
 import unicodedata
+from collections.abc import Iterator
 from itertools import chain
 
 import numpy as np
 
-from proxigraph.llm.textops import chunks, mix64, slice_hashes
+from proxigraph.llm.textops import LONG, chunks, mix64, slice_hashes
 
 VOCABULARY = "byte_bpe_50k.json"
 CHUNK_BYTES = 1 << 20
@@ -34,6 +35,7 @@ def _classes() -> np.ndarray:
 
 _CLASS = _classes()
 _SALT = mix64(np.arange(_TABLED, dtype=np.uint64) + np.uint64(77))
+_INNER_SPACE = re.compile(r"[A-Za-z.,;:!?] [A-Za-z]")
 _BEYOND = re.compile("[^\t\n\r\x20-\x7e\xa1-\u024f]")
 
 
@@ -167,7 +169,24 @@ class Encoder:
         """Yields (lo, hi, ids, lengths) for consecutive ranges of texts; null counts as empty."""
         whole = [t or "" for t in texts]
         for lo, hi in chunks(np.fromiter(map(len, whole), np.int64, len(whole)), CHUNK_BYTES):
-            yield lo, hi, *self._encode_chunk(whole[lo:hi])
+            if len(whole[lo]) <= LONG:
+                yield lo, hi, *self._encode_chunk(whole[lo:hi])
+            else:
+                ids = np.concatenate([self._encode_chunk([x])[0] for x in _cut(whole[lo])])
+                yield lo, hi, ids, np.array([len(ids)])
+
+
+def _cut(text: str) -> Iterator[str]:
+    """Parts of a very long text. A space between a sign or letter and a letter always begins a
+    pre-token, so the parts' ids in a row are the text's."""
+    start = 0
+    while len(text) - start > CHUNK_BYTES:
+        m = _INNER_SPACE.search(text, start + CHUNK_BYTES)
+        if not m:
+            break
+        yield text[start: m.start() + 1]
+        start = m.start() + 1
+    yield text[start:]
 
 
 _ENCODERS: dict[str, Encoder] = {}

@@ -15,8 +15,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from proxigraph.llm.textops import chunks, mix64, word_hashes
-from proxigraph.runtime import map_arrow
+from proxigraph.llm.textops import LONG, WORD, chunks, mix64, segments, word_hashes
+from proxigraph.runtime import map_arrow, with_fields
 
 BITS = 22
 #: Expected number of labelled rows to train on, at any size of the corpus.
@@ -38,18 +38,20 @@ def fold(id_col: str = "doc_id") -> Column:
 
 def features(texts: list[str | None]) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
     """For ranges lo..hi of texts: lo, hi, and the index in the range and hashed feature of every
-    word, pair and skip pair of the whole texts."""
+    word, pair and skip pair of the whole texts. A very long text comes in several parts."""
     raw = [(t or "").lower().encode("utf-8", "surrogatepass") for t in texts]
     shift = np.uint64(64 - BITS)
     for lo, hi in chunks(np.fromiter((len(t) for t in raw), np.int64, len(raw)), CHUNK_BYTES):
-        h, doc = word_hashes(raw[lo:hi])
-        idx, owner = [h >> shift], [doc]
-        with np.errstate(over="ignore"):
-            for gap, salt in ((1, _PAIR), (2, _SKIP)):
-                same = doc[gap:] == doc[:-gap]
-                idx.append((mix64(h[:-gap] * salt + h[gap:]) >> shift)[same])
-                owner.append(doc[gap:][same])
-        yield lo, hi, np.concatenate(owner), np.concatenate(idx).astype(np.int64)
+        parts = [raw[lo:hi]] if len(raw[lo]) <= LONG else ([x] for x in segments(raw[lo], CHUNK_BYTES, 2, WORD))
+        for part in parts:
+            h, doc = word_hashes(part)
+            idx, owner = [h >> shift], [doc]
+            with np.errstate(over="ignore"):
+                for gap, salt in ((1, _PAIR), (2, _SKIP)):
+                    same = doc[gap:] == doc[:-gap]
+                    idx.append((mix64(h[:-gap] * salt + h[gap:]) >> shift)[same])
+                    owner.append(doc[gap:][same])
+            yield lo, hi, np.concatenate(owner), np.concatenate(idx).astype(np.int64)
 
 
 def train(rows: list[tuple[np.ndarray, int]]) -> tuple[np.ndarray, np.ndarray]:
@@ -94,12 +96,15 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", sample_rows: i
         kept = []
         for batch in batches:
             ids, texts, ys = batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist()
+            sets: dict[int, list[np.ndarray]] = {}
             for lo, hi, owner, idx in features(texts):
                 pairs = np.unique(owner << (BITS + 1) | idx)
                 cuts = np.searchsorted(pairs >> (BITS + 1), np.arange(hi - lo + 1))
                 for k in range(lo, hi):
-                    own = pairs[cuts[k - lo]: cuts[k - lo + 1]] & ((1 << (BITS + 1)) - 1)
-                    kept.append((ids[k], texts[k] or "", np.append(own, 1 << BITS).astype(np.int32), ys[k]))
+                    sets.setdefault(k, []).append(pairs[cuts[k - lo]: cuts[k - lo + 1]] & ((1 << (BITS + 1)) - 1))
+            for k, own in sets.items():
+                used = own[0] if len(own) == 1 else np.unique(np.concatenate(own))
+                kept.append((ids[k], texts[k] or "", np.append(used, 1 << BITS).astype(np.int32), ys[k]))
         kept.sort(key=lambda r: (int(mix64(np.array([r[0]], np.int64).view(np.uint64))[0]), r[1]))
         at, w = train([(r[2], r[3]) for r in kept]) if kept else (np.empty(0, np.int64), np.empty(0))
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(w)], ["i", "w"])
@@ -113,11 +118,13 @@ def score_texts(texts: list[str | None], at: np.ndarray, w: np.ndarray) -> np.nd
     hot = np.zeros((1 << BITS) + 1, dtype=bool)
     hot[at] = True
     out = np.full(len(texts), w[at == 1 << BITS].sum())
-    for lo, hi, owner, idx in features(texts):
+    pairs = [np.empty(0, np.int64)]
+    for lo, _, owner, idx in features(texts):
         use = hot[idx]
-        pairs = np.unique(owner[use] << (BITS + 1) | idx[use])
-        got = w[np.searchsorted(at, pairs & ((1 << (BITS + 1)) - 1))]
-        out[lo:hi] += np.bincount(pairs >> (BITS + 1), weights=got, minlength=hi - lo)
+        pairs.append(np.unique((owner[use] + lo) << (BITS + 1) | idx[use]))
+    each = np.unique(np.concatenate(pairs))
+    got = w[np.searchsorted(at, each & ((1 << (BITS + 1)) - 1))]
+    out += np.bincount(each >> (BITS + 1), weights=got, minlength=len(texts))
     return 1.0 / (1.0 + np.exp(-np.clip(out, -35, 35)))
 
 
@@ -126,7 +133,6 @@ def score(docs: DataFrame, model: tuple[np.ndarray, np.ndarray]) -> DataFrame:
     the bias's score. Columns of docs that have these names are replaced."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
     plain = docs.drop("score", "predicted")
-    schema = plain.schema.simpleString()[7:-1]
     place = plain.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -135,4 +141,4 @@ def score(docs: DataFrame, model: tuple[np.ndarray, np.ndarray]) -> DataFrame:
             p = score_texts(batch.column(place).to_pylist(), at, w)
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(p), pa.array((p >= 0.5).astype(np.int32))], [*batch.schema.names, "score", "predicted"])
 
-    return map_arrow(plain, run, f"{schema}, score double, predicted int")
+    return map_arrow(plain, run, with_fields(plain, "score double, predicted int"))
