@@ -125,7 +125,8 @@ def mix(docs: DataFrame, weights=WEIGHTS, share: float = SHARE, most: int = MOST
     near = (upto <= extra) | ((start < extra) & (upto - extra < extra - start))
     last = last.withColumn("_mx_more", F.when(near, 1).otherwise(0)).drop("_mx_upto")
     out = plain.unionByName(last).withColumn(TIMES, F.col("_mx_copies") + F.col("_mx_more"))
-    return out.withColumn("taken", F.col("size") * F.col(TIMES)).drop(*[c for c in out.columns if c.startswith("_mx_") and c != TIMES])
+    inner = ("copies", "part", "extra", "t", "b1", "b2", "c1", "c1_before", "c2", "c2_before", "more")
+    return out.withColumn("taken", F.col("size") * F.col(TIMES)).drop(*[f"_mx_{c}" for c in inner])
 
 
 def repeated(docs: DataFrame, **options) -> DataFrame:

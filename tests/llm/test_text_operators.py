@@ -68,7 +68,7 @@ def test_near_duplicates_equal_brute_force(spark, small_dir):
     plain = rows.toPandas()
     prints = [brute_fingerprint(t) for t in plain.text]
     ids = [None if pd.isna(i) else int(i) for i in plain.doc_id]
-    want = sorted(zip([i or -1 for i in ids], prints, [c or -1 for c in brute_components(ids, prints)], strict=True))
+    want = sorted(zip([-1 if i is None else i for i in ids], prints, [-1 if c is None else c for c in brute_components(ids, prints)], strict=True))
     have = sorted((-1 if pd.isna(a) else int(a), int(b) & (1 << 64) - 1, -1 if pd.isna(c) else int(c)) for a, b, c in got[["doc_id", "fp", "component_id"]].itertuples(index=False))
     assert have == want
 

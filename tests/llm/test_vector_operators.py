@@ -20,6 +20,10 @@ def brute(ids, x, k=20, every=20):
     return out
 
 
+def frame(spark, x):
+    return spark.createDataFrame(pd.DataFrame({"vec_id": np.arange(len(x)), "embedding": [v.tolist() for v in x], "label": 0}), SCHEMA)
+
+
 @pytest.mark.parametrize("scale", ["unit", "mixed", "clustered"])
 def test_recall_of_the_adaptive_scan(spark, scale):
     rng = np.random.default_rng(3)
@@ -31,7 +35,7 @@ def test_recall_of_the_adaptive_scan(spark, scale):
     if scale == "clustered":
         x = x * 0.1 + rng.standard_normal((30, 24))[rng.integers(30, size=3000)]
     x = x.astype(np.float32)
-    df = spark.createDataFrame(pd.DataFrame({"vec_id": np.arange(3000), "embedding": list(x), "label": 0}), SCHEMA)
+    df = frame(spark, x)
     got = adaptive_scan.search(df).toPandas()
     hit = total = 0
     for q, (ids, _) in brute(np.arange(3000), x.astype(float)).items():
@@ -46,13 +50,15 @@ def test_recall_of_the_adaptive_scan(spark, scale):
 
 def test_test_abandons_and_keeps(spark):
     rng = np.random.default_rng(0)
-    x, q = rng.standard_normal((2000, 64)).astype(np.float32), rng.standard_normal((40, 64)).astype(np.float32)
+    centers = rng.standard_normal((20, 64))
+    x = (centers[rng.integers(20, size=2000)] + 0.3 * rng.standard_normal((2000, 64))).astype(np.float32)
+    q = (centers[rng.integers(20, size=40)] + 0.3 * rng.standard_normal((40, 64))).astype(np.float32)
     d = ((q[:, None] - x[None]) ** 2).sum(axis=2)
     limit = np.sort(d, axis=1)[:, 19].astype(np.float32) * np.float32(1.00001)
     a, b, read = adaptive_scan.surviving(q, x, limit)
     true = {(i, j) for i, j in zip(*np.nonzero(d <= limit[:, None]), strict=True)}
     assert len(true & set(zip(a.tolist(), b.tolist(), strict=True))) >= 0.97 * len(true)
-    assert read < 0.95 * d.size * 64 and (d[a, b] <= limit[a] * 1.001).all()
+    assert read < 0.5 * d.size * 64 and (d[a, b] <= limit[a] * 1.001).all()
 
 
 def odd(spark):
@@ -102,7 +108,7 @@ def test_sql(spark, small_dir):
 def test_blocks_share_a_list_of_copies(spark):
     x = np.tile(np.array([[1.0, 0.0, 0.0, 0.5]], dtype=np.float32), (6000, 1))
     x[:200] = np.random.default_rng(2).standard_normal((200, 4))
-    df = spark.createDataFrame(pd.DataFrame({"vec_id": np.arange(6000), "embedding": list(x), "label": 0}), SCHEMA)
+    df = frame(spark, x)
     for op, z in ((adaptive_scan, x.astype(float)), (mtree, np.floor(64 * x.astype(float)))):
         got = op.search(df, every=500).toPandas().sort_values(["query_id", "rank"])
         for q, (ids, s) in brute(np.arange(6000), z, every=500).items():
