@@ -21,10 +21,10 @@ from proxigraph.runtime import map_arrow, with_fields
 BITS = 22
 #: Expected number of labelled rows to train on, at any size of the corpus.
 SAMPLE_ROWS = 16_000
-EPOCHS = 3
-ALPHA, BETA, L1, L2 = 2.0, 1.0, 8.0, 1.0
+EPOCHS = 5
+ALPHA, BETA, L1, L2 = 4.0, 1.0, 16.0, 1.0
 #: Weight of a row with label 1, the rarer one.
-POSITIVE = 2.0
+POSITIVE = 4.0
 CHUNK_BYTES = 1 << 20
 FOLDS = 5
 
