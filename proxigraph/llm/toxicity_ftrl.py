@@ -81,7 +81,8 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", sample_rows: i
 
     The sample takes rows whose hashed id falls under sample_rows / (rows that have a label), so
     about sample_rows of them at most; ids labelled twice count as 1 if any label is 1; null labels
-    and ids are ignored; with no labelled row the model is empty and scores 0.5.
+    and ids are ignored; with no labelled row, or too few, the model is empty and
+    scores 0.
     """
     known = (
         labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("y"))
@@ -114,7 +115,9 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", sample_rows: i
 
 
 def score_texts(texts: list[str | None], at: np.ndarray, w: np.ndarray) -> np.ndarray:
-    """Probability of the positive label for each whole text."""
+    """Probability of the positive label for each whole text; 0 under an empty model."""
+    if not len(at):
+        return np.zeros(len(texts))
     hot = np.zeros((1 << BITS) + 1, dtype=bool)
     hot[at] = True
     out = np.full(len(texts), w[at == 1 << BITS].sum())
