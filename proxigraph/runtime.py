@@ -71,10 +71,20 @@ def ship(spark: SparkSession) -> None:
     _SHIPPED.add(app)
 
 
-def map_arrow(df: DataFrame, function, schema) -> DataFrame:
-    """df.mapInArrow(function, schema) with this package at hand in the workers."""
+#: Rows that a kernel sees at once; Arrow's own batches hold ten times as many, whatever their size.
+KERNEL_ROWS = 1024
+
+
+def map_arrow(df: DataFrame, function, schema, rows: int = KERNEL_ROWS) -> DataFrame:
+    """df.mapInArrow(function, schema) with this package at hand in the workers. Batches are cut into
+    slices of `rows` rows, so that what a kernel copies out of a batch of long texts stays small;
+    empty batches are left out."""
+
+    def sliced(batches):
+        return function(b.slice(at, rows) for b in batches for at in range(0, b.num_rows, rows))
+
     ship(df.sparkSession)
-    return df.mapInArrow(function, schema)
+    return df.mapInArrow(sliced, schema)
 
 
 def with_fields(df: DataFrame, fields: str) -> StructType:
