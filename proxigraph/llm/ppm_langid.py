@@ -27,22 +27,30 @@ SAMPLE_PER_LANGUAGE = 1500
 #: Contexts seen fewer times in the whole sample fall back to their shorter suffix.
 LEAST_CONTEXT = 12
 CHUNK_BYTES = 1 << 20
+COUNT_BYTES = 1 << 18
 UNDETERMINED = "und"
 
 
 def count_contexts(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     """Packed (order, context, byte) keys of all texts and their counts; only full contexts count."""
+    key, count = np.empty(0, np.int64), np.empty(0, np.int64)
+    for lo, hi in chunks(np.fromiter((len(t) for t in texts), np.int64, len(texts)), COUNT_BYTES):
+        more, n = _count(texts[lo:hi])
+        key, back = np.unique(np.concatenate([key, more]), return_inverse=True)
+        count = np.bincount(back, weights=np.concatenate([count, n]), minlength=len(key)).astype(np.int64)
+    return key, count
+
+
+def _count(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     keys, counts = [], []
     raw = np.frombuffer(b"".join(texts), dtype=np.uint8).astype(np.int64)
-    ends = np.cumsum(np.fromiter((len(t) for t in texts), np.int64, len(texts)))
-    at = np.arange(len(raw))
-    begin = np.concatenate([[0], ends])[np.searchsorted(ends, at, side="right")] if len(raw) else at
+    size = np.fromiter((len(t) for t in texts), np.int64, len(texts))
+    begin = np.arange(len(raw)) - np.repeat(np.cumsum(size) - size, size)  # place in its own text
     packed = raw.copy()
     for order in range(ORDER + 1):
         if order:
-            packed = packed.copy()
             packed[order:] += raw[:-order] << (8 * order)
-        k, c = np.unique(packed[at - begin >= order] | (order << 40), return_counts=True)
+        k, c = np.unique(packed[begin >= order] | (order << 40), return_counts=True)
         keys.append(k)
         counts.append(c)
     return np.concatenate(keys), np.concatenate(counts)

@@ -17,6 +17,9 @@ CHUNK_BYTES = 1 << 20
 #: Pre-tokens remembered by a worker; beyond that it starts anew, so its memory stays bounded.
 MOST_REMEMBERED = 600_000
 
+#: Pre-tokens handed to the library at once.
+ENCODE_WORDS = 4096
+
 #: Below this code point the vocabulary's character classes are tabulated; a text with a character
 #: beyond, or one of the few control characters on whose class libraries differ, is encoded whole.
 _TABLED = 0x250
@@ -101,7 +104,9 @@ class Encoder:
         self.used = 0
 
     def _learn(self, words: list[str], proof: np.ndarray) -> None:
-        ids = [e.ids for e in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
+        ids = []
+        for at in range(0, len(words), ENCODE_WORDS):  # the library's own results are large
+            ids += [e.ids for e in self.tokenizer.encode_batch_fast(words[at: at + ENCODE_WORDS], add_special_tokens=False)]
         n, more = len(self.keys), len(words)
         sizes = np.fromiter(map(len, ids), np.int64, more)
         need = self.used + int(sizes.sum())

@@ -8,6 +8,7 @@ is a short (index, weight) list that is broadcast for scoring.
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -105,7 +106,7 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", sample_rows: i
                     sets.setdefault(k, []).append(pairs[cuts[k - lo]: cuts[k - lo + 1]] & ((1 << (BITS + 1)) - 1))
             for k, own in sets.items():
                 used = own[0] if len(own) == 1 else np.unique(np.concatenate(own))
-                kept.append((ids[k], texts[k] or "", np.append(used, 1 << BITS).astype(np.int32), ys[k]))
+                kept.append((ids[k], zlib.crc32((texts[k] or "").encode("utf-8", "surrogatepass")), np.append(used, 1 << BITS).astype(np.int32), ys[k]))
         kept.sort(key=lambda r: (int(mix64(np.array([r[0]], np.int64).view(np.uint64))[0]), r[1]))
         at, w = train([(r[2], r[3]) for r in kept]) if kept else (np.empty(0, np.int64), np.empty(0))
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(w)], ["i", "w"])
