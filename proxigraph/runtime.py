@@ -71,6 +71,18 @@ def ship(spark: SparkSession) -> None:
     _SHIPPED.add(app)
 
 
+def _give_back() -> None:
+    """Return what a finished task has freed to the system: workers are used again for other stages."""
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
 #: Rows that a kernel sees at once; Arrow's own batches hold ten times as many, whatever their size.
 KERNEL_ROWS = 1024
 
@@ -81,7 +93,8 @@ def map_arrow(df: DataFrame, function, schema, rows: int = KERNEL_ROWS) -> DataF
     empty batches are left out."""
 
     def sliced(batches):
-        return function(b.slice(at, rows) for b in batches for at in range(0, b.num_rows, rows))
+        yield from function(b.slice(at, rows) for b in batches for at in range(0, b.num_rows, rows))
+        _give_back()
 
     ship(df.sparkSession)
     return df.mapInArrow(sliced, schema)
