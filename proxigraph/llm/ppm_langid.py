@@ -26,7 +26,7 @@ ORDER = 3
 SAMPLE_PER_LANGUAGE = 1500
 #: Contexts seen fewer times in the whole sample fall back to their shorter suffix.
 LEAST_CONTEXT = 12
-CHUNK_BYTES = 1 << 20
+CHUNK_BYTES = 1 << 18
 COUNT_BYTES = 1 << 18
 UNDETERMINED = "und"
 

@@ -33,7 +33,7 @@ SHINGLE_WORDS = 3
 SEED = 42
 RADIUS = 2
 N_PIVOTS = 16
-CHUNK_BYTES = 1 << 20
+CHUNK_BYTES = 1 << 18
 
 #: Sets byte k of a 64-bit lane for bit k of a byte, to count eight bits in one addition.
 _SPREAD = (np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1, bitorder="little").astype(np.uint64) << (np.arange(8, dtype=np.uint64) * np.uint64(8))).sum(axis=1, dtype=np.uint64)

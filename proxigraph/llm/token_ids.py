@@ -13,7 +13,7 @@ import numpy as np
 from proxigraph.llm.textops import LONG, chunks, mix64, slice_hashes
 
 VOCABULARY = "byte_bpe_50k.json"
-CHUNK_BYTES = 1 << 20
+CHUNK_BYTES = 1 << 19
 #: Pre-tokens remembered by a worker; beyond that it starts anew, so its memory stays bounded.
 MOST_REMEMBERED = 600_000
 

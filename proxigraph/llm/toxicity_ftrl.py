@@ -26,7 +26,7 @@ EPOCHS = 5
 ALPHA, BETA, L1, L2 = 4.0, 1.0, 16.0, 1.0
 #: Weight of a row with label 1, the rarer one.
 POSITIVE = 4.0
-CHUNK_BYTES = 1 << 20
+CHUNK_BYTES = 1 << 18
 FOLDS = 5
 
 _PAIR, _SKIP = np.uint64(0xD6E8FEB86659FD93), np.uint64(0xA5A5A5A5DEADBEEF | 1)
