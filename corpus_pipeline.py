@@ -9,6 +9,9 @@ from proxigraph.runtime import read_table, settle
 
 #: Below this share of the likelihood a language is not taken as recognised.
 LEAST_LANGUAGE_SCORE = 0.5
+#: Documents are near-duplicates from this Jaccard similarity of their sets of so many words in a row on.
+SHINGLE_WORDS = 5
+LEAST_SIMILARITY = 0.8
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -25,7 +28,7 @@ def drop_unknown_language(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps one document of every group of near-duplicates."""
-    return simhash_pivots.keep_one(docs)
+    return simhash_pivots.keep_one(docs, shingle_words=SHINGLE_WORDS, least_jaccard=LEAST_SIMILARITY)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

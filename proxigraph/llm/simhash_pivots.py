@@ -65,8 +65,13 @@ def _counts(hashes: np.ndarray, doc: np.ndarray, n_docs: int) -> tuple[np.ndarra
     return counts, total
 
 
-def _shingle_counts(norm: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """_counts of the shingles of texts with single spaces between words."""
+def normal(text: str | None) -> bytes:
+    """The words of a text in lower case (A-Z only), with single spaces between them."""
+    return b" ".join((text or "").encode("utf-8", "surrogatepass").lower().split())
+
+
+def shingle_hashes(norm: list[bytes], shingle_words: int) -> tuple[np.ndarray, np.ndarray]:
+    """XXH64 of the shingles of texts with single spaces between words, and each one's text."""
     buf = b"\n".join(norm) + b"\n"
     raw = np.frombuffer(buf, dtype=np.uint8)
     stop = np.flatnonzero((raw == 32) | (raw == 10))  # ends of words, and of empty texts
@@ -77,40 +82,40 @@ def _shingle_counts(norm: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     n = len(start)
     first = np.flatnonzero(np.diff(doc, prepend=-1))
     size = np.diff(np.append(first, n))
-    last = np.minimum(np.arange(n) + SHINGLE_WORDS - 1, np.repeat(first + size - 1, size))
-    whole = np.arange(n) - np.repeat(first, size) <= np.maximum(np.repeat(size, size) - SHINGLE_WORDS, 0)
-    return _counts(xxh64_slices(buf, start[whole], stop[last[whole]], SEED), doc[whole], len(norm))
+    last = np.minimum(np.arange(n) + shingle_words - 1, np.repeat(first + size - 1, size))
+    whole = np.arange(n) - np.repeat(first, size) <= np.maximum(np.repeat(size, size) - shingle_words, 0)
+    return xxh64_slices(buf, start[whole], stop[last[whole]], SEED), doc[whole]
 
 
-def fingerprint_texts(texts: list[str | None]) -> np.ndarray:
+def fingerprint_texts(texts: list[str | None], shingle_words: int = SHINGLE_WORDS) -> np.ndarray:
     """SimHash fingerprints (uint64) of whole texts; see `fingerprints`."""
-    norm = [b" ".join((t or "").encode("utf-8", "surrogatepass").lower().split()) for t in texts]
+    norm = [normal(t) for t in texts]
     out = np.zeros(len(texts), dtype=np.uint64)
     for lo, hi in chunks(np.fromiter((len(t) for t in norm), np.int64, len(norm)), CHUNK_BYTES):
         if len(norm[lo]) <= LONG:
-            counts, total = _shingle_counts(norm[lo:hi])
+            counts, total = _counts(*shingle_hashes(norm[lo:hi], shingle_words), hi - lo)
         else:
             counts, total = np.zeros((1, 64), dtype=np.int64), np.zeros(1, dtype=np.int64)
-            for part in segments(norm[lo], CHUNK_BYTES, SHINGLE_WORDS - 1, _NO_SPACE):
-                more = _shingle_counts([part])
+            for part in segments(norm[lo], CHUNK_BYTES, shingle_words - 1, _NO_SPACE):
+                more = _counts(*shingle_hashes([part], shingle_words), 1)
                 counts, total = counts + more[0], total + more[1]
         bits = (counts * 2 > total[:, None]).astype(np.uint64)
         out[lo:hi] = (bits << np.arange(64, dtype=np.uint64)).sum(axis=1, dtype=np.uint64)
     return out
 
 
-def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle_words: int = SHINGLE_WORDS) -> DataFrame:
     """(doc_id, fp long): the SimHash of every text.
 
-    A-Z are lower-cased; words are runs other than [\\x20\\x09-\\x0D]; a shingle is 3 consecutive
-    words, repeats included; fewer words form one shingle; a null, empty or blank text has
+    A-Z are lower-cased; words are runs other than [\\x20\\x09-\\x0D]; a shingle is `shingle_words`
+    consecutive words, repeats included; fewer words form one shingle; a null, empty or blank text has
     fingerprint zero. A bit is set if it is set in over half of the shingles' XXH64 (seed 42).
     Null ids are kept; further columns of docs play no part.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            fp = fingerprint_texts(batch.column(1).to_pylist())
+            fp = fingerprint_texts(batch.column(1).to_pylist(), shingle_words)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fp.view(np.int64))], ["doc_id", "fp"])
 
     return map_arrow(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")), run, "doc_id long, fp long")
@@ -193,14 +198,14 @@ def links(distinct: DataFrame, radius: int = RADIUS) -> DataFrame:
     return map_arrow(dealt, run, "u long, v long").distinct()
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS) -> DataFrame:
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS, shingle_words: int = SHINGLE_WORDS) -> DataFrame:
     """(doc_id, fp long, component_id): documents whose fingerprints are linked, directly or not, by
     steps of `radius` bits or fewer get one component_id, the smallest doc_id among them.
 
     Rows with a null doc_id keep their fingerprint's component; repeated rows give repeated rows;
     an empty table gives an empty result.
     """
-    prints = settle(fingerprints(docs, id_col, text_col), "fingerprints")
+    prints = settle(fingerprints(docs, id_col, text_col, shingle_words), "fingerprints")
     distinct = settle(prints.groupBy("fp").agg(F.min("doc_id").alias("low")), "distinct-fingerprints")
     roots = components(links(distinct.select("fp"), radius))
     rooted = distinct.join(roots, distinct["fp"] == roots["u"], "left").select("fp", "low", F.coalesce("v", "fp").alias("root"))
@@ -213,10 +218,20 @@ def hex_fingerprint(column: str = "fp") -> F.col:
     return F.lower(F.lpad(F.hex(F.col(column)), 16, "0"))
 
 
-def keep_one(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
+def keep_one(docs: DataFrame, radius: int = RADIUS, shingle_words: int = SHINGLE_WORDS, least_jaccard: float | None = None) -> DataFrame:
     """The rows of docs without near-duplicates: of each component the row with the smallest doc_id
-    stays (of several rows with that id, one). Rows with a null doc_id cannot be named and stay."""
-    groups = near_duplicates(docs.filter("doc_id is not null"), radius=radius)
+    stays (of several rows with that id, one). Rows with a null doc_id cannot be named and stay.
+
+    Near-duplicates are fingerprints within `radius` bits or, where `least_jaccard` is given, sets of
+    shingles of that similarity or more (`shingle_sets`, which loses no such pair: at 0.8 about ten of
+    64 bits differ, more than any bucket of fingerprint bytes can cover)."""
+    named = docs.filter("doc_id is not null")
+    if least_jaccard is None:
+        groups = near_duplicates(named, radius=radius, shingle_words=shingle_words)
+    else:
+        from proxigraph.llm import shingle_sets
+
+        groups = shingle_sets.similar(named, shingle_words, least_jaccard)
     kept = groups.filter(F.col("doc_id") == F.col("component_id")).select("doc_id").distinct()
     out = docs.join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"])
     return out.select(*docs.columns).unionByName(docs.filter("doc_id is null"))
