@@ -82,17 +82,23 @@ def default_vocabulary() -> str:
 class Encoder:
     """encode(texts) -> (ids, lengths): all texts' ids in one array, and how many each text has.
 
-    Equal to the library's encode_batch(texts, add_special_tokens=False) with the strings of special
-    tokens read as ordinary text: the vocabulary merges within pre-tokens only, so a text's ids are
-    its pre-tokens' ids in order.
+    Equal to the library's encode_batch(texts, add_special_tokens=False): the vocabulary merges within
+    pre-tokens only, so a text's ids are its pre-tokens' ids in order. With added_tokens, the strings
+    of the vocabulary's added tokens give their own ids, as is the library's default, and texts that
+    hold one are encoded whole; without, these strings are read as ordinary text.
     """
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, added_tokens: bool = False):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
+        self.whole = _BEYOND
+        if added_tokens:
+            added = [re.escape(t.content) for t in self.tokenizer.get_added_tokens_decoder().values()]
+            self.whole = re.compile("|".join([_BEYOND.pattern, *sorted(added)]))
+        else:
+            self.tokenizer.encode_special_tokens = True
         self._forget()
 
     def _forget(self) -> None:
@@ -126,7 +132,7 @@ class Encoder:
         return np.fromiter(chain.from_iterable(ids), np.uint32, int(sizes.sum())), sizes
 
     def _encode_chunk(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        odd = [i for i, t in enumerate(texts) if _BEYOND.search(t)]
+        odd = [i for i, t in enumerate(texts) if self.whole.search(t)]
         if odd:
             skip = set(odd)
             ids, sizes = self._encode_plain(["" if i in skip else t for i, t in enumerate(texts)])
@@ -183,7 +189,8 @@ class Encoder:
 
 def _cut(text: str) -> Iterator[str]:
     """Parts of a very long text. A space between a sign or letter and a letter always begins a
-    pre-token, so the parts' ids in a row are the text's."""
+    pre-token, and lies in or beside no added token of the vocabulary, so the parts' ids in a row are
+    the text's."""
     start = 0
     while len(text) - start > CHUNK_BYTES:
         m = _INNER_SPACE.search(text, start + CHUNK_BYTES)
@@ -198,6 +205,7 @@ _ENCODERS: dict[str, Encoder] = {}
 
 
 def encoder(path: str) -> Encoder:
+    """The worker's encoder to the library's default ids."""
     if path not in _ENCODERS:
-        _ENCODERS[path] = Encoder(path)
+        _ENCODERS[path] = Encoder(path, added_tokens=True)
     return _ENCODERS[path]
