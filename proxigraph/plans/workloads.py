@@ -115,7 +115,7 @@ def w06_old_and_new(spark, sf_dir):
 def _sizes(spark, sf_dir) -> list[tuple[int, PointSet, PointSet]]:
     p = PointSet(settle(carriers.num(spark, sf_dir).plain(), "carrier-num"))
     out = []
-    for share in (0.01, 0.1):
+    for share in (0.01, 0.1, 1.0):
         part = p.sample(share)
         q = PointSet(part.df.filter("id % 50 = 0"))
         out.append((part.df.count(), PointSet(part.df.filter("id % 50 <> 0")), q))
