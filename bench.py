@@ -67,6 +67,11 @@ def main() -> None:
             extra[f"recall_{method}_{carrier}"] = round(measures.mean_recall(truth, out.results, ids).first()[0], 4)
             extra[f"comps_{method}_{carrier}"] = round(out.stats.agg(F.avg("dist_comps")).first()[0], 1)
             extra[f"qps_{method}_{carrier}"] = round(n / seconds[f"search_{method}_{carrier}"], 1)
+        timed(f"build_alpha_batches_{carrier}", lambda base=base: index.alpha_graph(base, engine="batches", **BUILDS["alpha"]))
+        eight = timed(f"build_alpha_sharded_{carrier}", lambda base=base: index.alpha_graph(base, shard_rows=-(-base.df.count() // int(CPUS)), **BUILDS["alpha"]))
+        for probe in (2, None):
+            out = timed(f"search_alpha_sharded_{probe or 'all'}_{carrier}", lambda g=eight, q=q, probe=probe: g.search(q, 10, 64, probe=probe))
+            extra[f"recall_alpha_sharded_{probe or 'all'}_{carrier}"] = round(measures.mean_recall(truth, out.results, ids).first()[0], 4)
         cells = int(base.df.count() ** 0.5)
         i = timed(f"build_inverted_{carrier}", lambda base=base, cells=cells: inverted.InvertedIndex.build(base, cells, 5))
         out = timed(f"search_inverted_{carrier}", lambda i=i, q=q: i.search(q, 10, 8))

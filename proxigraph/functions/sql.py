@@ -4,7 +4,6 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-import pyarrow as pa
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, DoubleType, LongType, StructField, StructType
@@ -51,34 +50,50 @@ class PrefixSchedule:
 
 
 class AnnSearch:
-    """Table function ann_search(query, path, k, width): nearest ids of one query in a saved index of
-    one or more shards, read from its files."""
+    """Table function ann_search(query, path, k, width): nearest ids of one query in a saved version of an
+    index, by its own metric. A worker opens the shards one after the other and holds one at a time
+    (the last one stays for the next query), so its memory does not grow with the index."""
 
     def __init__(self):
-        self.loaded: dict[str, list] = {}
+        self.manifests: dict[str, tuple] = {}
+        self.last: tuple[tuple[str, int], object] | None = None
+
+    def _manifest(self, path: str):
+        if path not in self.manifests:
+            import json
 
-    def _shards(self, path: str):
-        if path not in self.loaded:
-            import pyarrow.dataset as ds
             from pyarrow import fs
 
-            from proxigraph.operators.index import _load
+            from proxigraph.operators.resident import filesystem
+
+            system, root = filesystem(path)
+            found = [f.path for f in system.get_file_info(fs.FileSelector(f"{root}/manifest")) if f.path.endswith(".json")]
+            with system.open_input_file(found[0]) as f:
+                manifest = json.loads(json.loads(f.read().decode().splitlines()[0])["manifest"])
+            cells = sorted(int(f.base_name[5:]) for f in system.get_file_info(fs.FileSelector(f"{root}/rows")) if f.base_name.startswith("cell="))
+            self.manifests[path] = (manifest["metric"], cells)
+        return self.manifests[path]
+
+    def _shard(self, path: str, cell: int, metric: str):
+        from proxigraph.operators.index import LOADED, _load
+        from proxigraph.operators.resident import open_cell
 
-            system, root = fs.FileSystem.from_uri(path if "://" in path or path.startswith("file:") else f"file://{path}")
-            table = ds.dataset(f"{root}/rows", filesystem=system, format="parquet").to_table(columns=["shard", "id", "vec", "nbrs", "level", "upper", "start"])
-            own = table.column("shard").to_numpy()
-            self.loaded[path] = [_load(table.filter(pa.array(own == s)), "l2") for s in np.unique(own)]
-        return self.loaded[path]
+        if self.last is None or self.last[0] != (path, cell):
+            self.last = ((path, cell), _load(open_cell(f"{path}/rows", cell, LOADED), metric))
+        return self.last[1]
 
     def eval(self, query: list, path: str, k: int, width: int):
         from proxigraph.operators import kernels as K
 
         found = []
         q = np.array(query, dtype=float)[:, None]
-        for graph, ids in self._shards(path):
-            hits = K.layered_search(graph, q, width, k) if graph.upper else K.beam_search(graph, q, width, k)
+        metric, cells = self._manifest(path)
+        for cell in cells:
+            shard = self._shard(path, cell, metric)
+            hits = K.layered_search(shard.graph, q, width, k) if shard.graph.upper else K.beam_search(shard.graph, q, width, k)
             at, d = hits.nearest(k)
-            found += [(float(x), int(ids[p])) for p, x in zip(at[0], d[0], strict=True) if p >= 0 and np.isfinite(x)]
+            _, ids, far = shard.expand(at, d, (at >= 0) & np.isfinite(d), k)
+            found += list(zip(far.tolist(), ids.tolist(), strict=True))
         for rank, (x, p) in enumerate(sorted(found)[:k], 1):
             yield rank, p, x
 

@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from proxigraph.functions.distance import expression
 from proxigraph.functions.prng import draw
 from proxigraph.operators.kernels import prune
-from proxigraph.operators.model import PointSet
+from proxigraph.operators.model import PointSet, to_matrix
 from proxigraph.runtime import map_arrow, settle
 
 
@@ -57,19 +57,22 @@ def alpha_prune(edges: DataFrame, points: PointSet, degree: int, alpha: float =
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out = []
-            for src, dst, dist, vec in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                ids = np.array([src, *dst])
-                names = np.arange(1, len(ids))
-                vecs = np.array([vec[0], *vec]).T  # the place of src itself is never compared
-                own = np.array([0])
-                rows = names[names > 0][np.array(dst) != src]
-                got, far = prune(vecs, own, rows[None, :], np.array(dist)[rows - 1][None, :], degree, alpha, "alpha", metric, keep_pruned)
-                out += [(src, int(ids[g]), float(f)) for g, f in zip(got[0], far[0], strict=True) if g >= 0]
-            columns = list(zip(*out, strict=True)) or [[]] * 3
-            yield pa.RecordBatch.from_arrays([pa.array(columns[0], pa.int64()), pa.array(columns[1], pa.int64()), pa.array(columns[2], pa.float64())], ["src", "dst", "dist"])
-
-    return map_arrow(flat, run, "src long, dst long, dist double")
+            if not batch.num_rows:
+                continue
+            src = batch.column(0).to_numpy()
+            size = np.diff(batch.column(1).offsets.to_numpy())
+            dst, dist = (batch.column(i).flatten().to_numpy() for i in (1, 2))
+            vecs = to_matrix(batch.column(3).flatten()).T
+            row = np.repeat(np.arange(len(src)), size)
+            col = np.arange(len(dst)) - np.repeat(np.cumsum(size) - size, size)
+            cand, far = np.full((len(src), max(1, int(size.max()))), -1, dtype=np.int64), np.full((len(src), max(1, int(size.max()))), np.inf)
+            # candidates are named by their place in the batch; a list is in the order of (dist, dst)
+            cand[row, col], far[row, col] = np.where(dst == src[row], -1, np.arange(len(dst))), dist
+            got, d = prune(vecs, np.full(len(src), -2), cand, far, degree, alpha, "alpha", metric, keep_pruned)
+            r, c = np.nonzero(got >= 0)
+            yield pa.RecordBatch.from_arrays([pa.array(src[r]), pa.array(dst[got[r, c]]), pa.array(d[r, c])], ["src", "dst", "dist"])
+
+    return map_arrow(flat, run, "src long, dst long, dist double", 256)
 
 
 def merge_reverse(graph: DataFrame, new_edges: DataFrame, points: PointSet, degree: int, alpha: float = 1.2) -> DataFrame:
@@ -134,18 +137,20 @@ def changed(before: DataFrame, after: DataFrame) -> DataFrame:
     return after.join(before.select("src", "dst"), ["src", "dst"], "left_anti")
 
 
-def reachable(edges: DataFrame, start: int, most_rounds: int = 1000) -> DataFrame:
-    """id, hops: the vertices that can be reached from start, breadth first, a settled join a round."""
+def reachable(edges: DataFrame, start: int) -> DataFrame:
+    """id, hops: the vertices that can be reached from start, breadth first, a settled join a round; as
+    many rounds as it takes. What is seen is settled now and then, so that the plan stays short."""
     spark = edges.sparkSession
     links = settle(edges.select("src", "dst").distinct(), "links")
     seen = spark.createDataFrame([(start, 0)], "id long, hops int")
-    front = seen
-    for hop in range(1, most_rounds):
+    front, hop = seen, 0
+    while not front.isEmpty():
+        hop += 1
         step = front.join(links, front["id"] == links["src"]).select(F.col("dst").alias("id")).distinct()
         front = settle(step.join(seen, "id", "left_anti").withColumn("hops", F.lit(hop)), "front")
-        if front.isEmpty():
-            break
         seen = seen.unionByName(front)
+        if hop % 8 == 0:
+            seen = settle(seen, "seen")
     return seen
 
 

@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from proxigraph.functions.distance import block
+from proxigraph.functions.distance import close_pairs
 from proxigraph.operators.model import PointSet, to_matrix
 from proxigraph.runtime import map_arrow, settle
 
@@ -26,18 +26,9 @@ def _nearest(q_ids, q, ids, x, metric: str, k: int | None, radius: float | None,
     for a in range(0, len(q), QUERY_BLOCK):
         best: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
         for b in range(0, len(x), POINT_BLOCK):
-            d = block(q[a: a + QUERY_BLOCK], x[b: b + POINT_BLOCK], metric)
-            d = np.where(np.isnan(d), np.inf, d)
-            if exclude_self:
-                d[q_ids[a: a + QUERY_BLOCK, None] == ids[None, b: b + POINT_BLOCK]] = np.inf
-            if radius is not None:
-                r, c = np.nonzero(d <= radius)
-            elif d.shape[1] > k:
-                cut = np.partition(d, k - 1, axis=1)[:, k - 1: k]
-                r, c = np.nonzero((d <= cut) & np.isfinite(d))
-            else:
-                r, c = np.nonzero(np.isfinite(d))
-            best.append((r + a, ids[b + c], d[r, c]))
+            own = q_ids[a: a + QUERY_BLOCK, None] == ids[None, b: b + POINT_BLOCK] if exclude_self else None
+            r, c, d = close_pairs(q[a: a + QUERY_BLOCK], x[b: b + POINT_BLOCK], metric, k, radius, own)
+            best.append((r + a, ids[b + c], d))
         r, i, d = (np.concatenate([x[j] for x in best]) for j in range(3)) if best else (np.empty(0, np.int64),) * 2 + (np.empty(0),)
         if radius is None and len(r):
             order = np.lexsort((i, d, r))
@@ -156,6 +147,56 @@ def exact_knn_graph(points: PointSet, k: int) -> DataFrame:
     return found.select(F.col("qid").alias("src"), F.col("id").alias("dst"), "dist")
 
 
+def range_self_join(points: PointSet, radius: float) -> DataFrame:
+    """u, v, dist: all pairs of points within radius by l2, no pair of rows expanded: copies of a vector are
+    one class, named by the smallest id, and pairs are those of classes (u < v); every other member v comes
+    once with its class u, at distance 0.
+
+    The norms of points within radius differ by at most radius, so points lie in cells by bands of the
+    norm, cut to bounded blocks, and each is compared with its own band and the next one only.
+    """
+    from proxigraph.functions.distance import norm
+    from proxigraph.operators import resident
+
+    if points.metric != "l2" or radius <= 0:
+        raise ValueError("bands of norms need l2 and a radius above 0")
+    spark = points.df.sparkSession
+    p = settle(points.plain().filter("vec is not null"), "join-points")
+    reps = p.groupBy("vec").agg(F.min("id").alias("id"))
+    banded = settle(reps.select("id", "vec", F.floor(norm("vec") / radius).alias("band")), "join-bands")
+    counts = {r["band"]: r["count"] for r in banded.groupBy("band").count().collect()}  # a row a band
+    first, cells = {}, 0
+    for band in sorted(counts):
+        first[band] = cells
+        cells += max(1, -(-counts[band] // BLOCK_ROWS))
+    spans = spark.createDataFrame([(b, c, max(1, -(-counts[b] // BLOCK_ROWS))) for b, c in first.items()], "b long, at long, many long")
+    spans = F.broadcast(spans) if len(first) <= 100_000 else spans
+    placed = banded.join(spans, F.col("band") == F.col("b")).select((F.col("at") + F.pmod(F.xxhash64("id"), "many")).alias("cell"), "id", "vec", "band")
+    rows, folder = resident.store(placed.repartition("cell"), "join-cells")
+    asked = banded.withColumn("to", F.explode(F.array("band", F.col("band") + 1))).join(spans, F.col("to") == F.col("b"))
+    # a query's own band travels as one more component
+    routed = asked.select(F.explode(F.sequence(F.col("at"), F.col("at") + F.col("many") - 1)).alias("cell"), "id", F.concat("vec", F.array(F.col("band").cast("double"))).alias("vec"))
+
+    def load(table: pa.Table):
+        return table.column("id").to_numpy(), to_matrix(table.column("vec")), table.column("band").to_numpy()
+
+    def ask(held, table: pa.Table) -> pa.RecordBatch:
+        ids, x, bands = held
+        q_ids, both = table.column("id").to_numpy(), to_matrix(table.column("vec"))
+        out = []
+        for lo in range(0, len(x), POINT_BLOCK):
+            r, c, d = close_pairs(both[:, :-1], x[lo: lo + POINT_BLOCK], "l2", radius=radius)
+            c = c + lo
+            once = (q_ids[r] < ids[c]) | (bands[c] != both[r, -1])
+            out.append((q_ids[r[once]], ids[c[once]], d[once]))
+        a, b, d = (np.concatenate([o[j] for o in out]) for j in range(3))
+        return pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b)), pa.array(d)], ["u", "v", "dist"])
+
+    near = resident.answer(routed, rows, folder, ["id", "vec", "band"], max(1, cells), load, ask, "u long, v long, dist double")
+    members = p.join(reps.select("vec", F.col("id").alias("u")), "vec").filter("id <> u").select("u", F.col("id").alias("v"), F.lit(0.0).alias("dist"))
+    return near.unionByName(members)
+
+
 def medoid(points: PointSet) -> DataFrame:
     """id, dist of the point closest to the mean vector; the mean is summed in fixed point, so it does
     not depend on the order of rows."""

@@ -1,31 +1,38 @@
 """Graph indexes: built shard by shard, searched by streaming queries through the shards.
 
-Points are dealt to shards of bounded size, by hashed id or by cells of a coarse quantiser that is
-fitted on a bounded sample. A task builds one shard's graph by any of the methods; a point's row then
-holds its vector and its lists. A search deals the queries to the shards they are routed to, loads a
-shard's rows once, and streams its queries through it in batches; the best k over all shards remain.
-With one shard this is the plain in-memory method.
+Points are dealt to shards of bounded size, by cells of a coarse quantiser that is fitted on a bounded
+sample, or by hashed id. A task builds one shard's graph by any of the methods, or, with engine
+"batches", many tasks build it together; a point's row then holds its vector and its lists. Rows lie in
+a folder per shard. A search deals the queries to the shards they are routed to, opens a shard's files
+once a task, and streams its queries through it; the best k over all shards remain. With one shard this
+is the plain in-memory method.
+
+Copies of a vector in a shard are one vertex of its graph: the copy with the smallest id, its rep, has
+the lists, and an answer that meets it holds all its copies.
 """
 
 from __future__ import annotations
 
 import json
 from collections.abc import Callable, Iterator
-from dataclasses import dataclass, field, replace
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from proxigraph.functions.distance import block
+from proxigraph.functions.distance import block, nearest_rows
 from proxigraph.operators import kernels as K
-from proxigraph.operators.exact import stream_cells, top_k
+from proxigraph.operators import resident
+from proxigraph.operators.exact import top_k
 from proxigraph.operators.model import DEFAULTS, SHARD_ROWS, PointSet, to_lists, to_matrix
 from proxigraph.runtime import fresh_path, map_arrow, settle, ship
 
-ROWS = "shard long, id long, vec array<double>, nbrs array<bigint>, dists array<double>, level int, upper array<array<bigint>>, start boolean, build_comps long, rounds long"
+ROWS = "cell long, id long, rep long, vec array<double>, nbrs array<bigint>, dists array<double>, level int, upper array<array<bigint>>, start boolean, build_comps long, rounds long"
 SAMPLE_ROWS = 20_000
+#: What a search reads of a shard.
+LOADED = ["id", "rep", "vec", "nbrs", "level", "upper", "start"]
 
 
 @dataclass(frozen=True)
@@ -38,49 +45,49 @@ class Shards:
     first: np.ndarray | None = None
 
     def of_points(self, points: DataFrame) -> DataFrame:
-        """(shard, id, vec)"""
+        """(cell, id, vec)"""
         if self.centers is None:
-            return points.select(F.pmod(F.xxhash64("id"), F.lit(self.count)).alias("shard"), "id", "vec")
+            return points.select(F.pmod(F.xxhash64("id"), F.lit(self.count)).alias("cell"), "id", "vec")
         shared = points.sparkSession.sparkContext.broadcast(self)
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             own = shared.value
             for b in batches:
                 if b.num_rows:
-                    cell = block(to_matrix(b.column(1)), own.centers).argmin(axis=1)
+                    cell = nearest_rows(to_matrix(b.column(1)), own.centers)[0][:, 0]
                     many = np.diff(own.first)[cell]
                     salt = b.column(2).to_numpy(zero_copy_only=False) % many
-                    yield pa.RecordBatch.from_arrays([pa.array(own.first[cell] + salt), b.column(0), b.column(1)], ["shard", "id", "vec"])
+                    yield pa.RecordBatch.from_arrays([pa.array(own.first[cell] + salt), b.column(0), b.column(1)], ["cell", "id", "vec"])
 
         salted = points.select("id", "vec", F.pmod(F.xxhash64("id"), F.lit(1 << 30)).alias("salt"))
-        return map_arrow(salted, run, "shard long, id long, vec array<double>")
+        return map_arrow(salted, run, "cell long, id long, vec array<double>")
 
     def of_queries(self, queries: DataFrame, probe: int | None) -> DataFrame:
-        """(shard, id, vec): every query for each shard of its `probe` nearest cells (None: all)."""
+        """(cell, id, vec): every query for each shard of its `probe` nearest cells (None: all)."""
         if self.centers is None or probe is None or probe >= len(self.centers):
             every = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(self.count - 1).cast("long")))
-            return queries.select(every.alias("shard"), "id", "vec")
+            return queries.select(every.alias("cell"), "id", "vec")
         shared = queries.sparkSession.sparkContext.broadcast(self)
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             own = shared.value
             for b in batches:
                 if b.num_rows:
-                    cells = np.argsort(block(to_matrix(b.column(1)), own.centers), axis=1, kind="stable")[:, :probe]
+                    cells = nearest_rows(to_matrix(b.column(1)), own.centers, probe)[0]
                     who = np.repeat(np.arange(len(cells)), cells.shape[1])
                     c = cells.reshape(-1)
                     many = np.diff(own.first)[c]
                     rows = np.repeat(who, many)
                     shard = np.repeat(own.first[c], many) + np.arange(many.sum()) - np.repeat(np.cumsum(many) - many, many)
                     t = pa.Table.from_batches([b]).take(pa.array(rows)).combine_chunks()
-                    yield pa.RecordBatch.from_arrays([pa.array(shard), t.column("id").chunk(0), t.column("vec").chunk(0)], ["shard", "id", "vec"])
+                    yield pa.RecordBatch.from_arrays([pa.array(shard), t.column("id").chunk(0), t.column("vec").chunk(0)], ["cell", "id", "vec"])
 
-        return map_arrow(queries, run, "shard long, id long, vec array<double>")
+        return map_arrow(queries, run, "cell long, id long, vec array<double>")
 
 
-def plan_shards(points: PointSet, shard_rows: int = SHARD_ROWS, kind: str = "hash", seed: int = 42) -> Shards:
-    """One shard if the points fit; else hashed shards, or cells of k-means on a bounded sample, cut
-    by hashed id where a cell is larger than a shard."""
+def plan_shards(points: PointSet, shard_rows: int = SHARD_ROWS, kind: str = "cells", seed: int = 42) -> Shards:
+    """One shard if the points fit; else cells of k-means on a bounded sample, cut by hashed id where a
+    cell is larger than a shard, or hashed shards."""
     n = points.df.count()
     count = max(1, -(-n // shard_rows))
     if count == 1 or kind == "hash":
@@ -90,23 +97,55 @@ def plan_shards(points: PointSet, shard_rows: int = SHARD_ROWS, kind: str = "has
     rng = np.random.default_rng(seed)
     centers = x[np.sort(rng.choice(len(x), min(count, len(x)), replace=False))]
     for _ in range(8):
-        own = block(x, centers).argmin(axis=1)
+        own = nearest_rows(x, centers)[0][:, 0]
         size = np.bincount(own, minlength=len(centers))
         sums = np.zeros_like(centers)
         np.add.at(sums, own, x)
         centers = np.where(size[:, None] > 0, sums / np.maximum(size, 1)[:, None], centers)
-    size = np.bincount(block(x, centers).argmin(axis=1), minlength=len(centers)) / len(x) * n
+    size = np.bincount(nearest_rows(x, centers)[0][:, 0], minlength=len(centers)) / len(x) * n
     blocks = np.maximum(1, np.ceil(1.25 * size / shard_rows)).astype(np.int64)
     return Shards(int(blocks.sum()), centers, np.concatenate([[0], np.cumsum(blocks)]))
 
 
-def _load(table: pa.Table, metric: str) -> tuple[K.Graph, np.ndarray]:
-    """A shard's rows as a graph over positions, and the ids of the positions."""
-    ids = table.column("id").to_numpy()
-    order = np.argsort(ids, kind="stable")
+@dataclass
+class Loaded:
+    """A shard: its graph over the reps (positions in the order of their ids), the reps' ids, and all
+    members of each position, one after the other, by id."""
+
+    graph: K.Graph
+    ids: np.ndarray
+    members: np.ndarray
+    first: np.ndarray
+
+    def expand(self, at: np.ndarray, d: np.ndarray, real: np.ndarray, k: int | None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Per query (row): how many answers, and all answers' ids and distances, copies included; of the
+        k nearest by (distance, id), or all."""
+        row, col = np.nonzero(real)
+        p, far = at[row, col], d[row, col]
+        many = np.diff(self.first)[p]
+        if (many > 1).any():
+            row, far = np.repeat(row, many), np.repeat(far, many)
+            place = np.repeat(self.first[p], many) + np.arange(many.sum()) - np.repeat(np.cumsum(many) - many, many)
+            ids = self.members[place]
+        else:
+            ids = self.members[self.first[p]]
+        order = np.lexsort((ids, far, row))
+        row, ids, far = row[order], ids[order], far[order]
+        if k is not None:
+            keep = np.arange(len(row)) - np.searchsorted(row, row, side="left") < k
+            row, ids, far = row[keep], ids[keep], far[keep]
+        return np.bincount(row, minlength=len(at)), ids, far
+
+
+def _load(table: pa.Table, metric: str) -> Loaded:
+    order = np.lexsort((table.column("id").to_numpy(), table.column("rep").to_numpy()))
     table = table.take(pa.array(order)).combine_chunks()
-    ids = ids[order]
-    vecs = np.ascontiguousarray(to_matrix(table.column("vec")).T)
+    members, rep = table.column("id").to_numpy(), table.column("rep").to_numpy()
+    lead = np.flatnonzero(members == rep)  # one in every group of copies, not always the first
+    first = np.flatnonzero(np.diff(rep, prepend=rep[:1] - 1)) if len(rep) else lead
+    table = table.take(pa.array(lead)).combine_chunks()
+    ids = members[lead]
+    vecs = to_matrix(table.column("vec")).T
 
     def lists(column) -> np.ndarray:
         column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
@@ -128,14 +167,28 @@ def _load(table: pa.Table, metric: str) -> tuple[K.Graph, np.ndarray]:
         uppers = table.column("upper").to_pylist()
         for layer in range(1, top + 1):
             graph.upper.append({int(p): (np.searchsorted(ids, np.array(uppers[p][layer - 1], dtype=np.int64)), np.zeros(len(uppers[p][layer - 1]))) for p in np.flatnonzero(levels >= layer)})
-    return graph, ids
+    return Loaded(graph, ids, members, np.append(first, len(members)))
 
 
-def _unload(graph: K.Graph, ids: np.ndarray, shard: int, comps: int, rounds: int) -> pa.Table:
+def fold_copies(ids: np.ndarray, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Of rows x with ascending ids: the rows that are the first of their copies, and for every row which
+    of these it is a copy of."""
+    if not len(x):
+        return np.empty(0, np.int64), np.empty(0, np.int64)
+    rows = np.ascontiguousarray(x + 0.0)  # no negative zeros
+    key = rows.view(np.dtype((np.void, rows.dtype.itemsize * rows.shape[1]))).reshape(-1) if rows.shape[1] else np.zeros(len(x))
+    _, first, back = np.unique(key, return_index=True, return_inverse=True)
+    place = np.empty(len(first), dtype=np.int64)
+    order = np.argsort(first, kind="stable")
+    place[order] = np.arange(len(first))
+    return first[order], place[back]
+
+
+def _unload(graph: K.Graph, ids: np.ndarray, shard: int, comps: int, rounds: int, members: np.ndarray | None = None, of: np.ndarray | None = None) -> pa.Table:
+    """Rows of a shard: of the graph's vertices, named ids, and of members, each a copy of vertex of[i]."""
     n = len(ids)
     keep = graph.nbrs >= 0
     size = keep.sum(axis=1)
-    offsets = pa.array(np.concatenate([[0], np.cumsum(size)]).astype(np.int32))
     level = np.zeros(n, dtype=np.int32)
     upper: list[list[list[int]]] = [[] for _ in range(n)]
     for layer, rows in enumerate(graph.upper, 1):
@@ -145,11 +198,19 @@ def _unload(graph: K.Graph, ids: np.ndarray, shard: int, comps: int, rounds: int
     start = np.zeros(n, dtype=bool)
     if n:
         start[graph.entry if graph.upper else graph.start] = True
+    if members is None:
+        members, of = ids, np.arange(n)
+    m, own = len(members), ids[of] == members  # a copy has no lists
+    nbrs, dists = ids[graph.nbrs[keep]], graph.dists[keep]
+    counts = np.where(own, size[of], 0)
+    begin = np.cumsum(size) - size
+    flat = np.repeat(begin[of], counts) + np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)
+    offsets = pa.array(np.concatenate([[0], np.cumsum(counts)]).astype(np.int32))
     return pa.table({
-        "shard": pa.array(np.full(n, shard)), "id": pa.array(ids), "vec": to_lists(graph.vecs.T),
-        "nbrs": pa.ListArray.from_arrays(offsets, pa.array(ids[graph.nbrs[keep]])), "dists": pa.ListArray.from_arrays(offsets, pa.array(graph.dists[keep])),
-        "level": pa.array(level), "upper": pa.array(upper, pa.list_(pa.list_(pa.int64()))), "start": pa.array(start),
-        "build_comps": pa.array(np.full(n, comps)), "rounds": pa.array(np.full(n, rounds)),
+        "cell": pa.array(np.full(m, shard)), "id": pa.array(members), "rep": pa.array(ids[of]), "vec": to_lists(np.ascontiguousarray(graph.vecs.T[of])),
+        "nbrs": pa.ListArray.from_arrays(offsets, pa.array(nbrs[flat])), "dists": pa.ListArray.from_arrays(offsets, pa.array(dists[flat])),
+        "level": pa.array(np.where(own, level[of], 0).astype(np.int32)), "upper": pa.array([upper[v] if o else [] for v, o in zip(of.tolist(), own.tolist(), strict=True)], pa.list_(pa.list_(pa.int64()))),
+        "start": pa.array(start[of] & own), "build_comps": pa.array(np.full(m, comps)), "rounds": pa.array(np.full(m, rounds)),
     })
 
 
@@ -168,8 +229,8 @@ class GraphIndex:
     metric: str
     shards: Shards
     rows: DataFrame
+    folder: str  # of the rows, with a folder per shard
     version: int = 0
-    parents: tuple = field(default=())
 
     def edges(self) -> DataFrame:
         return self.rows.select(F.col("id").alias("src"), F.explode(F.arrays_zip("nbrs", "dists")).alias("e")).select("src", F.col("e.nbrs").alias("dst"), F.col("e.dists").alias("dist"))
@@ -192,35 +253,43 @@ class GraphIndex:
 
     def build_cost(self) -> DataFrame:
         """One row: distance computations of the build's searches, and rounds, summed over shards."""
-        one = self.rows.groupBy("shard").agg(F.max("build_comps").alias("c"), F.max("rounds").alias("r"))
+        one = self.rows.groupBy("cell").agg(F.max("build_comps").alias("c"), F.max("rounds").alias("r"))
         return one.agg(F.sum("c").alias("dist_comps"), F.sum("r").alias("rounds"))
 
     def search(
         self, queries: PointSet, k: int = 10, width: int = 64, eps: float | None = None, visited: str = "seen", result_from: str = "visited",
-        probe: int | None = None, exclude_self: bool = False, start: str = "index", samples: int = 16,
+        probe: int | None = None, exclude_self: bool = False, start: str | None = None, samples: int = 16,
     ) -> SearchResult:
-        """k nearest of every query by beam search in the shards it is routed to. start "sample": of
-        `samples` drawn points of the shard, the one closest to the query."""
+        """k nearest of every query by beam search in the shards it is routed to: those of its `probe`
+        nearest cells, or all. start "index": the vertex that the build chose; "sample": of `samples` drawn
+        vertices, the one closest to the query, which is the rule of graphs that have no vertex to start
+        from (trees and descent)."""
+        start = start or ("sample" if self.method in ("tree_mst", "descent") else "index")
         if width < k:
             raise ValueError("the beam must hold at least k vertices")
         metric = self.metric
 
-        def run(graph: K.Graph, ids: np.ndarray, q_ids: np.ndarray, q: np.ndarray):
-            begin = None
-            if start == "sample" and graph.n and not graph.upper:
-                drawn = K.hashed_order(ids, 7)[:samples]
-                begin = drawn[block(q, graph.vecs[:, drawn].T, metric).argmin(axis=1)]
-            qt = np.ascontiguousarray(q.T)
+        def run(shard: Loaded, q_ids: np.ndarray, q: np.ndarray):
+            graph, begin = shard.graph, None
             more = 1 if exclude_self else 0
+            if start == "sample" and graph.n and not graph.upper:
+                drawn = K.hashed_order(shard.ids, 7)[:samples]
+                begin = drawn[nearest_rows(q, graph.vecs.T[drawn], 1, metric)[0][:, 0]]
             if graph.upper:
-                found = K.layered_search(graph, qt, width, k + more, eps, visited)
+                found = K.layered_search(graph, q.T, width, k + more, eps, visited)
             else:
-                found = K.beam_search(graph, qt, width, k + more, eps, visited, begin)
+                found = K.beam_search(graph, q.T, width, k + more, eps, visited, begin)
+            if begin is not None:
+                found.comps = found.comps + len(drawn) - 1
             at, d = found.nearest(k + more, result_from)
-            real = np.isfinite(d) & (at >= 0)
+            size, ids, far = shard.expand(at, d, np.isfinite(d) & (at >= 0), None if exclude_self else k)
             if exclude_self:
-                real &= ids[np.maximum(at, 0)] != q_ids[:, None]
-            return at, d, real, found
+                row = np.repeat(np.arange(len(size)), size)
+                other = ids != q_ids[row]
+                row, ids, far = row[other], ids[other], far[other]
+                keep = np.arange(len(row)) - np.searchsorted(row, row, side="left") < k
+                size, ids, far = np.bincount(row[keep], minlength=len(size)), ids[keep], far[keep]
+            return size, ids, far, found
 
         return self._answer(queries, probe, run, k)
 
@@ -228,114 +297,103 @@ class GraphIndex:
         """All points within radius that beam search meets: with flood, neighbours of points in range
         are followed until no new one is in range; with grow, the beam doubles while half of it is
         in range."""
-        metric = self.metric
 
-        def run(graph: K.Graph, ids: np.ndarray, q_ids: np.ndarray, q: np.ndarray):
-            qt = np.ascontiguousarray(q.T)
-            w = width
-            found = K.beam_search(graph, qt, w, 1)
+        def run(shard: Loaded, q_ids: np.ndarray, q: np.ndarray):
+            graph, w = shard.graph, width
+            found = K.beam_search(graph, q.T, w, 1)
             if grow:
                 while w < graph.n and ((found.beam_distance <= radius).sum(axis=1) * 2 >= w).any():
                     w = min(2 * w, graph.n)
                     comps = found.comps
-                    found = K.beam_search(graph, qt, w, 1)
+                    found = K.beam_search(graph, q.T, w, 1)
                     found.comps = found.comps + comps
             at = np.concatenate([found.visited, found.beam], axis=1)
             d = np.concatenate([found.distance, found.beam_distance], axis=1)
             if flood:
-                at, d = _flood(graph, qt, at, d, radius, found)
+                at, d = _flood(graph, q.T, at, d, radius, found)
             order = np.lexsort((at, d), axis=1)
             at, d = np.take_along_axis(at, order, axis=1), np.take_along_axis(d, order, axis=1)
             real = np.isfinite(d) & (at >= 0) & (d <= radius)
             real[:, 1:] &= at[:, 1:] != at[:, :-1]
-            return at, d, real, found
+            return *shard.expand(at, d, real, None), found
 
-        _ = metric
         return self._answer(queries, probe, run, None)
 
     def _answer(self, queries: PointSet, probe: int | None, run: Callable, k: int | None) -> SearchResult:
         metric = self.metric
-        left = self.rows.select(F.col("shard").alias("cell"), F.lit(0).alias("kind"), "id", "vec", "nbrs", "level", "upper", "start")
-        none = [F.lit(None).cast(t).alias(c) for c, t in (("nbrs", "array<bigint>"), ("level", "int"), ("upper", "array<array<bigint>>"), ("start", "boolean"))]
-        right = self.shards.of_queries(queries.plain(), probe).select(F.col("shard").alias("cell"), F.lit(1).alias("kind"), "id", "vec", *none)
-        both = left.unionByName(right).repartition("cell").sortWithinPartitions("cell", "kind")
-
-        def serve(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            last, loaded = None, None
-            for _, table, held in stream_cells(batches):
-                if held is not last:
-                    last, loaded = held, _load(held, metric)
-                graph, ids = loaded
-                q_ids, q = table.column("id").to_numpy(), to_matrix(table.column("vec"))
-                at, d, real, found = run(graph, ids, q_ids, q)
-                size = real.sum(axis=1)
-                offsets = pa.array(np.concatenate([[0], np.cumsum(size)]).astype(np.int32))
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        pa.array(q_ids), pa.ListArray.from_arrays(offsets, pa.array(ids[at[real]])), pa.ListArray.from_arrays(offsets, pa.array(d[real])),
-                        pa.array(found.hops), pa.array(found.comps), pa.array((found.visited >= 0).sum(axis=1)),
-                    ],
-                    ["qid", "ids", "dists", "hops", "dist_comps", "visited"],
-                )
-
-        per_shard = settle(map_arrow(both, serve, "qid long, ids array<bigint>, dists array<double>, hops long, dist_comps long, visited long"), "search")
+
+        def ask(shard: Loaded, table: pa.Table) -> pa.RecordBatch:
+            q_ids, q = table.column("id").to_numpy(), to_matrix(table.column("vec"))
+            size, ids, far, found = run(shard, q_ids, q)
+            offsets = pa.array(np.concatenate([[0], np.cumsum(size)]).astype(np.int32))
+            return pa.RecordBatch.from_arrays(
+                [
+                    pa.array(q_ids), pa.ListArray.from_arrays(offsets, pa.array(ids)), pa.ListArray.from_arrays(offsets, pa.array(far)),
+                    pa.array(found.hops), pa.array(found.comps), pa.array((found.visited >= 0).sum(axis=1)),
+                ],
+                ["qid", "ids", "dists", "hops", "dist_comps", "visited"],
+            )
+
+        routed = self.shards.of_queries(queries.plain(), probe)
+        met = resident.answer(
+            routed, self.rows, self.folder, LOADED, self.shards.count, lambda t: _load(t, metric), ask,
+            "qid long, ids array<bigint>, dists array<double>, hops long, dist_comps long, visited long",
+        )
+        per_shard = settle(met, "search")
         found = per_shard.select("qid", F.explode(F.arrays_zip("ids", "dists")).alias("e")).select("qid", F.col("e.ids").alias("id"), F.col("e.dists").alias("dist"))
         stats = per_shard.groupBy("qid").agg(F.sum("hops").alias("hops"), F.sum("dist_comps").alias("dist_comps"), F.sum("visited").alias("visited"))
         return SearchResult(top_k(found, k) if k is not None else found, stats)
 
     def insert(self, points: PointSet) -> GraphIndex:
-        """A new version with more points: each shard takes its arrivals as one batch against its
-        present graph. The old version stays as it is."""
+        """A new version with more points: each shard takes its arrivals in growing batches, each against
+        the graph that the last one left. The old version stays as it is."""
         p = self.params
         metric, degree = self.metric, p.get("degree", DEFAULTS["degree"])
-        if self.method == "layered":
-            raise ValueError("insert works on graphs of one layer")
-        left = self.rows.select("shard", F.lit(0).alias("kind"), "id", "vec", "nbrs", "dists", "level", "upper", "start")
-        none = [F.lit(None).cast(t).alias(c) for c, t in (("nbrs", "array<bigint>"), ("dists", "array<double>"), ("level", "int"), ("upper", "array<array<bigint>>"), ("start", "boolean"))]
-        new = self.shards.of_points(points.plain()).select("shard", F.lit(1).alias("kind"), "id", "vec", *none)
-        width, alpha = p.get("width", DEFAULTS["width"]), p.get("alpha", DEFAULTS["alpha"])
+        names = ["id", "rep", "vec", "nbrs", "dists", "level", "upper", "start"]
+        left = self.rows.select("cell", F.lit(0).alias("kind"), *names)
+        kinds = dict(self.rows.dtypes)
+        none = [F.lit(None).cast(kinds[c]).alias(c) for c in names[3:]]
+        new = self.shards.of_points(points.plain()).select("cell", F.lit(1).alias("kind"), "id", F.col("id").alias("rep"), "vec", *none)
+        width, alpha, m, seed = p.get("width", DEFAULTS["width"]), p.get("alpha", DEFAULTS["alpha"]), p.get("m"), p.get("seed", 42)
 
         def grow(table: pa.Table) -> pa.Table:
             kind = table.column("kind").to_numpy()
-            old, arrived = table.filter(pa.array(kind == 0)), table.filter(pa.array(kind == 1))
-            shard = table.column("shard")[0].as_py()
-            ids = np.concatenate([old.column("id").to_numpy(), arrived.column("id").to_numpy()])
-            order = np.argsort(ids, kind="stable")
-            place = np.empty(len(ids), dtype=np.int64)
-            place[order] = np.arange(len(ids))
-            vecs = np.concatenate([x for x in (to_matrix(old.column("vec")), to_matrix(arrived.column("vec"))) if len(x)])[order].T
-            graph = K.empty_graph(np.ascontiguousarray(vecs), degree, 0, metric)
-            names = ids[order]
-            if old.num_rows:
-                before, before_ids = _load(old, metric)
-                at = np.searchsorted(names, before_ids)
-                far = old.take(pa.array(np.argsort(old.column("id").to_numpy(), kind="stable"))).column("dists").to_pylist()
-                for p0, p1, d in zip(range(len(at)), at, far, strict=True):
-                    own = before.nbrs[p0][before.nbrs[p0] >= 0]
-                    graph.nbrs[p1, : len(own)] = at[own]
-                    graph.dists[p1, : len(own)] = d
-                graph.start = int(at[before.start])
-            batch = place[old.num_rows:]
-            first = batch[:1] if not old.num_rows else batch[:0]
-            if len(first):
-                graph.start = int(first[0])
-            comps = 0
-            rest = batch[len(first):]
-            if len(rest):
-                # arrivals follow the same growing batches, counted on from the points there are
-                cap = max(1, old.num_rows or 1)
-                for lo, hi in K.schedule(len(rest), cap, "doubling" if not old.num_rows else "inclusive"):
-                    comps += K.insert_batch(graph, rest[lo - 1: hi], degree, width, alpha)
-            return _unload(graph, names, shard, comps, 0)
+            old, arrived = table.filter(pa.array(kind == 0)), table.filter(pa.array(kind == 1)).sort_by("id")
+            before = _load(old, metric)
+            graph, lead = before.graph, before.ids
+            x = to_matrix(arrived.column("vec"))
+            came = arrived.column("id").to_numpy()
+            both = np.concatenate([graph.vecs.T, x]) if len(lead) else x
+            first, of = fold_copies(np.arange(len(both)), both)  # old vertices come first, so they stay reps
+            n = len(lead)
+            fresh = first[first >= n] - n  # arrivals that are vertices of their own
+            # positions go by id: the places of old vertices and of new ones among all
+            names_ = np.concatenate([lead, came[fresh]])
+            order = np.argsort(names_, kind="stable")
+            place = np.empty(len(order), dtype=np.int64)
+            place[order] = np.arange(len(order))
+            grown = K.empty_graph(np.concatenate([graph.vecs.T, x[fresh]])[order].T if n else x[fresh][order].T, max(degree, graph.nbrs.shape[1] if n else 0), 0, metric)
+            if n:
+                far = old.take(pa.array(np.flatnonzero(old.column("id").to_numpy() == old.column("rep").to_numpy()))).sort_by("id").column("dists").to_pylist()
+                keep = graph.nbrs >= 0
+                grown.nbrs[place[:n], : graph.nbrs.shape[1]] = np.where(keep, place[graph.nbrs], -1)
+                for q, d in zip(place[:n].tolist(), far, strict=True):
+                    grown.dists[q, : len(d)] = d
+                grown.start = grown.entry = int(place[graph.start])
+                grown.upper = [{int(place[q]): (place[t], d) for q, (t, d) in rows.items()} for rows in graph.upper]
+            comps = K.insert_points(grown, names_[order], place[n:], degree, width, alpha, m, seed)
+            # old members first (reps in order, each with its copies), then the arrivals
+            olds = place[np.repeat(np.arange(n), np.diff(before.first))] if n else np.empty(0, np.int64)
+            return _unload(grown, names_[order], table.column("cell")[0].as_py(), comps, 0, np.concatenate([before.members, came]), np.concatenate([olds, place[of[n:]]]))
 
         ship(self.rows.sparkSession)
-        rows = settle(left.unionByName(new).groupBy("shard").applyInArrow(grow, ROWS), "graph")
-        return replace(self, rows=rows, version=self.version + 1)
+        rows, folder = resident.store(left.unionByName(new).groupBy("cell").applyInArrow(grow, ROWS), "graph")
+        return replace(self, rows=rows, folder=folder, version=self.version + 1)
 
     def save(self, path: str) -> None:
         """Rows by shard and a manifest, which is written last; every version has a folder of its own."""
         folder = f"{path}/v{self.version}"
-        self.rows.repartition("shard").sortWithinPartitions("shard", "id").write.mode("overwrite").parquet(f"{folder}/rows")
+        self.rows.repartition("cell").sortWithinPartitions("cell", "id").write.mode("overwrite").partitionBy("cell").parquet(f"{folder}/rows")
         manifest = {
             "method": self.method, "params": self.params, "metric": self.metric, "version": self.version, "count": self.shards.count,
             "centers": None if self.shards.centers is None else self.shards.centers.tolist(), "first": None if self.shards.first is None else self.shards.first.tolist(),
@@ -348,7 +406,8 @@ class GraphIndex:
         folder = f"{path}/v{version}"
         m = json.loads(spark.read.json(f"{folder}/manifest").first()["manifest"])
         shards = Shards(m["count"], None if m["centers"] is None else np.array(m["centers"]), None if m["first"] is None else np.array(m["first"]))
-        return GraphIndex(m["method"], m["params"], m["metric"], shards, spark.read.parquet(f"{folder}/rows"), m["version"])
+        rows = spark.read.schema(ROWS).parquet(f"{folder}/rows").select(*[c.split(" ")[0] for c in ROWS.split(", ")])
+        return GraphIndex(m["method"], m["params"], m["metric"], shards, rows, f"{folder}/rows", m["version"])
 
 
 def _flood(graph: K.Graph, q: np.ndarray, at: np.ndarray, d: np.ndarray, radius: float, found: K.Found) -> tuple[np.ndarray, np.ndarray]:
@@ -373,45 +432,73 @@ def _flood(graph: K.Graph, q: np.ndarray, at: np.ndarray, d: np.ndarray, radius:
     return out, far
 
 
-def _build(points: PointSet, method: str, params: dict, kernel: Callable, shard_rows: int, shard_kind: str, seed: int) -> GraphIndex:
+def _build(points: PointSet, method: str, params: dict, kernel: Callable, shard_rows: int, shard_kind: str, seed: int, joined: bool = True) -> GraphIndex:
     metric = points.metric
     shards = plan_shards(points, shard_rows, shard_kind, seed)
 
     def one(table: pa.Table) -> pa.Table:
-        order = np.argsort(table.column("id").to_numpy(), kind="stable")
-        table = table.take(pa.array(order)).combine_chunks()
-        ids = table.column("id").to_numpy()
-        vecs = np.ascontiguousarray(to_matrix(table.column("vec")).T)
-        graph, comps, rounds = kernel(vecs, ids, metric)
-        return _unload(graph, ids, table.column("shard")[0].as_py(), comps, rounds)
+        members, x = _sorted(table)
+        lead, of = fold_copies(members, x)
+        graph, comps, rounds = kernel(x[lead].T, members[lead], metric)
+        if joined:
+            K.connect(graph)
+        return _unload(graph, members[lead], table.column("cell")[0].as_py(), comps, rounds, members, of)
 
     ship(points.df.sparkSession)
-    rows = settle(shards.of_points(points.plain()).groupBy("shard").applyInArrow(one, ROWS), "graph")
-    return GraphIndex(method, params, metric, shards, rows)
+    rows, folder = resident.store(shards.of_points(points.plain()).groupBy("cell").applyInArrow(one, ROWS), "graph")
+    return GraphIndex(method, params, metric, shards, rows, folder)
+
+
+def _sorted(table: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+    """Ids in ascending order, and their vectors."""
+    order = np.argsort(table.column("id").to_numpy(), kind="stable")
+    table = table.take(pa.array(order)).combine_chunks()
+    return table.column("id").to_numpy(), to_matrix(table.column("vec"))
 
 
 def alpha_graph(
     points: PointSet, degree: int = 64, width: int = 128, alpha: float = 1.2, theta: float = 0.02, rule: str = "inclusive", start: str = "medoid",
-    seed: int = 42, shard_rows: int = SHARD_ROWS, shard_kind: str = "hash",
+    seed: int = 42, shard_rows: int = SHARD_ROWS, shard_kind: str = "cells", engine: str = "kernel", tasks: int | None = None, joined: bool = True,
 ) -> GraphIndex:
     """Incremental graph with alpha pruning. rule "sequential": one point at a time; "single": all at
-    once; theta 1: batches double without a cap; alpha 1: the strict prune."""
+    once; theta 1: batches double without a cap; alpha 1: the strict prune.
+
+    engine "kernel": a task builds a shard. "batches": all tasks (or `tasks`) build one graph together,
+    batch by batch, with the same edges. "rounds": the same by joins, for graphs that no task can hold.
+    joined: vertices that the start does not reach get an edge (not by rounds, nor after a single batch,
+    whose graph is to show what is wrong with it)."""
+    params = {"degree": degree, "width": width, "alpha": alpha, "theta": theta, "rule": rule, "seed": seed}
+    if engine == "batches":
+        from proxigraph.operators import batches
+
+        made, n, spent = batches.build(points, degree, width, alpha, theta, rule, seed, tasks, joined and rule != "single")
+        rows, folder = resident.store(made.withColumn("rounds", F.lit(n).cast("long")), "graph")
+        rows = rows.withColumn("build_comps", F.lit(spent.value).cast("long"))
+        return GraphIndex("alpha", params, points.metric, Shards(1), rows, folder)
+    if engine == "rounds":
+        from proxigraph.operators import rounds as R
+
+        made, first = R.build_rounds(points, degree, width, alpha, theta, rule, seed)
+        return replace(fixed_graph(points, made, first), method="alpha", params=params)
+    if engine != "kernel":
+        raise ValueError(f"no engine named {engine}")
 
     def kernel(vecs, ids, metric):
         graph, comps = K.build_alpha(vecs, ids, degree, width, alpha, theta, rule, start, seed, metric)
         return graph, comps, len(K.schedule(max(0, len(ids) - 1), max(1, int(np.ceil(theta * len(ids)))), rule))
 
-    return _build(points, "alpha", {"degree": degree, "width": width, "alpha": alpha, "theta": theta, "rule": rule, "seed": seed}, kernel, shard_rows, shard_kind, seed)
+    return _build(points, "alpha", params, kernel, shard_rows, shard_kind, seed, joined=joined and rule != "single")
 
 
 def layered_graph(
     points: PointSet, m: int = 16, width: int = 128, alpha: float = 1.0, theta: float = 0.02, keep_pruned: bool = True, max_level: int | None = None,
-    seed: int = 42, shard_rows: int = SHARD_ROWS, shard_kind: str = "hash",
+    rule: str = "inclusive", seed: int = 42, shard_rows: int = SHARD_ROWS, shard_kind: str = "cells",
 ) -> GraphIndex:
-    """Layered incremental graph; max_level 0 leaves only the bottom layer."""
+    """Layered incremental graph; max_level 0 leaves only the bottom layer. rule "sequential": one point
+    at a time, as under the locks of the original, whose batch interface that stands for."""
 
     def kernel(vecs, ids, metric):
-        graph, comps = K.build_layered(vecs, ids, m, width, alpha, theta, keep_pruned, max_level, "inclusive", seed, metric)
+        graph, comps = K.build_layered(vecs, ids, m, width, alpha, theta, keep_pruned, max_level, rule, seed, metric)
         return graph, comps, len(graph.upper)
 
     return _build(points, "layered", {"m": m, "degree": 2 * m, "width": width, "alpha": alpha, "theta": theta, "seed": seed}, kernel, shard_rows, shard_kind, seed)
@@ -419,39 +506,40 @@ def layered_graph(
 
 def tree_mst_graph(
     points: PointSet, trees: int = 30, leaf: int = 1000, near: int | None = 10, max_degree: int = 3, degree: int = 64, alpha: float = 1.0,
-    seed: int = 42, shard_rows: int = SHARD_ROWS, shard_kind: str = "hash",
+    seed: int = 42, shard_rows: int = SHARD_ROWS, shard_kind: str = "cells",
 ) -> GraphIndex:
     """Bounded-degree spanning trees of the leaves of random cluster trees; near None: over all pairs."""
 
     def kernel(vecs, ids, metric):
-        return K.build_tree_mst(vecs, ids, trees, leaf, near, max_degree, degree, alpha, seed, metric), 0, trees
+        graph = K.build_tree_mst(vecs, ids, trees, leaf, near, max_degree, degree, alpha, seed, metric)
+        return graph, graph.comps, trees
 
     return _build(points, "tree_mst", {"trees": trees, "leaf": leaf, "near": near, "max_degree": max_degree, "degree": degree, "alpha": alpha, "seed": seed}, kernel, shard_rows, shard_kind, seed)
 
 
 def descent_graph(
     points: PointSet, trees: int = 10, leaf: int = 100, k: int = 40, degree: int = 64, alpha: float = 1.2, cap: int | None = 2000, delta: float = 0.001,
-    max_rounds: int = 20, init: str = "trees", block: int = 512, seed: int = 42, shard_rows: int = SHARD_ROWS, shard_kind: str = "hash",
+    max_rounds: int = 20, init: str = "trees", block: int = 512, seed: int = 42, shard_rows: int = SHARD_ROWS, shard_kind: str = "cells",
 ) -> GraphIndex:
     """Nearest-neighbour descent from the leaves of random hyperplane trees (or a random graph)."""
 
     def kernel(vecs, ids, metric):
         graph, rounds = K.build_descent(vecs, ids, trees, leaf, k, degree, alpha, cap, delta, max_rounds, init, seed, metric, block)
-        return graph, 0, rounds
+        return graph, graph.comps, rounds
 
     return _build(points, "descent", {"trees": trees, "leaf": leaf, "k": k, "degree": degree, "alpha": alpha, "cap": cap, "delta": delta, "init": init, "seed": seed}, kernel, shard_rows, shard_kind, seed)
 
 
 def hybrid_graph(
     points: PointSet, trees: int = 10, leaf: int = 200, near: int | None = 10, max_degree: int = 3, degree: int = 64, width: int = 128, alpha: float = 1.2,
-    theta: float = 0.02, seed: int = 42, shard_rows: int = SHARD_ROWS, shard_kind: str = "hash",
+    theta: float = 0.02, seed: int = 42, shard_rows: int = SHARD_ROWS, shard_kind: str = "cells",
 ) -> GraphIndex:
     """Tree edges as the first snapshot, then one pass of insertions over all points."""
 
     def kernel(vecs, ids, metric):
         first = K.build_tree_mst(vecs, ids, trees, leaf, near, max_degree, degree, 1.0, seed, metric)
         graph, comps = K.build_alpha(vecs, ids, degree, width, alpha, theta, "inclusive", "medoid", seed, metric, first)
-        return graph, comps, trees
+        return graph, comps + first.comps, trees
 
     return _build(points, "hybrid", {"trees": trees, "leaf": leaf, "degree": degree, "width": width, "alpha": alpha, "seed": seed}, kernel, shard_rows, shard_kind, seed)
 
@@ -460,10 +548,10 @@ def fixed_graph(points: PointSet, edges: DataFrame, start: int) -> GraphIndex:
     """An index of a given graph (src, dst, dist), in one shard."""
     lists = edges.groupBy("src").agg(F.array_sort(F.collect_list(F.struct("dist", "dst"))).alias("c"))
     rows = points.plain().join(lists, F.col("id") == F.col("src"), "left").select(
-        F.lit(0).cast("long").alias("shard"), "id", "vec", F.coalesce("c.dst", F.array().cast("array<bigint>")).alias("nbrs"), F.coalesce("c.dist", F.array().cast("array<double>")).alias("dists"),
+        F.lit(0).cast("long").alias("cell"), "id", F.col("id").alias("rep"), "vec", F.coalesce("c.dst", F.array().cast("array<bigint>")).alias("nbrs"), F.coalesce("c.dist", F.array().cast("array<double>")).alias("dists"),
         F.lit(0).alias("level"), F.array().cast("array<array<bigint>>").alias("upper"), (F.col("id") == start).alias("start"), F.lit(0).cast("long").alias("build_comps"), F.lit(0).cast("long").alias("rounds"),
     )
-    return GraphIndex("fixed", {}, points.metric, Shards(1), settle(rows, "graph"))
+    return GraphIndex("fixed", {}, points.metric, Shards(1), *resident.store(rows.coalesce(1), "graph"))
 
 
 BUILDERS = {"alpha": alpha_graph, "layered": layered_graph, "tree_mst": tree_mst_graph, "descent": descent_graph, "hybrid": hybrid_graph}

@@ -1,6 +1,7 @@
 """Graph kernels on one shard: pure functions of arrays, run inside tasks.
 
-Vectors are held by dimension (d rows of n), neighbour lists as an n x R table padded with -1.
+Vectors are given by dimension (d x n, best as the transpose of contiguous rows), neighbour lists as
+an n x R table padded with -1.
 Searches and prunes advance many queries in step, so that a step costs a few array operations
 whatever the number of queries; every choice is ordered by (distance, id), so results depend on
 nothing else.
@@ -8,6 +9,7 @@ nothing else.
 
 from __future__ import annotations
 
+import hashlib
 import math
 from dataclasses import dataclass, field
 
@@ -31,6 +33,7 @@ class Graph:
     metric: str = "l2"
     upper: list[dict[int, tuple[np.ndarray, np.ndarray]]] = field(default_factory=list)  # layers above the bottom
     entry: int = 0
+    comps: int = 0  # distances that trees, leaves and rounds of the build computed
 
     @property
     def n(self) -> int:
@@ -42,7 +45,7 @@ class Graph:
 
 def empty_graph(vecs: np.ndarray, degree: int, start: int = 0, metric: str = "l2") -> Graph:
     n = vecs.shape[1]
-    return Graph(vecs, np.full((n, degree), -1, dtype=np.int64), np.full((n, degree), np.inf), start, metric)
+    return Graph(np.asfortranarray(vecs), np.full((n, degree), -1, dtype=np.int64), np.full((n, degree), np.inf), start, metric)
 
 
 @dataclass
@@ -95,7 +98,7 @@ def beam_search(
     for lo in range(0, n_q, step):
         hi = min(lo + step, n_q)
         own = starts[lo:hi] if starts is not None else np.full(hi - lo, graph.start)
-        parts.append(_beam_block(graph, queries[:, lo:hi], width, k, eps, visited, own, max_hops))
+        parts.append(_beam_block(graph, np.asfortranarray(queries[:, lo:hi]), width, k, eps, visited, own, max_hops))
     if not parts:
         none = np.empty((0, 0))
         return Found(none.astype(np.int64), none, np.zeros(0, np.int64), np.zeros(0, np.int64), none.astype(np.int64), none)
@@ -200,6 +203,7 @@ def prune(
     """
     if alpha < 1:
         raise ValueError("alpha must be at least 1")
+    vecs = np.asfortranarray(vecs)
     b, width = cand.shape
     out, far = np.full((b, degree), -1, dtype=np.int64), np.full((b, degree), np.inf)
     if not width:
@@ -259,25 +263,39 @@ def schedule(n: int, cap: int | None = None, rule: str = "inclusive") -> list[tu
     return out
 
 
-def _with_arrivals(graph: Graph, source: np.ndarray, target: np.ndarray, dist: np.ndarray, degree: int, alpha: float, rule: str, keep_pruned: bool) -> None:
-    """Add edges target -> source, grouped by target; lists beyond the degree are pruned."""
+def merged_arrivals(
+    graph: Graph, source: np.ndarray, target: np.ndarray, dist: np.ndarray, degree: int, alpha: float, rule: str = "alpha", keep_pruned: bool = False,
+) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The lists (vertices, neighbours, distances) that edges target -> source change, grouped by target;
+    lists beyond the degree are pruned. The graph stays as it is."""
     order = np.lexsort((source, target))
     source, target, dist = source[order], target[order], dist[order]
     used, first, many = np.unique(target, return_index=True, return_counts=True)
-    if not len(used):
-        return
     width = graph.nbrs.shape[1]
+    nbrs, dists = graph.nbrs[used], graph.dists[used]
+    if not len(used):
+        return used, nbrs, dists
     cand = np.full((len(used), width + int(many.max())), -1, dtype=np.int64)
     far = np.full(cand.shape, np.inf)
-    cand[:, :width], far[:, :width] = graph.nbrs[used], graph.dists[used]
+    cand[:, :width], far[:, :width] = nbrs, dists
     row = np.repeat(np.arange(len(used)), many)
     col = width + np.arange(len(source)) - np.repeat(first, many)
     cand[row, col], far[row, col] = source, dist
     fits = (cand >= 0).sum(axis=1) <= degree
     for rows, how in ((np.flatnonzero(fits), "nearest"), (np.flatnonzero(~fits), rule)):
         if len(rows):
-            out, d = prune(graph.vecs, used[rows], cand[rows], far[rows], degree, alpha, how, graph.metric, keep_pruned)
-            graph.nbrs[used[rows], :degree], graph.dists[used[rows], :degree] = out, d
+            nbrs[rows, :degree], dists[rows, :degree] = prune(graph.vecs, used[rows], cand[rows], far[rows], degree, alpha, how, graph.metric, keep_pruned)
+    return used, nbrs, dists
+
+
+def searched(graph: Graph, batch: np.ndarray, degree: int, width: int, alpha: float, rule: str = "alpha", keep_pruned: bool = False, starts: np.ndarray | None = None, extra: bool = False):
+    """Lists (neighbours, distances) of the points at positions `batch`, and the distances computed by
+    their searches: each searches the graph as it is and prunes what it visited."""
+    found = beam_search(graph, graph.vecs.T[batch].T, width, starts=starts)
+    cand, dist = found.visited, found.distance
+    if extra:
+        cand, dist = np.concatenate([cand, graph.nbrs[batch]], axis=1), np.concatenate([dist, graph.dists[batch]], axis=1)
+    return *prune(graph.vecs, batch, cand, dist, degree, alpha, rule, graph.metric, keep_pruned), int(found.comps.sum())
 
 
 def insert_batch(
@@ -287,20 +305,28 @@ def insert_batch(
     """Insert the points at positions `batch`: all search the graph as it is, prune what they visited,
     then the reversed edges are merged by target. extra: their present neighbours stay candidates.
     Returns the number of distance computations of the searches."""
-    found = beam_search(graph, graph.vecs[:, batch], width, starts=starts)
-    cand, dist = found.visited, found.distance
-    if extra:
-        cand, dist = np.concatenate([cand, graph.nbrs[batch]], axis=1), np.concatenate([dist, graph.dists[batch]], axis=1)
-    out, far = prune(graph.vecs, batch, cand, dist, degree, alpha, rule, graph.metric, keep_pruned)
+    out, far, comps = searched(graph, batch, degree, width, alpha, rule, keep_pruned, starts, extra)
     graph.nbrs[batch, :degree], graph.dists[batch, :degree] = out, far
     r, c = np.nonzero(out >= 0)
-    _with_arrivals(graph, batch[r], out[r, c], far[r, c], degree, alpha, rule, keep_pruned)
-    return int(found.comps.sum())
+    used, nbrs, dists = merged_arrivals(graph, batch[r], out[r, c], far[r, c], degree, alpha, rule, keep_pruned)
+    graph.nbrs[used], graph.dists[used] = nbrs, dists
+    return comps
+
+
+def draws(ids: np.ndarray, *parts) -> np.ndarray:
+    """The draw of each id, with the parts before it (see draw_value)."""
+    first = hashlib.md5((":".join(map(str, parts)) + ":").encode())
+    out = np.empty(len(ids), dtype=np.int64)
+    for i, x in enumerate(ids.tolist()):
+        h = first.copy()
+        h.update(b"%d" % x)
+        out[i] = int.from_bytes(h.digest()[:4], "big")
+    return out
 
 
 def hashed_order(ids: np.ndarray, seed: int) -> np.ndarray:
     """Positions in the order of (draw of the id, id)."""
-    return np.array(sorted(range(len(ids)), key=lambda i: (draw_value(seed, int(ids[i])), int(ids[i]))), dtype=np.int64)
+    return np.lexsort((ids, draws(ids, seed)))
 
 
 def medoid(vecs: np.ndarray, metric: str = "l2") -> int:
@@ -330,7 +356,7 @@ def build_alpha(
 
 def levels(ids: np.ndarray, m: int, seed: int, top: int | None = None) -> np.ndarray:
     """Highest layer of each id: geometric, by a hashed draw."""
-    u = np.array([(draw_value(seed, "level", int(i)) + 1) / RANGE for i in ids])
+    u = (draws(ids, seed, "level") + 1) / RANGE
     out = np.floor(-np.log(u) / math.log(m)).astype(np.int64) if len(ids) else np.zeros(0, np.int64)
     return out if top is None else np.minimum(out, top)
 
@@ -355,27 +381,71 @@ def build_layered(
     cap = max(1, math.ceil(theta * n))
     for lo, hi in schedule(len(order), cap, rule):
         batch = order[lo - 1: hi]
-        at = np.full(len(batch), bottom.entry)
-        entries: list[np.ndarray] = [at]
-        for layer in range(len(graphs) - 1, 0, -1):  # the way down, on the snapshot before this batch
-            found = beam_search(graphs[layer], vecs[:, batch], 1, starts=at)
-            at = found.nearest(1)[0][:, 0]
-            entries.append(at)
-            comps += int(found.comps.sum())
-        entries.reverse()  # entries[l]: where a search in layer l begins
-        for layer, graph in enumerate(graphs):
-            mine = level[batch] >= layer
-            if mine.any():
-                comps += insert_batch(graph, batch[mine], 2 * m if layer == 0 else m, width, alpha, keep_pruned=keep_pruned, starts=entries[layer][mine])
+        comps += insert_layered(graphs, batch, level[batch], m, width, alpha, keep_pruned)
     for layer, graph in enumerate(graphs[1:], 1):
         bottom.upper.append({int(p): (graph.nbrs[p], graph.dists[p]) for p in np.flatnonzero(level >= layer)})
     return bottom, comps
 
 
-def layer_graph(graph: Graph, layer: int) -> Graph:
+def insert_layered(graphs: list[Graph], batch: np.ndarray, level: np.ndarray, m: int, width: int, alpha: float, keep_pruned: bool = True) -> int:
+    """One batch into nested layers (the bottom first): each point goes down from the entry with beams of
+    one, on the graphs as they are, and is inserted into the layers up to its level."""
+    at, comps = np.full(len(batch), graphs[0].entry), 0
+    entries: list[np.ndarray] = [at]
+    for layer in range(len(graphs) - 1, 0, -1):  # the way down, on the snapshot before this batch
+        found = beam_search(graphs[layer], graphs[layer].vecs.T[batch].T, 1, starts=at)
+        at = found.nearest(1)[0][:, 0]
+        entries.append(at)
+        comps += int(found.comps.sum())
+    entries.reverse()  # entries[l]: where a search in layer l begins
+    for layer, graph in enumerate(graphs):
+        mine = level >= layer
+        if mine.any():
+            comps += insert_batch(graph, batch[mine], 2 * m if layer == 0 else m, width, alpha, keep_pruned=keep_pruned, starts=entries[layer][mine])
+    return comps
+
+
+def insert_points(graph: Graph, ids: np.ndarray, fresh: np.ndarray, degree: int, width: int, alpha: float, m: int | None = None, seed: int = 42) -> int:
+    """Insert the vertices at positions `fresh`, which have no edges yet, in growing batches; with m, into
+    a layered graph. Returns the distances that the searches computed."""
+    old, comps = graph.n - len(fresh), 0
+    if not len(fresh):
+        return 0
+    cap, rule = max(1, old), "inclusive" if old else "doubling"
+    if m is None:
+        if not old:
+            graph.start, fresh = int(fresh[0]), fresh[1:]
+        for lo, hi in schedule(len(fresh), cap, rule):
+            comps += insert_batch(graph, fresh[lo - 1: hi], degree, width, alpha)
+        return comps
+    level = levels(ids, m, seed)
+    graphs = [graph]
+    for layer, rows in enumerate(graph.upper, 1):
+        own = layer_graph(graph, layer, m)
+        r, c = np.nonzero(own.nbrs >= 0)
+        own.dists[r, c] = gathered(graph.vecs, r, graph.vecs, own.nbrs[r, c], graph.metric)
+        graphs.append(own)
+        level[list(rows)] = np.maximum(level[list(rows)], layer)
+    had = np.setdiff1d(np.arange(graph.n), fresh)
+    level[had] = np.minimum(level[had], len(graph.upper))  # an old vertex keeps its layers
+    top = fresh[np.lexsort((fresh, -level[fresh]))[0]]
+    if not old or level[top] > len(graph.upper):  # a new entry, alone in the layers above
+        if old:
+            comps += insert_layered(graphs, np.array([top]), np.array([len(graph.upper)]), m, width, alpha)
+        graph.start = graph.entry = int(top)
+        graphs += [empty_graph(graph.vecs, m, int(top), graph.metric) for _ in range(len(graphs) - 1, int(level[top]))]
+        fresh = fresh[fresh != top]
+    for lo, hi in schedule(len(fresh), cap, rule):
+        batch = fresh[lo - 1: hi]
+        comps += insert_layered(graphs, batch, level[batch], m, width, alpha)
+    graph.upper = [{int(p): (g.nbrs[p], g.dists[p]) for p in np.flatnonzero(level >= layer)} for layer, g in enumerate(graphs[1:], 1)]
+    return comps
+
+
+def layer_graph(graph: Graph, layer: int, degree: int = 1) -> Graph:
     """One layer above the bottom as a graph of its own."""
     rows = graph.upper[layer - 1]
-    width = max([len(x) for x, _ in rows.values()] or [1])
+    width = max([degree, *(len(x) for x, _ in rows.values())])
     out = empty_graph(graph.vecs, width, graph.entry, graph.metric)
     for p, (x, d) in rows.items():
         out.nbrs[p, : len(x)], out.dists[p, : len(x)] = x, d
@@ -395,26 +465,24 @@ def layered_search(graph: Graph, queries: np.ndarray, width: int, k: int = 1, ep
     return found
 
 
-def _pivot_order(ids: np.ndarray, seed: int, tree: int, path: str) -> np.ndarray:
-    return np.array(sorted(range(len(ids)), key=lambda i: (draw_value(seed, tree, path, int(ids[i])), int(ids[i]))), dtype=np.int64)
-
-
 def tree_leaves(vecs: np.ndarray, ids: np.ndarray, leaf: int, tree: int = 0, kind: str = "pivots", seed: int = 42, metric: str = "l2") -> list[tuple[str, np.ndarray]]:
     """(path, positions) of the leaves of a random cluster tree. kind "pivots": members go to the
     nearer of two drawn members; "hyperplane": to a side of the plane with a drawn normal through
     the middle of the two members' projections. A node whose points cannot be told apart is cut in halves."""
+    vecs = np.asfortranarray(vecs)
     out, todo = [], [("", np.arange(len(ids)))]
     while todo:
         path, own = todo.pop()
         if len(own) <= max(1, leaf):
             out.append((path, own))
             continue
-        order = _pivot_order(ids[own], seed, tree, path)
-        a = own[order[0]]
-        b = next((own[i] for i in order[1:] if (vecs[:, own[i]] != vecs[:, a]).any()), None)
+        drawn = draws(ids[own], seed, tree, path)
+        a = own[drawn.argmin()]  # positions are in the order of ids
+        other = (vecs.T[own] != vecs.T[a]).any(axis=1)
+        b = own[np.where(other, drawn, RANGE).argmin()] if other.any() else None
         if b is None:
-            half = len(own) // 2
-            sides = np.isin(np.arange(len(own)), order[half:])
+            sides = np.ones(len(own), dtype=bool)
+            sides[np.lexsort((own, drawn))[: len(own) // 2]] = False
         elif kind == "pivots":
             da = gathered(vecs, np.array([a]), vecs, own, metric)
             db = gathered(vecs, np.array([b]), vecs, own, metric)
@@ -499,16 +567,21 @@ def from_edges(vecs: np.ndarray, src: np.ndarray, dst: np.ndarray, dist: np.ndar
     one[1:] = (src[1:] != src[:-1]) | (dst[1:] != dst[:-1])
     src, dst, dist = src[one], dst[one], dist[one]
     used, first, many = np.unique(src, return_index=True, return_counts=True)
-    for lo in range(0, len(used), 4096):
-        hi = min(lo + 4096, len(used))
-        own, n = used[lo:hi], many[lo:hi]
-        cand = np.full((hi - lo, int(n.max())), -1, dtype=np.int64)
+    by_size = np.argsort(many, kind="stable")  # lists of about one length share a table, so that hubs do not widen others'
+    lo = 0
+    while lo < len(used):
+        hi = lo + 1
+        while hi < len(used) and hi - lo < 4096 and (hi - lo + 1) * many[by_size[hi]] <= 1 << 20:
+            hi += 1
+        rows = by_size[lo:hi]
+        own, n, lo = used[rows], many[rows], hi
+        cand = np.full((len(rows), int(n.max())), -1, dtype=np.int64)
         far = np.full(cand.shape, np.inf)
-        at = np.arange(first[lo], first[lo] + n.sum())
-        row = np.repeat(np.arange(hi - lo), n)
-        col = at - np.repeat(first[lo:hi], n)
+        row = np.repeat(np.arange(len(rows)), n)
+        col = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+        at = np.repeat(first[rows], n) + col
         cand[row, col], far[row, col] = dst[at], dist[at]
-        graph.nbrs[own], graph.dists[own] = prune(vecs, own, cand, far, degree, alpha or 1.0, "alpha" if alpha else "nearest", metric)
+        graph.nbrs[own], graph.dists[own] = prune(graph.vecs, own, cand, far, degree, alpha or 1.0, "alpha" if alpha else "nearest", metric)
     return graph
 
 
@@ -516,51 +589,69 @@ def build_tree_mst(
     vecs: np.ndarray, ids: np.ndarray, trees: int = 30, leaf: int = 1000, near: int | None = 10, max_degree: int = 3,
     degree: int = 64, alpha: float = 1.0, seed: int = 42, metric: str = "l2",
 ) -> Graph:
-    edges = [e for t in range(trees) for _, own in tree_leaves(vecs, ids, leaf, t, "pivots", seed, metric) for e in leaf_mst(vecs, own, near, max_degree, metric)]
+    vecs = np.asfortranarray(vecs)
+    edges, comps = [], 0
+    for t in range(trees):
+        for path, own in tree_leaves(vecs, ids, leaf, t, "pivots", seed, metric):
+            edges += leaf_mst(vecs, own, near, max_degree, metric)
+            comps += 2 * len(path) * len(own) + len(own) * (len(own) - 1) // 2
     a = np.array([e[0] for e in edges], dtype=np.int64)
     b = np.array([e[1] for e in edges], dtype=np.int64)
     d = np.array([e[2] for e in edges])
-    return from_edges(vecs, np.concatenate([a, b]), np.concatenate([b, a]), np.concatenate([d, d]), degree, alpha, metric, medoid(vecs, metric))
+    graph = from_edges(vecs, np.concatenate([a, b]), np.concatenate([b, a]), np.concatenate([d, d]), degree, alpha, metric, medoid(vecs, metric))
+    graph.comps = comps
+    return graph
 
 
 def undirected(src, dst, dist, cap: int | None, ids: np.ndarray, seed: int, rnd: int):
     """Edges and their opposites; a vertex beyond `cap` keeps those with the least draws."""
     s, t, d = np.concatenate([src, dst]), np.concatenate([dst, src]), np.concatenate([dist, dist])
-    key = np.unique(np.stack([s, t]), axis=1, return_index=True)[1]
+    key = np.unique(s * max(1, len(ids)) + t, return_index=True)[1]
     s, t, d = s[key], t[key], d[key]
     if cap is None or (np.bincount(s).max() if len(s) else 0) <= cap:
         return s, t, d
-    draws = np.array([draw_value(seed, rnd, int(ids[x]), int(ids[y])) for x, y in zip(s, t, strict=True)])
-    order = np.lexsort((t, draws, s))
-    s, t, d = s[order], t[order], d[order]
-    first = np.searchsorted(s, s, side="left")
-    keep = np.arange(len(s)) - first < cap
+    keep = np.bincount(s)[s] <= cap
+    for x in np.unique(s[~keep]):  # s is in order, as the keys are
+        own = np.arange(*np.searchsorted(s, (x, x + 1)))
+        keep[own[np.lexsort((t[own], draws(ids[t[own]], seed, rnd, int(ids[x]))))[:cap]]] = True
     return s[keep], t[keep], d[keep]
 
 
-def descent_round(vecs, src, dst, dist, k: int, cap: int | None, ids, seed: int, rnd: int, metric: str = "l2", block: int = 512):
+def descent_round(vecs, src, dst, dist, k: int, cap: int | None, ids, seed: int, rnd: int, metric: str = "l2", block: int = 512, known: np.ndarray | None = None):
     """One round of neighbour descent; returns the new edges and how many were not there before.
-    Two-hop sets are made for `block` sources at a time."""
+
+    Two-hop sets are made for `block` sources at a time. known: codes (source * n + target) of the edges
+    of the round before; where no cap cut that round or this one, a two-hop way of known edges was
+    looked at then, and is left out now, which changes nothing."""
     n = vecs.shape[1]
+    vecs = np.asfortranarray(vecs)
     s, t, d = undirected(src, dst, dist, cap, ids, seed, rnd)
     order = np.lexsort((t, s))
-    s, t, d = s[order], t[order], d[order]
+    s, t = s[order], t[order]
     begin = np.searchsorted(s, np.arange(n + 1))
     deg = np.diff(begin)
     old = np.unique(src * n + dst)
-    out_s, out_t, out_d = [], [], []
+    fresh = np.ones(len(s), dtype=bool)
+    if known is not None and len(s) and (cap is None or deg.max() < cap):
+        fresh = ~(np.isin(s * n + t, known) | np.isin(t * n + s, known))
+    out_s, out_t, out_d, spent = [], [], [], 0
     for lo in range(0, n, block):
         hi = min(lo + block, n)
         one = slice(begin[lo], begin[hi])
         hs, hm = s[one], t[one]
         many = deg[hm]
-        hop_s = np.repeat(hs, many)
-        hop_t = t[np.repeat(begin[hm], many) + np.arange(many.sum()) - np.repeat(np.cumsum(many) - many, many)]
+        at = np.repeat(begin[hm], many) + np.arange(many.sum()) - np.repeat(np.cumsum(many) - many, many)
+        way = np.repeat(fresh[one], many) | fresh[at]
+        hop_s, hop_t = np.repeat(hs, many)[way], t[at[way]]
         mine = (src >= lo) & (src < hi)
-        pairs = np.unique(np.concatenate([hop_s * n + hop_t, hs * n + hm, src[mine] * n + dst[mine]]))
+        have = np.sort(src[mine] * n + dst[mine])
+        pairs = np.unique(np.concatenate([hop_s * n + hop_t, hs * n + hm]))
+        pairs = pairs[~np.isin(pairs, have, assume_unique=True)]
         a, b = pairs // n, pairs % n
         a, b = a[a != b], b[a != b]
-        far = gathered(vecs, a, vecs, b, metric)
+        spent += len(a)
+        far = np.concatenate([gathered(vecs, a, vecs, b, metric), dist[mine]])
+        a, b = np.concatenate([a, src[mine]]), np.concatenate([b, dst[mine]])
         best = np.lexsort((b, far, a))
         a, b, far = a[best], b[best], far[best]
         keep = np.arange(len(a)) - np.searchsorted(a, a, side="left") < k
@@ -569,34 +660,80 @@ def descent_round(vecs, src, dst, dist, k: int, cap: int | None, ids, seed: int,
         out_d.append(far[keep])
     ns, nt, nd = np.concatenate(out_s), np.concatenate(out_t), np.concatenate(out_d)
     changed = int((~np.isin(ns * n + nt, old)).sum())
-    return ns, nt, nd, changed
+    return ns, nt, nd, changed, spent
 
 
 def build_descent(
     vecs: np.ndarray, ids: np.ndarray, trees: int = 10, leaf: int = 100, k: int = 40, degree: int = 64, alpha: float = 1.2,
     cap: int | None = 2000, delta: float = 0.001, max_rounds: int = 20, init: str = "trees", seed: int = 42, metric: str = "l2", block: int = 512,
 ) -> tuple[Graph, int]:
-    n = len(ids)
+    n, comps = len(ids), 0
+    vecs = np.asfortranarray(vecs)
     parts = []
     if init == "trees":
         for t in range(trees):
-            parts += [leaf_neighbours(vecs, own, k, metric) for _, own in tree_leaves(vecs, ids, leaf, t, "hyperplane", seed, metric)]
-    else:
+            for path, own in tree_leaves(vecs, ids, leaf, t, "hyperplane", seed, metric):
+                parts.append(leaf_neighbours(vecs, own, k, metric))
+                comps += 2 * len(path) + len(own) * (len(own) - 1) // 2
+    else:  # k draws of positions for every point
         for i in range(n):
-            other = sorted((j for j in range(n) if j != i), key=lambda j: (draw_value(seed, int(ids[i]), int(ids[j])), j))[:k] if n <= 4096 else [j for j in {draw_value(seed, int(ids[i]), r) % n for r in range(k)} if j != i]
-            o = np.array(other, dtype=np.int64)
+            o = np.unique(draws(np.arange(k), seed, int(ids[i])) % n)
+            o = o[o != i]
             parts.append((np.full(len(o), i), o, gathered(vecs, np.full(len(o), i), vecs, o, metric)))
+            comps += len(o)
     src, dst, dist = (np.concatenate([p[i] for p in parts]) for i in range(3)) if parts else (np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0))
     start = from_edges(vecs, src, dst, dist, k, None, metric)
     r, c = np.nonzero(start.nbrs >= 0)
     src, dst, dist = r, start.nbrs[r, c], start.dists[r, c]
-    rounds = 0
+    rounds, known = 0, None
     while rounds < max_rounds and len(src):
-        src, dst, dist, changed = descent_round(vecs, src, dst, dist, k, cap, ids, seed, rounds, metric, block)
+        before = src * n + dst
+        whole = cap is None or np.bincount(np.concatenate([src, dst]), minlength=n).max() < cap
+        src, dst, dist, changed, spent = descent_round(vecs, src, dst, dist, k, cap, ids, seed, rounds, metric, block, known)
+        known = np.unique(before) if whole else None
         rounds += 1
+        comps += spent
         if changed <= delta * n * k:
             break
-    return from_edges(vecs, src, dst, dist, degree, alpha, metric, medoid(vecs, metric)), rounds
+    # nearest-neighbour lists point one way only; with their opposites the graph can be walked
+    s, t, d = undirected(src, dst, dist, None, ids, seed, 0)
+    graph = from_edges(vecs, s, t, d, degree, alpha, metric, medoid(vecs, metric))
+    graph.comps = comps
+    return graph, rounds
+
+
+def connect(graph: Graph, width: int = 32) -> None:
+    """Make every vertex reachable from the start: each group that cannot be reached is searched for, and
+    the nearest vertex met that has a free place gets an edge to it (the tables grow if none has)."""
+    covered = reach(graph)
+    roots = []
+    for p in np.flatnonzero(~covered).tolist():
+        if covered[p]:
+            continue
+        roots.append(p)
+        front = np.array([p])
+        while len(front):
+            covered[front] = True
+            near = np.unique(graph.nbrs[front])
+            near = near[near >= 0]
+            front = near[~covered[near]]
+    if not roots:
+        return
+    lost = np.array(roots)
+    found = beam_search(graph, graph.vecs.T[lost].T, width)
+    at, far = found.nearest(found.visited.shape[1])
+    for p, ids, dist in zip(roots, at, far, strict=True):
+        met = np.flatnonzero((ids >= 0) & np.isfinite(dist))
+        free = met[(graph.nbrs[ids[met]] < 0).any(axis=1)]
+        if not len(free):
+            graph.nbrs = np.pad(graph.nbrs, ((0, 0), (0, 1)), constant_values=-1)
+            graph.dists = np.pad(graph.dists, ((0, 0), (0, 1)), constant_values=np.inf)
+            free = met
+        v, d = int(ids[free[0]]), float(dist[free[0]])
+        for a, b in ((v, p), (p, v)):
+            spare = np.flatnonzero(graph.nbrs[a] < 0)
+            if len(spare) and not (graph.nbrs[a] == b).any():
+                graph.nbrs[a, spare[0]], graph.dists[a, spare[0]] = b, d
 
 
 def reach(graph: Graph) -> np.ndarray:

@@ -82,6 +82,14 @@ def growth(sizes: DataFrame) -> DataFrame:
     return sizes.withColumn("factor", F.col("value") / F.lag("value").over(Window.partitionBy("method").orderBy("n")))
 
 
+def slowdown(runs: DataFrame) -> DataFrame:
+    """method, queries ("same" or "other"), qps, dist_comps at one recall -> what the other distribution
+    costs: queries per second of the same over the other's, and comparisons of the other's over the same."""
+    same = runs.filter("queries = 'same'").select("method", F.col("qps").alias("_q"), F.col("dist_comps").alias("_c"))
+    other = runs.filter("queries = 'other'").select("method", "qps", "dist_comps")
+    return other.join(same, "method").select("method", (F.col("_q") / F.col("qps")).alias("qps_slowdown"), (F.col("dist_comps") / F.col("_c")).alias("comps_slowdown"))
+
+
 def speedup(runs: DataFrame, base: str = "original") -> DataFrame:
     """method, variant, threads, seconds -> over the original at one thread, and over itself at one."""
     one = runs.filter((F.col("variant") == base) & (F.col("threads") == 1)).select("method", F.col("seconds").alias("_o"))
@@ -90,26 +98,28 @@ def speedup(runs: DataFrame, base: str = "original") -> DataFrame:
 
 
 def tune_to_recall(search: Callable[..., object], queries: PointSet, truth: DataFrame, target: float = 0.8, k: int = 10, low: int | None = None, most: int = 4096, knob: str = "width") -> dict:
-    """The least value of the knob that reaches the recall, by doubling and bisection, with its recall
-    and comparisons per query."""
+    """The least value of the knob that reaches the recall, by doubling and bisection, with its recall,
+    comparisons per query and queries per second. reached is False if `most` does not reach it."""
     ids = queries.plain().select(F.col("id").alias("qid"))
 
-    def at(x: int) -> tuple[float, float]:
-        out = search(queries, k, **{knob: x})
-        return mean_recall(truth, out.results, ids, k).first()["recall"], out.stats.agg(F.avg("dist_comps")).first()[0]
+    n = max(1, ids.count())
+
+    def at(x: int) -> tuple[float, float, float]:
+        seconds, out = timed(lambda: search(queries, k, **{knob: x}))
+        return mean_recall(truth, out.results, ids, k).first()["recall"], out.stats.agg(F.avg("dist_comps")).first()[0], n / seconds
 
     lo, hi = 0, low or k
     got = at(hi)
     while got[0] < target and hi < most:
-        lo, hi = hi, hi * 2
+        lo, hi = hi, min(hi * 2, most)
         got = at(hi)
-    while hi - lo > max(1, hi // 16):
+    while got[0] >= target and hi - lo > max(1, hi // 16):
         mid = (lo + hi) // 2
         if mid < (low or k):
             break
         mine = at(mid)
         lo, hi, got = (lo, mid, mine) if mine[0] >= target else (mid, hi, got)
-    return {knob: hi, "recall": got[0], "dist_comps": got[1]}
+    return {knob: hi, "recall": got[0], "dist_comps": got[1], "qps": got[2], "reached": got[0] >= target}
 
 
 def bytes_per_vector(rows: DataFrame) -> DataFrame:

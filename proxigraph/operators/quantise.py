@@ -1,4 +1,5 @@
-"""Quantisers: scalar bytes, and product codes with table distances and exact re-ranking."""
+"""Quantisers: scalar bytes, and product codes with table distances and exact re-ranking, over all points
+or over the residuals in inverted lists."""
 
 from __future__ import annotations
 
@@ -10,9 +11,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from proxigraph.functions.distance import block, expression
+from proxigraph.functions.distance import block, expression, nearest_rows
 from proxigraph.functions.prng import draw
+from proxigraph.operators import resident
 from proxigraph.operators.exact import top_k
+from proxigraph.operators.inverted import LIST_ROWS, InvertedIndex
 from proxigraph.operators.model import PointSet, to_lists, to_matrix
 from proxigraph.runtime import map_arrow, settle
 
@@ -34,6 +37,8 @@ class ProductCodes:
     @classmethod
     def train(cls, points: PointSet, parts: int = 8, codes: int = 16, iters: int = 8, seed: int = 42) -> ProductCodes:
         """Codebooks from a bounded sample by draw, k-means in each slice."""
+        if points.metric != "l2":
+            raise ValueError("product codes are tables of l2 distances")
         n = points.df.count()
         share = min(1.0, SAMPLE_ROWS / max(1, n))
         rows = points.sample(share, seed).plain().withColumn("h", draw(seed, "id")).orderBy("h", "id").toArrow()
@@ -42,7 +47,7 @@ class ProductCodes:
         for part in np.split(x, parts, axis=1):
             centers = part[: min(codes, len(part))].copy()
             for _ in range(iters):
-                own = block(part, centers).argmin(axis=1)
+                own = nearest_rows(part, centers)[0][:, 0]
                 for c in range(len(centers)):
                     if (own == c).any():
                         centers[c] = np.round(part[own == c] * (1 << 20)).sum(axis=0) / (1 << 20) / (own == c).sum()
@@ -58,49 +63,82 @@ class ProductCodes:
             for b in batches:
                 if b.num_rows:
                     x = np.split(to_matrix(b.column(1)), len(books), axis=1)
-                    codes = np.stack([block(p, c).argmin(axis=1) for p, c in zip(x, books, strict=True)], axis=1)
+                    codes = np.stack([nearest_rows(p, c)[0][:, 0] for p, c in zip(x, books, strict=True)], axis=1)
                     yield pa.RecordBatch.from_arrays([b.column(0), to_lists(codes, pa.int32())], ["id", "codes"])
 
         return map_arrow(points.plain(), run, "id long, codes array<int>")
 
+    def closest(self, routed: DataFrame, rows: DataFrame, folder: str, cells: int, most: int) -> DataFrame:
+        """qid, id: of the queries routed to cells of codes, each one's `most` best by table distances."""
+        books = self.books
+
+        def load(table: pa.Table):
+            return table.column("id").to_numpy(), to_matrix(table.column("vec")).astype(np.int64)
+
+        def ask(held, table: pa.Table) -> pa.RecordBatch:
+            ids, codes = held
+            q = np.split(to_matrix(table.column("vec")), len(books), axis=1)
+            d = sum((block(p, c) ** 2)[:, codes[:, j]] for j, (p, c) in enumerate(zip(q, books, strict=True)))
+            m = min(most, d.shape[1])
+            near = np.lexsort((np.broadcast_to(ids, d.shape), d), axis=1)[:, :m]
+            return pa.RecordBatch.from_arrays(
+                [pa.array(np.repeat(table.column("id").to_numpy(), m)), pa.array(ids[near.reshape(-1)]), pa.array(np.sqrt(np.take_along_axis(d, near, axis=1).reshape(-1)))], ["qid", "id", "dist"],
+            )
+
+        met = resident.answer(routed, rows, folder, ["id", "vec"], cells, load, ask, "qid long, id long, dist double")
+        return settle(top_k(met, most).select("qid", "id"), "rerank")
+
     def search(self, coded: DataFrame, points: PointSet, queries: PointSet, k: int = 10, rerank: int = 50) -> DataFrame:
-        """qid, id, dist, rank: the `rerank` best by table distances of the codes, re-ranked exactly.
-        The queries' tables are sent to all executors in blocks of 4096 queries."""
-        spark = coded.sparkSession
-        q = queries.plain()
-        table = q.toArrow()
-        q_ids, qs = table.column("id").to_numpy(), to_matrix(table.column("vec"))
-        out = None
-        for lo in range(0, len(q_ids), 4096):
-            own_ids, own = q_ids[lo: lo + 4096], np.split(qs[lo: lo + 4096], len(self.books), axis=1)
-            tables = spark.sparkContext.broadcast((own_ids, [block(p, c) ** 2 for p, c in zip(own, self.books, strict=True)]))
-
-            def run(batches: Iterator[pa.RecordBatch], tables=tables) -> Iterator[pa.RecordBatch]:
-                ids_q, parts = tables.value
-                for b in batches:
-                    if not b.num_rows:
-                        continue
-                    codes = to_matrix(b.column(1)).astype(np.int64)
-                    ids = b.column(0).to_numpy()
-                    d = sum(t[:, codes[:, j]] for j, t in enumerate(parts))
-                    m = min(rerank, d.shape[1])
-                    near = np.lexsort((np.broadcast_to(ids, d.shape), d), axis=1)[:, :m]
-                    yield pa.RecordBatch.from_arrays([pa.array(np.repeat(ids_q, m)), pa.array(ids[near.reshape(-1)]), pa.array(np.sqrt(np.take_along_axis(d, near, axis=1).reshape(-1)))], ["qid", "id", "dist"])
-
-            part = map_arrow(coded, run, "qid long, id long, dist double")
-            out = part if out is None else out.unionByName(part)
-        if out is None:
-            return spark.createDataFrame([], "qid long, id long, dist double, rank int")
-        close = settle(top_k(out, rerank).select("qid", "id"), "rerank")
-        a = queries.plain().select(F.col("id").alias("qid"), F.col("vec").alias("a"))
-        b = points.plain().select("id", F.col("vec").alias("b"))
-        return top_k(close.join(a, "qid").join(b, "id").select("qid", "id", expression(points.metric, "b", "a").alias("dist")), k)
+        """qid, id, dist, rank: the `rerank` best by table distances of the codes, re-ranked exactly. All
+        codes are scanned, in cells by hashed id that stay where they are; the queries go to every cell."""
+        cells = max(1, -(-coded.count() // LIST_ROWS))
+        dealt = coded.select(F.pmod(F.xxhash64("id"), F.lit(cells)).alias("cell"), "id", F.col("codes").alias("vec")).repartition("cell")
+        rows, folder = resident.store(dealt, "codes")
+        every = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(cells - 1).cast("long"))).alias("cell")
+        close = self.closest(queries.plain().select(every, "id", "vec"), rows, folder, cells, rerank)
+        return reranked(close, points, queries, k)
+
+
+def reranked(close: DataFrame, points: PointSet, queries: PointSet, k: int) -> DataFrame:
+    """qid, id, dist, rank: the k nearest of the candidates (qid, id) by exact distance."""
+    a = queries.plain().select(F.col("id").alias("qid"), F.col("vec").alias("a"))
+    b = points.plain().select("id", F.col("vec").alias("b"))
+    return top_k(close.join(a, "qid").join(b, "id").select("qid", "id", expression(points.metric, "b", "a").alias("dist")), k)
+
+
+@dataclass(frozen=True)
+class CodedLists:
+    """Inverted lists of product codes: a member's code is that of its residual, what is left of it after
+    its list's centroid is taken away."""
+
+    lists: InvertedIndex
+    codes: ProductCodes
+    rows: DataFrame  # cell, id, vec (the codes)
+    folder: str
+
+    @classmethod
+    def build(cls, points: PointSet, cells: int, iters: int = 10, parts: int = 8, codes: int = 16, seed: int = 42) -> CodedLists:
+        lists = InvertedIndex.build(points, cells, iters, seed)
+        residuals = cls._residual(lists.postings.select("list", "cell", "id", "vec"), lists)
+        left = PointSet(settle(residuals, "residuals"))
+        books = ProductCodes.train(left, parts, codes, seed=seed)
+        coded = books.encode(left).join(left.df.select("id", "cell"), "id").select("cell", "id", F.col("codes").alias("vec"))
+        return cls(lists, books, *resident.store(coded.repartition("cell").sortWithinPartitions("cell", "id"), "codes"))
+
+    @staticmethod
+    def _residual(rows: DataFrame, lists: InvertedIndex) -> DataFrame:
+        centers = lists.cells.select(F.col("cell").alias("list"), "centroid")
+        return rows.join(centers, "list").select("cell", "id", F.zip_with("vec", "centroid", lambda x, c: x - c).alias("vec"))
+
+    def search(self, points: PointSet, queries: PointSet, k: int = 10, probe: int = 4, rerank: int = 50) -> DataFrame:
+        """qid, id, dist, rank: the `rerank` best by table distances in the `probe` nearest lists, re-ranked
+        exactly."""
+        routed = self._residual(self.lists.routed(self.lists.probed(queries, probe)), self.lists)
+        return reranked(self.codes.closest(routed, self.rows, self.folder, int(self.lists.first[-1]), rerank), points, queries, k)
 
 
 def graph_search_reranked(coarse, points: PointSet, queries: PointSet, k: int = 10, rerank: int = 50, scale: float = 127.0, **params) -> DataFrame:
     """qid, id, dist, rank: a graph over sq8(points), searched with sq8 queries for `rerank` candidates,
     which are ranked anew by their exact distances."""
     near = coarse.search(sq8(queries, scale), rerank, max(rerank, params.pop("width", rerank)), **params).results.select("qid", "id")
-    a = queries.plain().select(F.col("id").alias("qid"), F.col("vec").alias("a"))
-    b = points.plain().select("id", F.col("vec").alias("b"))
-    return top_k(near.join(a, "qid").join(b, "id").select("qid", "id", expression(points.metric, "b", "a").alias("dist")), k)
+    return reranked(near, points, queries, k)

@@ -22,7 +22,7 @@ from proxigraph.runtime import settle
 BEAM = "array<struct<dist:double,id:bigint,done:boolean>>"
 
 
-def beam_rounds(edges: DataFrame, points: PointSet, queries: PointSet, width: int, start: int, k: int = 1, eps: float | None = None, most_rounds: int = 10_000) -> DataFrame:
+def beam_rounds(edges: DataFrame, points: PointSet, queries: PointSet, width: int, start: int, k: int = 1, eps: float | None = None) -> DataFrame:
     """qid, qvec, beam, log (array of dist, id in order of processing), comps: the final states."""
     p = points.plain()
     metric = points.metric
@@ -35,7 +35,7 @@ def beam_rounds(edges: DataFrame, points: PointSet, queries: PointSet, width: in
         F.array().cast("array<struct<dist:double,id:bigint>>").alias("log"), F.lit(1).cast("long").alias("comps"), F.lit(True).alias("live"),
     )
     state = settle(state, "beam")
-    for _ in range(most_rounds):
+    while True:  # every round processes a vertex of each live query, so it ends
         pick = F.filter("beam", lambda e: ~e["done"])[0]
         live = F.col("live") & F.get(F.filter("beam", lambda e: ~e["done"]), F.lit(0)).isNotNull()
         if eps is not None:

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from proxigraph.functions.distance import expression
 from proxigraph.functions.prng import draw
 from proxigraph.operators.model import PointSet
-from proxigraph.runtime import settle
+from proxigraph.runtime import broadcast_if_small, settle
 
 
 def plant(points: PointSet, trees: int = 1) -> DataFrame:
@@ -22,6 +22,7 @@ def _drawn(members: DataFrame, seed: int) -> DataFrame:
     with another vector; two aggregations to one small row per node."""
     m = members.withColumn("h", draw(seed, F.col("tree"), F.col("path"), F.col("id")))
     first = m.groupBy("tree", "path").agg(F.min(F.struct("h", "id", "vec")).alias("x")).select("tree", "path", F.col("x.vec").alias("a"))
+    first = broadcast_if_small(settle(first, "first-pivots"))
     other = m.join(first, ["tree", "path"]).filter("vec <> a").groupBy("tree", "path").agg(F.min(F.struct("h", "id", "vec")).alias("x"))
     return first.join(other.select("tree", "path", F.col("x.vec").alias("b")), ["tree", "path"], "left")
 
@@ -34,9 +35,11 @@ def split_level(assigned: DataFrame, points: PointSet, leaf: int = 0, kind: str
     points are all equal stay as they are.
     """
     vecs = points.plain()
-    sized = assigned.join(assigned.groupBy("tree", "path").count(), ["tree", "path"])
+    # a row a node, which is few next to the points: a node that holds most points is no join key
+    counts = broadcast_if_small(settle(assigned.groupBy("tree", "path").count(), "node-sizes"))
+    sized = assigned.join(counts, ["tree", "path"])
     open_ = settle(sized.filter(F.col("count") > leaf).join(vecs, "id").select("tree", "id", "path", "vec"), "open-nodes")
-    nodes = _drawn(open_, seed)
+    nodes = broadcast_if_small(settle(_drawn(open_, seed), "node-pivots"))
     met = open_.join(nodes, ["tree", "path"])
     if kind == "pivots":
         one = expression(points.metric, "vec", "a") > expression(points.metric, "vec", "b")
@@ -60,6 +63,27 @@ def grow(points: PointSet, levels: int, trees: int = 1, leaf: int = 0, kind: str
     return out
 
 
+def grow_leaves(points: PointSet, trees: int, leaf: int, kind: str = "pivots", seed: int = 42) -> DataFrame:
+    """tree, id, path: nodes are split until none has more than `leaf` points; copies of one vector, which
+    no split separates, are halved by draw."""
+    assigned = settle(plant(points, trees), "tree")
+    level = -1
+    while True:  # a node that one draw does not split is split by a later one
+        level += 1
+        sizes = assigned.groupBy("tree", "path").count().filter(F.col("count") > leaf)
+        if sizes.isEmpty():
+            break
+        split = settle(split_level(assigned, points, leaf, kind, seed), "tree")
+        stuck = split.join(assigned.withColumnRenamed("path", "was"), ["tree", "id"]).filter("path = was")
+        big = settle(stuck.join(sizes.withColumnRenamed("count", "n"), ["tree", "path"]).select("tree", "id"), "stuck")
+        if not big.isEmpty():
+            half = (draw(seed, F.col("tree"), F.lit("half"), F.lit(level), F.col("id")) % 2).cast("string")
+            hit = split.join(big.withColumn("h", F.lit(1)), ["tree", "id"], "left")
+            split = settle(hit.select("tree", "id", F.when(F.col("h") == 1, F.concat("path", half)).otherwise(F.col("path")).alias("path")), "tree")
+        assigned = split
+    return assigned
+
+
 def leaf_neighbours(assigned: DataFrame, points: PointSet, k: int) -> DataFrame:
     """src, dst, dist: each point's k nearest within its leaf. Leaves are bounded by their size, so is
     the join on (tree, path)."""
@@ -72,7 +96,7 @@ def leaf_neighbours(assigned: DataFrame, points: PointSet, k: int) -> DataFrame:
     return nearest(met.dropDuplicates(["src", "dst"]), k)
 
 
-def _leaf_edges(assigned: DataFrame, points: PointSet, near: int | None, max_degree: int, key: tuple[str, ...]) -> DataFrame:
+def leaf_trees(assigned: DataFrame, points: PointSet, near: int | None = 10, max_degree: int = 3, key: tuple[str, ...] = ("tree", "path")) -> DataFrame:
     """src, dst, dist: the spanning-tree edges of all leaves, grouped by `key` into tasks."""
     import numpy as np
     import pyarrow as pa
@@ -89,7 +113,7 @@ def _leaf_edges(assigned: DataFrame, points: PointSet, near: int | None, max_deg
         order = np.argsort(ids, kind="stable")
         table = table.take(pa.array(order)).combine_chunks()
         ids, paths = ids[order], np.array(table.column("path").to_pylist())
-        vecs = np.ascontiguousarray(to_matrix(table.column("vec")).T)
+        vecs = to_matrix(table.column("vec")).T
         edges = [e for p in np.unique(paths) for e in leaf_mst(vecs, np.flatnonzero(paths == p), near, max_degree, metric)]
         a, b = (ids[np.array([e[k] for e in edges], dtype=np.int64)] for k in (0, 1))
         return pa.table({"src": pa.array(a, pa.int64()), "dst": pa.array(b, pa.int64()), "dist": pa.array([e[2] for e in edges], pa.float64())})
@@ -100,7 +124,7 @@ def _leaf_edges(assigned: DataFrame, points: PointSet, near: int | None, max_deg
 
 def tree_mst_edges(
     points: PointSet, trees: int = 30, leaf: int = 1000, near: int | None = 10, max_degree: int = 3, degree: int = 64, alpha: float = 1.0,
-    seed: int = 42, parallel: str = "leaves", most_levels: int = 64,
+    seed: int = 42, parallel: str = "leaves",
 ) -> DataFrame:
     """src, dst, dist of a tree-MST graph over all points at once, without shards.
 
@@ -110,37 +134,22 @@ def tree_mst_edges(
     """
     from proxigraph.operators.edges import alpha_prune, union_local
 
-    assigned = settle(plant(points, trees), "tree")
-    for level in range(most_levels):
-        sizes = assigned.groupBy("tree", "path").count().filter(F.col("count") > leaf)
-        if sizes.isEmpty():
-            break
-        split = settle(split_level(assigned, points, leaf, "pivots", seed), "tree")
-        stuck = split.join(assigned.withColumnRenamed("path", "was"), ["tree", "id"]).filter("path = was")
-        big = settle(stuck.join(sizes.withColumnRenamed("count", "n"), ["tree", "path"]).select("tree", "id"), "stuck")
-        if not big.isEmpty():
-            half = (draw(seed, F.col("tree"), F.lit("half"), F.lit(level), F.col("id")) % 2).cast("string")
-            hit = split.join(big.withColumn("h", F.lit(1)), ["tree", "id"], "left")
-            split = settle(hit.select("tree", "id", F.when(F.col("h") == 1, F.concat("path", half)).otherwise(F.col("path")).alias("path")), "tree")
-        assigned = split
-    made = settle(_leaf_edges(assigned, points, near, max_degree, ("tree", "path") if parallel == "leaves" else ("tree",)), "leaf-edges")
+    assigned = grow_leaves(points, trees, leaf, "pivots", seed)
+    made = settle(leaf_trees(assigned, points, near, max_degree, ("tree", "path") if parallel == "leaves" else ("tree",)), "leaf-edges")
     both = union_local(made, made.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "dist"))
     return alpha_prune(both, points, degree, alpha)
 
 
 def descent_edges(
     points: PointSet, trees: int = 10, leaf: int = 100, k: int = 40, degree: int = 64, alpha: float = 1.2, cap: int | None = 2000, delta: float = 0.001,
-    max_rounds: int = 20, blocks: int = 1, levels: int | None = None, seed: int = 42,
+    max_rounds: int = 20, blocks: int = 1, seed: int = 42,
 ) -> tuple[DataFrame, int]:
     """(src, dst, dist) of a descent graph over all points at once, by rounds of joins, and the number
     of rounds: it stops when at most delta * n * k edges are new."""
-    import math
-
-    from proxigraph.operators.edges import alpha_prune, changed, descent_round, nearest
+    from proxigraph.operators.edges import alpha_prune, changed, descent_round, nearest, undirect
 
     n = points.df.count()
-    depth = levels if levels is not None else max(0, math.ceil(math.log2(max(1, n / leaf))) + 2)
-    assigned = grow(points, depth, trees, leaf, "hyperplane", seed)
+    assigned = grow_leaves(points, trees, leaf, "hyperplane", seed)
     edges = settle(nearest(leaf_neighbours(assigned, points, k).dropDuplicates(["src", "dst"]), k), "descent")
     rounds = 0
     while rounds < max_rounds:
@@ -150,4 +159,4 @@ def descent_edges(
         edges = after
         if new <= delta * n * k:
             break
-    return alpha_prune(edges, points, degree, alpha), rounds
+    return alpha_prune(undirect(edges), points, degree, alpha), rounds

@@ -41,8 +41,8 @@ def counts(text: str, dims: int = 128) -> str:
     return f"(SELECT list_transform(range({dims}), lambda i: least(255, len(list_filter(b, lambda x: x = i)))) FROM (SELECT {buckets} AS b))"
 
 
-def small(n: int, cte: str = "p") -> str:
-    return f"{cte} AS (SELECT vec_id AS id, embedding AS vec FROM embeddings WHERE vec_id < {n})"
+#: All points.
+WHOLE = "p AS (SELECT vec_id AS id, embedding AS vec FROM embeddings)"
 
 
 def graph(k: int, points: str = "p", name: str = "g") -> str:
@@ -62,7 +62,7 @@ def pruned(cand: str, degree: int, alpha: float, points: str = "p", name: str =
     {name} AS (SELECT src, e.id AS dst, e.dist AS dist FROM (SELECT src, unnest(kept) AS e FROM {name}_r WHERE len(rem) = 0 OR len(kept) = {degree}))"""
 
 
-def beam(ctes: str, width: int, start: int, k: int = 10, eps: float | None = None) -> str:
+def beam(ctes: str, width: int, start: int | str, k: int = 10, eps: float | None = None) -> str:
     """Recursive CTEs of beam search over g(src, dst) and p from `start`; final states in `fin`."""
     live = "len(list_filter(beam, lambda e: NOT e.done)) > 0"
     if eps is not None:

@@ -4,9 +4,10 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from proxigraph.functions.distance import expression
 from proxigraph.functions.prng import RANGE, draw, draw_sql
 from proxigraph.operators import carriers, edges, exact, hashing, index, inverted, kernels, measures, quantise, trees
 from proxigraph.operators.model import PointSet
@@ -34,8 +35,8 @@ def _emb(spark: SparkSession, sf_dir: str, metric: str = "l2") -> tuple[PointSet
     return PointSet(p.df, metric=metric).split_queries(10)
 
 
-def _small(spark: SparkSession, sf_dir: str, n: int, low: int = 0) -> PointSet:
-    return PointSet(carriers.emb(spark, sf_dir).df.filter(F.col("id").between(low, n - 1)))
+def _whole(spark: SparkSession, sf_dir: str) -> PointSet:
+    return PointSet(carriers.emb(spark, sf_dir).df)
 
 
 def _ids(q: PointSet) -> DataFrame:
@@ -109,9 +110,9 @@ def medoid(spark, sf_dir):
     return exact.medoid(carriers.emb(spark, sf_dir)).select("id", F.round("dist", 6).alias("dist"))
 
 
-@query(f"WITH {D.small(150)}, {D.graph(6)} SELECT src, dst, round(dist, 6) AS dist FROM g")
+@query(f"WITH {D.WHOLE}, {D.graph(6)} SELECT src, dst, round(dist, 6) AS dist FROM g")
 def exact_knn_graph(spark, sf_dir):
-    return _edges(exact.exact_knn_graph(_small(spark, sf_dir, 150), 6))
+    return _edges(exact.exact_knn_graph(_whole(spark, sf_dir), 6))
 
 
 # ---- schedules and orders
@@ -168,11 +169,11 @@ def layer_sizes(spark, sf_dir):
 
 
 def _prune_sql(alpha: float, degree: int = 8) -> str:
-    return f"WITH RECURSIVE {D.small(200)}, {D.graph(20)}, {D.pruned('g', degree, alpha)} "
+    return f"WITH RECURSIVE {D.WHOLE}, {D.graph(20)}, {D.pruned('g', degree, alpha)} "
 
 
-def _candidates(spark, sf_dir, n=200, k=20):
-    p = _small(spark, sf_dir, n)
+def _candidates(spark, sf_dir, k=20):
+    p = _whole(spark, sf_dir)
     return p, settle(exact.exact_knn_graph(p, k), "candidates")
 
 
@@ -201,8 +202,8 @@ def layered_prune_step(spark, sf_dir):
     return _edges(edges.alpha_prune(c, p, 8, 1.0, keep_pruned=True))
 
 
-_MERGE = f"""WITH RECURSIVE {D.small(240)}, o AS (SELECT * FROM p WHERE id < 200), {D.graph(8, 'o')},
-  nw AS (SELECT a.id AS src, b.id AS dst, {D.l2('b.vec', 'a.vec')} AS dist FROM p a, o b WHERE a.id >= 200 QUALIFY row_number() OVER (PARTITION BY a.id ORDER BY dist, b.id) <= 4),
+_MERGE = f"""WITH RECURSIVE {D.WHOLE}, o AS (SELECT * FROM p WHERE id % 10 <> 0), {D.graph(8, 'o')},
+  nw AS (SELECT a.id AS src, b.id AS dst, {D.l2('b.vec', 'a.vec')} AS dist FROM p a, o b WHERE a.id % 10 = 0 QUALIFY row_number() OVER (PARTITION BY a.id ORDER BY dist, b.id) <= 4),
   al AS (SELECT src, dst, dist FROM g UNION SELECT dst, src, dist FROM nw),
   sz AS (SELECT src, count(*) AS n FROM al GROUP BY src),
   big AS (SELECT al.* FROM al JOIN sz USING (src) WHERE n > 9), {D.pruned('big', 9, 1.2)}
@@ -211,60 +212,65 @@ _MERGE = f"""WITH RECURSIVE {D.small(240)}, o AS (SELECT * FROM p WHERE id < 200
 
 @query(_MERGE)
 def reverse_edge_merge(spark, sf_dir):
-    old, fresh = _small(spark, sf_dir, 200), _small(spark, sf_dir, 240, 200)
+    old, fresh = _emb(spark, sf_dir)
     g = exact.exact_knn_graph(old, 8)
     new = exact.exact_knn(old, fresh, 4).select(F.col("qid").alias("src"), F.col("id").alias("dst"), "dist")
-    return _edges(edges.merge_reverse(g, new, _small(spark, sf_dir, 240), 9, 1.2))
+    return _edges(edges.merge_reverse(g, new, _whole(spark, sf_dir), 9, 1.2))
 
 
-_G8 = f"WITH {D.small(200)}, {D.graph(8)} "
+_G8 = f"WITH {D.WHOLE}, {D.graph(8)} "
 
 
 @query(_G8 + "SELECT src, dst, round(dist, 6) AS dist FROM g UNION SELECT dst, src, round(dist, 6) FROM g")
 def undirect_graph(spark, sf_dir):
-    return _edges(edges.undirect(exact.exact_knn_graph(_small(spark, sf_dir, 200), 8)))
+    return _edges(edges.undirect(exact.exact_knn_graph(_whole(spark, sf_dir), 8)))
 
 
 @query(_G8 + f"SELECT src, dst FROM (SELECT src, dst FROM g UNION SELECT dst, src FROM g) QUALIFY row_number() OVER (PARTITION BY src ORDER BY {draw_sql(42, '0', 'src', 'dst')}, dst) <= 10")
 def degree_cap_sample(spark, sf_dir):
-    g = exact.exact_knn_graph(_small(spark, sf_dir, 200), 8)
+    g = exact.exact_knn_graph(_whole(spark, sf_dir), 8)
     return edges.cap_degree(edges.undirect(g), 10).select("src", "dst")
 
 
 @query(_G8 + "SELECT dst, string_agg(src, ',' ORDER BY src) AS members FROM g GROUP BY dst")
 def semisort_targets(spark, sf_dir):
-    g = edges.semisort(exact.exact_knn_graph(_small(spark, sf_dir, 200), 8), "dst")
+    g = edges.semisort(exact.exact_knn_graph(_whole(spark, sf_dir), 8), "dst")
     return g.select("dst", F.array_join(F.transform("members", lambda x: x.cast("string")), ",").alias("members"))
 
 
 @query(_G8 + "SELECT src AS id, string_agg(dst, ',' ORDER BY dist, dst) || ',-1,-1' AS nbrs FROM g GROUP BY src")
 def pack_adjacency(spark, sf_dir):
-    g = edges.pack(exact.exact_knn_graph(_small(spark, sf_dir, 200), 8), 10)
+    g = edges.pack(exact.exact_knn_graph(_whole(spark, sf_dir), 8), 10)
     return g.select("id", F.array_join(F.transform("nbrs", lambda x: x.cast("string")), ",").alias("nbrs"))
 
 
 @query(_G8 + "SELECT count(DISTINCT src)::bigint AS vertices, count(*)::bigint AS edges, 8::bigint AS least, 8::bigint AS most, 8.0::double AS mean_degree, round(sum(round(dist * 1048576)::hugeint)::double / 1048576 / count(*), 6) AS mean_length FROM g")
 def graph_stats(spark, sf_dir):
-    return edges.graph_stats(exact.exact_knn_graph(_small(spark, sf_dir, 200), 8))
+    return edges.graph_stats(exact.exact_knn_graph(_whole(spark, sf_dir), 8))
 
 
-@query(f"WITH RECURSIVE {D.small(120)}, {D.graph(4)}, r(id, hops) AS (SELECT 0::bigint, 0 UNION SELECT g.dst, hops + 1 FROM r JOIN g ON g.src = r.id WHERE hops < 30) SELECT id, min(hops)::integer AS hops FROM r GROUP BY id")
+@query(f"WITH RECURSIVE {D.WHOLE}, {D.graph(4)}, r(id, hops) AS (SELECT 0::bigint, 0 UNION SELECT g.dst, hops + 1 FROM r JOIN g ON g.src = r.id WHERE hops < 40) SELECT id, min(hops)::integer AS hops FROM r GROUP BY id")
 def reachability(spark, sf_dir):
-    return edges.reachable(exact.exact_knn_graph(_small(spark, sf_dir, 120), 4), 0)
+    return edges.reachable(exact.exact_knn_graph(_whole(spark, sf_dir), 4), 0)
 
 
 # ---- beam search on a fixed graph
 
-_FIXED = f"{D.small(300)}, {D.graph(8)}, q AS (SELECT vec_id AS qid, embedding AS qvec FROM embeddings WHERE vec_id BETWEEN 400 AND 439)"
+_FIXED = f"{D.EMB}, {D.graph(8)}"
+_FIRST = "(SELECT min(id) FROM p)"
 
 
 def _fixed(spark, sf_dir):
-    p = _small(spark, sf_dir, 300)
-    return index.fixed_graph(p, exact.exact_knn_graph(p, 8), 0), _small(spark, sf_dir, 440, 400)
+    p, q = _emb(spark, sf_dir)
+    return index.fixed_graph(p, exact.exact_knn_graph(p, 8), _first(p)), q
+
+
+def _first(p: PointSet) -> int:
+    return p.df.agg(F.min("id")).first()[0]
 
 
 def _fixed_sql(eps: float | None) -> str:
-    return D.beam(_FIXED, 16, 0, 10, eps) + """, hit AS (SELECT qid, e.id AS id, e.dist AS dist FROM (SELECT qid, unnest(log) AS e FROM fin))
+    return D.beam(_FIXED, 16, _FIRST, 10, eps) + """, hit AS (SELECT qid, e.id AS id, e.dist AS dist FROM (SELECT qid, unnest(log) AS e FROM fin))
     SELECT h.qid, h.id, round(h.dist, 6) AS dist, row_number() OVER (PARTITION BY h.qid ORDER BY h.dist, h.id) AS rank, len(log) AS hops, comps AS dist_comps
     FROM hit h JOIN fin USING (qid) QUALIFY rank <= 10"""
 
@@ -285,43 +291,58 @@ def beam_search_eps(spark, sf_dir):
     return _fixed_run(spark, sf_dir, 0.02)
 
 
-@query(D.beam(_FIXED, 16, 0) + " SELECT qid, hop, log[hop].id AS id, round(log[hop].dist, 6) AS dist FROM fin, unnest(range(1, len(log) + 1)) t(hop)")
+@query(D.beam(_FIXED, 16, _FIRST) + " SELECT qid, hop, log[hop].id AS id, round(log[hop].dist, 6) AS dist FROM fin, unnest(range(1, len(log) + 1)) t(hop)")
 def beam_search_trace(spark, sf_dir):
     from proxigraph.operators.rounds import beam_rounds
 
-    p = _small(spark, sf_dir, 300)
-    state = beam_rounds(exact.exact_knn_graph(p, 8), p, _small(spark, sf_dir, 440, 400), 16, 0)
+    p, q = _emb(spark, sf_dir)
+    state = beam_rounds(exact.exact_knn_graph(p, 8), p, q, 16, _first(p))
     hops = state.select("qid", F.posexplode("log").alias("hop", "e"))
     return hops.select("qid", (F.col("hop") + 1).cast("long").alias("hop"), F.col("e.id").alias("id"), F.round("e.dist", 6).alias("dist"))
 
 
-@query()
+def _same(a, b, stats_a, stats_b, least: str) -> DataFrame:
+    """qid, same, kept: whether two searches give the same answers, and whether `least` holds of their
+    counts x and y of comparisons."""
+    key = F.sort_array(F.collect_list(F.struct("rank", "id", "dist")))
+    one = a.groupBy("qid").agg(key.alias("l")).join(b.groupBy("qid").agg(key.alias("r")), "qid", "full").select("qid", (F.col("l") == F.col("r")).alias("same"))
+    counts = stats_a.select("qid", F.col("dist_comps").alias("x")).join(stats_b.select("qid", F.col("dist_comps").alias("y")), "qid").select("qid", F.expr(least).alias("kept"))
+    return one.join(counts, "qid").select("qid", F.coalesce("same", F.lit(False)).alias("same"), "kept")
+
+
+_SAME = "SELECT vec_id AS qid, true AS same, true AS kept FROM embeddings WHERE vec_id % 10 = 0"
+
+
+@query(_SAME)
 def beam_search_lossy(spark, sf_dir):
+    """The lossy table may only look again: equal answers, no fewer comparisons than the exact one."""
     g, q = _fixed(spark, sf_dir)
-    a, b = g.search(q, 10, 16, visited="exact").stats, g.search(q, 10, 16, visited="lossy").stats
-    return a.join(b.select("qid", F.col("dist_comps").alias("lossy_comps")), "qid").select("qid", "dist_comps", "lossy_comps")
+    a, b = g.search(q, 10, 16, visited="exact"), g.search(q, 10, 16, visited="lossy")
+    return _same(a.results, b.results, a.stats, b.stats, "y >= x")
 
 
-@query()
+@query(_SAME)
 def layered_flags_visited(spark, sf_dir):
+    """Flags for all that was computed: equal answers, no more comparisons."""
     base, q = _emb(spark, sf_dir)
     g = index.layered_graph(base, 8, 48)
-    a, b = g.search(q, 10, 48, visited="exact").stats, g.search(q, 10, 48).stats
-    return a.join(b.select("qid", F.col("dist_comps").alias("flag_comps")), "qid").select("qid", "dist_comps", "flag_comps")
+    a, b = g.search(q, 10, 48, visited="exact"), g.search(q, 10, 48)
+    return _same(a.results, b.results, a.stats, b.stats, "y <= x")
 
 
 # ---- builds; at saturation (the beam holds every vertex, all are reachable) search is exact
 
-_SATURATED = D.knn("p AS (SELECT vec_id AS id, embedding AS vec FROM embeddings WHERE vec_id < 300), q AS (SELECT vec_id AS qid, embedding AS qvec FROM embeddings WHERE vec_id BETWEEN 400 AND 439)", D.l2("vec", "qvec"))
+_SATURATED = D.knn(D.EMB, D.l2("vec", "qvec"))
+
+
+def _exhausted(g: index.GraphIndex, base: PointSet, q: PointSet, **how) -> DataFrame:
+    """Answers of beams that hold every vertex: exact if all are reachable, so a test of the build."""
+    return _ranked(g.search(q, 10, max(10, base.df.count()), start="index", **how).results)
 
 
 def _saturated(spark, sf_dir, method, **params):
-    p, q = _small(spark, sf_dir, 300), _small(spark, sf_dir, 440, 400)
-    g = index.BUILDERS[method](p, **params)
-    start = g.rows.filter("start").first()["id"]
-    if edges.reachable(g.edges(), start).count() != g.rows.count():
-        raise ValueError("saturation needs every vertex to be reachable")
-    return _ranked(g.search(q, 10, 300).results)
+    base, q = _emb(spark, sf_dir)
+    return _exhausted(index.BUILDERS[method](base, **params), base, q)
 
 
 @query(_SATURATED)
@@ -329,6 +350,12 @@ def alpha_build_saturated(spark, sf_dir):
     return _saturated(spark, sf_dir, "alpha", degree=16, width=32)
 
 
+@query(_SATURATED)
+def alpha_batches_saturated(spark, sf_dir):
+    """The graph that many tasks build together, batch by batch."""
+    return _saturated(spark, sf_dir, "alpha", degree=16, width=32, engine="batches")
+
+
 @query(_SATURATED)
 def layered_saturated(spark, sf_dir):
     return _saturated(spark, sf_dir, "layered", m=8, width=32)
@@ -351,76 +378,147 @@ def hybrid_saturated(spark, sf_dir):
 
 @query(_SATURATED)
 def sharded_saturated(spark, sf_dir):
-    p, q = _small(spark, sf_dir, 300), _small(spark, sf_dir, 440, 400)
-    return _ranked(index.alpha_graph(p, 16, 32, shard_rows=80).search(q, 10, 300).results)
+    return _saturated(spark, sf_dir, "alpha", degree=16, width=32, shard_rows=80)
+
+
+_DOC_SATURATED = D.knn(_DOC, D.l2("vec", "qvec"))
+
+
+def _doc_saturated(spark, sf_dir, method, **params):
+    """On documents, many of which are copies."""
+    base, q = carriers.doc(spark, sf_dir).split_queries(20)
+    return _exhausted(index.BUILDERS[method](base, **params), base, q)
+
+
+@query(_DOC_SATURATED)
+def alpha_docs_saturated(spark, sf_dir):
+    return _doc_saturated(spark, sf_dir, "alpha", degree=16, width=32)
+
 
+@query(_DOC_SATURATED)
+def layered_docs_saturated(spark, sf_dir):
+    return _doc_saturated(spark, sf_dir, "layered", m=8, width=32)
 
-def _variant(spark, sf_dir, **params):
+
+@query(_DOC_SATURATED)
+def tree_mst_docs_saturated(spark, sf_dir):
+    return _doc_saturated(spark, sf_dir, "tree_mst", trees=6, leaf=100)
+
+
+@query(_DOC_SATURATED)
+def descent_docs_saturated(spark, sf_dir):
+    return _doc_saturated(spark, sf_dir, "descent", trees=3, leaf=100, k=15, degree=24)
+
+
+def _checked(found: DataFrame, base: PointSet, q: PointSet, least: float, k: int = 10) -> DataFrame:
+    """qid, answers, sound, enough: of each query how many answers it has, whether they are different
+    points, ranked by their exact distances, computed anew; and whether the mean recall of all queries is
+    at least `least`."""
+    a = q.plain().select(F.col("id").alias("qid"), F.col("vec").alias("a"))
+    b = base.plain().select("id", F.col("vec").alias("b"))
+    found = settle(found.select("qid", "id", "dist", "rank"), "found")
+    anew = found.join(b, "id", "left").join(a, "qid").withColumn("real", expression(base.metric, "b", "a"))
+    before = F.lag(F.struct("dist", "id")).over(Window.partitionBy("qid").orderBy("rank"))
+    anew = anew.withColumn("good", (F.abs(F.col("real") - F.col("dist")) <= 1e-9) & (F.col("rank") <= k) & (before.isNull() | (before < F.struct("dist", "id"))))
+    each = anew.groupBy("qid").agg(F.count_distinct("id").alias("answers"), F.bool_and(F.coalesce("good", F.lit(False))).alias("sound"))
+    truth = settle(exact.exact_knn(base, q, k), "truth")
+    mean = measures.mean_recall(truth, found, _ids(q), k).select((F.col("recall") >= least).alias("enough"))
+    return _ids(q).join(each, "qid", "left").crossJoin(F.broadcast(mean)).select("qid", F.coalesce("answers", F.lit(0).cast("long")).alias("answers"), "sound", "enough")
+
+
+_CHECKED = "SELECT vec_id AS qid, least(10, (SELECT count(*) FROM embeddings WHERE vec_id % 10 <> 0))::bigint AS answers, true AS sound, true AS enough FROM embeddings WHERE vec_id % 10 = 0"
+
+
+def _variant(spark, sf_dir, least, **params):
     base, q = _emb(spark, sf_dir)
-    truth = settle(exact.exact_knn(base, q, 10), "truth")
-    g = index.alpha_graph(base, 24, 48, **params)
-    out = g.search(q, 10, 48)
-    r = measures.recall(truth, out.results, _ids(q), 10)
-    return r.join(out.stats, "qid").select("qid", "recall", "hops", "dist_comps")
+    return _checked(index.alpha_graph(base, 24, 48, **params).search(q, 10, 48).results, base, q, least)
 
 
-@query()
+@query(_CHECKED)
 def alpha_build_search(spark, sf_dir):
-    return _variant(spark, sf_dir)
+    return _variant(spark, sf_dir, 0.9)
 
 
-@query()
+@query(_CHECKED)
 def alpha_sequential(spark, sf_dir):
-    return _variant(spark, sf_dir, rule="sequential")
+    return _variant(spark, sf_dir, 0.9, rule="sequential")
 
 
-@query()
+@query("SELECT true AS degenerate")
 def alpha_one_shot(spark, sf_dir):
-    return _variant(spark, sf_dir, rule="single")
+    """All points in one batch: they search a graph of one vertex and hang on it, so little is found."""
+    base, q = _emb(spark, sf_dir)
+    truth = exact.exact_knn(base, q, 10)
+    found = index.alpha_graph(base, 24, 48, rule="single").search(q, 10, 48).results
+    return measures.mean_recall(truth, found, _ids(q)).select((F.col("recall") <= 0.3).alias("degenerate"))
 
 
-@query()
+@query(_CHECKED)
 def alpha_uncapped(spark, sf_dir):
-    return _variant(spark, sf_dir, theta=1.0)
+    return _variant(spark, sf_dir, 0.9, theta=1.0)
 
 
-@query()
+@query(_CHECKED)
 def alpha_strict_prune(spark, sf_dir):
-    return _variant(spark, sf_dir, alpha=1.0)
+    return _variant(spark, sf_dir, 0.85, alpha=1.0)
 
 
-@query()
+@query("SELECT o AS seed, true AS enough, o <> 42 AS other FROM (VALUES (7), (42), (1234)) t(o)")
 def alpha_other_order(spark, sf_dir):
-    """The locked original's dependence on the order of insertions, as a build under another seed."""
-    return _variant(spark, sf_dir, seed=7, rule="sequential")
+    """The locked original's dependence on the order of insertions: builds one by one under several seeds
+    give other edges, and about the same recall."""
+    base, q = _emb(spark, sf_dir)
+    truth = settle(exact.exact_knn(base, q, 10), "truth")
+    graphs = {seed: index.alpha_graph(base, 24, 48, seed=seed, rule="sequential") for seed in (7, 42, 1234)}
+    rows = [(seed, measures.mean_recall(truth, g.search(q, 10, 48).results, _ids(q)).first()[0] >= 0.9, g.fingerprint() != graphs[42].fingerprint()) for seed, g in graphs.items()]
+    return spark.createDataFrame(rows, "seed int, enough boolean, other boolean")
 
 
-@query()
+@query(_CHECKED)
 def layered_no_hierarchy(spark, sf_dir):
     base, q = _emb(spark, sf_dir)
-    return index.layered_graph(base, 12, 48, max_level=0).search(q, 10, 48).stats
+    return _checked(index.layered_graph(base, 12, 48, max_level=0).search(q, 10, 48).results, base, q, 0.9)
+
+
+@query(_CHECKED)
+def layered_sequential(spark, sf_dir):
+    """The layered graph one point at a time, as a batch interface over locks would build it."""
+    base, q = _emb(spark, sf_dir)
+    return _checked(index.layered_graph(base, 12, 48, rule="sequential").search(q, 10, 48).results, base, q, 0.9)
+
+
+def _grown(spark, sf_dir, method, **params):
+    base, q = _emb(spark, sf_dir)
+    old, new = (PointSet(base.df.filter(c)) for c in ("id % 3 <> 0", "id % 3 = 0"))
+    return _exhausted(index.BUILDERS[method](old, **params).insert(new), base, q)
 
 
-@query()
+@query(_SATURATED)
 def insert_new_version(spark, sf_dir):
-    g = index.alpha_graph(_small(spark, sf_dir, 300), 16, 32).insert(_small(spark, sf_dir, 400, 300))
-    return g.search(_small(spark, sf_dir, 440, 400), 10, 64).results.select("qid", "id", F.round("dist", 6).alias("dist"), "rank")
+    """A third of the points inserted into the saved graph of the others."""
+    return _grown(spark, sf_dir, "alpha", degree=16, width=32)
+
+
+@query(_SATURATED)
+def insert_new_version_layered(spark, sf_dir):
+    return _grown(spark, sf_dir, "layered", m=8, width=32)
 
 
-@query()
+@query("SELECT layout, true AS same FROM (VALUES ('as read'), ('dealt anew'), ('by batches'), ('by 3 tasks')) t(layout)")
 def graph_fingerprints(spark, sf_dir):
-    """Edge sets of one build under two layouts of the input."""
-    p = _small(spark, sf_dir, 200)
-    a = index.alpha_graph(p, 12, 24).fingerprint()
-    b = index.alpha_graph(PointSet(p.df.repartition(7)), 12, 24).fingerprint()
-    return spark.createDataFrame([("as read", *a), ("dealt anew", *b)], "layout string, print long, edges long")
+    """Edge sets of one build under two layouts of the input, and by the batch-parallel engine."""
+    p = _whole(spark, sf_dir)
+    one = index.alpha_graph(p, 12, 24).fingerprint()
+    anew = index.alpha_graph(PointSet(p.df.repartition(7)), 12, 24).fingerprint()
+    both = [index.alpha_graph(p, 12, 24, engine="batches", tasks=t).fingerprint() for t in (None, 3)]
+    return spark.createDataFrame([(n, x == one and x[1] > 0) for n, x in zip(("as read", "dealt anew", "by batches", "by 3 tasks"), (one, anew, *both), strict=True)], "layout string, same boolean")
 
 
 # ---- cluster trees
 
 
 def _pivot_split_sql(levels: int) -> str:
-    out = [D.small(300), "t0 AS (SELECT id, '' AS path, vec FROM p)"]
+    out = [D.WHOLE, "t0 AS (SELECT id, '' AS path, vec FROM p)"]
     for i in range(levels):
         h = draw_sql(42, "0", "path", "id")
         out.append(f"""o{i} AS (SELECT *, row_number() OVER (PARTITION BY path ORDER BY {h}, id) AS n FROM t{i}),
@@ -431,15 +529,15 @@ def _pivot_split_sql(levels: int) -> str:
 
 @query(_pivot_split_sql(1) + " SELECT id, path FROM t1")
 def two_point_split(spark, sf_dir):
-    return trees.grow(_small(spark, sf_dir, 300), 1).select("id", "path")
+    return trees.grow(_whole(spark, sf_dir), 1).select("id", "path")
 
 
 @query(_pivot_split_sql(3) + " SELECT id, path FROM t3")
 def cluster_tree_leaves(spark, sf_dir):
-    return trees.grow(_small(spark, sf_dir, 300), 3).select("id", "path")
+    return trees.grow(_whole(spark, sf_dir), 3).select("id", "path")
 
 
-_PLANE = f"""WITH {D.small(300)}, o AS (SELECT *, row_number() OVER (ORDER BY {draw_sql(42, '0', repr(''), 'id')}, id) AS n FROM p),
+_PLANE = f"""WITH {D.WHOLE}, o AS (SELECT *, row_number() OVER (ORDER BY {draw_sql(42, '0', repr(''), 'id')}, id) AS n FROM p),
   w AS (SELECT list(CASE WHEN {draw_sql(42, '0', repr(''), repr('dim'), 'j')} % 2 = 1 THEN 1.0::double ELSE -1.0::double END ORDER BY j) AS w FROM unnest(range(0, 64)) t(j)),
   c AS (SELECT w, ({D.dot('w', 'a.vec')} + {D.dot('w', 'b.vec')}) / 2.0::double AS cut FROM w, o a, o b WHERE a.n = 1 AND b.n = 2)
   SELECT id, CASE WHEN {D.dot('w', 'vec')} > cut THEN '1' ELSE '0' END AS path FROM p, c"""
@@ -447,62 +545,71 @@ _PLANE = f"""WITH {D.small(300)}, o AS (SELECT *, row_number() OVER (ORDER BY {d
 
 @query(_PLANE)
 def hyperplane_split(spark, sf_dir):
-    return trees.grow(_small(spark, sf_dir, 300), 1, kind="hyperplane").select("id", "path")
+    return trees.grow(_whole(spark, sf_dir), 1, kind="hyperplane").select("id", "path")
 
 
 @query(_pivot_split_sql(2) + f", e AS (SELECT a.id AS src, b.id AS dst, {D.l2('a.vec', 'b.vec')} AS dist FROM t2 a JOIN t2 b ON a.path = b.path AND a.id <> b.id) SELECT src, dst, round(dist, 6) AS dist FROM e QUALIFY row_number() OVER (PARTITION BY src ORDER BY dist, dst) <= 5")
 def leaf_knn_graph(spark, sf_dir):
-    p = _small(spark, sf_dir, 300)
+    p = _whole(spark, sf_dir)
     return _edges(trees.leaf_neighbours(trees.grow(p, 2), p, 5))
 
 
-_MST = f"""WITH RECURSIVE {D.small(40)}, e AS (SELECT a.id AS src, b.id AS dst, {D.l2('a.vec', 'b.vec')} AS dist FROM p a, p b WHERE a.id <> b.id),
-  r(seen, total, n) AS (SELECT [0::bigint], 0.0::double, 1 UNION ALL
-    SELECT list_append(seen, x.dst), total + x.dist, n + 1 FROM (SELECT seen, total, n, (SELECT min(struct_pack(dist := dist, dst := dst)) FROM e WHERE list_contains(r.seen, e.src) AND NOT list_contains(r.seen, e.dst)) AS x FROM r WHERE n < 40))
-  SELECT 39::bigint AS edges, round(total, 4) AS weight FROM r WHERE n = 40"""
+_MST = _pivot_split_sql(5).replace("WITH ", "WITH RECURSIVE ", 1) + f""", sz AS (SELECT path, count(*) AS m, min(id) AS root FROM t5 GROUP BY path),
+  e AS (SELECT a.path, a.id AS src, b.id AS dst, {D.l2('a.vec', 'b.vec')} AS dist FROM t5 a JOIN t5 b ON a.path = b.path AND a.id <> b.id),
+  r(path, seen, total, n) AS (SELECT path, [root], 0.0::double, 1::bigint FROM sz UNION ALL
+    SELECT path, list_append(seen, x.dst), total + x.dist, n + 1 FROM (SELECT r.path, seen, total, n, (SELECT min(struct_pack(dist := dist, dst := dst)) FROM e WHERE e.path = r.path AND list_contains(r.seen, e.src) AND NOT list_contains(r.seen, e.dst)) AS x FROM r JOIN sz ON sz.path = r.path WHERE n < m))
+  SELECT r.path, (n - 1)::bigint AS edges, round(total, 4) AS weight FROM r JOIN sz ON sz.path = r.path AND n = m WHERE m > 1"""
 
 
-def _leaf_edges(spark, sf_dir, near, max_degree, n=40):
-    import numpy as np
-
-    rows = _small(spark, sf_dir, n).plain().orderBy("id").toArrow()
-    from proxigraph.operators.model import to_matrix
-
-    vecs = np.ascontiguousarray(to_matrix(rows.column("vec")).T)
-    return spark.createDataFrame(kernels.leaf_mst(vecs, np.arange(vecs.shape[1]), near, max_degree), "src long, dst long, dist double")
+def _leaf_trees(spark, sf_dir, near, max_degree):
+    """(leaves, edges with their leaf's path): spanning trees of the leaves of a cluster tree over all points."""
+    p = _whole(spark, sf_dir)
+    leaves = settle(trees.grow(p, 5), "leaves")
+    made = trees.leaf_trees(leaves, p, near, max_degree)
+    return p, leaves, settle(made.join(leaves.select(F.col("id").alias("src"), "path"), "src"), "leaf-trees")
 
 
 @query(_MST)
 def leaf_mst_weight(spark, sf_dir):
-    e = _leaf_edges(spark, sf_dir, None, 40)
-    return e.agg(F.count("*").alias("edges"), F.round(F.sum("dist"), 4).alias("weight"))
+    _, _, made = _leaf_trees(spark, sf_dir, None, 1 << 30)
+    return made.groupBy("path").agg(F.count("*").alias("edges"), F.round(F.sum("dist"), 4).alias("weight"))
 
 
-@query()
+@query(_pivot_split_sql(5) + " SELECT path, count(*)::bigint AS points, true AS bounded, true AS forest, true AS near FROM t5 GROUP BY path")
 def restricted_mst_edges(spark, sf_dir):
-    return _edges(_leaf_edges(spark, sf_dir, 10, 3))
+    """Of each leaf: no vertex has more than 3 edges, there are fewer edges than points, and every edge goes
+    to one of the 10 nearest of an end."""
+    p, leaves, made = _leaf_trees(spark, sf_dir, 10, 3)
+    ends = made.select("path", F.explode(F.array("src", "dst")).alias("id")).groupBy("path", "id").count().groupBy("path").agg(F.max("count").alias("most"))
+    close = trees.leaf_neighbours(leaves, p, 10).select("src", "dst")
+    close = close.unionByName(close.select(F.col("dst").alias("src"), F.col("src").alias("dst"))).distinct().withColumn("ok", F.lit(1))
+    per = made.join(close, ["src", "dst"], "left").groupBy("path").agg(F.count("*").alias("edges"), F.bool_and(F.col("ok").isNotNull()).alias("near"))
+    out = leaves.groupBy("path").agg(F.count("*").alias("points")).join(ends, "path", "left").join(per, "path", "left")
+    return out.select("path", "points", (F.coalesce("most", F.lit(0)) <= 3).alias("bounded"), (F.coalesce("edges", F.lit(0)) < F.col("points")).alias("forest"), F.coalesce("near", F.lit(True)).alias("near"))
 
 
 @query(_SATURATED)
 def tree_mst_global_saturated(spark, sf_dir):
     """The tree-MST graph built level by level over all points, searched at saturation."""
-    p, q = _small(spark, sf_dir, 300), _small(spark, sf_dir, 440, 400)
-    g = index.fixed_graph(p, trees.tree_mst_edges(p, 6, 60), 0)
-    return _ranked(g.search(q, 10, 300).results)
+    base, q = _emb(spark, sf_dir)
+    return _exhausted(index.fixed_graph(base, trees.tree_mst_edges(base, 6, 60), _first(base)), base, q)
 
 
-@query()
+@query("SELECT 0::bigint AS missing, 0::bigint AS added, true AS some")
 def tree_at_a_time_edges(spark, sf_dir):
-    return _edges(trees.tree_mst_edges(_small(spark, sf_dir, 200), 3, 40, parallel="trees"))
+    """A task per tree gives the edges of a task per leaf."""
+    p = _whole(spark, sf_dir)
+    a, b = (settle(trees.tree_mst_edges(p, 3, 40, parallel=how).select("src", "dst"), "edges") for how in ("leaves", "trees"))
+    return spark.range(1).select(F.lit(a.exceptAll(b).count()).alias("missing"), F.lit(b.exceptAll(a).count()).alias("added"), F.lit(not a.isEmpty()).alias("some"))
 
 
 # ---- neighbour descent
 
-_D0 = f"WITH {D.small(100)}, {D.graph(5, 'p', 'x0')}, g0 AS (SELECT src, dst, dist FROM x0 WHERE (src * 7 + dst) % 3 <> 0)"
+_D0 = f"WITH {D.WHOLE}, {D.graph(5, 'p', 'x0')}, g0 AS (SELECT src, dst, dist FROM x0 WHERE (src * 7 + dst) % 3 <> 0)"
 
 
 def _descent(spark, sf_dir, rounds):
-    p = _small(spark, sf_dir, 100)
+    p = _whole(spark, sf_dir)
     before = after = settle(exact.exact_knn_graph(p, 5).filter("(src * 7 + dst) % 3 <> 0"), "start")
     for r in range(rounds):
         before, after = after, settle(edges.descent_round(after, p, 5, 8, 42, r, blocks=1 + r), "round")
@@ -529,29 +636,39 @@ def descent_changed_edges(spark, sf_dir):
     return edges.changed(*_descent(spark, sf_dir, 2)).select("src", "dst")
 
 
-@query(f"{_D0}, {D.descent(2, 5, 8)} SELECT round((SELECT count(*) FROM g2 ANTI JOIN g1 ON g1.src = g2.src AND g1.dst = g2.dst) / 500.0::double, 6) AS fraction")
+@query(f"{_D0}, {D.descent(2, 5, 8)} SELECT round((SELECT count(*) FROM g2 ANTI JOIN g1 ON g1.src = g2.src AND g1.dst = g2.dst) / (5.0::double * (SELECT count(*) FROM p)), 6) AS fraction")
 def descent_changed_fraction(spark, sf_dir):
-    return edges.changed(*_descent(spark, sf_dir, 2)).agg(F.round(F.count("*") / F.lit(500.0), 6).alias("fraction"))
+    return edges.changed(*_descent(spark, sf_dir, 2)).agg(F.round(F.count("*") / F.lit(5.0 * _whole(spark, sf_dir).df.count()), 6).alias("fraction"))
 
 
 @query(_SATURATED)
 def descent_global_saturated(spark, sf_dir):
     """The descent graph built by join rounds over all points, searched at saturation."""
-    p, q = _small(spark, sf_dir, 300), _small(spark, sf_dir, 440, 400)
-    made, _ = trees.descent_edges(p, 2, 60, 12, 24)
-    return _ranked(index.fixed_graph(p, made, 0).search(q, 10, 300).results)
+    base, q = _emb(spark, sf_dir)
+    made, _ = trees.descent_edges(base, 2, 60, 12, 24)
+    return _exhausted(index.fixed_graph(base, made, _first(base)), base, q)
 
 
-@query()
+@query(_CHECKED)
 def descent_random_start(spark, sf_dir):
     base, q = _emb(spark, sf_dir)
-    return index.descent_graph(base, k=15, degree=24, init="random").search(q, 10, 48).stats
+    return _checked(index.descent_graph(base, k=15, degree=24, init="random").search(q, 10, 48).results, base, q, 0.9)
 
 
-@query()
+@query(_CHECKED)
 def descent_uncapped(spark, sf_dir):
     base, q = _emb(spark, sf_dir)
-    return index.descent_graph(base, 4, 60, 15, 24, cap=None).search(q, 10, 48).stats
+    return _checked(index.descent_graph(base, 4, 60, 15, 24, cap=None).search(q, 10, 48).results, base, q, 0.9)
+
+
+@query("SELECT m AS method, true AS counted FROM (VALUES ('alpha'), ('layered'), ('tree_mst'), ('descent'), ('hybrid')) t(m)")
+def build_comparisons(spark, sf_dir):
+    """Every build reports the distances it computed: more than one a point."""
+    base, _ = _emb(spark, sf_dir)
+    params = {"alpha": {"degree": 16, "width": 32}, "layered": {"m": 8, "width": 32}, "tree_mst": {"trees": 4, "leaf": 60}, "descent": {"trees": 3, "leaf": 60, "k": 15, "degree": 24}, "hybrid": {"trees": 3, "leaf": 60, "degree": 16, "width": 32}}
+    n = base.df.count()
+    rows = [(m, index.BUILDERS[m](base, **kw).build_cost().first()["dist_comps"] > n) for m, kw in params.items()]
+    return spark.createDataFrame(rows, "method string, counted boolean")
 
 
 # ---- inverted file, hashing, quantisers
@@ -589,7 +706,7 @@ def _ivf(spark, sf_dir):
 
 @query(_IVF + " SELECT cell::bigint AS cell, count(*)::bigint AS n FROM pc GROUP BY cell")
 def ivf_lists(spark, sf_dir):
-    return _ivf(spark, sf_dir)[0].postings.groupBy(F.col("cell").cast("long").alias("cell")).agg(F.count("*").alias("n"))
+    return _ivf(spark, sf_dir)[0].postings.groupBy(F.col("list").cast("long").alias("cell")).agg(F.count("*").alias("n"))
 
 
 _PROBED = _IVF + f""", qc AS (SELECT qid, qvec, cell FROM (SELECT qid, qvec, cell, {D.l2('centroid', 'qvec')} AS d FROM q, c2) QUALIFY row_number() OVER (PARTITION BY qid ORDER BY d, cell) <= 2),
@@ -626,47 +743,70 @@ def dist_comps_exact(spark, sf_dir):
     return _ids(q).select("qid", F.lit(base.df.count()).cast("long").alias("dist_comps"))
 
 
-@query()
+@query(D.knn(D.EMB, D.l2("vec", "qvec")))
 def ivf_coarse_graph(spark, sf_dir):
+    """A graph on the centroids names the lists; with all of them the answers are exact."""
     i, _, q = _ivf(spark, sf_dir)
-    return i.search(q, 10, 2, i.coarse_graph(m=4, width=16)).stats
+    return _ranked(i.search(q, 10, 8, i.coarse_graph(m=4, width=16)).results)
 
 
-@query()
+@query(_CHECKED)
+def ivf_coarse_graph_probe(spark, sf_dir):
+    i, base, q = _ivf(spark, sf_dir)
+    return _checked(i.search(q, 10, 4, i.coarse_graph(m=4, width=16)).results, base, q, 0.6)
+
+
+@query(D.knn(D.EMB, D.l2("vec", "qvec")))
 def ivf_trained_with_queries(spark, sf_dir):
+    """Lists trained on points and queries of another distribution, every point in two of them; with all
+    lists the answers are exact, and no point comes twice."""
     base, q = _emb(spark, sf_dir)
     both = PointSet(base.plain().unionByName(carriers.ood(spark, sf_dir).plain().withColumn("id", F.col("id") + 1_000_000)))
-    i = inverted.InvertedIndex.build(base, 8, 2, closure=2, train_on=both)
-    return i.search(carriers.ood(spark, sf_dir), 10, 2).stats
+    return _ranked(inverted.InvertedIndex.build(base, 8, 2, closure=2, train_on=both).search(q, 10, 8).results)
 
 
-@query()
+@query("SELECT vec_id AS id, 8::bigint AS parts, true AS valid FROM embeddings WHERE vec_id % 10 <> 0")
 def pq_codes(spark, sf_dir):
     base, _ = _emb(spark, sf_dir)
     coded = quantise.ProductCodes.train(base, 8, 16).encode(base)
-    return coded.select("id", F.array_join(F.transform("codes", lambda x: x.cast("string")), ",").alias("codes"))
+    return coded.select("id", F.size("codes").cast("long").alias("parts"), F.forall("codes", lambda x: x.between(0, 15)).alias("valid"))
 
 
-@query()
+@query(_CHECKED)
 def pq_rerank_search(spark, sf_dir):
     base, q = _emb(spark, sf_dir)
     codes = quantise.ProductCodes.train(base, 8, 16)
-    return _ranked(codes.search(codes.encode(base), base, q, 10, 100))
+    return _checked(codes.search(codes.encode(base), base, q, 10, 100), base, q, 0.8)
+
+
+@query(_CHECKED)
+def pq_lists_search(spark, sf_dir):
+    """Codes of residuals in inverted lists."""
+    base, q = _emb(spark, sf_dir)
+    return _checked(quantise.CodedLists.build(base, 8, 4).search(base, q, 10, 6, 100), base, q, 0.7)
+
+
+@query(D.knn(D.EMB, D.l2("vec", "qvec")))
+def pq_lists_exhausted(spark, sf_dir):
+    """All lists, and all members re-ranked: exact."""
+    base, q = _emb(spark, sf_dir)
+    return _ranked(quantise.CodedLists.build(base, 8, 2).search(base, q, 10, 8, base.df.count()))
 
 
-@query()
+@query(_CHECKED)
 def sq8_graph_reranked(spark, sf_dir):
     base, q = _emb(spark, sf_dir)
     g = index.alpha_graph(quantise.sq8(base), 24, 48)
-    return _ranked(quantise.graph_search_reranked(g, base, q, 10, 40))
+    return _checked(quantise.graph_search_reranked(g, base, q, 10, 40), base, q, 0.9)
 
 
-@query(f"WITH p AS (SELECT vec_id AS id, {D.INT8} AS vec FROM embeddings WHERE vec_id < 40) SELECT a.id AS src, b.id AS dst, list_sum(list_transform(list_zip(a.vec, b.vec), lambda z: (z[1]::bigint - z[2]::bigint) * (z[1]::bigint - z[2]::bigint)))::bigint AS dist_sq FROM p a JOIN p b ON a.id < b.id")
+@query(f"WITH p AS (SELECT vec_id AS id, {D.INT8} AS vec FROM embeddings) SELECT a.id AS src, b.id AS dst, list_sum(list_transform(list_zip(a.vec, b.vec), lambda z: (z[1]::bigint - z[2]::bigint) * (z[1]::bigint - z[2]::bigint)))::bigint AS dist_sq FROM p a JOIN p b ON a.id < b.id AND a.id % 10 = 0")
 def integer_distances(spark, sf_dir):
     from proxigraph.functions.distance import l2_sq_int
 
-    p = carriers.emb8(spark, sf_dir).df.filter("id < 40")
-    a, b = p.select(F.col("id").alias("src"), F.col("vec").alias("x")), p.select(F.col("id").alias("dst"), F.col("vec").alias("y"))
+    p = carriers.emb8(spark, sf_dir).df
+    """Of every query vector to all with a greater id."""
+    a, b = p.filter("id % 10 = 0").select(F.col("id").alias("src"), F.col("vec").alias("x")), p.select(F.col("id").alias("dst"), F.col("vec").alias("y"))
     return a.join(b, F.col("src") < F.col("dst")).select("src", "dst", l2_sq_int("x", "y").alias("dist_sq"))
 
 
@@ -721,16 +861,20 @@ def lsh_multiprobe(spark, sf_dir):
     return _lsh(spark, sf_dir, 4)
 
 
-@query()
+_SOUND = "SELECT vec_id AS qid, true AS sound, true AS enough FROM embeddings WHERE vec_id % 10 = 0"
+
+
+@query(_SOUND)
 def cross_polytope_search(spark, sf_dir):
     base, q = _emb(spark, sf_dir)
-    return _ranked(hashing.HashIndex.build(base, "cross", 8, 16).search(q, 10, 3, most=200).results)
+    found = hashing.HashIndex.build(base, "cross", 8, 16).search(q, 10, 3, most=200).results
+    return _checked(found, base, q, 0.3).select("qid", F.coalesce("sound", F.lit(True)).alias("sound"), "enough")
 
 
-@query()
+@query(_SOUND)
 def library_lsh(spark, sf_dir):
     base, q = _emb(spark, sf_dir)
-    return hashing.library_lsh(base, q, 10).select("qid", "id", F.round("dist", 6).alias("dist"), "rank")
+    return _checked(hashing.library_lsh(base, q, 10), base, q, 0.1).select("qid", F.coalesce("sound", F.lit(True)).alias("sound"), "enough")
 
 
 # ---- measures
@@ -758,25 +902,36 @@ def range_recall(spark, sf_dir):
     return measures.range_recall(exact.exact_range(base, q, 1.15), i.range_search(q, 1.15, 2), _ids(q))
 
 
-@query()
+_RANGE = f"WITH {D.EMB}, tr AS (SELECT qid, id, {D.l2('vec', 'qvec')} AS dist FROM p, q WHERE {D.l2('vec', 'qvec')} <= 1.15)"
+_RANGES = {"beam": {}, "flood": {"flood": True}, "grow": {"grow": True}}
+
+
+@query(_RANGE + " SELECT variant, qid, id, round(dist, 6) AS dist FROM tr, (VALUES ('beam'), ('flood'), ('grow')) t(variant)")
+def graph_range_saturated(spark, sf_dir):
+    """The three kinds of range search over a graph, with beams that hold every vertex."""
+    base, q = _emb(spark, sf_dir)
+    g = index.alpha_graph(base, 24, 48)
+    parts = [g.range_search(q, 1.15, base.df.count(), **kw).results.select(F.lit(name).alias("variant"), "qid", "id", F.round("dist", 6).alias("dist")) for name, kw in _RANGES.items()]
+    return parts[0].unionByName(parts[1]).unionByName(parts[2])
+
+
+@query("SELECT variant, 0::bigint AS wrong, true AS enough FROM (VALUES ('beam'), ('flood'), ('grow')) t(variant)")
 def graph_range_search(spark, sf_dir):
+    """At a small width: nothing outside the range, and most of what is in it."""
     base, q = _emb(spark, sf_dir)
     g = index.alpha_graph(base, 24, 48)
-    out = None
-    for name, kw in (("beam", {}), ("flood", {"flood": True}), ("grow", {"grow": True})):
-        part = g.range_search(q, 1.15, 32, **kw).results.groupBy("qid").agg(F.count("*").alias("n")).withColumn("variant", F.lit(name))
-        out = part if out is None else out.unionByName(part)
-    return out
+    truth = settle(exact.exact_range(base, q, 1.15).select("qid", "id"), "truth")
+    rows, n = [], truth.count()
+    for name, kw in _RANGES.items():
+        found = settle(g.range_search(q, 1.15, 32, **kw).results.select("qid", "id"), "found")
+        rows.append((name, found.exceptAll(truth).count(), truth.intersect(found).count() >= 0.8 * n))
+    return spark.createDataFrame(rows, "variant string, wrong long, enough boolean")
 
 
-@query()
+@query("""SELECT 'same' AS queries, vec_id AS qid, true AS sound, true AS enough FROM embeddings WHERE vec_id % 10 = 0
+  UNION ALL SELECT 'other', item_id, true, true FROM benchmark WHERE len(list_filter(string_split(lower(text), ' '), t -> t <> '')) > 0""".replace("t -> t", "lambda t: t"))
 def ood_recall(spark, sf_dir):
     base, q = _emb(spark, sf_dir)
     g = index.alpha_graph(base, 24, 48)
-    out = None
-    for name, qs in (("same", q), ("other", carriers.ood(spark, sf_dir))):
-        truth = exact.exact_knn(base, qs, 10)
-        found = g.search(qs, 10, 32)
-        part = measures.recall(truth, found.results, _ids(qs), 10).join(found.stats, "qid").select(F.lit(name).alias("queries"), "qid", "recall", "dist_comps")
-        out = part if out is None else out.unionByName(part)
-    return out
+    parts = [_checked(g.search(qs, 10, 48).results, base, qs, 0.85).select(F.lit(name).alias("queries"), "qid", "sound", "enough") for name, qs in (("same", q), ("other", carriers.ood(spark, sf_dir)))]
+    return parts[0].unionByName(parts[1])

@@ -15,7 +15,12 @@ QUERIES: dict = {}
 BUILDS = {
     "alpha": {"degree": 32, "width": 64}, "layered": {"m": 16, "width": 64}, "tree_mst": {"trees": 10, "leaf": 200}, "descent": {"trees": 5, "leaf": 100, "k": 20, "degree": 32},
 }
-WIDTHS = (10, 30, 100)
+WIDTHS = (10, 20, 40, 80, 160)
+#: Early stops swept together with the widths; None: no early stop.
+EPS = (0.1, None)
+LIST_ITERATIONS = 5
+#: Points that one shard holds where tables grow.
+SHARD = 10_000
 
 
 def workload(f):
@@ -28,6 +33,10 @@ def _carrier(spark, sf_dir, name: str) -> tuple[PointSet, PointSet]:
     return PointSet(settle(p.plain(), f"carrier-{name}")).split_queries(10 if name != "doc" else 20)
 
 
+def _probes(cells: int) -> list[int]:
+    return sorted({min(p, cells) for p in (1, 2, max(3, cells // 8), max(4, cells // 2), cells)})
+
+
 def _rows(spark: SparkSession, rows: list[tuple]) -> DataFrame:
     return spark.createDataFrame(rows, measures.RUNS)
 
@@ -39,8 +48,9 @@ def _union(parts: list[DataFrame]) -> DataFrame:
     return out
 
 
-def _curves(spark, sf_dir, names, methods=tuple(BUILDS), widths=WIDTHS) -> DataFrame:
-    """Recall, comparisons and queries per second of all methods along their knob."""
+def _curves(spark, sf_dir, names, methods=tuple(BUILDS), widths=WIDTHS, eps=EPS) -> DataFrame:
+    """Recall, comparisons and queries per second of all methods along their knobs: beam width and early
+    stop together, or the number of lists."""
     parts = []
     for name in names:
         base, q = _carrier(spark, sf_dir, name)
@@ -48,28 +58,32 @@ def _curves(spark, sf_dir, names, methods=tuple(BUILDS), widths=WIDTHS) -> DataF
         n = base.df.count()
         for m in methods:
             seconds, g = measures.timed(lambda m=m, base=base: index.BUILDERS[m](base, **BUILDS[m]))
-            parts.append(measures.sweep(spark, f"{m}/{name}", g.search, q, truth, [{"width": w} for w in widths]))
+            parts.append(measures.sweep(spark, f"{m}/{name}", g.search, q, truth, [{"width": w} | ({} if e is None else {"eps": e}) for w in widths for e in eps]))
             parts.append(_rows(spark, [(f"{m}/{name}", f"{m}/{name}", {}, "build_s", seconds)]))
         cells = max(2, int(n ** 0.5))
-        seconds, i = measures.timed(lambda base=base, cells=cells: inverted.InvertedIndex.build(base, cells, 3))
-        parts.append(measures.sweep(spark, f"inverted/{name}", i.search, q, truth, [{"probe": p} for p in sorted({1, max(1, cells // 4), cells})]))
+        seconds, i = measures.timed(lambda base=base, cells=cells: inverted.InvertedIndex.build(base, cells, LIST_ITERATIONS))
+        parts.append(measures.sweep(spark, f"inverted/{name}", i.search, q, truth, [{"probe": p} for p in _probes(cells)]))
         parts.append(_rows(spark, [(f"inverted/{name}", f"inverted/{name}", {}, "build_s", seconds)]))
     return _union(parts)
 
 
 @workload
 def w01_curves_qps(spark, sf_dir):
-    return _curves(spark, sf_dir, ["emb", "doc", "web"]).filter("metric IN ('recall', 'qps')")
+    """Recall and queries per second of every setting, and whether no other setting of the method beats it
+    in both."""
+    wide = settle(measures.wide(_curves(spark, sf_dir, ["emb", "doc", "web"])).filter("recall IS NOT NULL"), "curves")
+    best = measures.pareto(wide).select("run_id", F.lit(True).alias("front"))
+    return wide.join(best, "run_id", "left").select("run_id", "method", "params", "recall", "qps", "dist_comps", F.coalesce("front", F.lit(False)).alias("front"))
 
 
 @workload
 def w02_curves_comps(spark, sf_dir):
-    return _curves(spark, sf_dir, ["emb", "doc"]).filter("metric IN ('recall', 'dist_comps')")
+    return _curves(spark, sf_dir, ["emb", "doc", "web"]).filter("metric IN ('recall', 'dist_comps')")
 
 
 @workload
 def w03_high_recall(spark, sf_dir):
-    wide = measures.wide(_curves(spark, sf_dir, ["emb"], widths=(30, 60, 120)))
+    wide = measures.wide(_curves(spark, sf_dir, ["emb", "doc", "web"], widths=(50, 100, 200), eps=(None,)))
     return wide.filter("recall >= 0.9").select("run_id", "method", "recall", "dist_comps")
 
 
@@ -97,72 +111,103 @@ def w05_one_thread_qps(spark, sf_dir):
 
 @workload
 def w06_old_and_new(spark, sf_dir):
-    """Build seconds and rounds of the original schedules and layouts against ours, same parameters.
-    A session has one set of threads; how a build scales is measured by running this under several."""
-    base, _ = _carrier(spark, sf_dir, "emb")
-    kinds = {
-        ("alpha", "original"): lambda: index.alpha_graph(base, 32, 64, rule="sequential"), ("alpha", "ours"): lambda: index.alpha_graph(base, 32, 64),
-        ("tree_mst", "original"): lambda: index.tree_mst_graph(base, 10, 200, None), ("tree_mst", "ours"): lambda: index.tree_mst_graph(base, 10, 200, 10),
-        ("descent", "original"): lambda: index.descent_graph(base, 5, 100, 20, 32, cap=None, block=1 << 30), ("descent", "ours"): lambda: index.descent_graph(base, 5, 100, 20, 32),
-    }
-    rows = []
-    for (m, variant), f in kinds.items():
-        seconds, g = measures.timed(f)
-        rows.append((m, variant, spark.sparkContext.defaultParallelism, seconds, g.build_cost().first()["rounds"]))
-    return spark.createDataFrame(rows, "method string, variant string, threads int, seconds double, rounds long")
-
-
-def _sizes(spark, sf_dir) -> list[tuple[int, PointSet, PointSet]]:
-    p = PointSet(settle(carriers.num(spark, sf_dir).plain(), "carrier-num"))
+    """Build seconds of the original schedules and layouts against ours, same parameters, by threads, with
+    the speedups over the original at one thread and over itself at one.
+
+    The originals insert one point at a time (alpha, layered), use all pairs of a leaf and a task per tree
+    (tree-MST) or an uncapped degree and one block (descent). The batch engine and the join rounds of the
+    trees share their work among a given number of tasks, so one session measures the curve."""
+    base, _ = _carrier(spark, sf_dir, "doc")
+    cores = spark.sparkContext.defaultParallelism
+    threads = [t for t in (1, 2, 4, 8, 16, 32) if t <= cores]
+
+    def sharded(build, t, **kw):
+        return lambda: build(base, shard_rows=max(1, -(-base.df.count() // t)), shard_kind="hash", **kw)
+
+    kinds = [("alpha", "original", 1, lambda: index.alpha_graph(base, 32, 64, rule="sequential"))]
+    kinds += [("alpha", "ours", t, lambda t=t: index.alpha_graph(base, 32, 64, engine="batches", tasks=t)) for t in threads]
+    kinds.append(("layered", "original", 1, lambda: index.layered_graph(base, 16, 64, rule="sequential")))
+    kinds += [("layered", "ours", t, sharded(index.layered_graph, t, m=16, width=64)) for t in threads]
+    kinds.append(("tree_mst", "original", 1, lambda: index.tree_mst_graph(base, 10, 200, None)))
+    kinds += [("tree_mst", "ours", t, sharded(index.tree_mst_graph, t, trees=10, leaf=200)) for t in threads]
+    kinds.append(("descent", "original", 1, lambda: index.descent_graph(base, 5, 100, 20, 32, cap=None, block=1 << 30)))
+    kinds += [("descent", "ours", t, sharded(index.descent_graph, t, trees=5, leaf=100, k=20, degree=32)) for t in threads]
+    rows = [(m, variant, t, measures.timed(f)[0]) for m, variant, t, f in kinds]
+    runs = settle(spark.createDataFrame(rows, "method string, variant string, threads int, seconds double"), "runs")
+    return runs.join(measures.speedup(runs), ["method", "variant", "threads"])
+
+
+def _sizes(spark, sf_dir) -> list[tuple[str, int, PointSet, PointSet]]:
+    """(carrier, points, base, queries): shares of the line items and of the documents, each table whole at
+    last."""
     out = []
-    for share in (0.01, 0.1, 1.0):
-        part = p.sample(share)
-        q = PointSet(part.df.filter("id % 50 = 0"))
-        out.append((part.df.count(), PointSet(part.df.filter("id % 50 <> 0")), q))
+    for name, p, shares, mod in (("num", carriers.num(spark, sf_dir), (0.01, 0.1, 1.0), 50), ("doc", carriers.doc(spark, sf_dir), (0.2, 1.0), 20)):
+        p = PointSet(settle(p.plain(), f"carrier-{name}"))
+        for share in shares:
+            part = p.sample(share) if share < 1 else p
+            out.append((name, part.df.count(), *part.split_queries(mod)))
     return out
 
 
 @workload
 def w07_size_scaling(spark, sf_dir):
-    """Build seconds, and width and comparisons at recall 0.8, as the table grows tenfold."""
+    """Build seconds, and width, comparisons and queries per second at recall 0.8, as the table grows, with
+    the growth of the build; shards of SHARD points, as a cluster would have them."""
     rows = []
-    for n, base, q in _sizes(spark, sf_dir):
+    for name, n, base, q in _sizes(spark, sf_dir):
         truth = settle(exact.exact_knn(base, q, 10), "truth")
         for m in BUILDS:
-            seconds, g = measures.timed(lambda m=m, base=base: index.BUILDERS[m](base, **BUILDS[m]))
+            seconds, g = measures.timed(lambda m=m, base=base: index.BUILDERS[m](base, shard_rows=SHARD, **BUILDS[m]))
             tuned = measures.tune_to_recall(g.search, q, truth, 0.8)
-            rows.append((m, n, seconds, tuned["width"], tuned["recall"], tuned["dist_comps"]))
-    return spark.createDataFrame(rows, "method string, n long, build_s double, width long, recall double, dist_comps double")
+            rows.append((f"{m}/{name}", n, seconds, tuned["width"], tuned["recall"], tuned["dist_comps"], tuned["qps"], tuned["reached"]))
+        cells = max(2, int(n ** 0.5))
+        seconds, i = measures.timed(lambda base=base, cells=cells: inverted.InvertedIndex.build(base, cells, LIST_ITERATIONS))
+        tuned = measures.tune_to_recall(i.search, q, truth, 0.8, low=1, most=cells, knob="probe")
+        rows.append((f"inverted/{name}", n, seconds, tuned["probe"], tuned["recall"], tuned["dist_comps"], tuned["qps"], tuned["reached"]))
+    runs = spark.createDataFrame(rows, "method string, n long, value double, knob long, recall double, dist_comps double, qps double, reached boolean")
+    return measures.growth(runs).withColumnRenamed("value", "build_s").withColumnRenamed("factor", "build_growth")
 
 
 @workload
 def w08_out_of_distribution(spark, sf_dir):
-    """Comparisons to reach recall 0.8 for queries of the points' own and of another distribution."""
-    base, q = _carrier(spark, sf_dir, "emb")
+    """Comparisons and queries per second at recall 0.8 for queries of the points' own and of another
+    distribution, and the slowdown: passages as unit vectors against embeddings, and what users say in
+    chats against documents."""
     rows = []
-    for m in ("alpha", "layered", "tree_mst"):
-        g = index.BUILDERS[m](base, **BUILDS[m])
-        for name, qs in (("same", q), ("other", carriers.ood(spark, sf_dir))):
-            tuned = measures.tune_to_recall(g.search, qs, settle(exact.exact_knn(base, qs, 10), "truth"), 0.8)
-            rows.append((m, name, tuned["width"], tuned["recall"], tuned["dist_comps"]))
-    return spark.createDataFrame(rows, "method string, queries string, width long, recall double, dist_comps double")
+    for carrier, other in (("emb", carriers.ood(spark, sf_dir)), ("doc", carriers.conv(spark, sf_dir))):
+        base, q = _carrier(spark, sf_dir, carrier)
+        other = PointSet(settle(other.plain(), "other-queries"))
+        graphs = {m: index.BUILDERS[m](base, **BUILDS[m]) for m in BUILDS}
+        lists = inverted.InvertedIndex.build(base, max(2, int(base.df.count() ** 0.5)), LIST_ITERATIONS)
+        for name, qs in (("same", q), ("other", other)):
+            truth = settle(exact.exact_knn(base, qs, 10), "truth")
+            for m, g in graphs.items():
+                t = measures.tune_to_recall(g.search, qs, truth, 0.8)
+                rows.append((f"{m}/{carrier}", name, t["width"], t["recall"], t["dist_comps"], t["qps"], t["reached"]))
+            t = measures.tune_to_recall(lists.search, qs, truth, 0.8, low=1, most=lists.lists, knob="probe")
+            rows.append((f"inverted/{carrier}", name, t["probe"], t["recall"], t["dist_comps"], t["qps"], t["reached"]))
+    runs = settle(spark.createDataFrame(rows, "method string, queries string, knob long, recall double, dist_comps double, qps double, reached boolean"), "runs")
+    return runs.join(measures.slowdown(runs), "method")
 
 
 @workload
 def w09_range_queries(spark, sf_dir):
-    """Range recall and comparisons: graph variants against lists, on near copies of documents."""
+    """Range recall and comparisons: graph variants against lists, for near copies of documents and for
+    documents near benchmark passages."""
     base, q = _carrier(spark, sf_dir, "doc")
-    ids = q.plain().select(F.col("id").alias("qid"))
-    truth = settle(exact.exact_range(base, q, 6.0), "truth")
+    i = inverted.InvertedIndex.build(base, max(2, int(base.df.count() ** 0.5)), LIST_ITERATIONS)
     g = index.alpha_graph(base, **BUILDS["alpha"])
+    passages = PointSet(settle(carriers.bench_text(spark, sf_dir).plain(), "passages"))
     rows = []
-    for name, kw in (("beam", {}), ("flood", {"flood": True}), ("grow", {"grow": True})):
-        out = g.range_search(q, 6.0, 32, **kw)
-        rows.append((name, measures.range_recall(truth, out.results, ids, "skip").first()[0], out.stats.agg(F.avg("dist_comps")).first()[0]))
-    i = inverted.InvertedIndex.build(base, max(2, int(base.df.count() ** 0.5)), 5)
-    for p in (1, 4):
-        rows.append((f"lists-{p}", measures.range_recall(truth, i.range_search(q, 6.0, p), ids, "skip").first()[0], i.search(q, 10, p).stats.agg(F.avg("dist_comps")).first()[0]))
-    return spark.createDataFrame([(a, float(b or 0), float(c)) for a, b, c in rows], "variant string, range_recall double, dist_comps double")
+    for kind, qs, radius in (("near copies", q, 6.0), ("passages", passages, 12.0)):
+        ids = qs.plain().select(F.col("id").alias("qid"))
+        truth = settle(exact.exact_range(base, qs, radius), "truth")
+        for name, kw in (("beam", {}), ("flood", {"flood": True}), ("grow", {"grow": True})):
+            out = g.range_search(qs, radius, 32, **kw)
+            rows.append((kind, name, measures.range_recall(truth, out.results, ids, "skip").first()[0], out.stats.agg(F.avg("dist_comps")).first()[0], truth.count()))
+        for p in (1, 4, 16):
+            rows.append((kind, f"lists-{p}", measures.range_recall(truth, i.range_search(qs, radius, p), ids, "skip").first()[0], i.search(qs, 10, p).stats.agg(F.avg("dist_comps")).first()[0], truth.count()))
+    return spark.createDataFrame([(k, a, float(b or 0), float(c), n) for k, a, b, c, n in rows], "queries string, variant string, range_recall double, dist_comps double, true_answers long")
 
 
 @workload
@@ -188,10 +233,13 @@ def w11_determinism(spark, sf_dir):
 
 @workload
 def w12_doubling_and_sequential(spark, sf_dir):
-    base, q = _carrier(spark, sf_dir, "emb")
-    truth = settle(exact.exact_knn(base, q, 10), "truth")
     kinds = {"doubling": {}, "sequential": {"rule": "sequential"}, "one shot": {"rule": "single"}, "uncapped": {"theta": 1.0}}
-    return _union([measures.sweep(spark, k, index.alpha_graph(base, 64, 128, **kw).search, q, truth, [{"width": w} for w in (20, 50, 100)]) for k, kw in kinds.items()]).filter("metric <> 'qps'")
+    parts = []
+    for name in ("emb", "doc"):
+        base, q = _carrier(spark, sf_dir, name)
+        truth = settle(exact.exact_knn(base, q, 10), "truth")
+        parts += [measures.sweep(spark, f"{k}/{name}", index.alpha_graph(base, 64, 128, **kw).search, q, truth, [{"width": w} for w in (20, 50, 100)]) for k, kw in kinds.items()]
+    return _union(parts).filter("metric <> 'qps'")
 
 
 @workload
@@ -246,8 +294,12 @@ def w18_hash_baseline(spark, sf_dir):
 
 @workload
 def w19_descent_rounds(spark, sf_dir):
-    rows = [(n, index.descent_graph(base, 5, 100, 15, 24).build_cost().first()["rounds"]) for n, base, _ in _sizes(spark, sf_dir)]
-    return spark.createDataFrame(rows, "n long, rounds long")
+    """Rounds until the descent converges, as the table grows; the most of any shard."""
+    rows = []
+    for name, n, base, _ in _sizes(spark, sf_dir):
+        g = index.descent_graph(base, 5, 100, 15, 24, shard_rows=SHARD)
+        rows.append((name, n, g.shards.count, g.rows.agg(F.max("rounds")).first()[0]))
+    return spark.createDataFrame(rows, "carrier string, n long, shards int, rounds long")
 
 
 @workload

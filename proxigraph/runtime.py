@@ -38,18 +38,29 @@ def fresh_path(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
 
 
-def settle(df: DataFrame, name: str) -> DataFrame:
+def settle(df: DataFrame, name: str, spent: list[str] | None = None) -> DataFrame:
     """Write df as Parquet in the shared folder and read it back.
 
     Cuts the lineage of loops and keeps costly steps from running twice; survives lost
-    executors, as the files are not theirs.
+    executors, as the files are not theirs. The path is added to `spent`, if given, for discard.
     """
     spark = df.sparkSession
     path = fresh_path(spark, name)
     df.write.parquet(path)
+    if spent is not None:
+        spent.append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def discard(spark: SparkSession, spent: list[str]) -> None:
+    """Delete settled tables that nothing reads any more."""
+    jvm = spark._jvm
+    for path in spent:
+        where = jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+    spent.clear()
+
+
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

@@ -44,6 +44,18 @@ def stream_queries(queries: DataFrame, index: GraphIndex, k: int, sink, checkpoi
     return queries.writeStream.foreachBatch(answer).option("checkpointLocation", checkpoint).trigger(**(trigger or {"availableNow": True})).start()
 
 
+#: A static side of a stream is broadcast up to so many rows.
+MOST_STATIC = 100_000
+
+
+def _static(points: PointSet, what: str) -> DataFrame:
+    """The rows with a broadcast hint, after their number is checked."""
+    rows = points.plain()
+    if rows.limit(MOST_STATIC + 1).count() > MOST_STATIC:
+        raise ValueError(f"{what}: more than {MOST_STATIC} static rows; use stream_queries over an index of them")
+    return F.broadcast(rows)
+
+
 class _Nearest(StatefulProcessor):
     """Keeps the k nearest arrivals of one standing query."""
 
@@ -69,8 +81,8 @@ def standing_queries(vectors: DataFrame, queries: PointSet, k: int, metric: str
     """Stream of (qid, id, dist, rank): the k best so far of each standing query, sent again whenever
     it meets new vectors. queries is static; its size bounds the state."""
     ship(vectors.sparkSession)
-    q = queries.plain().select(F.col("id").alias("qid"), F.col("vec").alias("qvec"))
-    met = vectors.join(F.broadcast(q)).select("qid", F.col("id").cast("long").alias("id"), expression(metric, F.col("vec").cast("array<double>"), F.col("qvec")).alias("dist"))
+    q = _static(queries, "standing queries").select(F.col("id").alias("qid"), F.col("vec").alias("qvec"))
+    met = vectors.join(q).select("qid", F.col("id").cast("long").alias("id"), expression(metric, F.col("vec").cast("array<double>"), F.col("qvec")).alias("dist"))
     return met.groupBy("qid").transformWithStateInPandas(_Nearest(k), "qid long, id long, dist double, rank long", "Update", "None")
 
 
@@ -93,13 +105,23 @@ def sliding_counts(events: DataFrame, window: str = "2 days", slide: str = "1 da
 
 
 def near_alarms(vectors: DataFrame, base: PointSet, radius: float) -> DataFrame:
-    """Stream of (qid, id, dist): arriving vectors within radius of a point of a static base; the base
-    must be small enough to broadcast, larger ones go through stream_queries and range_search."""
-    b = base.plain().select(F.col("id").alias("bid"), F.col("vec").alias("bvec"))
+    """Stream of (qid, id, dist): arriving vectors within radius of a point of a static base, which is
+    broadcast after its size is checked; larger ones go through stream_queries or index_alarms."""
+    b = _static(base, "alarms").select(F.col("id").alias("bid"), F.col("vec").alias("bvec"))
     v = vectors.select(F.col("id").cast("long").alias("qid"), F.col("vec").cast("array<double>").alias("v"))
     return v.join(b).select("qid", F.col("bid").alias("id"), expression(base.metric, "bvec", "v").alias("dist")).filter(F.col("dist") <= radius)
 
 
+def index_alarms(vectors: DataFrame, index: GraphIndex, radius: float, sink, checkpoint: str, width: int = 64, trigger: dict | None = None) -> StreamingQuery:
+    """near_alarms against a base of any size: every micro-batch is a range search of its index, whose rows
+    stay where they are; sink(results, batch number)."""
+
+    def answer(batch: DataFrame, number: int) -> None:
+        sink(index.range_search(PointSet(batch, metric=index.metric), radius, width, flood=True).results, number)
+
+    return vectors.writeStream.foreachBatch(answer).option("checkpointLocation", checkpoint).trigger(**(trigger or {"availableNow": True})).start()
+
+
 def view_then_click(events: DataFrame, within: str = "10 minutes", late: str = "1 hour") -> DataFrame:
     """Stream-stream interval join: a user's view and a click that follows it."""
     t = events.withColumn("ts", F.col("ts").cast("timestamp"))

@@ -1,8 +1,9 @@
 from proxigraph.plans import workloads
 
 
-def test_sizes_end_with_the_whole_table(spark, small_dir):
+def test_sizes_end_with_the_whole_tables(spark, small_dir):
     steps = workloads._sizes(spark, small_dir)
-    n = spark.read.parquet(f"{small_dir}/lineitem.parquet").count()
-    assert len(steps) == 3 and steps[-1][0] == n
-    assert steps[-1][1].df.count() + steps[-1][2].df.count() == n
+    for name, table in (("num", "lineitem"), ("doc", "documents")):
+        n = spark.read.parquet(f"{small_dir}/{table}.parquet").count()
+        own = [s for s in steps if s[0] == name]
+        assert own[-1][1] == n and own[-1][2].df.count() + own[-1][3].df.count() == n and own[0][1] < n
