@@ -2,13 +2,17 @@
 
 Vectors are put into lists around centroids; inner products become distances by one more dimension,
 which gives every vector the same norm. A query visits the lists that, by a normal model of the
-scores in each list, hold nearly all of its neighbours: on clustered data few, on noise most. In a
-list, vectors are rotated at random and read in blocks of columns: after each block the distance of
-every remaining candidate is estimated from the dimensions read so far, and a candidate is abandoned
-as soon as a test rejects that it can be under the query's threshold. What remains is scored exactly.
+scores in each list, hold nearly all of its neighbours: on clustered data few, on noise most.
 
-A list is cut into blocks of bounded size by hashed id, so a list of any size, as one of many copies
-of a vector, is shared by many tasks.
+Vectors are rotated to the axes of largest variance and kept in blocks of columns. A query reads the
+first block of its candidates, tests each candidate, goes on to the next block with those that passed,
+and so on; what passes the last test is scored exactly. The hypothesis that a candidate is within the
+query's threshold t is rejected once the distance read so far exceeds a critical share of t. The
+critical shares are quantiles over true neighbours of a sample, so that all tests together reject at
+most LOSS of them. The list that promises most is scanned first, and what it yields tightens t.
+
+Lists are cut into blocks of bounded size by hashed id, so a list of any size, as one of many copies
+of a vector, is shared by many tasks; small lists share a cell, to which a query is sent once.
 """
 
 from __future__ import annotations
@@ -24,10 +28,13 @@ from pyspark.sql import functions as F
 from proxigraph.llm.vector_cells import Sample, best, clean_vectors, deal_queries, in_cells, least_scores, matrix, query_rows, sample, settle
 from proxigraph.runtime import map_arrow
 
-BLOCK_ROWS = 2048
+#: Rows of a cell, at most about.
+CELL_ROWS = 8192
 COLUMNS = 16
-#: Strength of the test: higher abandons less. 2.1 loses well under one neighbour in a hundred.
-STRICTNESS = 2.1
+#: Share of the true neighbours that the tests may abandon.
+LOSS = 0.01
+#: Queries from the sample on which the tests are calibrated.
+CALIBRATION_ROWS = 256
 #: Share of the neighbours that the visited lists should hold by the model.
 COVERAGE = 0.98
 LEAST_LISTS, MOST_LISTS = 4, 1024
@@ -35,16 +42,23 @@ ITERATIONS = 8
 SEED = 42
 FOUND = "query_id long, vec_id long, score double"
 
-_phi = np.vectorize(lambda x: 0.5 * math.erfc(x / math.sqrt(2)), otypes=[float])
+
+def _phi(x: np.ndarray) -> np.ndarray:
+    """Upper tail of the normal distribution, by its logistic approximation."""
+    return 1.0 / (1.0 + np.exp(np.clip(1.5976 * x + 0.07056 * x ** 3, -500, 500)))
 
 
 class Lists:
-    """Centroids, sizes and spreads of the lists, and the rotation, fitted on a bounded sample."""
+    """Centroids, sizes and spreads of the lists, their cells, the rotation and the critical shares of
+    the tests, fitted on a bounded sample."""
 
-    def __init__(self, known: Sample):
+    def __init__(self, known: Sample, k: int = 20):
         rng = np.random.default_rng(SEED)
         x = known.rows
         n, d = x.shape
+        # thresholds come from an eighth of all rows at most, so that more than k rows reach them
+        thin = slice(None, None, max(1, -(-8 * n // max(1, known.count))))
+        self.thin = Sample(known.ids[thin], known.rows[thin], known.count, known.longest)
         self.known, self.k = known, int(min(MOST_LISTS, max(1, math.sqrt(known.count) / 4), max(1, n // 8)))
         centers = x[np.sort(rng.choice(n, self.k, replace=False))]
         for _ in range(ITERATIONS):
@@ -58,9 +72,52 @@ class Lists:
         self.size = np.bincount(own, minlength=self.k) * (known.count / max(1, n))
         apart = np.bincount(own, weights=((x - centers[own]) ** 2).sum(axis=1), minlength=self.k)
         self.variance = apart / np.maximum(np.bincount(own, minlength=self.k), 1) / d
-        self.blocks = np.maximum(1, np.ceil(self.size / BLOCK_ROWS)).astype(np.int64)
-        self.first = np.concatenate([[0], np.cumsum(self.blocks)])
-        self.rotation = np.linalg.qr(rng.standard_normal((d + 1, d + 1)))[0].astype(np.float32)
+        self.blocks = np.maximum(1, np.ceil(self.size / CELL_ROWS)).astype(np.int64)
+        # a large list owns its cells; small ones, in order, share a cell until it is full
+        self.first = np.zeros(self.k, dtype=np.int64)
+        cell, held = -1, math.inf
+        for j, (size, blocks) in enumerate(zip(self.size.tolist(), self.blocks.tolist(), strict=True)):
+            if blocks > 1 or held + size > CELL_ROWS:
+                cell, held = cell + 1, 0
+            self.first[j] = cell
+            held += size
+            if blocks > 1:
+                cell, held = cell + blocks - 1, math.inf
+        self.cells = cell + 1
+        self.rotation = np.eye(d + 1)
+        turned = self.lifted(x)
+        self.rotation = np.linalg.eigh(np.cov(turned.T.astype(np.float64)).reshape(d + 1, d + 1))[1][:, ::-1]
+        self.cuts = [*range(COLUMNS, d + 1, COLUMNS), d + 1]
+        self.shares = self._critical(x, k)
+
+    def _shares(self, q: np.ndarray, x: np.ndarray, near: np.ndarray) -> np.ndarray:
+        """Of the distances from rows q to rows x[near], what is read by the end of each column block but
+        the last (queries x neighbours x blocks)."""
+        apart = np.cumsum((self.lifted(q, query=True)[:, None].astype(np.float64) - self.lifted(x)[near]) ** 2, axis=2)
+        return apart[:, :, [c - 1 for c in self.cuts[:-1]]] / np.maximum(apart[:, :, -1:], 1e-30)
+
+    def _critical(self, x: np.ndarray, k: int) -> np.ndarray:
+        """For each column block, which share of its whole distance a true neighbour has at most by then."""
+        tests, step = len(self.cuts) - 1, max(1, -(-len(x) // CALIBRATION_ROWS))
+        q = x[::step]
+        scores = q @ x.T
+        scores[np.arange(len(q)), np.arange(len(q)) * step] = -np.inf
+        near = np.argsort(-scores, axis=1)[:, : min(k, len(x) - 1)]
+        if not tests or not near.size:
+            return np.ones(len(self.cuts))
+        return np.append(np.quantile(self._shares(q, x, near).reshape(-1, tests), 1 - LOSS / tests, axis=0), 1.0)
+
+    def terms(self, q: np.ndarray, ids: np.ndarray, k: int) -> np.ndarray:
+        """A row per query: the score its k-th best reaches at least, and its critical shares, which are
+        no less than what its own neighbours among the threshold rows need."""
+        least = least_scores(q, ids, self.thin, k)
+        shares = np.tile(self.shares, (len(q), 1))
+        if len(self.thin.ids) > k and len(self.cuts) > 1:
+            scores = q @ self.thin.rows.T
+            scores[ids[:, None] == self.thin.ids[None, :]] = -np.inf
+            near = np.argpartition(-scores, k - 1, axis=1)[:, :k]
+            shares[:, :-1] = np.maximum(shares[:, :-1], self._shares(q, self.thin.rows, near).max(axis=1))
+        return np.column_stack([least, shares])
 
     @staticmethod
     def _nearest(x: np.ndarray, centers: np.ndarray) -> np.ndarray:
@@ -69,8 +126,8 @@ class Lists:
     def assign(self, x: np.ndarray) -> np.ndarray:
         return self._nearest(x, self.centers)
 
-    def probes(self, q: np.ndarray, k: int) -> np.ndarray:
-        """Which lists each query visits (boolean matrix)."""
+    def probes(self, q: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+        """Which lists each query visits (boolean matrix), and how many neighbours each promises."""
         mean = q @ self.centers.T
         sigma = np.sqrt(np.maximum((q ** 2).sum(axis=1)[:, None] * self.variance, 1e-30))
         low, high = (mean - 12 * sigma).min(axis=1), (mean + 12 * sigma).max(axis=1)
@@ -81,41 +138,82 @@ class Lists:
         hits = self.size * _phi((low[:, None] - mean) / sigma) + 1e-12
         order = np.argsort(-hits, axis=1, kind="stable")
         before = np.cumsum(np.take_along_axis(hits, order, axis=1), axis=1) - np.take_along_axis(hits, order, axis=1)
-        visit = (before < COVERAGE * hits.sum(axis=1, keepdims=True)) | (np.arange(self.k) < LEAST_LISTS)
+        rows = np.take_along_axis(np.broadcast_to(self.size, hits.shape), order, axis=1)
+        few = np.cumsum(rows, axis=1) - rows < 10 * k
+        visit = (before < COVERAGE * hits.sum(axis=1, keepdims=True)) | (np.arange(self.k) < LEAST_LISTS) | few
         out = np.zeros_like(visit)
         np.put_along_axis(out, order, visit, axis=1)
-        return out
+        return out, hits
 
     def lifted(self, x: np.ndarray, query: bool = False) -> np.ndarray:
         """Rotated vectors with the further dimension; distances to queries fall as scores rise."""
         more = np.zeros(len(x)) if query else np.sqrt(np.maximum(self.known.longest - (x ** 2).sum(axis=1), 0))
-        return np.column_stack([x, more]).astype(np.float32) @ self.rotation
-
-
-def surviving(q: np.ndarray, x: np.ndarray, limit: np.ndarray, strictness: float = STRICTNESS) -> tuple[np.ndarray, np.ndarray, int]:
-    """Pairs (query row, vector row) that no test abandoned, and the dimensions read over all pairs.
-    limit holds each query's squared distance threshold."""
-    d = x.shape[1]
-    rows = cols = None
-    dense = np.zeros((len(q), len(x)), dtype=np.float32)
-    part, read = None, 0
-    for lo in range(0, d, COLUMNS):
-        hi = min(lo + COLUMNS, d)
-        ratio = 1.0 if hi == d else hi / d * (1 + strictness / math.sqrt(hi)) ** 2
-        if rows is None:
-            a, b = q[:, lo:hi], x[:, lo:hi]
-            dense += (a ** 2).sum(axis=1)[:, None] + (b ** 2).sum(axis=1) - 2 * (a @ b.T)
-            read += dense.size * (hi - lo)
-            alive = dense <= (limit * ratio)[:, None]
-            if hi == d or np.count_nonzero(alive) < 0.25 * alive.size:
-                rows, cols = np.nonzero(alive)
-                part = dense[rows, cols]
-        else:
-            part = part + ((q[rows, lo:hi] - x[cols, lo:hi]) ** 2).sum(axis=1)
-            read += len(rows) * (hi - lo)
-            alive = part <= limit[rows] * ratio
-            rows, cols, part = rows[alive], cols[alive], part[alive]
-    return rows, cols, read
+        return (np.column_stack([x, more]) @ self.rotation).astype(np.float32)
+
+
+class Cell:
+    """The rows of some lists, sorted by list, with their rotated vectors in blocks of columns."""
+
+    def __init__(self, lists: Lists, ids: np.ndarray, x: np.ndarray):
+        own = lists.assign(x)
+        order = np.lexsort((ids, own))
+        self.lists, self.ids, self.x = lists, ids[order], x[order]
+        self.names, self.begin, self.place = np.unique(own[order], return_index=True, return_inverse=True)
+        self.end = np.append(self.begin[1:], len(ids))
+        turned = lists.lifted(self.x)
+        self.columns = [np.ascontiguousarray(turned[:, a:b]) for a, b in zip([0, *lists.cuts], lists.cuts, strict=False)]
+        self.norms = (self.columns[0] ** 2).sum(axis=1)
+        self.read = self.all = 0  # components read, and there were
+
+    def _surviving(self, q: list[np.ndarray], rows: np.ndarray, first: np.ndarray, limit: float, shares: np.ndarray) -> np.ndarray:
+        """Those of the rows, whose distances in the first block are given, that no test abandons."""
+        self.read += len(rows) * len(q[0])
+        part = first[rows]
+        for j, share in enumerate(shares.tolist()):
+            if j:
+                near = self.columns[j].take(rows, axis=0)
+                near -= q[j]
+                self.read += near.size
+                part = part + np.einsum("ij,ij->i", near, near)
+            alive = np.flatnonzero(part <= limit * share)
+            rows, part = rows.take(alive), part.take(alive)
+            if not len(rows):
+                break
+        return rows
+
+    def _search_one(self, q: np.ndarray, turned: np.ndarray, first: np.ndarray, own_id: int, visit: np.ndarray, promise: np.ndarray, terms: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+        rows, scores = np.empty(0, np.int64), np.empty(0)
+        mine = np.flatnonzero(visit[self.names])
+        if not len(mine):
+            return rows, scores
+        columns = np.split(turned, self.lists.cuts[:-1])
+        norm, least, shares = float(q @ q) + self.lists.known.longest, float(terms[0]), terms[1:]
+        best = mine[promise[self.names[mine]].argmax()]
+        others = visit[self.names]
+        others[best] = False
+        for part in (np.arange(self.begin[best], self.end[best]), np.flatnonzero(others[self.place])):
+            limit = norm - 2 * least + norm * 1e-5 if least > -np.inf else np.inf
+            self.all += len(part) * len(turned)
+            found = self._surviving(columns, part, first, limit, shares)
+            found = found[self.ids[found] != own_id]
+            rows, scores = np.concatenate([rows, found]), np.concatenate([scores, np.einsum("ij,j->i", self.x[found], q)])
+            top = np.lexsort((self.ids[rows], -scores))[:k]
+            rows, scores = rows[top], scores[top]
+            if len(rows) == k:
+                least = max(least, float(scores[-1]))
+        return rows, scores
+
+    def search(self, q: np.ndarray, q_ids: np.ndarray, terms: np.ndarray, k: int) -> list[tuple[np.ndarray, np.ndarray]]:
+        """Of each query, (rows, scores) of up to k best of the visited lists, best first."""
+        visit, promise = self.lists.probes(q, k)
+        turned = self.lists.lifted(q, query=True)
+        wide = self.columns[0].shape[1]
+        out = []
+        for lo in range(0, len(q), 128):
+            head = turned[lo: lo + 128, :wide]
+            first = self.norms - 2 * (head @ self.columns[0].T) + (head ** 2).sum(axis=1)[:, None]
+            out += [self._search_one(q[i], turned[i], first[i - lo], int(q_ids[i]), visit[i], promise[i], terms[i], k) for i in range(lo, min(lo + 128, len(q)))]
+        return out
 
 
 def search(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", every: int = 20, k: int = 20) -> DataFrame:
@@ -130,7 +228,7 @@ def search(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding
     spark = vectors.sparkSession
     if known.count < 2 or len(known.ids) < 1:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
-    shared = spark.sparkContext.broadcast(Lists(known))
+    shared = spark.sparkContext.broadcast(Lists(known, k))
 
     def assign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         lists = shared.value
@@ -145,34 +243,26 @@ def search(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding
         for batch in batches:
             if batch.num_rows:
                 q, ids = matrix(batch.column(1)), batch.column(0).to_numpy(zero_copy_only=False)
-                least = least_scores(q, ids, lists.known, k)
-                who, which = np.nonzero(lists.probes(q, k))
+                terms = lists.terms(q, ids, k)
+                who, which = np.nonzero(lists.probes(q, k)[0])
                 many = lists.blocks[which]
                 who = np.repeat(who, many)
                 cells = np.repeat(lists.first[which], many) + np.arange(many.sum()) - np.repeat(np.cumsum(many) - many, many)
-                data = [v + least[i].tobytes() for i, v in enumerate(batch.column(1).to_pylist())]
+                who, cells = np.unique(np.stack([who, cells]), axis=1)
+                data = [v + terms[i].tobytes() for i, v in enumerate(batch.column(1).to_pylist())]
                 yield pa.RecordBatch.from_arrays([pa.array(cells), pa.array(ids[who]), pa.array([data[i] for i in who], pa.binary())], ["cell", "id", "data"])
 
-    def load(ids: np.ndarray, datas: list[bytes]):
-        x = matrix(datas)
-        return ids, x, shared.value.lifted(x)
+    def load(ids: np.ndarray, datas: list[bytes]) -> Cell:
+        return Cell(shared.value, ids, matrix(datas))
 
-    def probe(index, ids: np.ndarray, datas: list[bytes]) -> pa.RecordBatch:
-        own, x, turned = index
-        lists = shared.value
+    def probe(cell: Cell, ids: np.ndarray, datas: list[bytes]) -> pa.RecordBatch:
         both = matrix(datas)
-        q, least = both[:, :-1], both[:, -1]
-        distance = (q ** 2).sum(axis=1) + lists.known.longest
-        limit = np.where(np.isfinite(least), (distance - 2 * np.where(np.isfinite(least), least, 0)) + distance * 1e-5, np.inf)
-        a, b, _ = surviving(lists.lifted(q, query=True), turned, limit.astype(np.float32))
-        real = ids[a] != own[b]
-        a, b = a[real], b[real]
-        score = np.einsum("ij,ij->i", q[a], x[b])
-        order = np.lexsort((own[b], -score, a))
-        a, b, score = a[order], b[order], score[order]
-        begin = np.searchsorted(a, a, side="left")
-        top = np.arange(len(a)) - begin < k
-        return pa.RecordBatch.from_arrays([pa.array(ids[a[top]]), pa.array(own[b[top]]), pa.array(score[top])], ["query_id", "vec_id", "score"])
+        d = cell.x.shape[1]
+        q, terms = np.ascontiguousarray(both[:, :d]), both[:, d:]
+        found = cell.search(q, ids, terms, k)
+        rows = np.concatenate([r for r, _ in found])
+        who = np.repeat(ids, [len(r) for r, _ in found])
+        return pa.RecordBatch.from_arrays([pa.array(who), pa.array(cell.ids[rows]), pa.array(np.concatenate([s for _, s in found]))], ["query_id", "vec_id", "score"])
 
     salted = vecs.select("id", "data", F.pmod(F.xxhash64("id", F.lit(7)), F.lit(1 << 30)).alias("salt"))
     rows = map_arrow(salted, assign, "cell long, id long, data binary")
