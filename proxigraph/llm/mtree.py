@@ -1,12 +1,17 @@
 """Exact top-k inner products over integer vectors by best-first search of M-trees.
 
 One more dimension gives all vectors the same norm, so that the Euclidean distance to a query falls
-as the inner product rises, and a metric tree finds the largest products exactly. Rows are dealt by
-hashed id to shards of bounded size. Each shard becomes an M-tree of pages: an inner page holds
-routing vectors with covering radii, distances to the parent's routing vector and child pages; a leaf
-page holds vectors with their parent distances. The pages are written as a table. A search takes
-pages from a queue in the order of the least distance they may hold; an entry whose stored parent
-distance and radius already prove it too far costs no distance computation.
+as the inner product rises, and a metric tree finds the largest products exactly. Rows are dealt to the
+nearest of some routing vectors from a sample, and those of one, if many, by hashed id to shards of
+bounded size; a shard's covering radius is taken over all its rows, and a query only visits the shards
+whose radius admits a row above its threshold (on data without clusters, as noise, that is every shard).
+Each shard becomes an M-tree of pages: an inner page holds routing vectors with covering radii, distances
+to the parent's routing vector and child pages; a leaf page holds vectors with their parent distances.
+The pages are written as a table. A search takes pages from a queue in the order of the least distance
+they may hold; an entry whose stored parent distance and radius already prove it too far costs no
+distance computation.
+
+Products are summed as doubles, which is exact for integers below 2**53; larger vectors are refused.
 """
 
 from __future__ import annotations
@@ -21,12 +26,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from proxigraph.llm.vector_cells import best, clean_vectors, deal_queries, in_cells, least_scores, matrix, query_rows, sample, settle, spread
+from proxigraph.llm.vector_cells import Sample, best, clean_vectors, deal_queries, in_cells, least_scores, matrix, query_rows, sample, settle, spread
 from proxigraph.runtime import map_arrow
 
 SHARD_ROWS = 8192
-PAGE_ENTRIES = 256
+PAGE_ENTRIES = 512
 FANOUT = 32
+#: Routing vectors of the shards, at most.
+MOST_ROUTERS = 4096
 SCALE = 64
 SEED = 42
 FOUND = "query_id long, vec_id long, score long"
@@ -120,18 +127,59 @@ class Tree:
         return ids[top], scores[top]
 
 
-def build_pages(vecs: DataFrame, shards: int, longest: float) -> DataFrame:
-    """(cell, id, data): the pages of every shard's tree; id is the page's number."""
-    dealt = vecs.select(spread("id", F.lit(shards)).alias("cell"), "id", "data").repartition("cell").sortWithinPartitions("cell")
+class Shards:
+    """Routing vectors and the shards that each owns, from a bounded sample."""
+
+    def __init__(self, known: Sample):
+        rng = np.random.default_rng(SEED)
+        wanted = -(-known.count // SHARD_ROWS)
+        self.longest = known.longest
+        self.routers = known.rows[np.sort(rng.choice(len(known.rows), min(wanted, len(known.rows), MOST_ROUTERS), replace=False))]
+        share = np.bincount(self.nearest(known.rows), minlength=len(self.routers)) / len(known.rows)
+        self.blocks = np.maximum(1, np.ceil(1.1 * share * known.count / SHARD_ROWS)).astype(np.int64)
+        self.first = np.concatenate([[0], np.cumsum(self.blocks)])
+        self.count = int(self.first[-1])
+
+    def apart(self, x: np.ndarray, query: bool = False) -> np.ndarray:
+        """Distances of rows to all routers; a query has no further dimension."""
+        up = np.zeros(len(x)) if query else np.sqrt(np.maximum(self.longest - (x ** 2).sum(axis=1), 0))
+        own = np.sqrt(np.maximum(self.longest - (self.routers ** 2).sum(axis=1), 0))
+        near = (x ** 2).sum(axis=1)[:, None] + (self.routers ** 2).sum(axis=1) - 2 * (x @ self.routers.T)
+        return np.sqrt(np.maximum(near + (up[:, None] - own) ** 2, 0))
+
+    def nearest(self, x: np.ndarray) -> np.ndarray:
+        return self.apart(x).argmin(axis=1)
+
+
+def build_pages(vecs: DataFrame, shards: Shards) -> DataFrame:
+    """(cell, id, data): the pages of every shard's tree, id being the page's number; page -1 is the
+    shard's covering radius."""
+    shared = vecs.sparkSession.sparkContext.broadcast(shards)
+
+    def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = shared.value
+        for batch in batches:
+            if batch.num_rows:
+                router = own.nearest(matrix(batch.column(1)))
+                cell = own.first[router] + batch.column(2).to_numpy(zero_copy_only=False) % own.blocks[router]
+                yield pa.RecordBatch.from_arrays([pa.array(cell), batch.column(0), batch.column(1)], ["cell", "id", "data"])
+
+    placed = map_arrow(vecs.select("id", "data", spread("id", F.lit(1 << 30)).alias("salt")), place, "cell long, id long, data binary")
+    dealt = placed.repartition("cell").sortWithinPartitions("cell")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         now, ids, datas = None, [], []
 
         def flush() -> Iterator[pa.RecordBatch]:
             if datas:
-                tree = Tree.build(np.array(ids, dtype=np.int64), matrix(datas), longest)
+                x, own = matrix(datas), shared.value
+                tree = Tree.build(np.array(ids, dtype=np.int64), x, own.longest)
+                radius = own.apart(x)[:, int(np.searchsorted(own.first, now, side="right")) - 1].max()
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array([now] * len(tree.pages), pa.int64()), pa.array(list(tree.pages), pa.int64()), pa.array([pickle.dumps(p) for p in tree.pages.values()], pa.binary())],
+                    [
+                        pa.array([now] * (len(tree.pages) + 1), pa.int64()), pa.array([-1, *tree.pages], pa.int64()),
+                        pa.array([pickle.dumps(p) for p in (float(radius), *tree.pages.values())], pa.binary()),
+                    ],
                     ["cell", "id", "data"],
                 )
 
@@ -152,29 +200,41 @@ def search(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding
     with the largest inner product of floor(64 x) among all others, ties to the smaller id; exact.
 
     Null and unusable vectors take no part (see clean_vectors), zero vectors do. An empty table gives
-    an empty result; fewer candidates than k are all returned.
+    an empty result; fewer candidates than k are all returned. Vectors whose products may reach 2**53
+    raise an error.
     """
     vecs = settle(clean_vectors(vectors, id_col, vec_col, quantise, keep_zero=True), "integer-vectors")
     known = sample(vecs)
     spark = vectors.sparkSession
-    if known.count < 2:
+    if known.count < 2 or len(known.ids) < 1:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
-    shards = max(1, -(-known.count // SHARD_ROWS))
-    longest = known.longest
-    pages = settle(build_pages(vecs, shards, longest), "mtree-pages")
-    shared = spark.sparkContext.broadcast(known)
+    if known.longest >= 2.0 ** 53:
+        raise ValueError("components are too large for exact products")
+    shards = Shards(known)
+    pages = settle(build_pages(vecs, shards), "mtree-pages")
+    radii = np.full(shards.count, -np.inf)
+    for r in pages.filter("id = -1").select("cell", "data").collect():  # a number for each shard
+        radii[r["cell"]] = pickle.loads(bytes(r["data"]))
+    shared = spark.sparkContext.broadcast((known, shards, radii))
 
-    def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def route(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen, own, far_out = shared.value
+        owner = np.repeat(np.arange(len(own.blocks)), own.blocks)
         for batch in batches:
             if batch.num_rows:
-                ids = batch.column(0).to_numpy(zero_copy_only=False)
-                least = np.ceil(least_scores(matrix(batch.column(1)), ids, shared.value, k) - 1e-6)
-                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([v + b.tobytes() for v, b in zip(batch.column(1).to_pylist(), least, strict=True)], pa.binary())], ["id", "data"])
+                q, ids = matrix(batch.column(1)), batch.column(0).to_numpy(zero_copy_only=False)
+                least = np.ceil(least_scores(q, ids, seen, k) - 1e-6)
+                norm = (q ** 2).sum(axis=1) + own.longest
+                far = np.where(np.isfinite(least), np.sqrt(np.maximum(norm - 2 * np.where(np.isfinite(least), least, 0), 0)), np.inf) + 1e-7 * (1 + np.sqrt(norm))
+                near = own.apart(q, query=True)[:, owner] - far_out[None, :]
+                who, cell = np.nonzero((near <= far[:, None]) & np.isfinite(far_out)[None, :])
+                data = [v + b.tobytes() for v, b in zip(batch.column(1).to_pylist(), least, strict=True)]
+                yield pa.RecordBatch.from_arrays([pa.array(cell), pa.array(ids[who]), pa.array([data[i] for i in who], pa.binary())], ["cell", "id", "data"])
 
-    routed = map_arrow(query_rows(vecs, every), first, "id long, data binary").select(F.explode(F.sequence(F.lit(0).cast("long"), F.lit(shards - 1).cast("long"))).alias("cell"), "id", "data")
+    routed = map_arrow(query_rows(vecs, every), route, "cell long, id long, data binary")
 
     def load(ids: np.ndarray, datas: list[bytes]) -> Tree:
-        return Tree(longest, {int(i): pickle.loads(p) for i, p in zip(ids, datas, strict=True)})
+        return Tree(known.longest, {int(i): pickle.loads(p) for i, p in zip(ids, datas, strict=True) if i >= 0})
 
     def probe(tree: Tree, ids: np.ndarray, datas: list[bytes]) -> pa.RecordBatch:
         both = matrix(datas)
