@@ -8,7 +8,9 @@ words at the ends of a gap. Coverage is the share of the template's words that f
 Templates are short against documents, so a text is aligned around words of the template that any
 match of the wanted coverage must hold one of: with n words and at most m misses allowed, each set
 of m + 1 of its words is such a set; the rarer-looking words are chosen. Texts without any of them
-cannot reach the coverage and are not aligned.
+cannot reach the coverage and are not aligned. Anchors are unique in such a window, as words of a
+license are rarely unique in a long text; where no window reaches the coverage, the whole stretch
+that holds starting words is aligned at once.
 """
 
 from __future__ import annotations
@@ -145,28 +147,39 @@ def compiled(coverage: float = LEAST_COVERAGE, templates: dict[str, tuple[str, .
     return [Template.of(k, t, coverage) for k, texts in (templates or TEMPLATES).items() for t in texts]
 
 
-def _best(text: list[str], places: dict[str, list[int]], t: Template) -> tuple[int, int, int]:
-    """(matched words, first word, end word) of the best alignment of t around its starting words."""
-    n = len(t.words)
+def _places(text: list[str], places: dict[str, list[int]], t: Template, coverage: float) -> list[tuple[int, int, int]]:
+    """(matched words, first word, end word) of the alignments of t that reach the coverage: one around
+    each starting word, in a window that leaves room for insertions of a quarter of t on both sides, and,
+    if none of these does, one over the whole stretch from the first to the last of them, which any
+    insertion between the parts of t leaves in reach."""
+    n, least = len(t.words), coverage * len(t.words) - 1e-9
     slack = max(2, n // 4)
     begins = sorted({p - k for w, ks in t.starts.items() for p in places.get(w, ()) for k in ks})
-    best, last = (0, 0, 0), None
+    found: set[tuple[int, int, int]] = set()
+    upto = 0  # before this word t is found completely
     for begin in begins:
-        if last is not None and begin == last:
+        if begin < upto:
             continue
-        last = begin
         lo = max(0, begin - slack)
         pairs = align(text[lo: begin + n + slack], list(t.words))
-        if len(pairs) > best[0]:
-            best = (len(pairs), lo + pairs[0][0], lo + pairs[-1][0] + 1)
+        if len(pairs) >= least:
+            found.add((len(pairs), lo + pairs[0][0], lo + pairs[-1][0] + 1))
             if len(pairs) == n:
-                break
-    return best
+                upto = lo + pairs[-1][0] + 1
+    if not found and begins:
+        lo = max(0, begins[0] - slack)
+        stretch = text[lo: begins[-1] + n + slack]
+        have, need = Counter(stretch), Counter(t.words)
+        if sum(min(have[w], m) for w, m in need.items()) >= least:
+            pairs = align(stretch, list(t.words))
+            if len(pairs) >= least:
+                found.add((len(pairs), lo + pairs[0][0], lo + pairs[-1][0] + 1))
+    return sorted(found)
 
 
 def scan_text(text: str | None, found_by: re.Pattern, templates: list[Template], coverage: float) -> list[tuple[str, float, int, int, int]]:
-    """(license, coverage, matched words, first word, end word) of each license in the whole text; of
-    licenses at overlapping places the one with the higher coverage (then more words) stays."""
+    """(license, coverage, matched words, first word, end word) of each place of a license in the whole
+    text; of overlapping places the one with the higher coverage (then more words) stays."""
     low = (text or "").lower()
     if not found_by.search(low):
         return []
@@ -176,24 +189,25 @@ def scan_text(text: str | None, found_by: re.Pattern, templates: list[Template],
     for p, w in enumerate(text_words):
         if w in wanted:
             places.setdefault(w, []).append(p)
-    out: dict[str, tuple[str, float, int, int, int]] = {}
-    for t in templates:
-        matched, first, end = _best(text_words, places, t)
-        share = matched / len(t.words)
-        if share >= coverage - 1e-9 and share > out.get(t.license, ("", 0.0))[1]:
-            out[t.license] = (t.license, share, matched, first, end)
+    every = [(t.license, m / len(t.words), m, first, end) for t in templates for m, first, end in _places(text_words, places, t, coverage)]
     kept: list[tuple[str, float, int, int, int]] = []
-    for x in sorted(out.values(), key=lambda x: (-x[1], -x[2], x[0])):
-        if all(x[4] <= y[3] or x[3] >= y[4] for y in kept):
+    begun: list[int] = []  # first words of the kept places, in order, and their end words
+    ended: list[int] = []
+    for x in sorted(every, key=lambda x: (-x[1], -x[2], x[4] - x[3], x[3], x[0])):
+        at = bisect_left(begun, x[3])
+        if (at == 0 or ended[at - 1] <= x[3]) and (at == len(begun) or begun[at] >= x[4]):
             kept.append(x)
-    return sorted(kept)
+            begun.insert(at, x[3])
+            ended.insert(at, x[4])
+    return sorted(kept, key=lambda x: (x[3], x[0]))
 
 
 def scan(docs: DataFrame, coverage: float = LEAST_COVERAGE, templates: dict[str, tuple[str, ...]] | None = None) -> DataFrame:
-    """doc_id, license, coverage, matched_words, first_word, end_word of every license that docs'
-    whole texts hold with that coverage; a document without any gets one row with a null license and
-    coverage 0. Null and empty texts hold none; repeated rows give repeated results; of several
-    places of one license the best counts, the first among equals."""
+    """doc_id, license, coverage, matched_words, first_word, end_word of every place of a license that
+    docs' whole texts hold with that coverage; places do not overlap. A document without any gets one
+    row with a null license and coverage 0. Null and empty texts hold none; repeated rows give repeated
+    results. Of a license that is torn apart by insertions of more than a quarter of its words, only
+    one place in a text is found, and none if the words between repeat its anchors too often."""
     known = compiled(coverage, templates)
     pattern = "|".join(re.escape(w) for w in sorted({w for t in known for w in t.starts}))
 
