@@ -1,9 +1,12 @@
 """Mixing sources to target weights by Pareto order sampling.
 
 Every source gets a target in words; a document is first taken as often as its whole expected
-number of copies. What is missing to the target is a fixed-size sample: documents are ranked by
-their random odds u / (1 - u) divided by their inclusion odds, and taken from the lowest rank on
-until the words come nearest to the target. The ranking of a source is cut by two levels of 4096
+number of copies. What is missing to the target is a fixed-size sample of unequal probabilities:
+documents are ranked by their random odds u / (1 - u) divided by their inclusion odds, and taken from
+the lowest rank on until the words come nearest to the target. Inclusion odds are the source's odds
+times the document's size over the source's mean size: words are what a target counts, and long
+documents come early in the ranking, so that short ones are left to meet the target closely. The
+ranking of a source is cut by two levels of 4096
 buckets of the rank variable: only sums per bucket are grouped, and only the documents of the one
 bucket in which the target falls are sorted, so a source may hold any share of the rows.
 """
@@ -36,7 +39,7 @@ def uniform(seed: int) -> Column:
 
 
 def targets(sizes: DataFrame, weights=WEIGHTS, share: float = SHARE, most: int = MOST_COPIES) -> DataFrame:
-    """sizes(source, size) -> one row per source: source_size, target, copies (whole ones) and part.
+    """sizes(source, size) -> one row per source: source_size, its mean, target, copies (whole ones) and part.
 
     Sources in code point order, null last, take the weights in turn. With sources ordered by what
     they can give per unit of weight, the common level of those that are not exhausted is the
@@ -44,7 +47,7 @@ def targets(sizes: DataFrame, weights=WEIGHTS, share: float = SHARE, most: int =
     aggregated table of sources only.
     """
     by_name = Window.orderBy(F.col("source").asc_nulls_last())
-    table = sizes.groupBy("source").agg(F.sum("size").alias("source_size")).withColumn("n", F.row_number().over(by_name) - 1)
+    table = sizes.groupBy("source").agg(F.sum("size").alias("source_size"), (F.sum("size") / F.count("*")).alias("mean")).withColumn("n", F.row_number().over(by_name) - 1)
     weight = F.element_at(F.array(*[F.lit(float(w)) for w in weights]), F.col("n") % len(weights) + 1)
     table = table.withColumn("weight", weight).withColumn("cap", F.col("source_size") * F.lit(float(most)))
     fill = Window.orderBy(F.col("cap") / F.col("weight"), "n")
@@ -55,19 +58,11 @@ def targets(sizes: DataFrame, weights=WEIGHTS, share: float = SHARE, most: int =
     table = table.withColumn("target", F.least("cap", F.col("weight") * F.max("level").over(every)))
     ratio = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
     return table.withColumn("copies", F.floor(ratio).cast("long")).select(
-        "source", "source_size", "target", "copies", (ratio - F.floor(ratio)).alias("part"),
+        "source", "source_size", "mean", "target", "copies", (ratio - F.floor(ratio)).alias("part"),
         (F.col("target") - F.floor(ratio) * F.col("source_size")).alias("extra"),
     )
 
 
-def rank_variable(part: Column, u: Column, boost: Column | None = None) -> Column:
-    """Random odds over inclusion odds, mapped to [0, 1) in the same order. boost multiplies the
-    inclusion odds of single documents."""
-    odds = part / (F.lit(1.0) - part)
-    q = (u / (F.lit(1.0) - u)) / (odds if boost is None else odds * boost)
-    return F.when(part > 0, q / (F.lit(1.0) + q)).otherwise(F.lit(1.0))
-
-
 def _join(rows: DataFrame, table: DataFrame) -> DataFrame:
     """Inner join on source, in which null equals null."""
     other = table.withColumnRenamed("source", "_mx_source")
@@ -87,7 +82,8 @@ def mix(docs: DataFrame, weights=WEIGHTS, share: float = SHARE, most: int = MOST
     """docs (doc_id, source, text or size, ...) plus size, source_size, target and taken (words).
 
     A null text has size 0; rows with a null source form a source of their own; rows of one doc_id
-    share their random number and rank next to each other; an empty table gives an empty result.
+    share their random number, and those of one size rank next to each other; an empty table gives an
+    empty result. boost multiplies the inclusion odds of single documents.
     Columns of docs with the new names are replaced, but for size, which is used if there, and the
     column named by TIMES says how often a row is taken.
     """
@@ -96,13 +92,21 @@ def mix(docs: DataFrame, weights=WEIGHTS, share: float = SHARE, most: int = MOST
         rows = rows.withColumn("size", word_count())
     narrow = settle(rows.select("doc_id", "source", "size", *([boost.alias("_mx_boost")] if boost is not None else [])), "mix-sizes")
     goal = targets(narrow, weights, share, most)
-    goal = goal.select("source", "source_size", "target", *[F.col(c).alias(f"_mx_{c}") for c in ("copies", "part", "extra")])
+    goal = goal.select("source", "source_size", "target", *[F.col(c).alias(f"_mx_{c}") for c in ("mean", "copies", "part", "extra")])
     goal = broadcast_if_small(settle(goal, "mix-targets"))  # one row a source
 
-    def ranked(frame: DataFrame, lift: Column | None) -> DataFrame:
-        t = rank_variable(F.col("_mx_part"), uniform(seed), lift)
-        scaled = F.col("_mx_t") * BUCKETS
-        return _join(frame, goal).withColumn("_mx_t", t).withColumn("_mx_b1", F.floor(scaled)).withColumn("_mx_b2", F.floor((scaled - F.col("_mx_b1")) * BUCKETS))
+    def ranked(frame: DataFrame, more: Column | None) -> DataFrame:
+        """The frame with its rank variable: random odds over inclusion odds, mapped to [0, 1) in the same
+        order (1 for a document that no sample can hold), and the buckets of two levels. A column a step,
+        as what a later step uses twice is not computed twice then."""
+        lift = F.when(F.col("_mx_mean") > 0, F.col("size") / F.col("_mx_mean")).otherwise(F.lit(0.0))
+        part, u, q, scaled = F.col("_mx_part"), F.col("_mx_u"), F.col("_mx_q"), F.col("_mx_t") * BUCKETS
+        out = _join(frame, goal).withColumn("_mx_u", uniform(seed)).withColumn("_mx_lift", lift if more is None else lift * more)
+        out = out.withColumn("_mx_q", F.when((part > 0) & (F.col("_mx_lift") > 0), (u / (F.lit(1.0) - u)) / (part / (F.lit(1.0) - part) * F.col("_mx_lift"))))
+        out = out.withColumn("_mx_t", F.coalesce(q / (F.lit(1.0) + q), F.lit(1.0))).drop("_mx_u", "_mx_lift", "_mx_q")
+        out = out.withColumn("_mx_b1", F.floor(scaled)).withColumn("_mx_b2", F.floor((scaled - F.col("_mx_b1")) * BUCKETS))
+        # a filter that reads this column stays above it, so it does not repeat the expressions below
+        return out.withColumn("_mx_stop", F.monotonically_increasing_id())
 
     sampled = ranked(narrow, None if boost is None else F.col("_mx_boost")).filter("_mx_part > 0")
     sampled = sampled.select("source", "size", "_mx_extra", "_mx_b1", "_mx_b2", F.lit(0).cast("long").alias("_mx_zero"))
@@ -116,7 +120,7 @@ def mix(docs: DataFrame, weights=WEIGHTS, share: float = SHARE, most: int = MOST
     full = ranked(rows, boost)
     full = full.join(other, full["source"].eqNullSafe(other["_mx_source"]), "left").drop("_mx_source")
     known, extra, upto = F.col("_mx_c1").isNotNull(), F.col("_mx_extra"), F.col("_mx_upto")
-    edge = known & (F.col("_mx_b1") == F.col("_mx_c1")) & (F.col("_mx_b2") == F.col("_mx_c2"))
+    edge = known & (F.col("_mx_stop") >= 0) & (F.col("_mx_b1") == F.col("_mx_c1")) & (F.col("_mx_b2") == F.col("_mx_c2"))
     below = (F.col("_mx_b1") < F.col("_mx_c1")) | ((F.col("_mx_b1") == F.col("_mx_c1")) & (F.col("_mx_b2") < F.col("_mx_c2")))
     plain = full.filter(~edge).withColumn("_mx_more", F.when(known & below, 1).otherwise(0))
     order = Window.partitionBy("source").orderBy("_mx_t", "doc_id", "size").rowsBetween(Window.unboundedPreceding, 0)
@@ -125,7 +129,7 @@ def mix(docs: DataFrame, weights=WEIGHTS, share: float = SHARE, most: int = MOST
     near = (upto <= extra) | ((start < extra) & (upto - extra < extra - start))
     last = last.withColumn("_mx_more", F.when(near, 1).otherwise(0)).drop("_mx_upto")
     out = plain.unionByName(last).withColumn(TIMES, F.col("_mx_copies") + F.col("_mx_more"))
-    inner = ("copies", "part", "extra", "t", "b1", "b2", "c1", "c1_before", "c2", "c2_before", "more")
+    inner = ("mean", "copies", "part", "extra", "t", "b1", "b2", "c1", "c1_before", "c2", "c2_before", "more", "stop")
     return out.withColumn("taken", F.col("size") * F.col(TIMES)).drop(*[f"_mx_{c}" for c in inner])
 
 
@@ -143,7 +147,7 @@ WITH sized AS (
          (('0x' || substr(md5('42:' || coalesce(doc_id::varchar, 'null')), 1, 13))::bigint + 0.5::double) / 4503599627370496.0::double AS u
   FROM documents),
 named AS (
-  SELECT source, sum(size)::bigint AS source_size, row_number() OVER (ORDER BY source ASC NULLS LAST) - 1 AS n
+  SELECT source, sum(size)::bigint AS source_size, sum(size)::double / count(*) AS mean, row_number() OVER (ORDER BY source ASC NULLS LAST) - 1 AS n
   FROM sized GROUP BY source),
 weighed AS (
   SELECT *, ([5.0, 2.0, 1.0])[n % 3 + 1]::double AS weight, source_size * 2.0::double AS cap FROM named),
@@ -153,14 +157,14 @@ levels AS (
             / sum(weight) OVER (ORDER BY cap / weight, n ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS level
   FROM weighed),
 aimed AS (
-  SELECT source, source_size, least(cap, weight * max(level) OVER ()) AS target FROM levels),
+  SELECT source, source_size, mean, least(cap, weight * max(level) OVER ()) AS target FROM levels),
 shared AS (
   SELECT *, CASE WHEN source_size > 0 THEN floor(target / source_size) ELSE 0 END AS copies,
          CASE WHEN source_size > 0 THEN target / source_size - floor(target / source_size) ELSE 0 END AS part
   FROM aimed),
 ranked AS (
   SELECT s.*, g.source_size, g.target, g.copies, g.part, g.target - g.copies * g.source_size AS extra,
-         CASE WHEN g.part > 0 THEN (s.u / (1 - s.u)) / (g.part / (1 - g.part)) END AS q
+         CASE WHEN g.part > 0 AND s.size > 0 THEN (s.u / (1 - s.u)) / (g.part / (1 - g.part) * (s.size / g.mean)) END AS q
   FROM sized s JOIN shared g ON s.source IS NOT DISTINCT FROM g.source),
 summed AS (
   SELECT *, sum(size) OVER (PARTITION BY source ORDER BY q / (1 + q), doc_id NULLS FIRST, size ROWS UNBOUNDED PRECEDING) AS upto FROM ranked)
