@@ -5,16 +5,18 @@ texts and then frozen. The code length of a byte in its context follows method C
 counts, or an escape to the next shorter context with the bytes already excluded, down to a uniform
 choice among all bytes not excluded. As the statistics are frozen, every (context, byte) has one
 fixed code length; these are tabulated for all languages over one shared set of contexts, and a
-text's score is the exact sum over all its bytes.
+text's code length is the sum of them, in double precision, over all its bytes. The frozen trees hold
+the contexts that the whole sample has at least LEAST_CONTEXT times; that is part of the model.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from proxigraph.llm.textops import LONG, chunks
@@ -26,6 +28,12 @@ ORDER = 3
 SAMPLE_PER_LANGUAGE = 1500
 #: Contexts seen fewer times in the whole sample fall back to their shorter suffix.
 LEAST_CONTEXT = 12
+#: The table of code lengths is broadcast. With so many languages that it would be larger than this, the
+#: least count of a context is doubled until it fits.
+MODEL_BYTES = 512 << 20
+#: A text is recognised if its best language codes it in at most half of eight bits a byte, apart from
+#: the first bytes, which have no full context yet.
+MOST_NATS = math.log(256) / 2
 CHUNK_BYTES = 1 << 18
 COUNT_BYTES = 1 << 18
 UNDETERMINED = "und"
@@ -70,7 +78,10 @@ class Model:
         whole = order << 40 | context
         names, back = np.unique(whole, return_inverse=True)
         total = np.bincount(back, weights=count, minlength=len(names))
-        kept = names[(total >= LEAST_CONTEXT) | (names == 0)]
+        least = LEAST_CONTEXT
+        while np.count_nonzero(total >= least) * a * max(1, len(langs)) * 8 > MODEL_BYTES:
+            least *= 2
+        kept = names[(total >= least) | (names == 0)]
         if not len(kept) or kept[0] != 0:
             kept = np.insert(kept, 0, 0)
         node_of = {int(x): i for i, x in enumerate(kept)}
@@ -84,7 +95,7 @@ class Model:
                 if (o << 40 | c) in node_of:
                     parent[i] = node_of[o << 40 | c]
                     break
-        self.cost = np.zeros((len(kept) * a, max(1, len(langs))), dtype=np.float32)
+        self.cost = np.zeros((len(kept) * a, max(1, len(langs))), dtype=np.float64)
         row = np.searchsorted(kept, whole)
         row[row == len(kept)] = 0
         fits = kept[row] == whole
@@ -181,7 +192,10 @@ def fit(docs: DataFrame, per_language: int = SAMPLE_PER_LANGUAGE) -> Model:
                 k, c = count_contexts([t.encode("utf-8", "surrogatepass") for x, t in zip(langs, texts, strict=True) if x == lang])
                 yield pa.RecordBatch.from_arrays([pa.array([lang] * len(k)), pa.array(k), pa.array(c)], ["lang", "k", "c"])
 
-    table = map_arrow(chosen.select("lang", "text"), count, "lang string, k long, c long").groupBy("lang", "k").agg(F.sum("c").alias("c")).toPandas()
+    table = settle(map_arrow(chosen.select("lang", "text"), count, "lang string, k long, c long").groupBy("lang", "k").agg(F.sum("c").alias("c")), "language-contexts")
+    context = F.col("k").bitwiseAND(~0xFF)  # without the byte that follows
+    often = table.groupBy(context.alias("x")).agg(F.sum("c").alias("n")).filter((F.col("n") >= LEAST_CONTEXT) | (F.col("x") == 0)).select("x")
+    table = table.join(often, context == F.col("x"), "left_semi").toPandas()
     langs = sorted(table["lang"].unique())
     return Model(langs, table["k"].to_numpy(np.int64), table["lang"].map({x: i for i, x in enumerate(langs)}).to_numpy(np.int64), table["c"].to_numpy(np.int64))
 
@@ -191,12 +205,12 @@ def has_letter(text: str | None) -> bool:
 
 
 def predict(docs: DataFrame, model: Model) -> DataFrame:
-    """docs plus lang_pred (string) and score (double): the language with the shortest code for the
-    whole text and its share among all languages' likelihoods. `und` with score 0 if the text is
-    null or has no letter, or no language was learnt; ties go to the first in code point order.
-    Columns of docs that have these names are replaced."""
+    """docs plus lang_pred (string), score (double) and nats (double): the language with the shortest code
+    for the whole text, its share among all languages' likelihoods, and the length of that code. `und`
+    with score and nats 0 if the text is null or has no letter, or no language was learnt; ties go to
+    the first in code point order. Columns of docs that have these names are replaced."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
-    plain = docs.drop("lang_pred", "score")
+    plain = docs.drop("lang_pred", "score", "nats")
     place = plain.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -208,6 +222,11 @@ def predict(docs: DataFrame, model: Model) -> DataFrame:
             p = 1.0 / np.exp(np.clip(nats.min(axis=1, keepdims=True) - nats, -700, 0)).sum(axis=1)
             real = np.fromiter((bool(known.langs) and has_letter(t) for t in texts), bool, len(texts))
             pred = [known.langs[b] if r else UNDETERMINED for b, r in zip(best, real, strict=True)]
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(pred, pa.string()), pa.array(np.where(real, p, 0.0))], [*batch.schema.names, "lang_pred", "score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(pred, pa.string()), pa.array(np.where(real, p, 0.0)), pa.array(np.where(real, nats.min(axis=1), 0.0))], [*batch.schema.names, "lang_pred", "score", "nats"])
 
-    return map_arrow(plain, run, with_fields(plain, "lang_pred string, score double"))
+    return map_arrow(plain, run, with_fields(plain, "lang_pred string, score double, nats double"))
+
+
+def recognised() -> Column:
+    """Condition on what predict returns: a learnt language, in which the text codes well."""
+    return (F.col("lang_pred") != UNDETERMINED) & (F.col("nats") <= F.octet_length("text") * MOST_NATS + ORDER * math.log(256))
