@@ -1,4 +1,6 @@
+import hashlib
 import html
+import time
 import zlib
 
 import numpy as np
@@ -125,6 +127,60 @@ def test_toxicity_odd_tables(spark):
     assert toxicity_ftrl.score(docs_of(spark, []), nothing).count() == 0
 
 
+def test_training_equals_plain_loops(spark):
+    """FTRL-proximal coordinate by coordinate, with dicts."""
+    rng = np.random.default_rng(6)
+    rows = [(np.append(np.unique(rng.integers(0, 60, size=12)), 1 << toxicity_ftrl.BITS).astype(np.int32), int(rng.random() < 0.4)) for _ in range(300)]
+    z, n = {}, {}
+
+    def weight(i):
+        if abs(z.get(i, 0.0)) <= toxicity_ftrl.L1:
+            return 0.0
+        sign = 1.0 if z[i] > 0 else -1.0
+        return -(z[i] - sign * toxicity_ftrl.L1) / ((toxicity_ftrl.BETA + n[i] ** 0.5) / toxicity_ftrl.ALPHA + toxicity_ftrl.L2)
+
+    for _ in range(toxicity_ftrl.EPOCHS):
+        for features, y in rows:
+            w = {int(i): weight(int(i)) for i in features}
+            g = (1 / (1 + np.exp(-sum(w.values()))) - y) * (toxicity_ftrl.POSITIVE if y else 1.0)
+            for i, wi in w.items():
+                old = n.get(i, 0.0)
+                n[i] = old + g * g
+                z[i] = z.get(i, 0.0) + g - (n[i] ** 0.5 - old ** 0.5) / toxicity_ftrl.ALPHA * wi
+    want = {i: weight(i) for i in sorted(z) if abs(z[i]) > toxicity_ftrl.L1}
+    at, w = toxicity_ftrl.train(rows)
+    assert want and at.tolist() == list(want) and np.allclose(w, list(want.values()))
+
+
+def test_repeated_ids_are_learnt_once(spark):
+    labels = spark.createDataFrame([(i, i % 2) for i in range(40)], "doc_id long, toxic int")
+    rows = docs_of(spark, [(i, "bad words here" if i % 2 else "good words there", "en", "a") for i in range(40)])
+    again = docs_of(spark, [(1, "bad words here", "en", "a")] * 200)
+    a, b = toxicity_ftrl.fit(rows, labels), toxicity_ftrl.fit(rows.unionByName(again), labels)
+    assert a[0].tolist() == b[0].tolist() and a[1].tolist() == b[1].tolist()
+
+
+def test_junk_is_not_recognised(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    model = ppm_langid.fit(docs)
+    rows = docs_of(spark, [
+        (1, "BE!! SCUM!! SCUM!! TION!! A.!! " * 9, "en", "a"), (2, 'token = "2abc3ff2ca8fb1e4c565a0eb63815530a948bdde" 4761598977407687 8316107434564120', "en", "a"), (3, "A.", "en", "a"), (4, "Re.", "en", "a"),
+        (5, None, "en", "a"), (6, "123 456", "en", "a"),
+    ])
+    out = ppm_langid.predict(rows.unionByName(docs), model).withColumn("ok", ppm_langid.recognised()).toPandas()
+    assert out[out.doc_id.isin([3, 4])][out.text.isin(["A.", "Re."])].ok.all()
+    assert not out.iloc[:6][out.iloc[:6].doc_id.isin([1, 2, 5, 6])].ok.any()
+    assert out.ok.mean() > 0.98
+
+
+def test_many_languages_make_a_smaller_model(spark, monkeypatch):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    big = ppm_langid.fit(docs)
+    monkeypatch.setattr(ppm_langid, "MODEL_BYTES", big.cost.nbytes // 3)
+    small = ppm_langid.fit(docs)
+    assert small.cost.nbytes <= big.cost.nbytes // 3 and small.langs == big.langs
+
+
 def test_language_held_out(spark):
     docs = spark.read.parquet("/root/testdata/sf0.1/documents.parquet")
     out = ppm_langid.predict(docs.select("doc_id", "text", "lang"), ppm_langid.fit(docs)).withColumn("held", toxicity_ftrl.fold() == 0).filter("held").toPandas()
@@ -322,6 +378,25 @@ def test_mixing_reaches_targets(spark, small_dir):
         assert abs(g.taken.sum() - g.target.iloc[0]) <= g["size"].max()
 
 
+def test_inclusion_odds_are_unequal(spark):
+    rng = np.random.default_rng(4)
+    sizes = {i: int(s) for i, s in enumerate(rng.integers(1, 100, size=3000))}
+    rows = spark.createDataFrame([(i, "a", s) for i, s in sizes.items()], "doc_id long, source string, size long")
+    out = pareto_mix.mix(rows, weights=(1,), share=0.4).toPandas().set_index("doc_id")
+    mean, part = sum(sizes.values()) / len(sizes), 0.4
+    u = {i: (int(hashlib.md5(f"42:{i}".encode()).hexdigest()[:13], 16) + 0.5) / (1 << 52) for i in sizes}
+    order = sorted(sizes, key=lambda i: (u[i] / (1 - u[i]) / (part / (1 - part) * (sizes[i] / mean)), i))
+    goal, at, want = 0.4 * sum(sizes.values()), 0, set()
+    for i in order:
+        if at + sizes[i] > goal and at + sizes[i] - goal >= goal - at:
+            break
+        at += sizes[i]
+        want.add(i)
+    assert set(out.index[out.taken > 0]) == want
+    long, short = ([i for i in sizes if a <= sizes[i] < b] for a, b in ((75, 100), (1, 25)))
+    assert sum(i in want for i in long) / len(long) > 2 * sum(i in want for i in short) / len(short)
+
+
 def test_boosted_documents_are_taken_more_often(spark):
     rows = spark.createDataFrame([(i, "a", 10) for i in range(2000)] + [(5000 + i, "b", 10) for i in range(8000)], "doc_id long, source string, size long")
     boost = F.when(F.col("doc_id") % 2 == 0, 5.0).otherwise(1.0)
@@ -364,6 +439,45 @@ def test_recurring_subtrees_go_and_copies_stay(spark):
     assert html_templates.extract(none).count() == 0
 
 
+def test_templates_decide(spark, monkeypatch):
+    """Pages without declared roles, and blocks in articles: what is not counted as template stays."""
+    def plain(i):
+        return f"<html><body><div><p>Welcome to the site of things and more</p><ul><li>All stories</ul></div><div><p>Story {i} is told here at length.</p><p>It goes on {i * 7}.</p></div><div><p>Read us daily</p></div></body></html>"
+
+    def article(i, site, quote=""):
+        return f"<html><body><article><h1>Title {i}</h1><p>By the desk of {site}</p><p>Part one of {i} {site}.</p><p>Part two of {i}{quote}.</p><p>Part three {i}.</p><p>Part four {i}.</p><p>Part five {i}.</p><p>Follow {site} for more</p></article></body></html>"
+
+    rows = [(i, "http://plain.example/a", plain(i)) for i in range(30)]
+    rows += [(100 + i, "http://one.example/a", article(i, "one")) for i in range(30)] + [(200 + i, "http://two.example/a", article(i, "two")) for i in range(30)]
+    # near copies of one article, and a first paragraph that articles of many hosts share
+    rows += [(300 + i, "http://near.example/a", article(5, "near", f" edit {i}")) for i in range(40)]
+    rows += [(400 + i, f"http://h{i % 4}.example/a", f"<article><h1>T{i}</h1><p>The shared opening line.</p><p>a{i}</p><p>b{i}</p><p>c{i}</p><p>d{i}</p><p>e{i}</p><p>f{i}</p></article>") for i in range(40)]
+    # a quoted passage at changing places of one host's articles
+    for i in range(40):
+        parts = [f"<p>x{i}-{j}</p>" for j in range(7)]
+        parts.insert(i % 8, "<p>As the saying goes, nothing is new.</p>")
+        rows.append((500 + i, "http://quote.example/a", "<article><h1>Q</h1>" + "".join(parts) + "</article>"))
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    out = {r["page_id"]: r["text"] for r in html_templates.extract(pages).collect()}
+    for i in range(30):
+        assert out[i] == f"Story {i} is told here at length.\nIt goes on {i * 7}."
+        assert out[100 + i] == f"Title {i}\nPart one of {i} one.\nPart two of {i}.\nPart three {i}.\nPart four {i}.\nPart five {i}."
+        assert out[200 + i].count("\n") == 5 and "desk" not in out[200 + i]
+    assert all("desk of near" in out[300 + i] and f"edit {i}" in out[300 + i] for i in range(40))
+    assert all("shared opening" in out[400 + i] for i in range(40)) and all("nothing is new" in out[500 + i] for i in range(40))
+    none = {r["page_id"]: r["text"] for r in html_templates.extract(pages, least_pages=1 << 30).collect()}
+    assert sum(none[i] != out[i] for i in out) == 90  # with no template every page of the three hosts changes
+    monkeypatch.setattr(html_templates, "BROADCAST_BYTES", 0)  # the joined way
+    assert {r["page_id"]: r["text"] for r in html_templates.extract(pages).collect()} == out
+
+
+def test_long_malformed_pages_take_linear_time(spark):
+    for text in ('<a "' * 100_000, "<i>" * 50_000 + "</b>" * 50_000, "<a x='" * 50_000, "<" * 300_000, "<p>" * 100_000, "<b>" * 30_000 + "<li>" * 30_000, "<script>" * 30_000):
+        began = time.perf_counter()
+        html_templates.Page(text).text(frozenset())
+        assert time.perf_counter() - began < 10
+
+
 def longest_common(a, b):
     table = [[0] * (len(b) + 1) for _ in range(len(a) + 1)]
     for i in range(len(a)):
@@ -408,6 +522,37 @@ def test_license_filter_loses_nothing(spark):
         assert license_patience.scan_text(text, found_by, known, 0.8) == license_patience.scan_text(text, everything, known, 0.8)
 
 
+def test_licenses_equal_a_plain_scan(spark, small_dir):
+    """Every window of every template, and the whole text, aligned without any filter."""
+    known = license_patience.compiled()
+    mit, apache = license_patience.TEMPLATES["MIT"][1], license_patience.TEMPLATES["Apache-2.0"][1]
+    half = len(mit.split()) // 2
+    torn = " ".join([*mit.split()[:half], *(f"clause{i}" for i in range(300)), *mit.split()[half:]])
+    texts = pd.read_parquet(f"{small_dir}/documents.parquet").text.str.slice(0, 3000).tolist()[:60]
+    texts += [torn, f"a b {apache} c d {apache} e", f"{mit} {mit}", "Released under the MIT License " * 3, "Licensed under CC BY-NC 4.0 and Licensed under CC BY 4.0"]
+    import re
+
+    found_by = re.compile("|".join(re.escape(w) for w in sorted({w for t in known for w in t.starts})))
+    places = 0
+    for text in texts:
+        own = license_patience.words(text or "")
+        plain = set()
+        for t in known:
+            n, slack = len(t.words), max(2, len(t.words) // 4)
+            spans = [(max(0, b - slack), b + n + slack) for b in range(-n, len(own) + 1)] + [(0, len(own))]
+            if any(len(license_patience.align(own[a:b], list(t.words))) >= 0.8 * n - 1e-9 for a, b in spans):
+                plain.add(t.license)
+        got = license_patience.scan_text(text, found_by, known, 0.8)
+        assert {x[0] for x in got} <= plain
+        for name in plain - {x[0] for x in got}:  # only where a better one lies over it
+            assert any(x[1] >= 0.8 for x in got), (name, text[:80])
+        spans = sorted((x[3], x[4]) for x in got)
+        assert all(a[1] <= b[0] for a, b in zip(spans, spans[1:], strict=False))
+        places += len(got)
+    count = {i: [x[0] for x in license_patience.scan_text(t, found_by, known, 0.8)] for i, t in enumerate(texts[-5:])}
+    assert count == {0: ["MIT"], 1: ["Apache-2.0"] * 2, 2: ["MIT"] * 2, 3: ["MIT"] * 3, 4: ["CC-BY-NC-4.0", "CC-BY-4.0"]}
+
+
 def test_long_texts_in_segments_give_the_same(spark, monkeypatch, small_dir):
     texts = pd.read_parquet(f"{small_dir}/documents.parquet").text.tolist()[:40] + ["one-word " + "x" * 5000, "y" * 9000, "a\n b  c " * 700]
     models = {}

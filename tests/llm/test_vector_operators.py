@@ -4,7 +4,7 @@ import pytest
 from compare import database, rows
 from pyspark.sql import functions as F
 
-from proxigraph.llm import adaptive_scan, mtree, pareto_mix, queries
+from proxigraph.llm import adaptive_scan, mtree, pareto_mix, queries, vector_cells
 
 SCHEMA = "vec_id long, embedding array<float>, label int"
 
@@ -48,17 +48,29 @@ def test_recall_of_the_adaptive_scan(spark, scale):
     assert np.allclose(scores, got.score, rtol=0, atol=1e-12)
 
 
-def test_test_abandons_and_keeps(spark):
+@pytest.mark.parametrize("kind,most_read", [("clustered", 0.45), ("given", 0.75)])
+def test_tests_abandon_and_keep(spark, kind, most_read):
+    """Candidates are given up early, on noise too (the given embeddings), and few neighbours with them."""
     rng = np.random.default_rng(0)
-    centers = rng.standard_normal((20, 64))
-    x = (centers[rng.integers(20, size=2000)] + 0.3 * rng.standard_normal((2000, 64))).astype(np.float32)
-    q = (centers[rng.integers(20, size=40)] + 0.3 * rng.standard_normal((40, 64))).astype(np.float32)
-    d = ((q[:, None] - x[None]) ** 2).sum(axis=2)
-    limit = np.sort(d, axis=1)[:, 19].astype(np.float32) * np.float32(1.00001)
-    a, b, read = adaptive_scan.surviving(q, x, limit)
-    true = {(i, j) for i, j in zip(*np.nonzero(d <= limit[:, None]), strict=True)}
-    assert len(true & set(zip(a.tolist(), b.tolist(), strict=True))) >= 0.97 * len(true)
-    assert read < 0.5 * d.size * 64 and (d[a, b] <= limit[a] * 1.001).all()
+    if kind == "given":
+        d = pd.read_parquet("/root/testdata/sf0.1/embeddings.parquet")
+        x = np.stack(d.embedding.to_numpy()).astype(float)
+    else:
+        x = rng.standard_normal((20, 64))[rng.integers(20, size=2000)] + 0.3 * rng.standard_normal((2000, 64))
+    ids = np.arange(len(x))
+    known = vector_cells.Sample(ids, x, len(x), float((x ** 2).sum(axis=1).max()))
+    lists = adaptive_scan.Lists(known)
+    cell = adaptive_scan.Cell(lists, ids, x)
+    at = ids[::20]
+    found = cell.search(x[at], at, lists.terms(x[at], at, 20), 20)
+    hit = 0
+    for i, (rows, scores) in zip(at, found, strict=True):
+        s = x @ x[i]
+        s[i] = -np.inf
+        hit += len(set(np.lexsort((ids, -s))[:20].tolist()) & set(cell.ids[rows].tolist()))
+        assert len(rows) == 20 and np.allclose(scores, s[cell.ids[rows]])
+    assert hit >= 0.95 * 20 * len(at)
+    assert cell.read < most_read * cell.all
 
 
 def odd(spark):
@@ -97,6 +109,24 @@ def test_tree_search_is_exact_and_avoids_work(spark):
     assert sorted(n for leaf, _, _, _, names in tree.pages.values() if leaf for n in names) == ids[by_id].tolist()
 
 
+def test_radii_spare_shards(spark, monkeypatch):
+    """On clusters a query visits few shards, with equal answers; too large components are refused."""
+    rng = np.random.default_rng(8)
+    x = (rng.standard_normal((2000, 8)) * 0.02 + 4 * rng.standard_normal((10, 8))[rng.integers(10, size=2000)]).astype(np.float32)
+    monkeypatch.setattr(mtree, "SHARD_ROWS", 100)
+    z = np.floor(64 * x.astype(float))
+    visited = []
+    plain = mtree.in_cells
+    monkeypatch.setattr(mtree, "in_cells", lambda pages, routed, *rest: (visited.append(routed.count()), plain(pages, routed, *rest))[1])
+    got = mtree.search(frame(spark, x)).toPandas().sort_values(["query_id", "rank"])
+    for q, (ids, s) in brute(np.arange(2000), z).items():
+        own = got[got.query_id == q]
+        assert own.vec_id.tolist() == ids and own.score.tolist() == s.tolist()
+    assert visited[0] < 0.5 * 100 * 20  # 100 queries, at least 20 shards
+    with pytest.raises(ValueError):
+        mtree.search(frame(spark, x * np.float32(1e8)))
+
+
 def test_sql(spark, small_dir):
     con = database(small_dir)
     for name, text in queries.oracle_sql().items():
