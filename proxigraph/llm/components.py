@@ -6,7 +6,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from proxigraph.runtime import settle
+from proxigraph.runtime import discard, settle
 
 
 def local_components(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -36,6 +36,8 @@ def components(links: DataFrame) -> DataFrame:
     longest path. Joins may meet a hub: adaptive execution splits them. Self links and null ends
     are ignored; an empty table gives an empty result.
     """
+    spark = links.sparkSession
+    spent: list[str] = []
     edges = settle(
         links.filter("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(),
         "links",
@@ -48,13 +50,14 @@ def components(links: DataFrame) -> DataFrame:
             both.filter("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
             .filter("u <> v").distinct()
         )
-        large = settle(large, "large-star")
+        large = settle(large, "large-star", spent)
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         small = (
             large.join(low, "u").filter("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
             .unionByName(low.select("u", F.col("m").alias("v"))).distinct()
         )
         edges = settle(small, "small-star")
+        discard(spark, spent)
         after = _digest(edges)
         if after == before:
             break

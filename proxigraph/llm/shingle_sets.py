@@ -1,15 +1,21 @@
 """Groups of documents whose sets of word shingles are similar, without losing a pair.
 
-Two sets with Jaccard similarity of at least `least` share so many members that, under any one order
-of all shingles, the first n - ceil(least * n) + 1 members of each (n: its size) have one in common:
-
-* texts of equal sets are one node from the start;
-* every node is dealt to the keys of its first members. The order puts shingles that a bounded sample
-  of documents holds often last, so lines shared by many documents are rarely keys; which shingles
-  the sample names changes the cost, never the result;
-* of the pairs that agree on a key, those are compared whose sizes and places in the order allow the
-  similarity; first the pairs with a key's smallest node, then all others that these do not connect;
-* a comparison is made on the words of the two texts, not on hashes.
+Candidates come from two searches, and each pair of texts is compared at most once:
+
+* SimHash fingerprints of the sets, searched by pivot distance tables (`simhash_pivots`), find copies
+  with few changes; every fingerprint's nearest ones are compared first.
+* Two sets with Jaccard similarity of at least `least` share so many members that, under any one order
+  of all shingles, the first n - ceil(least * n) + 1 members of each (n: its size) have one in common.
+  So every text is dealt to the keys of its first members. The order puts shingles that a bounded
+  sample of documents holds often last, so lines shared by many documents are rarely keys; which
+  shingles the sample names changes the cost, never the result.
+
+The texts of a key are joined in rounds: in each, a key has one hub, and every text outside the hub's
+group is compared with the one hub whose fingerprint is nearest. That gathers large groups of near
+copies with few comparisons a text. What then remains are pairs of different groups; each is
+compared under the first key that it shares, unless the sizes of the two, or their places in the
+order, rule the similarity out. A shingle stands for its 64-bit hash throughout: two texts of ten
+thousand shingles would have to meet some hundred billion times for one chance equality.
 """
 
 from __future__ import annotations
@@ -23,9 +29,9 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from proxigraph.llm.components import components
-from proxigraph.llm.simhash_pivots import CHUNK_BYTES, SEED, normal, shingle_hashes
+from proxigraph.llm.simhash_pivots import CHUNK_BYTES, fingerprint_hashes, links, normal, shingle_hashes
 from proxigraph.llm.textops import chunks
-from proxigraph.runtime import broadcast_if_small, map_arrow, settle
+from proxigraph.runtime import broadcast_if_small, discard, map_arrow, settle
 
 #: Tolerance of comparisons with the least similarity, far below the step between two shares.
 TINY = 1e-9
@@ -33,16 +39,23 @@ SAMPLE_DOCS = 8192
 #: A shingle of so many sampled documents is ordered by that count; at most MOST_COMMON of them.
 COMMON = 3
 MOST_COMMON = 100_000
+#: Rounds of comparisons with hubs before all remaining pairs are compared, and the most bits of the
+#: fingerprints that differ there (a similarity of 0.8 makes about ten of 64 differ).
+HUB_ROUNDS = 2
+HUB_BITS = 18
+#: Texts of either side that meet in one cell of comparisons, about.
+CELL_TEXTS = 256
+#: Rows of two numbers that are broadcast, at most (32 MB).
+MOST_NARROW = 2_000_000
+#: So many of a text's earlier keys are looked at to see whether a pair was met before; if it was earlier
+#: still, it is met again, and made one.
+EARLIER_KEYS = 4
 
 
-def shingle_set(text: str | None, size: int) -> set[tuple[bytes, ...]]:
-    """The distinct shingles of a text; fewer words than `size` form one, no word forms none."""
-    w = normal(text).split()
-    return {tuple(w[i: i + size]) for i in range(max(1, len(w) - size + 1))} if w else set()
-
-
-def jaccard(a: set, b: set) -> float:
-    return len(a & b) / len(a | b) if a or b else 1.0
+def jaccard(a: np.ndarray, b: np.ndarray) -> float:
+    """Similarity of two sets of distinct hashes."""
+    both = len(np.intersect1d(a, b, assume_unique=True))
+    return both / (len(a) + len(b) - both) if len(a) or len(b) else 1.0
 
 
 def _sets(texts: list[str | None], size: int) -> Iterator[np.ndarray]:
@@ -80,69 +93,103 @@ def common_shingles(rows: DataFrame, size: int) -> tuple[np.ndarray, np.ndarray]
     return k[order], n[order]
 
 
-def first_members(members: np.ndarray, least: float, common: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
-    """The members that a similar set must hold one of among its own first ones, in the order."""
+def first_members(members: np.ndarray, least: float, common: tuple[np.ndarray, np.ndarray]) -> tuple[np.ndarray, int]:
+    """The members that a similar set must hold one of among its own first ones, in the order; and how often
+    the sample holds the set's members on average, in thousandths."""
     n = len(members)
     keep = n - int(np.ceil(least * n - TINY)) + 1 if n else 0
     count = np.zeros(n, dtype=np.int64)
     if len(common[0]):
         at = np.minimum(np.searchsorted(common[0], members), len(common[0]) - 1)
         count = np.where(common[0][at] == members, common[1][at], 0)
-    return members[np.lexsort((members, count))[:keep]]
+    return members[np.lexsort((members, count))[:keep]], int(count.sum()) * 1000 // max(1, n)
 
 
 def nodes_of(rows: DataFrame, size: int, least: float, common: tuple[np.ndarray, np.ndarray]) -> DataFrame:
-    """(doc_id, node long, n int, keys array<long>) of every row."""
+    """(doc_id, node long, n int, fp long, met int, keys array<long>) of every row; met tells how often the
+    sample holds its shingles."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            node, n, keys = [], [], []
-            for s in _sets(batch.column(1).to_pylist(), size):
-                node.append(_node(s))
-                n.append(len(s))
-                keys.append(first_members(s, least, common).view(np.int64))
-            columns = [batch.column(0), pa.array(node, pa.int64()), pa.array(n, pa.int32()), pa.array(keys, pa.list_(pa.int64()))]
-            yield pa.RecordBatch.from_arrays(columns, ["doc_id", "node", "n", "keys"])
+            sets = list(_sets(batch.column(1).to_pylist(), size))
+            fp = fingerprint_hashes(sets)
+            firsts = [first_members(s, least, common) for s in sets]
+            columns = [
+                batch.column(0), pa.array([_node(s) for s in sets], pa.int64()), pa.array([len(s) for s in sets], pa.int32()), pa.array(fp.view(np.int64)),
+                pa.array([m for _, m in firsts], pa.int32()), pa.array([k.view(np.int64) for k, _ in firsts], pa.list_(pa.int64())),
+            ]
+            yield pa.RecordBatch.from_arrays(columns, ["doc_id", "node", "n", "fp", "met", "keys"])
 
-    return map_arrow(rows, run, "doc_id long, node long, n int, keys array<long>")
+    return map_arrow(rows, run, "doc_id long, node long, n int, fp long, met int, keys array<long>", 256)
 
 
-def _compared(pairs: DataFrame, rows: DataFrame, named: DataFrame, size: int, least: float) -> DataFrame:
-    """Those of the pairs (u, v) of nodes whose texts have the least similarity."""
-    pairs = settle(pairs.distinct(), "shingle-pairs")
-    asked = pairs.select(F.col("u").alias("node")).union(pairs.select("v")).distinct()
-    ids = settle(named.join(asked, "node").groupBy("node").agg(F.min("doc_id").alias("doc_id")).select("doc_id").distinct(), "shingle-asked")
+def _compared(pairs: DataFrame, rows: DataFrame, nodes: DataFrame, size: int, least: float) -> DataFrame:
+    """Those of the pairs (u, v, at) of nodes whose texts have the least similarity; nodes holds a doc_id of
+    each. Pairs with one `at` meet in one cell (or, if there are many, in a grid of cells by hashed u and
+    v), to which each text that they name is sent once, not once a pair."""
+    spark, spent = rows.sparkSession, []
 
     def with_node(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             node = [_node(s) for s in _sets(batch.column(0).to_pylist(), size)]
             yield pa.RecordBatch.from_arrays([pa.array(node, pa.int64()), batch.column(0)], ["node", "text"])
 
+    wide = pairs.groupBy("at").agg(F.ceil(F.count_distinct("v") / CELL_TEXTS).alias("b"), F.ceil(F.count_distinct("u") / CELL_TEXTS).alias("c"))
+    cell = F.xxhash64("at", F.pmod(F.xxhash64("v"), F.col("b")), F.pmod(F.xxhash64("u", F.lit(1)), F.col("c")))
+    placed = settle(pairs.join(wide, "at").select(cell.alias("cell"), "u", "v"), "shingle-cells", spent)
+    needed = settle(placed.select("cell", F.col("u").alias("node")).union(placed.select("cell", "v")).distinct(), "shingle-needed", spent)
+    ids = settle(nodes.join(needed.select("node").distinct(), "node", "left_semi").select("doc_id").distinct(), "shingle-asked", spent)
+    found = map_arrow(rows.join(broadcast_if_small(ids, MOST_NARROW), "doc_id", "left_semi").select("text"), with_node, "node long, text string")
+    sent = found.join(broadcast_if_small(needed, MOST_NARROW), "node").select("cell", F.lit(0).alias("kind"), F.col("node").alias("u"), F.lit(None).cast("long").alias("v"), "text")
+    both = sent.unionByName(placed.select("cell", F.lit(1).alias("kind"), "u", "v", F.lit(None).cast("string").alias("text")))
+
     def similar(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last, of_last = None, set()
+        now, held, sets = None, {}, {}
         for batch in batches:
-            u, v = batch.column(0), batch.column(1)
             good = []
-            for key, a, b in zip(u.to_pylist(), batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
-                if key != last:
-                    last, of_last = key, shingle_set(a, size)
-                good.append(jaccard(of_last, shingle_set(b, size)) >= least - TINY)
-            keep = pa.array(good, pa.bool_())
-            yield pa.RecordBatch.from_arrays([u.filter(keep), v.filter(keep)], ["u", "v"])
-
-    texts = map_arrow(rows.join(broadcast_if_small(ids), "doc_id", "left_semi").select("text"), with_node, "node long, text string")
-    texts = settle(texts.dropDuplicates(["node"]), "shingle-texts")
-    both = pairs.join(texts.select(F.col("node").alias("v"), F.col("text").alias("b")), "v")
-    both = both.join(texts.select(F.col("node").alias("u"), F.col("text").alias("a")), "u")
-    return settle(map_arrow(both.select("u", "v", "a", "b"), similar, "u long, v long"), "shingle-links")
-
-
-def _may_be_similar(least: float):
-    """Condition on two postings (node, n, place) of one key: their sizes, and the members from their
-    places on, allow the similarity (true of the first key that a similar pair shares)."""
+            cells, kinds, us, vs, own = (c.to_pylist() for c in batch.columns)
+            for at, kind, u, v, text in zip(cells, kinds, us, vs, own, strict=True):
+                if at != now:
+                    now, held, sets = at, {}, {}
+                if kind == 0:
+                    held[u] = text
+                else:
+                    for x in (u, v):
+                        if x not in sets:
+                            sets[x] = next(_sets([held.pop(x)], size))
+                    if jaccard(sets[u], sets[v]) >= least - TINY:
+                        good.append((u, v))
+            columns = list(zip(*good, strict=True)) or [[], []]
+            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], ["u", "v"])
+
+    dealt = both.repartition("cell").sortWithinPartitions("cell", "kind", "u")
+    links_ = settle(map_arrow(dealt, similar, "u long, v long", 128), "shingle-links")
+    discard(spark, spent)
+    return links_
+
+
+def _may_be_similar(least: float, place: str, other_place: str):
+    """Condition on two postings of one key, (n, place) and (m, other place): their sizes, and the members
+    from their places on, allow the similarity (true of the first key that a similar pair shares)."""
     n, m = F.col("n"), F.col("m")
     sizes = F.least(n, m) >= F.greatest(n, m) * least - TINY
-    return sizes & (F.least(n - F.col("place"), m - F.col("spot")) >= (n + m) * (least / (1 + least)) - TINY)
+    return sizes & (F.least(n - F.col(place), m - F.col(other_place)) >= (n + m) * (least / (1 + least)) - TINY)
+
+
+def _by_fingerprint(nodes: DataFrame) -> DataFrame:
+    """(u, v): every node with the smallest one of its fingerprint, and the smallest ones of
+    fingerprints that the pivot tables find close."""
+    leads = settle(nodes.groupBy("fp").agg(F.min("node").alias("lead")), "shingle-leads")
+    same = nodes.join(leads, "fp").filter("node <> lead").select(F.col("lead").alias("u"), F.col("node").alias("v"))
+    close = links(leads.select("fp"))
+    a, b = leads.select(F.col("fp").alias("u"), F.col("lead").alias("x")), leads.select(F.col("fp").alias("v"), F.col("lead").alias("y"))
+    return same.unionByName(close.join(a, "u").join(b, "v").select(F.col("x").alias("u"), F.col("y").alias("v")))
+
+
+def _rooted(rows: DataFrame, roots: DataFrame) -> DataFrame:
+    """rows with the root of their node; only nodes that are linked have a row in roots."""
+    known = broadcast_if_small(roots.select(F.col("u").alias("node"), F.col("v").alias("root")))
+    return rows.join(known, "node", "left").withColumn("root", F.coalesce("root", "node"))
 
 
 def similar(docs: DataFrame, size: int, least: float, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -154,25 +201,78 @@ def similar(docs: DataFrame, size: int, least: float, id_col: str = "doc_id", te
     """
     if not 0 < least <= 1:
         raise ValueError("least must be above 0 and at most 1")
+    spark, spent = docs.sparkSession, []
     rows = _rows(docs, id_col, text_col).filter("doc_id is not null")
-    named = settle(nodes_of(rows, size, least, common_shingles(rows, size)), "shingle-nodes")
-    nodes = named.dropDuplicates(["node"]).select("node", "n", F.posexplode("keys").alias("place", "k"))
-    key = Window.partitionBy("k")
-    first = F.min(F.struct("node", "n", "place")).over(key)
-    postings = nodes.withColumn("first", first).withColumn("high", F.max("node").over(key)).filter("first.node <> high")
-    postings = postings.select("k", "node", "n", "place", F.col("first.node").alias("low"), F.col("first.n").alias("m"), F.col("first.place").alias("spot"))
-    postings = settle(postings, "shingle-postings")
-    stars = postings.filter((F.col("node") != F.col("low")) & _may_be_similar(least))
-    links = _compared(stars.select(F.col("low").alias("u"), F.col("node").alias("v")), rows, named, size, least)
-    roots = components(links)
-    a = postings.join(roots.select(F.col("u").alias("node"), "v"), "node", "left").withColumn("root", F.coalesce("v", "node"))
-    a = a.select("k", "node", "n", "place", "low", "root").withColumn("r0", F.min("root").over(key)).withColumn("r1", F.max("root").over(key))
-    a = settle(a.filter("r0 <> r1").select("k", "node", "n", "place", "low", "root"), "shingle-open")
-    b = a.select("k", F.col("node").alias("other"), F.col("n").alias("m"), F.col("place").alias("spot"), F.col("root").alias("its"))
-    # the pairs with a key's smallest node are compared already
-    rest = a.join(b, "k").filter((F.col("node") < F.col("other")) & (F.col("node") != F.col("low")) & (F.col("root") != F.col("its")) & _may_be_similar(least))
-    more = _compared(rest.select(F.col("node").alias("u"), F.col("other").alias("v")), rows, named, size, least)
-    roots = settle(components(roots.unionByName(more)), "shingle-roots")
-    rooted = named.select("doc_id", "node").join(roots.select(F.col("u").alias("node"), "v"), "node", "left").select("doc_id", F.coalesce("v", "node").alias("root"))
-    rooted = settle(rooted, "shingle-rooted")
+    keyed = settle(nodes_of(rows, size, least, common_shingles(rows, size)), "shingle-keys", spent)
+    named = settle(keyed.select("doc_id", "node", "fp"), "shingle-nodes")
+    nodes = settle(named.groupBy("node").agg(F.min("doc_id").alias("doc_id"), F.min("fp").alias("fp")), "shingle-distinct")
+
+    every = keyed.select("node", "n", "met", F.posexplode("keys").alias("place", "k"))
+    again = every.groupBy("k").agg(F.count("*").alias("c")).filter("c > 1").select("k")
+    postings = every.join(again, "k", "left_semi").dropDuplicates(["k", "node"])
+    postings = settle(postings.select("k", "node", "n", "met", "place"), "shingle-postings")
+    discard(spark, spent)
+
+    tested = [settle(_by_fingerprint(nodes).groupBy("u", "v").agg(F.min("u").alias("at")), "shingle-pairs")]
+    roots = components(_compared(tested[0], rows, nodes, size, least))
+    open_ = postings
+    for rnd in range(HUB_ROUNDS):
+        open_ = _open(open_, roots)
+        pairs = settle(_with_hubs(open_, nodes, rnd, least), "shingle-pairs")
+        tested.append(settle(_new(pairs, tested), "shingle-pairs"))
+        roots = components(roots.unionByName(_compared(tested[-1], rows, nodes, size, least)))
+    pairs = settle(_new(settle(_remaining(_open(open_, roots), least), "shingle-pairs"), tested), "shingle-pairs")
+    roots = settle(components(roots.unionByName(_compared(pairs, rows, nodes, size, least))), "shingle-roots")
+    rooted = settle(_rooted(named.select("doc_id", "node"), roots).select("doc_id", "root"), "shingle-rooted")
     return rooted.join(rooted.groupBy("root").agg(F.min("doc_id").alias("component_id")), "root").select("doc_id", "component_id")
+
+
+def _open(postings: DataFrame, roots: DataFrame) -> DataFrame:
+    """Postings with the root of their node, of the keys that hold more than one root."""
+    rooted = _rooted(postings.drop("root"), roots)
+    ends = rooted.groupBy("k").agg(F.min("root").alias("r0"), F.max("root").alias("r1")).filter("r0 <> r1").select("k")
+    return settle(rooted.join(ends, "k", "left_semi"), "shingle-open")
+
+
+def _new(pairs: DataFrame, tested: list[DataFrame]) -> DataFrame:
+    """The pairs that were not tested before, either way round, each once."""
+    before = tested[0].select("u", "v")
+    for t in tested[1:]:
+        before = before.unionByName(t.select("u", "v"))
+    before = before.unionByName(before.select(F.col("v").alias("u"), F.col("u").alias("v")))
+    new = pairs.join(before, ["u", "v"], "left_anti")
+    low, high = F.least("u", "v").alias("low"), F.greatest("u", "v").alias("high")
+    return new.groupBy(low, high).agg(F.min(F.struct("u", "v", "at")).alias("x")).select("x.u", "x.v", "x.at")
+
+
+def _with_hubs(open_: DataFrame, nodes: DataFrame, rnd: int, least: float) -> DataFrame:
+    """(u, v, at): every node outside the groups of the hubs of its keys, with one of these hubs: of those
+    that may be similar, the one whose fingerprint is nearest, if it is within HUB_BITS.
+
+    First, a key's hub is the node whose shingles are met most often: of copies with changes, most likely
+    what they are copies of. Later it is drawn, for each key anew."""
+    first = F.xxhash64("node", "k", F.lit(rnd)) if rnd else -F.col("met").cast("long")
+    hubs = open_.groupBy("k").agg(F.min(F.struct(first.alias("h"), "node", "n", "place", "root")).alias("hub"))
+    hubs = hubs.select("k", *[F.col(f"hub.{c}").alias(x) for c, x in (("node", "hub"), ("n", "m"), ("place", "spot"), ("root", "its"))])
+    met = open_.join(hubs, "k").filter((F.col("root") != F.col("its")) & _may_be_similar(least, "place", "spot")).select("node", "hub").distinct()
+    prints = nodes.select("node", "fp")
+    met = met.join(prints, "node").join(prints.select(F.col("node").alias("hub"), F.col("fp").alias("its")), "hub")
+    nearest = met.groupBy("node").agg(F.min(F.struct(F.bit_count(F.col("fp").bitwiseXOR(F.col("its"))).alias("d"), "hub")).alias("x")).filter(F.col("x.d") <= HUB_BITS)
+    return nearest.select(F.col("node").alias("u"), F.col("x.hub").alias("v"), F.col("x.hub").alias("at"))
+
+
+def _remaining(open_: DataFrame, least: float) -> DataFrame:
+    """(u, v, at): the pairs of nodes of different roots that share a key and may be similar, each under the
+    first key that it shares.
+
+    In a key, only the nodes outside its most frequent root are joined with the others. `before` holds
+    the last of a node's earlier keys that are open as well; a pair that shares one of them was met there.
+    """
+    order = Window.partitionBy("node").orderBy("place").rowsBetween(-EARLIER_KEYS, -1)
+    open_ = settle(open_.withColumn("before", F.collect_list("k").over(order)), "shingle-open")
+    main = open_.groupBy("k", "root").count().groupBy("k").agg(F.max(F.struct("count", "root")).alias("x")).select("k", F.col("x.root").alias("main"))
+    a = open_.join(main, "k").filter("root <> main")
+    b = open_.select("k", F.col("node").alias("other"), F.col("n").alias("m"), F.col("place").alias("spot"), F.col("root").alias("its"), F.col("before").alias("past"))
+    once = (F.col("its") == F.col("main")) | (F.col("node") < F.col("other"))
+    apart = (F.col("root") != F.col("its")) & once & _may_be_similar(least, "place", "spot") & ~F.arrays_overlap("before", "past")
+    return a.join(b, "k").filter(apart).groupBy(F.col("node").alias("u"), F.col("other").alias("v")).agg(F.min("k").alias("at"))

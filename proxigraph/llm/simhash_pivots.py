@@ -27,12 +27,14 @@ from pyspark.sql import functions as F
 
 from proxigraph.llm.components import components, local_components
 from proxigraph.llm.textops import LONG, chunks, mix64, segments, xxh64_slices
-from proxigraph.runtime import map_arrow, settle
+from proxigraph.runtime import broadcast_if_small, map_arrow, settle
 
 SHINGLE_WORDS = 3
 SEED = 42
 RADIUS = 2
 N_PIVOTS = 16
+#: Ids that are broadcast, at most (16 MB).
+MOST_IDS = 2_000_000
 CHUNK_BYTES = 1 << 18
 
 #: Sets byte k of a 64-bit lane for bit k of a byte, to count eight bits in one addition.
@@ -104,6 +106,15 @@ def fingerprint_texts(texts: list[str | None], shingle_words: int = SHINGLE_WORD
     return out
 
 
+def fingerprint_hashes(sets: list[np.ndarray]) -> np.ndarray:
+    """The SimHash of each set of shingle hashes; 0 for an empty one."""
+    if not sets:
+        return np.empty(0, dtype=np.uint64)
+    counts, total = _counts(np.concatenate(sets), np.repeat(np.arange(len(sets)), [len(s) for s in sets]), len(sets))
+    bits = (counts * 2 > total[:, None]).astype(np.uint64)
+    return (bits << np.arange(64, dtype=np.uint64)).sum(axis=1, dtype=np.uint64)
+
+
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle_words: int = SHINGLE_WORDS) -> DataFrame:
     """(doc_id, fp long): the SimHash of every text.
 
@@ -223,8 +234,9 @@ def keep_one(docs: DataFrame, radius: int = RADIUS, shingle_words: int = SHINGLE
     stays (of several rows with that id, one). Rows with a null doc_id cannot be named and stay.
 
     Near-duplicates are fingerprints within `radius` bits or, where `least_jaccard` is given, sets of
-    shingles of that similarity or more (`shingle_sets`, which loses no such pair: at 0.8 about ten of
-    64 bits differ, more than any bucket of fingerprint bytes can cover)."""
+    shingles of that similarity or more. The fingerprints then only lead the search (`shingle_sets`),
+    which loses no such pair: at 0.8 about ten of 64 bits differ, more than pivot distances can tell
+    from unrelated texts."""
     named = docs.filter("doc_id is not null")
     if least_jaccard is None:
         groups = near_duplicates(named, radius=radius, shingle_words=shingle_words)
@@ -232,6 +244,13 @@ def keep_one(docs: DataFrame, radius: int = RADIUS, shingle_words: int = SHINGLE
         from proxigraph.llm import shingle_sets
 
         groups = shingle_sets.similar(named, shingle_words, least_jaccard)
-    kept = groups.filter(F.col("doc_id") == F.col("component_id")).select("doc_id").distinct()
-    out = docs.join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    ids = settle(groups.groupBy("doc_id").agg(F.min("component_id").alias("low"), F.count("*").alias("n")), "grouped-ids")
+    gone = settle(ids.filter("low <> doc_id").select("doc_id"), "dropped-ids")  # fewer than those that stay
+    again = ids.filter("low = doc_id AND n > 1").select("doc_id")
+    out = named.join(broadcast_if_small(gone, MOST_IDS), "doc_id", "left_anti")
+    if not again.isEmpty():  # repeated ids: one of their rows, the least by its columns' text
+        out = out.join(broadcast_if_small(again, MOST_IDS), "doc_id", "left_anti")
+        repeated = docs.join(broadcast_if_small(again, MOST_IDS), "doc_id", "left_semi").select("doc_id", F.struct(*docs.columns).alias("_sp_row"))
+        repeated = repeated.withColumn("_sp_text", F.to_json("_sp_row", {"ignoreNullFields": "false"}))
+        out = out.unionByName(repeated.groupBy("doc_id").agg(F.min_by("_sp_row", "_sp_text").alias("_sp_row")).select("_sp_row.*"))
     return out.select(*docs.columns).unionByName(docs.filter("doc_id is null"))
