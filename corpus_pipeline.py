@@ -7,8 +7,6 @@ from pyspark.sql import DataFrame, SparkSession
 from proxigraph.llm import packing, pareto_mix, ppm_langid, simhash_pivots, toxicity_ftrl
 from proxigraph.runtime import read_table, settle
 
-#: Below this share of the likelihood a language is not taken as recognised.
-LEAST_LANGUAGE_SCORE = 0.5
 #: Documents are near-duplicates from this Jaccard similarity of their sets of so many words in a row on.
 SHINGLE_WORDS = 5
 LEAST_SIMILARITY = 0.8
@@ -21,9 +19,9 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_unknown_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Rejects documents without a letter, and those whose language is not recognised."""
-    found = ppm_langid.predict(docs, ppm_langid.fit(docs))
-    return found.filter((found["lang_pred"] != ppm_langid.UNDETERMINED) & (found["score"] >= LEAST_LANGUAGE_SCORE)).select(*docs.columns)
+    """Rejects documents without a letter, and those that no learnt language codes in half of eight bits
+    a byte, as strings of digits, keys or shouted fragments."""
+    return ppm_langid.predict(docs, ppm_langid.fit(docs)).filter(ppm_langid.recognised()).select(*docs.columns)
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
