@@ -35,13 +35,6 @@ def test_curves(spark, small_dir):
     assert all(wide[m] >= slim[m] for m in wide) and any(r["front"] for r in rows)
 
 
-def test_high_recall_and_builds(spark, small_dir):
-    rows = run(spark, small_dir, "w03_high_recall")
-    assert {m for r in rows for m in [r["method"].split("/")[0]]} >= set(workloads.BUILDS) and all(r["recall"] >= 0.9 for r in rows)
-    table = run(spark, small_dir, "w04_build_table")
-    assert len(table) == 5 and all(r[c] > 0 for r in table for c in ("emb", "doc", "web"))
-
-
 def test_old_and_new(spark, small_dir):
     rows = run(spark, small_dir, "w06_old_and_new")
     assert {r["method"] for r in rows} == set(workloads.BUILDS)
