@@ -38,9 +38,10 @@ def components(links: DataFrame) -> DataFrame:
     """
     spark = links.sparkSession
     spent: list[str] = []
+    last: list[str] = []
     edges = settle(
         links.filter("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(),
-        "links",
+        "links", last,
     )
     before = _digest(edges)
     while before[0]:
@@ -56,7 +57,9 @@ def components(links: DataFrame) -> DataFrame:
             large.join(low, "u").filter("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
             .unionByName(low.select("u", F.col("m").alias("v"))).distinct()
         )
-        edges = settle(small, "small-star")
+        spent += last
+        last.clear()
+        edges = settle(small, "small-star", last)
         discard(spark, spent)
         after = _digest(edges)
         if after == before:

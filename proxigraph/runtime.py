@@ -6,6 +6,8 @@ import os
 import tempfile
 import uuid
 import zipfile
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -38,15 +40,39 @@ def fresh_path(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
 
 
+#: Rows that a kernel sees at once; Arrow's own batches hold ten times as many, whatever their size.
+KERNEL_ROWS = 1024
+
+
+@contextmanager
+def _frugal(spark: SparkSession) -> Iterator[None]:
+    """What runs inside leaves no shuffle files behind once it has ended, and hands Python batches of
+    KERNEL_ROWS rows at most."""
+    wanted = {
+        "spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true",
+        "spark.sql.execution.arrow.maxRecordsPerBatch": str(KERNEL_ROWS),
+    }
+    before = {key: spark.conf.get(key, None) for key in wanted}
+    try:
+        for key, value in wanted.items():
+            spark.conf.set(key, value)
+        yield
+    finally:
+        for key, value in before.items():
+            spark.conf.unset(key) if value is None else spark.conf.set(key, value)
+
+
 def settle(df: DataFrame, name: str, spent: list[str] | None = None) -> DataFrame:
     """Write df as Parquet in the shared folder and read it back.
 
     Cuts the lineage of loops and keeps costly steps from running twice; survives lost
     executors, as the files are not theirs. The path is added to `spent`, if given, for discard.
+    Shuffle files of the write go with it, rather than when the driver next collects garbage.
     """
     spark = df.sparkSession
     path = fresh_path(spark, name)
-    df.write.parquet(path)
+    with _frugal(spark):
+        df.write.parquet(path)
     if spent is not None:
         spent.append(path)
     return spark.read.schema(df.schema).parquet(path)
@@ -94,10 +120,6 @@ def _give_back() -> None:
         trim(0)
 
 
-#: Rows that a kernel sees at once; Arrow's own batches hold ten times as many, whatever their size.
-KERNEL_ROWS = 1024
-
-
 def map_arrow(df: DataFrame, function, schema, rows: int = KERNEL_ROWS) -> DataFrame:
     """df.mapInArrow(function, schema) with this package at hand in the workers. Batches are cut into
     slices of `rows` rows, so that what a kernel copies out of a batch of long texts stays small;
