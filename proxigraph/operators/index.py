@@ -275,8 +275,11 @@ class GraphIndex:
             if start == "sample" and graph.n and not graph.upper:
                 drawn = K.hashed_order(shard.ids, 7)[:samples]
                 begin = drawn[nearest_rows(q, graph.vecs.T[drawn], 1, metric)[0][:, 0]]
+            every = k + more if eps is None and graph.n and width >= graph.n else None  # the beam holds every vertex
             if graph.upper:
-                found = K.layered_search(graph, q.T, width, k + more, eps, visited)
+                found = K.layered_search(graph, q.T, width, k + more, eps, visited, every)
+            elif every is not None:
+                found = K.exhausted(graph, q.T, every, begin)
             else:
                 found = K.beam_search(graph, q.T, width, k + more, eps, visited, begin)
             if begin is not None:
@@ -300,7 +303,8 @@ class GraphIndex:
 
         def run(shard: Loaded, q_ids: np.ndarray, q: np.ndarray):
             graph, w = shard.graph, width
-            found = K.beam_search(graph, q.T, w, 1)
+            full = 0 < graph.n <= width  # the beam holds every vertex: there is nothing to flood, or to grow
+            found = K.exhausted(graph, q.T, radius=radius) if full else K.beam_search(graph, q.T, w, 1)
             if grow:
                 while w < graph.n and ((found.beam_distance <= radius).sum(axis=1) * 2 >= w).any():
                     w = min(2 * w, graph.n)
@@ -309,7 +313,7 @@ class GraphIndex:
                     found.comps = found.comps + comps
             at = np.concatenate([found.visited, found.beam], axis=1)
             d = np.concatenate([found.distance, found.beam_distance], axis=1)
-            if flood:
+            if flood and not full:
                 at, d = _flood(graph, q.T, at, d, radius, found)
             order = np.lexsort((at, d), axis=1)
             at, d = np.take_along_axis(at, order, axis=1), np.take_along_axis(d, order, axis=1)
@@ -329,7 +333,7 @@ class GraphIndex:
             return pa.RecordBatch.from_arrays(
                 [
                     pa.array(q_ids), pa.ListArray.from_arrays(offsets, pa.array(ids)), pa.ListArray.from_arrays(offsets, pa.array(far)),
-                    pa.array(found.hops), pa.array(found.comps), pa.array((found.visited >= 0).sum(axis=1)),
+                    pa.array(found.hops), pa.array(found.comps), pa.array((found.visited >= 0).sum(axis=1) if found.processed is None else found.processed),
                 ],
                 ["qid", "ids", "dists", "hops", "dist_comps", "visited"],
             )

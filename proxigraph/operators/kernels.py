@@ -15,7 +15,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 
-from proxigraph.functions.distance import gathered
+from proxigraph.functions.distance import close_pairs, gathered
 from proxigraph.functions.prng import RANGE, draw_value
 
 QUERY_BLOCK = 256
@@ -59,6 +59,8 @@ class Found:
     comps: np.ndarray
     beam: np.ndarray
     beam_distance: np.ndarray
+    #: How many vertices were processed, where `visited` holds the nearest of them only.
+    processed: np.ndarray | None = None
 
     def nearest(self, k: int, source: str = "visited") -> tuple[np.ndarray, np.ndarray]:
         """The k closest processed vertices (or beam members) of each query, by (distance, id)."""
@@ -452,15 +454,16 @@ def layer_graph(graph: Graph, layer: int, degree: int = 1) -> Graph:
     return out
 
 
-def layered_search(graph: Graph, queries: np.ndarray, width: int, k: int = 1, eps: float | None = None, visited: str = "seen") -> Found:
-    """From the entry down with beams of one, then a full beam at the bottom."""
+def layered_search(graph: Graph, queries: np.ndarray, width: int, k: int = 1, eps: float | None = None, visited: str = "seen", keep: int | None = None) -> Found:
+    """From the entry down with beams of one, then a full beam at the bottom; with keep, one that holds every
+    vertex, of which the `keep` nearest are returned."""
     at = np.full(queries.shape[1], graph.entry)
     comps = np.zeros(queries.shape[1], np.int64)
     for layer in range(len(graph.upper), 0, -1):
         found = beam_search(layer_graph(graph, layer), queries, 1, starts=at)
         at = found.nearest(1)[0][:, 0]
         comps += found.comps
-    found = beam_search(graph, queries, width, k, eps, visited, starts=at)
+    found = exhausted(graph, queries, keep, at) if keep is not None else beam_search(graph, queries, width, k, eps, visited, starts=at)
     found.comps = found.comps + comps
     return found
 
@@ -736,13 +739,62 @@ def connect(graph: Graph, width: int = 32) -> None:
                 graph.nbrs[a, spare[0]], graph.dists[a, spare[0]] = b, d
 
 
-def reach(graph: Graph) -> np.ndarray:
-    """Which positions can be reached from the start."""
+def reach(graph: Graph, start: int | None = None) -> np.ndarray:
+    """Which positions can be reached from the start, or from the graph's own."""
     seen = np.zeros(graph.n, dtype=bool)
-    front = np.array([graph.start]) if graph.n else np.empty(0, np.int64)
+    front = np.array([graph.start if start is None else start]) if graph.n else np.empty(0, np.int64)
     while len(front):
         seen[front] = True
         near = np.unique(graph.nbrs[front])
         near = near[near >= 0]
         front = near[~seen[near]]
     return seen
+
+
+def reaching(graph: Graph, end: int) -> np.ndarray:
+    """Which positions the given one can be reached from."""
+    row, col = np.nonzero(graph.nbrs >= 0)
+    dst = graph.nbrs[row, col]
+    seen = np.zeros(graph.n, dtype=bool)
+    fresh = np.array([end])
+    while len(fresh):
+        seen[fresh] = True
+        fresh = np.unique(row[seen[dst] & ~seen[row]])
+    return seen
+
+
+def exhausted(graph: Graph, queries: np.ndarray, keep: int | None = None, starts: np.ndarray | None = None, radius: float | None = None) -> Found:
+    """What beam_search gives with a beam that holds every vertex and no eps: each query then processes all
+    that its start reaches, at one distance a vertex. So what is reached is found once for the starts that
+    reach each other, and scanned in blocks; of it, the `keep` nearest or all within radius are returned."""
+    b = queries.shape[1]
+    own = starts if starts is not None else np.full(b, graph.start)
+    size = np.zeros(b, np.int64)
+    rows, ids, far = [], [], []
+    left = np.unique(own)
+    while len(left):
+        seen = reach(graph, left[0])
+        alike = seen[left] & reaching(graph, left[0])[left] if len(left) > 1 else np.ones(1, dtype=bool)
+        at, who = np.flatnonzero(seen), np.flatnonzero(np.isin(own, left[alike]))
+        x = graph.vecs.T[at]
+        step = max(8, (32 << 20) // max(1, len(at)))
+        for lo in range(0, len(who), step):
+            r, c, d = close_pairs(queries.T[who[lo: lo + step]], x, graph.metric, None if keep is None else min(keep, len(at)), radius)
+            order = np.lexsort((c, d, r))
+            r, c, d = r[order], c[order], d[order]
+            if keep is not None:
+                first = np.arange(len(r)) - np.searchsorted(r, r, side="left") < keep
+                r, c, d = r[first], c[first], d[first]
+            rows.append(who[lo: lo + step][r])
+            ids.append(at[c])
+            far.append(d)
+        size[who] = len(at)
+        left = left[~alike]
+    r, p, d = (np.concatenate(x) if x else np.empty(0, t) for x, t in ((rows, np.int64), (ids, np.int64), (far, float)))
+    order = np.argsort(r, kind="stable")
+    r, p, d = r[order], p[order], d[order]
+    place = np.arange(len(r)) - np.searchsorted(r, r, side="left")
+    most = int(place.max()) + 1 if len(r) else 0
+    out, dist = np.full((b, most), -1, dtype=np.int64), np.full((b, most), np.inf)
+    out[r, place], dist[r, place] = p, d
+    return Found(out, dist, size, size.copy(), out, dist, size)
