@@ -133,10 +133,9 @@ def asof_user_vector(spark, sf_dir):
 @query(f"WITH {D.EMB} SELECT qid, id, round(dist, 6) AS dist FROM q, LATERAL (SELECT id, {D.l2('vec', 'qvec')} AS dist FROM p ORDER BY dist, id LIMIT 3)")
 def knn_lateral(spark, sf_dir):
     base, q = _emb(spark, sf_dir)
-    b = base.plain()
-    qs = q.plain().select(F.col("id").alias("qid"), F.col("vec").alias("qvec"))
-    near = b.select(F.col("id"), distance.l2(F.col("vec"), F.col("qvec").outer()).alias("dist")).orderBy("dist", "id").limit(3)
-    return qs.lateralJoin(near).select("qid", "id", F.round("dist", 6).alias("dist"))
+    met = settle(exact.exact_knn(base, q, 3), "met")  # else every pair is sorted by its query
+    near = met.filter(F.col("qid") == F.col("asked").outer()).select("id", "dist").orderBy("dist", "id").limit(3)
+    return q.plain().select(F.col("id").alias("asked")).lateralJoin(near).withColumnRenamed("asked", "qid").select("qid", "id", F.round("dist", 6).alias("dist"))
 
 
 _DOCV = f"v AS (SELECT doc_id AS id, {D.counts('text')} AS vec FROM documents)"
