@@ -10,13 +10,18 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from proxigraph.functions.distance import expression
+from proxigraph.functions.distance import close_pairs, gathered
 from proxigraph.functions.prng import draw_value
+from proxigraph.operators import resident
 from proxigraph.operators.exact import top_k
 from proxigraph.operators.index import SearchResult
 from proxigraph.operators.model import PointSet, to_lists, to_matrix
 from proxigraph.runtime import map_arrow, settle
 
+#: Members that one task holds of a bucket.
+CELL_ROWS = 8192
+QUERY_BLOCK = 512
+
 
 def normals(tables: int, bits: int, dims: int, seed: int = 42) -> np.ndarray:
     """tables x bits x dims of +-1, each a hashed draw."""
@@ -31,9 +36,9 @@ def projections(x: np.ndarray, w: np.ndarray) -> np.ndarray:
     return out
 
 
-def buckets(points: PointSet, tables: int = 8, bits: int = 12, probes: int = 1, kind: str = "sign", seed: int = 42) -> DataFrame:
-    """id, vec, tbl, bucket, probe: each point's bucket in each table and, for queries, the next
-    probes - 1 buckets: those reached by flipping the bits (or taking the axes) of least margin."""
+def coded(points: PointSet, tables: int = 8, bits: int = 12, probes: int = 1, kind: str = "sign", seed: int = 42) -> DataFrame:
+    """id, vec, codes: each point's bucket in each table, one table after the other, and behind each bucket, for
+    queries, the next probes - 1: those reached by flipping the bits (or taking the axes) of least margin."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         w = None
@@ -42,51 +47,157 @@ def buckets(points: PointSet, tables: int = 8, bits: int = 12, probes: int = 1,
                 continue
             x = to_matrix(b.column(1))
             w = normals(tables, bits, x.shape[1], seed) if w is None else w
+            out = []
             for t in range(tables):
                 y = projections(x, w[t])
-                n = len(x)
                 if kind == "sign":
                     code = ((y > 0).astype(np.int64) << np.arange(bits)).sum(axis=1)
                     flip = np.argsort(np.abs(y), axis=1, kind="stable")[:, : max(0, probes - 1)]
-                    codes = np.column_stack([code, code[:, None] ^ (np.int64(1) << flip)])
+                    out.append(np.column_stack([code, code[:, None] ^ (np.int64(1) << flip)]))
                 else:  # the axis of a rotated space that a point is closest to, with its sign
                     near = np.argsort(-np.abs(y), axis=1, kind="stable")[:, :probes]
-                    codes = near * 2 + (np.take_along_axis(y, near, axis=1) > 0)
-                m = codes.shape[1]
-                who = np.repeat(np.arange(n), m)
-                yield pa.RecordBatch.from_arrays(
-                    [b.column(0).take(pa.array(who)), to_lists(x[who]), pa.array(np.full(n * m, t, dtype=np.int32)), pa.array(codes.reshape(-1)), pa.array(np.tile(np.arange(m, dtype=np.int32), n))],
-                    ["id", "vec", "tbl", "bucket", "probe"],
-                )
+                    out.append(near * 2 + (np.take_along_axis(y, near, axis=1) > 0))
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), to_lists(np.concatenate(out, axis=1), pa.int64())], ["id", "vec", "codes"])
 
-    return map_arrow(points.plain(), run, "id long, vec array<double>, tbl int, bucket long, probe int")
+    return map_arrow(points.plain(), run, "id long, vec array<double>, codes array<bigint>")
+
+
+def buckets(points: PointSet, tables: int = 8, bits: int = 12, probes: int = 1, kind: str = "sign", seed: int = 42) -> DataFrame:
+    """id, vec, tbl, bucket, probe: the rows of `coded`, one a bucket."""
+    each = F.floor(F.size("codes") / F.lit(tables)).cast("int")
+    rows = coded(points, tables, bits, probes, kind, seed).select("id", "vec", each.alias("m"), F.posexplode("codes").alias("at", "bucket"))
+    return rows.select("id", "vec", F.floor(F.col("at") / F.col("m")).cast("int").alias("tbl"), "bucket", (F.col("at") % F.col("m")).alias("probe"))
 
 
 @dataclass(frozen=True)
 class HashIndex:
-    rows: DataFrame  # tbl, bucket, id, vec
+    """rows: cell, id, vec, codes (a bucket a table), tbl, bucket. A cell of the store holds several buckets, and a
+    bucket of more than CELL_ROWS members is dealt to cells of its own by hashed id."""
+
+    rows: DataFrame
+    folder: str
+    cells: int
+    groups: int
+    large: dict  # (tbl, bucket) -> (first cell, how many)
+    points: int
     metric: str
     tables: int
-    bits: int
-    kind: str
-    seed: int
+    bits: int = 0
+    kind: str = ""
+    seed: int = 42
 
     @classmethod
     def build(cls, points: PointSet, kind: str = "sign", tables: int = 8, bits: int = 12, seed: int = 42) -> HashIndex:
-        rows = settle(buckets(points, tables, bits, 1, kind, seed).select("tbl", "bucket", "id", "vec"), "buckets")
-        return cls(rows, points.metric, tables, bits, kind, seed)
+        if bits > 52:
+            raise ValueError("a bucket must fit 53 bits")
+        return cls.of_codes(coded(points, tables, bits, 1, kind, seed), points.metric, tables, bits, kind, seed)
+
+    @classmethod
+    def of_codes(cls, codes: DataFrame, metric: str, tables: int, *made) -> HashIndex:
+        """Of id, vec, codes: a bucket a table."""
+        codes = settle(codes.select("id", "vec", "codes"), "coded")
+        n = codes.count()
+        each = codes.select("*", F.posexplode("codes").alias("tbl", "bucket"))
+        hot = each.groupBy("tbl", "bucket").count().filter(F.col("count") > CELL_ROWS).orderBy("tbl", "bucket").collect()  # at most tables * n / CELL_ROWS
+        groups = max(1, -(-n * tables // CELL_ROWS))
+        large, cells = {}, groups
+        for r in hot:
+            large[r["tbl"], r["bucket"]] = cells, -(-r["count"] // CELL_ROWS)
+            cells += large[r["tbl"], r["bucket"]][1]
+        own = _spans(each, groups, large)
+        placed = own.select((F.col("at") + F.pmod(F.xxhash64("id"), "many")).alias("cell"), "id", "vec", "codes", "tbl", "bucket")
+        return cls(*resident.store(placed.repartition("cell").sortWithinPartitions("cell", "id"), "buckets"), cells, groups, large, n, metric, tables, *made)
 
     def search(self, queries: PointSet, k: int = 10, probes: int = 1, most: int | None = None) -> SearchResult:
         """The k nearest among the members of the probed buckets; `most` bounds the candidates of a
         query (those of the first probes, then the least ids), a parameter of the method."""
-        q = buckets(queries, self.tables, self.bits, probes, self.kind, self.seed).select(F.col("id").alias("qid"), F.col("vec").alias("qvec"), "tbl", "bucket", "probe")
-        met = q.join(self.rows, ["tbl", "bucket"]).groupBy("qid", "id").agg(F.min("probe").alias("probe"), F.first("qvec").alias("qvec"), F.first("vec").alias("vec"))
-        if most is not None:
-            met = met.withColumn("_n", F.row_number().over(Window.partitionBy("qid").orderBy("probe", "id"))).filter(F.col("_n") <= most)
-        met = settle(met.select("qid", "id", expression(self.metric, "vec", "qvec").alias("dist")), "candidates")
-        ids = queries.plain().select(F.col("id").alias("qid"))
-        n = ids.join(met.groupBy("qid").agg(F.count("*").alias("n")), "qid", "left").select("qid", F.lit(probes).cast("long").alias("hops"), F.coalesce("n", F.lit(0)).alias("dist_comps"), F.coalesce("n", F.lit(0)).alias("visited"))
-        return SearchResult(top_k(met, k), n)
+        return self.search_codes(coded(queries, self.tables, self.bits, probes, self.kind, self.seed), k, probes, most)
+
+    def search_codes(self, queries: DataFrame, k: int = 10, probes: int = 1, most: int | None = None) -> SearchResult:
+        """search of id, vec, codes, as `coded` gives them."""
+        queries = settle(queries.select("id", "vec", "codes"), "asked")
+        each = F.floor(F.size("codes") / F.lit(self.tables))
+        asked = queries.select("*", F.posexplode("codes").alias("place", "bucket")).withColumn("tbl", F.floor(F.col("place") / each).cast("int"))
+        own = _spans(asked, self.groups, self.large).select(F.explode(F.sequence("at", F.col("at") + F.col("many") - 1)).alias("cell"), "*")
+        # a query's buckets, and the one that it visits, travel as more components
+        routed = own.select("cell", "id", F.concat("vec", F.transform("codes", lambda c: c.cast("double")), F.array(F.col("tbl").cast("double"), F.col("bucket").cast("double"))).alias("vec"))
+        cut = most is not None and most < self.points
+        metric, tables = self.metric, self.tables
+
+        def load(table: pa.Table):
+            tbl, bucket = (table.column(c).to_numpy() for c in ("tbl", "bucket"))
+            order = np.lexsort((table.column("id").to_numpy(), bucket, tbl))
+            table, tbl, bucket = table.take(pa.array(order)), tbl[order], bucket[order]
+            first = np.flatnonzero((np.diff(tbl, prepend=-1) != 0) | (np.diff(bucket, prepend=bucket[:1] - 1) != 0))
+            ids, x, codes = table.column("id").to_numpy(), to_matrix(table.column("vec")), to_matrix(table.column("codes"))
+            return {(int(tbl[a]), int(bucket[a])): (ids[a:b], x[a:b], codes[a:b]) for a, b in zip(first, [*first[1:], len(ids)], strict=True)}
+
+        def ask(held, table: pa.Table) -> pa.RecordBatch:
+            q_ids, both = table.column("id").to_numpy(), to_matrix(table.column("vec"))
+            names, back = np.unique(both[:, -2:], axis=0, return_inverse=True)
+            out = []
+            for at, (t, bucket) in enumerate(names.astype(np.int64).tolist()):
+                if (t, bucket) in held:
+                    who = np.flatnonzero(back.reshape(-1) == at)
+                    for lo in range(0, len(who), QUERY_BLOCK):
+                        mine = who[lo: lo + QUERY_BLOCK]
+                        out.append((mine, *_meet(both[mine, :-2], t, tables, *held[t, bucket], metric, k, most if cut else None)))
+            r, i, d, p = (np.concatenate([o[0][o[1]] if j == 1 else o[j] for o in out]) if out else np.empty(0, dtype) for j, dtype in ((1, np.int64), (2, np.int64), (3, float), (4, np.int64)))
+            met = np.zeros(len(q_ids), dtype=np.int64)
+            for o in out:
+                met[o[0]] += o[5]
+            order = np.argsort(r, kind="stable")
+            offsets = pa.array(np.concatenate([[0], np.cumsum(np.bincount(r, minlength=len(q_ids)))]).astype(np.int32))
+            lists = [pa.ListArray.from_arrays(offsets, pa.array(v[order])) for v in (i, d, p.astype(np.int64))]
+            return pa.RecordBatch.from_arrays([pa.array(q_ids), *lists, pa.array(met)], ["qid", "ids", "dists", "probes", "met"])
+
+        met = settle(resident.answer(routed, self.rows, self.folder, ["id", "vec", "codes", "tbl", "bucket"], self.cells, load, ask, "qid long, ids array<bigint>, dists array<double>, probes array<bigint>, met long"), "candidates")
+        found = met.select("qid", F.explode(F.arrays_zip("ids", "dists", "probes")).alias("e")).select("qid", F.col("e.ids").alias("id"), F.col("e.dists").alias("dist"), F.col("e.probes").alias("probe"))
+        if cut:
+            found = found.withColumn("_n", F.row_number().over(Window.partitionBy("qid").orderBy("probe", "id"))).filter(F.col("_n") <= most)
+        n = F.coalesce("n", F.lit(0).cast("long"))
+        n = n if most is None else F.least(n, F.lit(most).cast("long"))
+        stats = queries.select(F.col("id").alias("qid")).join(met.groupBy("qid").agg(F.sum("met").alias("n")), "qid", "left").select("qid", F.lit(probes).cast("long").alias("hops"), n.alias("dist_comps"), n.alias("visited"))
+        return SearchResult(top_k(found.select("qid", "id", "dist"), k), stats)
+
+
+def _spans(rows: DataFrame, groups: int, large: dict) -> DataFrame:
+    """rows (tbl, bucket, ...) with at, many: the cells of the bucket."""
+    spark = rows.sparkSession
+    hot = spark.createDataFrame([(int(t), int(b), int(a), int(m)) for (t, b), (a, m) in large.items()], "tbl int, bucket long, _at long, many long")
+    met = rows.join(F.broadcast(hot), ["tbl", "bucket"], "left")
+    return met.withColumn("at", F.coalesce("_at", F.pmod(F.xxhash64("tbl", "bucket"), F.lit(groups).cast("long")))).withColumn("many", F.coalesce("many", F.lit(1).cast("long"))).drop("_at")
+
+
+def _meet(both: np.ndarray, t: int, tables: int, ids: np.ndarray, x: np.ndarray, codes: np.ndarray, metric: str, k: int, most: int | None):
+    """Of queries (vectors, then their buckets in every table) and the members of one bucket of table t, without the
+    pairs that meet in an earlier table: row of the query, id, distance, probe of the k nearest (most: of the
+    first `most` by the least probe of any table, then the id), and how many members each query meets."""
+    q, asked = both[:, : x.shape[1]], both[:, x.shape[1]:].reshape(len(both), tables, -1)
+    least = np.full((len(q), len(x)), asked.shape[2], dtype=np.int16)
+    before = np.zeros(least.shape, dtype=bool)
+    for other in range(tables if most is not None else t):
+        for p in range(asked.shape[2]):
+            same = asked[:, other, p][:, None] == codes[None, :, other]
+            if other < t:
+                before |= same
+            np.minimum(least, p, out=least, where=same)
+    met = len(x) - before.sum(axis=1)
+    if most is None:
+        r, c, d = close_pairs(q, x, metric, k, skip=before)
+        order = np.lexsort((ids[c], d, r))
+        r, c, d = r[order], c[order], d[order]
+        keep = np.arange(len(r)) - np.searchsorted(r, r, side="left") < k
+        return r[keep], ids[c[keep]], d[keep], np.zeros(keep.sum(), dtype=np.int64), met
+    key = np.where(before, np.iinfo(np.int64).max, least.astype(np.int64) * len(x) + np.arange(len(x)))  # members are in the order of ids
+    first = np.argpartition(key, most - 1, axis=1)[:, :most] if most < len(x) else np.broadcast_to(np.arange(len(x)), key.shape)
+    r = np.repeat(np.arange(len(q)), first.shape[1])
+    c = first.reshape(-1)
+    real = ~before[r, c]
+    r, c = r[real], c[real]
+    d = gathered(q.T, r, x.T, c, metric)
+    finite = np.isfinite(d)
+    return r[finite], ids[c[finite]], d[finite], least[r, c][finite], met
 
 
 def library_lsh(points: PointSet, queries: PointSet, k: int, bucket_length: float = 2.0, tables: int = 4, seed: int = 42) -> DataFrame:
