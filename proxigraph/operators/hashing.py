@@ -201,12 +201,14 @@ def _meet(both: np.ndarray, t: int, tables: int, ids: np.ndarray, x: np.ndarray,
 
 
 def library_lsh(points: PointSet, queries: PointSet, k: int, bucket_length: float = 2.0, tables: int = 4, seed: int = 42) -> DataFrame:
-    """Spark's own bucketed random projections, as a further comparison: qid, id, dist, rank."""
+    """Spark's own bucketed random projections, as a further comparison: qid, id, dist, rank. Its model gives the
+    buckets; pairs that share one meet as in HashIndex, as its own join makes a row of every such pair."""
     from pyspark.ml.feature import BucketedRandomProjectionLSH
-    from pyspark.ml.functions import array_to_vector
+    from pyspark.ml.functions import array_to_vector, vector_to_array
 
-    p = points.plain().select("id", array_to_vector("vec").alias("x"))
-    q = queries.plain().select("id", array_to_vector("vec").alias("x"))
+    p = points.plain().select("id", "vec", array_to_vector("vec").alias("x"))
+    q = queries.plain().select("id", "vec", array_to_vector("vec").alias("x"))
     model = BucketedRandomProjectionLSH(inputCol="x", outputCol="h", bucketLength=bucket_length, numHashTables=tables, seed=seed).fit(p)
-    met = model.approxSimilarityJoin(q, p, float("inf"), "dist")
-    return top_k(met.select(F.col("datasetA.id").alias("qid"), F.col("datasetB.id").alias("id"), "dist"), k)
+    codes = F.array(*[vector_to_array(F.col("h")[t])[0].cast("long") for t in range(tables)]).alias("codes")
+    made = HashIndex.of_codes(model.transform(p).select("id", "vec", codes), points.metric, tables)
+    return made.search_codes(model.transform(q).select("id", "vec", codes), k).results

@@ -57,3 +57,21 @@ def test_no_row_a_pair(spark, monkeypatch, small_dir):
     assert rows(got) == rows(con.execute(M.ORACLES["lsh_multiprobe"]).df())
     assert seen and seen[0] <= n * 2 * 4  # a row a table and probe
 
+
+def test_library_meets_in_cells(spark, monkeypatch, small_dir):
+    def fail(*a, **b):
+        raise AssertionError("a row a pair")
+
+    from pyspark.ml.feature import BucketedRandomProjectionLSHModel
+
+    base, q = M._emb(spark, small_dir)
+    from pyspark.ml.feature import BucketedRandomProjectionLSH
+    from pyspark.ml.functions import array_to_vector
+
+    p, o = (s.plain().select("id", array_to_vector("vec").alias("x")) for s in (base, q))
+    model = BucketedRandomProjectionLSH(inputCol="x", outputCol="h", bucketLength=2.0, numHashTables=4, seed=42).fit(p)
+    met = model.approxSimilarityJoin(o, p, float("inf"), "dist").selectExpr("datasetA.id AS qid", "datasetB.id AS id", "dist").toPandas()
+    want = {i: set(g.nsmallest(10, "dist").id) for i, g in met.groupby("qid")}
+    monkeypatch.setattr(BucketedRandomProjectionLSHModel, "approxSimilarityJoin", fail)
+    got = hashing.library_lsh(base, q, 10).toPandas()
+    assert {i: set(g.id) for i, g in got.groupby("qid")} == want
