@@ -20,7 +20,7 @@ BLOCK_ROWS = 65_536
 FOUND = "qid long, id long, dist double"
 
 
-def _nearest(q_ids, q, ids, x, metric: str, k: int | None, radius: float | None, exclude_self: bool):
+def nearest_of(q_ids, q, ids, x, metric: str, k: int | None, radius: float | None = None, exclude_self: bool = False):
     """(query index, id, distance) of the k nearest, or of all within radius, of rows x."""
     parts = []
     for a in range(0, len(q), QUERY_BLOCK):
@@ -59,7 +59,7 @@ def _scan(base: PointSet, queries: PointSet, metric: str, k: int | None, radius:
 
             def flush() -> Iterator[pa.RecordBatch]:
                 whole = pa.Table.from_batches(held)
-                r, i, d = _nearest(q_ids, qs, whole.column(0).to_numpy(), to_matrix(whole.column(1)), metric, k, radius, exclude_self)
+                r, i, d = nearest_of(q_ids, qs, whole.column(0).to_numpy(), to_matrix(whole.column(1)), metric, k, radius, exclude_self)
                 yield pa.RecordBatch.from_arrays([pa.array(q_ids[r]), pa.array(i), pa.array(d)], ["qid", "id", "dist"])
 
             rows = 0
@@ -84,7 +84,7 @@ def _scan(base: PointSet, queries: PointSet, metric: str, k: int | None, radius:
         for is_query, table, held in stream_cells(batches):
             if is_query:
                 q_ids = table.column("id").to_numpy()
-                r, i, d = _nearest(q_ids, to_matrix(table.column("vec")), held.column("id").to_numpy(), to_matrix(held.column("vec")), metric, k, radius, exclude_self)
+                r, i, d = nearest_of(q_ids, to_matrix(table.column("vec")), held.column("id").to_numpy(), to_matrix(held.column("vec")), metric, k, radius, exclude_self)
                 yield pa.RecordBatch.from_arrays([pa.array(q_ids[r]), pa.array(i), pa.array(d)], ["qid", "id", "dist"])
 
     return map_arrow(both, pair, FOUND)
@@ -210,4 +210,4 @@ def medoid(points: PointSet) -> DataFrame:
     return d.orderBy("dist", "id").limit(1)
 
 
-__all__ = ["box_search", "exact_knn", "exact_knn_graph", "exact_range", "medoid", "range_count", "settle", "stream_cells", "top_k"]
+__all__ = ["box_search", "exact_knn", "exact_knn_graph", "exact_range", "medoid", "nearest_of", "range_count", "settle", "stream_cells", "top_k"]

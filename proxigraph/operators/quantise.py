@@ -8,18 +8,20 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from proxigraph.functions.distance import block, expression, nearest_rows
+from proxigraph.functions.distance import block, expression, gathered, nearest_rows
 from proxigraph.functions.prng import draw
 from proxigraph.operators import resident
-from proxigraph.operators.exact import top_k
+from proxigraph.operators.exact import nearest_of, top_k
 from proxigraph.operators.inverted import LIST_ROWS, InvertedIndex
 from proxigraph.operators.model import PointSet, to_lists, to_matrix
 from proxigraph.runtime import map_arrow, settle
 
 SAMPLE_ROWS = 20_000
+#: Table distances that a kernel holds at once.
+PAIRS = 4 << 20
 
 
 def sq8(points: PointSet, scale: float = 127.0) -> PointSet:
@@ -68,35 +70,55 @@ class ProductCodes:
 
         return map_arrow(points.plain(), run, "id long, codes array<int>")
 
-    def closest(self, routed: DataFrame, rows: DataFrame, folder: str, cells: int, most: int) -> DataFrame:
-        """qid, id: of the queries routed to cells of codes, each one's `most` best by table distances."""
+    def closest(self, routed: DataFrame, rows: DataFrame, folder: str, cells: int, most: int, k: int, whole: bool) -> DataFrame:
+        """qid, id, dist, rank: of the queries routed to cells of (id, vec, codes), the k nearest by exact distance of
+        each one's `most` best by table distances. A routed query is what the tables are made of, then its
+        vector. Cells hold the vectors, so a candidate leaves its cell with both distances; with `whole`, `most`
+        leaves none out, and a cell gives its k nearest only."""
         books = self.books
 
         def load(table: pa.Table):
-            return table.column("id").to_numpy(), to_matrix(table.column("vec")).astype(np.int64)
+            table = table.take(pa.array(np.argsort(table.column("id").to_numpy(), kind="stable")))
+            return table.column("id").to_numpy(), to_matrix(table.column("vec")), to_matrix(table.column("codes")).astype(np.int64)
 
         def ask(held, table: pa.Table) -> pa.RecordBatch:
-            ids, codes = held
-            q = np.split(to_matrix(table.column("vec")), len(books), axis=1)
-            d = sum((block(p, c) ** 2)[:, codes[:, j]] for j, (p, c) in enumerate(zip(q, books, strict=True)))
-            m = min(most, d.shape[1])
-            near = np.lexsort((np.broadcast_to(ids, d.shape), d), axis=1)[:, :m]
-            return pa.RecordBatch.from_arrays(
-                [pa.array(np.repeat(table.column("id").to_numpy(), m)), pa.array(ids[near.reshape(-1)]), pa.array(np.sqrt(np.take_along_axis(d, near, axis=1).reshape(-1)))], ["qid", "id", "dist"],
-            )
-
-        met = resident.answer(routed, rows, folder, ["id", "vec"], cells, load, ask, "qid long, id long, dist double")
-        return settle(top_k(met, most).select("qid", "id"), "rerank")
+            ids, x, codes = held
+            q_ids, both = table.column("id").to_numpy(), to_matrix(table.column("vec"))
+            coded, q = both[:, : -x.shape[1]], both[:, -x.shape[1]:]
+            m, out = min(most, len(ids)), []
+            step = max(1, PAIRS // len(ids))
+            for lo in range(0, len(q), step):
+                part = np.split(coded[lo: lo + step], len(books), axis=1)
+                if whole:
+                    r, i, d = nearest_of(q_ids[lo: lo + step], q[lo: lo + step], ids, x, "l2", k)
+                    out.append((r + lo, i, d, np.zeros(len(r))))
+                    continue
+                far = sum((block(p, c) ** 2)[:, codes[:, j]] for j, (p, c) in enumerate(zip(part, books, strict=True)))
+                # all below the m-th distance, and of those at it the least ids
+                last = np.partition(far, m - 1, axis=1)[:, m - 1: m]
+                sure, even = far < last, far == last
+                even &= np.cumsum(even, axis=1) <= m - sure.sum(axis=1, keepdims=True)
+                r, c = np.nonzero(sure | even)
+                out.append((r + lo, ids[c], gathered(q[lo: lo + step].T, r, x.T, c), far[r, c]))
+            r, i, d, t = (np.concatenate([o[j] for o in out]) for j in range(4))
+            return pa.RecordBatch.from_arrays([pa.array(q_ids[r]), pa.array(i), pa.array(d), pa.array(t)], ["qid", "id", "dist", "table"])
+
+        met = resident.answer(routed, rows, folder, ["id", "vec", "codes"], cells, load, ask, "qid long, id long, dist double, table double")
+        if not whole:
+            order = Window.partitionBy("qid").orderBy(F.sqrt("table"), "id")
+            met = met.withColumn("_n", F.row_number().over(order)).filter(F.col("_n") <= most)
+        return top_k(settle(met.select("qid", "id", "dist"), "rerank"), k)
 
     def search(self, coded: DataFrame, points: PointSet, queries: PointSet, k: int = 10, rerank: int = 50) -> DataFrame:
         """qid, id, dist, rank: the `rerank` best by table distances of the codes, re-ranked exactly. All
         codes are scanned, in cells by hashed id that stay where they are; the queries go to every cell."""
-        cells = max(1, -(-coded.count() // LIST_ROWS))
-        dealt = coded.select(F.pmod(F.xxhash64("id"), F.lit(cells)).alias("cell"), "id", F.col("codes").alias("vec")).repartition("cell")
+        n = coded.count()
+        cells = max(1, -(-n // LIST_ROWS))
+        dealt = coded.join(points.plain(), "id").select(F.pmod(F.xxhash64("id"), F.lit(cells)).alias("cell"), "id", "vec", "codes").repartition("cell")
         rows, folder = resident.store(dealt, "codes")
         every = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(cells - 1).cast("long"))).alias("cell")
-        close = self.closest(queries.plain().select(every, "id", "vec"), rows, folder, cells, rerank)
-        return reranked(close, points, queries, k)
+        routed = queries.plain().select(every, "id", F.concat("vec", "vec").alias("vec"))
+        return self.closest(routed, rows, folder, cells, rerank, k, rerank >= n)
 
 
 def reranked(close: DataFrame, points: PointSet, queries: PointSet, k: int) -> DataFrame:
@@ -113,7 +135,7 @@ class CodedLists:
 
     lists: InvertedIndex
     codes: ProductCodes
-    rows: DataFrame  # cell, id, vec (the codes)
+    rows: DataFrame  # cell, id, vec, codes
     folder: str
 
     @classmethod
@@ -122,7 +144,7 @@ class CodedLists:
         residuals = cls._residual(lists.postings.select("list", "cell", "id", "vec"), lists)
         left = PointSet(settle(residuals, "residuals"))
         books = ProductCodes.train(left, parts, codes, seed=seed)
-        coded = books.encode(left).join(left.df.select("id", "cell"), "id").select("cell", "id", F.col("codes").alias("vec"))
+        coded = books.encode(left).join(lists.postings.select("id", "cell", "vec"), "id").select("cell", "id", "vec", "codes")
         return cls(lists, books, *resident.store(coded.repartition("cell").sortWithinPartitions("cell", "id"), "codes"))
 
     @staticmethod
@@ -133,8 +155,10 @@ class CodedLists:
     def search(self, points: PointSet, queries: PointSet, k: int = 10, probe: int = 4, rerank: int = 50) -> DataFrame:
         """qid, id, dist, rank: the `rerank` best by table distances in the `probe` nearest lists, re-ranked
         exactly."""
-        routed = self._residual(self.lists.routed(self.lists.probed(queries, probe)), self.lists)
-        return reranked(self.codes.closest(routed, self.rows, self.folder, int(self.lists.first[-1]), rerank), points, queries, k)
+        centers = self.lists.cells.select(F.col("cell").alias("list"), "centroid")
+        met = self.lists.routed(self.lists.probed(queries, probe)).join(centers, "list")
+        routed = met.select("cell", "id", F.concat(F.zip_with("vec", "centroid", lambda x, c: x - c), "vec").alias("vec"))
+        return self.codes.closest(routed, self.rows, self.folder, int(self.lists.first[-1]), rerank, k, rerank >= points.df.count())
 
 
 def graph_search_reranked(coarse, points: PointSet, queries: PointSet, k: int = 10, rerank: int = 50, scale: float = 127.0, **params) -> DataFrame:
