@@ -10,10 +10,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from proxigraph.functions.distance import close_pairs, nearest_rows
+from proxigraph.functions.distance import nearest_rows
 from proxigraph.functions.prng import draw
 from proxigraph.operators import resident
-from proxigraph.operators.exact import exact_knn, top_k
+from proxigraph.operators.exact import exact_knn, nearest_of, top_k
 from proxigraph.operators.index import SearchResult
 from proxigraph.operators.model import PointSet, to_lists, to_matrix
 from proxigraph.runtime import map_arrow, settle
@@ -22,6 +22,8 @@ from proxigraph.runtime import map_arrow, settle
 CENTROID_BYTES = 64 << 20
 #: Members of a list that one task scans as a unit.
 LIST_ROWS = 65_536
+#: Rows that `assign` hands on at once.
+ASSIGNED_ROWS = 2048
 SCALE = 1 << 20
 
 
@@ -57,12 +59,15 @@ def assign(points: PointSet, cells: DataFrame, closest: int = 1) -> DataFrame:
         for b in batches:
             if not b.num_rows:
                 continue
-            x = to_matrix(b.column(1))
-            near, d = nearest_rows(x, centers, closest, metric)
-            who = np.repeat(np.arange(len(x)), near.shape[1])
-            yield pa.RecordBatch.from_arrays(
-                [b.column(0).take(pa.array(who)), to_lists(x[who]), pa.array(names[near.reshape(-1)].astype(np.int32)), pa.array(d.reshape(-1))], ["id", "vec", "cell", "dist"],
-            )
+            step = max(1, ASSIGNED_ROWS // min(closest, len(centers)))  # every row leaves with its vector
+            for lo in range(0, b.num_rows, step):
+                part = b.slice(lo, step)
+                x = to_matrix(part.column(1))
+                near, d = nearest_rows(x, centers, closest, metric)
+                who = np.repeat(np.arange(len(x)), near.shape[1])
+                yield pa.RecordBatch.from_arrays(
+                    [part.column(0).take(pa.array(who)), to_lists(x[who]), pa.array(names[near.reshape(-1)].astype(np.int32)), pa.array(d.reshape(-1))], ["id", "vec", "cell", "dist"],
+                )
 
     return map_arrow(points.plain(), run, "id long, vec array<double>, cell int, dist double")
 
@@ -165,15 +170,12 @@ class InvertedIndex:
         def ask(held, table: pa.Table) -> pa.RecordBatch:
             ids, x = held
             q_ids, q = table.column("id").to_numpy(), to_matrix(table.column("vec"))
-            r, c, d = close_pairs(q, x, metric, k, radius)
-            order = np.lexsort((ids[c], d, r))
-            r, c, d = r[order], c[order], d[order]
-            if k is not None:
-                keep = np.arange(len(r)) - np.searchsorted(r, r, side="left") < k
-                r, c, d = r[keep], c[keep], d[keep]
+            r, i, d = nearest_of(q_ids, q, ids, x, metric, k, radius)
+            order = np.lexsort((i, d, r))
+            r, i, d = r[order], i[order], d[order]
             offsets = pa.array(np.concatenate([[0], np.cumsum(np.bincount(r, minlength=len(q)))]).astype(np.int32))
             return pa.RecordBatch.from_arrays(
-                [pa.array(q_ids), pa.ListArray.from_arrays(offsets, pa.array(ids[c])), pa.ListArray.from_arrays(offsets, pa.array(d)), pa.array(np.full(len(q), len(x)))],
+                [pa.array(q_ids), pa.ListArray.from_arrays(offsets, pa.array(i)), pa.ListArray.from_arrays(offsets, pa.array(d)), pa.array(np.full(len(q), len(x)))],
                 ["qid", "ids", "dists", "met"],
             )
 
