@@ -84,15 +84,39 @@ def grow_leaves(points: PointSet, trees: int, leaf: int, kind: str = "pivots", s
     return assigned
 
 
+#: Points of a leaf that one task holds on either side.
+LEAF_BLOCK = 8192
+
+
 def leaf_neighbours(assigned: DataFrame, points: PointSet, k: int) -> DataFrame:
-    """src, dst, dist: each point's k nearest within its leaf. Leaves are bounded by their size, so is
-    the join on (tree, path)."""
+    """src, dst, dist: each point's k nearest within its leaf. A leaf is cut into blocks by hashed id, a group is a
+    pair of its blocks, and only k answers a point leave it."""
+    import numpy as np
+    import pyarrow as pa
+
     from proxigraph.operators.edges import nearest
+    from proxigraph.operators.exact import nearest_of
+    from proxigraph.operators.model import to_matrix
+    from proxigraph.runtime import ship
+
+    metric = points.metric
+    ship(points.df.sparkSession)
+    sizes = assigned.groupBy("tree", "path").agg(F.ceil(F.count("*") / LEAF_BLOCK).alias("many"))
+    sizes = broadcast_if_small(settle(sizes, "leaf-sizes"))
+    a = assigned.join(points.plain(), "id").join(sizes, ["tree", "path"]).withColumn("own", F.pmod(F.xxhash64("id"), "many"))
+    others = F.explode(F.sequence(F.lit(0).cast("long"), F.col("many") - 1))
+    # side 0: sources, 1: targets, 2: both, of a block with itself
+    left = a.select("tree", "path", F.col("own").alias("i"), others.alias("j"), "id", "vec").withColumn("side", F.when(F.col("i") == F.col("j"), 2).otherwise(0))
+    right = a.select("tree", "path", others.alias("i"), F.col("own").alias("j"), "id", "vec").filter("i <> j").withColumn("side", F.lit(1))
+
+    def one(table: pa.Table) -> pa.Table:
+        table = table.combine_chunks()
+        side, ids, x = table.column("side").to_numpy(), table.column("id").to_numpy(), to_matrix(table.column("vec"))
+        src, dst = side != 1, side != 0
+        r, i, d = nearest_of(ids[src], x[src], ids[dst], x[dst], metric, k, None, True)
+        return pa.table({"src": pa.array(ids[src][r], pa.int64()), "dst": pa.array(i, pa.int64()), "dist": pa.array(d, pa.float64())})
 
-    a = assigned.join(points.plain(), "id")
-    left = a.select("tree", "path", F.col("id").alias("src"), F.col("vec").alias("x"))
-    right = a.select("tree", "path", F.col("id").alias("dst"), F.col("vec").alias("y"))
-    met = left.join(right, ["tree", "path"]).filter("src <> dst").select("src", "dst", expression(points.metric, "x", "y").alias("dist"))
+    met = left.unionByName(right).groupBy("tree", "path", "i", "j").applyInArrow(one, "src long, dst long, dist double")
     return nearest(met.dropDuplicates(["src", "dst"]), k)
 
 
