@@ -17,6 +17,8 @@ from proxigraph.runtime import map_arrow, settle
 BROADCAST_BYTES = 64 << 20
 QUERY_BLOCK, POINT_BLOCK = 512, 4096
 BLOCK_ROWS = 65_536
+#: Points of a bin that one task holds.
+BIN_ROWS = 16_384
 FOUND = "qid long, id long, dist double"
 
 
@@ -197,6 +199,43 @@ def range_self_join(points: PointSet, radius: float) -> DataFrame:
     return near.unionByName(members)
 
 
+def range_by_pivot(base: PointSet, queries: PointSet, pivot: DataFrame, radius: float) -> DataFrame:
+    """qid, id, dist of all pairs within radius by l2: by the triangle inequality, partners lie in the same bin of
+    the distance to the pivot (one row: o) or in the next ones. Bins are cut to bounded blocks of points, which
+    stay where they are; the queries go to the blocks of their bins."""
+    from proxigraph.functions.distance import l2
+    from proxigraph.operators import resident
+
+    if base.metric != "l2" or radius <= 0:
+        raise ValueError("bins need l2 and a radius above 0")
+    spark = base.df.sparkSession
+    pivot = F.broadcast(pivot)
+    binned = settle(base.plain().filter("vec is not null").join(pivot).select("id", "vec", F.floor(l2("vec", "o") / radius).alias("bin")), "bins")
+    first, cells = {}, 0
+    for r in binned.groupBy("bin").count().orderBy("bin").collect():  # a row a bin
+        first[r["bin"]] = (cells, -(-r["count"] // BIN_ROWS))
+        cells += first[r["bin"]][1]
+    if not cells:
+        return spark.createDataFrame([], FOUND)
+    spans = spark.createDataFrame([(b, a, m) for b, (a, m) in first.items()], "bin long, at long, many long")
+    spans = F.broadcast(spans) if len(first) <= 100_000 else spans
+    placed = binned.join(spans, "bin").select((F.col("at") + F.pmod(F.xxhash64("id"), "many")).alias("cell"), "id", "vec")
+    rows, folder = resident.store(placed.repartition("cell").sortWithinPartitions("cell", "id"), "bin-cells")
+    asked = queries.plain().filter("vec is not null").join(pivot).withColumn("b", F.floor(l2("vec", "o") / radius))
+    asked = asked.withColumn("bin", F.explode(F.array(F.col("b") - 1, F.col("b"), F.col("b") + 1))).join(spans, "bin")
+    routed = asked.select(F.explode(F.sequence(F.col("at"), F.col("at") + F.col("many") - 1)).alias("cell"), "id", "vec")
+
+    def load(table: pa.Table):
+        return table.column("id").to_numpy(), to_matrix(table.column("vec"))
+
+    def ask(held, table: pa.Table) -> pa.RecordBatch:
+        q_ids = table.column("id").to_numpy()
+        r, i, d = nearest_of(q_ids, to_matrix(table.column("vec")), *held, "l2", None, radius)
+        return pa.RecordBatch.from_arrays([pa.array(q_ids[r]), pa.array(i), pa.array(d)], ["qid", "id", "dist"])
+
+    return resident.answer(routed, rows, folder, ["id", "vec"], cells, load, ask, FOUND)
+
+
 def medoid(points: PointSet) -> DataFrame:
     """id, dist of the point closest to the mean vector; the mean is summed in fixed point, so it does
     not depend on the order of rows."""
@@ -210,4 +249,4 @@ def medoid(points: PointSet) -> DataFrame:
     return d.orderBy("dist", "id").limit(1)
 
 
-__all__ = ["box_search", "exact_knn", "exact_knn_graph", "exact_range", "medoid", "nearest_of", "range_count", "settle", "stream_cells", "top_k"]
+__all__ = ["box_search", "exact_knn", "exact_knn_graph", "exact_range", "medoid", "nearest_of", "range_by_pivot", "range_count", "settle", "stream_cells", "top_k"]

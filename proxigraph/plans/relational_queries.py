@@ -95,14 +95,9 @@ def knn_with_documents(spark, sf_dir):
 @query(f"WITH {D.EMB}, o AS (SELECT embedding AS o FROM embeddings WHERE vec_id = 0) SELECT qid, id, round({D.l2('vec', 'qvec')}, 6) AS dist FROM p, q WHERE {D.l2('vec', 'qvec')} <= 1.1")
 def range_join_pivot(spark, sf_dir):
     """Range join by bins of the distance to one pivot: by the triangle inequality, partners lie in the
-    same bin or the next ones, so an equi-join on bins finds them."""
-    base, q = _emb(spark, sf_dir)
-    r = 1.1
-    pivot = carriers.emb(spark, sf_dir).df.filter("id = 0").select(F.col("vec").alias("o"))
-    a = base.plain().join(F.broadcast(pivot)).select("id", "vec", F.floor(distance.l2("vec", "o") / r).alias("bin"))
-    b = q.plain().join(F.broadcast(pivot)).select(F.col("id").alias("qid"), F.col("vec").alias("qvec"), F.floor(distance.l2("vec", "o") / r).alias("b"))
-    b = b.withColumn("bin", F.explode(F.array(F.col("b") - 1, F.col("b"), F.col("b") + 1)))
-    return a.join(b, "bin").select("qid", "id", distance.l2("vec", "qvec").alias("d")).filter(F.col("d") <= r).select("qid", "id", F.round("d", 6).alias("dist"))
+    same bin or the next ones."""
+    pivot = carriers.emb(spark, sf_dir).df.filter("id = 0").select(F.col("vec").cast("array<double>").alias("o"))
+    return exact.range_by_pivot(*_emb(spark, sf_dir), pivot, 1.1).select("qid", "id", F.round("dist", 6).alias("dist"))
 
 
 _EV = "e AS (SELECT event_id, user_id, event_type, ts, value FROM events)"
