@@ -419,6 +419,7 @@ def insert_points(graph: Graph, ids: np.ndarray, fresh: np.ndarray, degree: int,
             graph.start, fresh = int(fresh[0]), fresh[1:]
         for lo, hi in schedule(len(fresh), cap, rule):
             comps += insert_batch(graph, fresh[lo - 1: hi], degree, width, alpha)
+        connect(graph)  # pruning for the arrivals may have cut vertices off
         return comps
     level = levels(ids, m, seed)
     graphs = [graph]
