@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -9,11 +10,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from proxigraph.functions.distance import expression
+from proxigraph.functions.distance import expression, gathered
 from proxigraph.functions.prng import draw
 from proxigraph.operators.kernels import prune
 from proxigraph.operators.model import PointSet, to_matrix
-from proxigraph.runtime import map_arrow, settle
+from proxigraph.runtime import map_arrow, settle, ship
+
+#: Points that a task holds on either side of the pairs it measures, and below which a block is not cut for idle cores.
+PAIR_BLOCK, LEAST_BLOCK = 8192, 1024
 
 
 def semisort(edges: DataFrame, key: str, value: str = "src") -> DataFrame:
@@ -47,6 +51,41 @@ def with_distance(pairs: DataFrame, points: PointSet) -> DataFrame:
     return pairs.join(a, "src").join(b, "dst").select("src", "dst", expression(points.metric, "a", "b").alias("dist"))
 
 
+def nearest_pairs(pairs: DataFrame, points: PointSet, k: int) -> DataFrame:
+    """src, dst, dist: the k nearest targets of every source among pairs (src, dst), which may repeat. Points
+    are dealt to blocks by hashed id; a group is the pairs between two blocks with the vectors of both, so a
+    vector travels once a group and not once a pair, and k answers a source leave it."""
+    p = points.plain()
+    metric = points.metric
+    n, cores = p.count(), p.sparkSession.sparkContext.defaultParallelism
+    many = max(1, -(-n // PAIR_BLOCK), min(2 * math.ceil(math.sqrt(cores)), -(-n // LEAST_BLOCK)))
+    ship(p.sparkSession)
+
+    def own(c: str):
+        return F.pmod(F.xxhash64(c), F.lit(many).cast("long"))
+
+    every = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(many - 1).cast("long")))
+    met = pairs.select(own("src").alias("i"), own("dst").alias("j"), F.lit(0).alias("side"), "src", "dst", F.lit(None).cast("array<double>").alias("vec"))
+    for side, i, j in ((1, own("id"), every), (2, every, own("id"))):
+        met = met.unionByName(p.select(i.alias("i"), j.alias("j"), F.lit(side).alias("side"), F.col("id").alias("src"), F.col("id").alias("dst"), "vec"))
+
+    def one(table: pa.Table) -> pa.Table:
+        side = table.column("side").to_numpy()
+        left, right = (table.filter(pa.array(side == s)).sort_by("src").combine_chunks() for s in (1, 2))
+        asked = table.filter(pa.array(side == 0))
+        a, b = left.column("src").to_numpy(), right.column("src").to_numpy()
+        src, dst = asked.column("src").to_numpy(), asked.column("dst").to_numpy()
+        there = np.isin(src, a) & np.isin(dst, b)
+        r, c = np.divmod(np.unique(np.searchsorted(a, src[there]) * max(1, len(b)) + np.searchsorted(b, dst[there])), max(1, len(b)))
+        d = gathered(to_matrix(left.column("vec")).T, r, to_matrix(right.column("vec")).T, c, metric) if len(r) else np.empty(0)
+        order = np.lexsort((c, d, r))
+        r, c, d = r[order], c[order], d[order]
+        keep = np.arange(len(r)) - np.searchsorted(r, r, side="left") < k
+        return pa.table({"src": pa.array(a[r[keep]], pa.int64()), "dst": pa.array(b[c[keep]], pa.int64()), "dist": pa.array(d[keep], pa.float64())})
+
+    return nearest(met.groupBy("i", "j").applyInArrow(one, "src long, dst long, dist double"), k)
+
+
 def alpha_prune(edges: DataFrame, points: PointSet, degree: int, alpha: float = 1.2, keep_pruned: bool = False) -> DataFrame:
     """Each source's edges pruned to `degree` by the alpha rule. The vectors of the candidates ride
     with the edges, so a source's candidates, at most its degree, meet in one place."""
@@ -111,22 +150,33 @@ def two_hop(edges: DataFrame) -> DataFrame:
     return far.unionByName(one).filter("src <> dst").distinct()
 
 
-def descent_round(edges: DataFrame, points: PointSet, k: int, cap: int | None = 2000, seed: int = 42, rnd: int = 0, blocks: int = 1) -> DataFrame:
+def descent_round(
+    edges: DataFrame, points: PointSet, k: int, cap: int | None = 2000, seed: int = 42, rnd: int = 0, blocks: int = 1, known: DataFrame | None = None,
+) -> DataFrame:
     """One round of neighbour descent: add opposites, cap degrees, and keep each source's k closest
     among its neighbours, capped neighbours and their neighbours. Sources are handled in `blocks`
-    written one by one, to bound what lies on disk at once; the result does not depend on it."""
+    written one by one, to bound what lies on disk at once; the result does not depend on it.
+    known: the edges of the round before, if no cap cut it and none cuts this one: two-hop ways of them were
+    looked at then and are left out now, which changes nothing."""
     both = undirect(edges)
     if cap is not None:
         both = cap_degree(both, cap, seed, rnd)
-    both = settle(both.select("src", "dst"), "descent-edges")
+    both = both.select("src", "dst")
+    if known is None:
+        both = both.withColumn("fresh", F.lit(True))
+    else:
+        met = undirect(known).select("src", "dst", F.lit(False).alias("fresh"))
+        both = both.join(met, ["src", "dst"], "left").withColumn("fresh", F.coalesce("fresh", F.lit(True)))
+    both = settle(both, "descent-edges")
     out = None
     for b in range(blocks):
         mine = both.filter(F.pmod(F.xxhash64("src"), F.lit(blocks)) == b) if blocks > 1 else both
-        far = mine.alias("a").join(both.alias("b"), F.col("a.dst") == F.col("b.src")).select(F.col("a.src").alias("src"), F.col("b.dst").alias("dst"))
+        way = (F.col("a.dst") == F.col("b.src")) & (F.col("a.fresh") | F.col("b.fresh"))
+        far = mine.alias("a").join(both.alias("b"), way).select(F.col("a.src").alias("src"), F.col("b.dst").alias("dst"))
         own = edges.select("src", "dst")
         own = own.filter(F.pmod(F.xxhash64("src"), F.lit(blocks)) == b) if blocks > 1 else own
-        pairs = far.unionByName(mine).unionByName(own).filter("src <> dst").distinct()
-        part = nearest(with_distance(pairs, points), k)
+        pairs = far.unionByName(mine.select("src", "dst")).unionByName(own).filter("src <> dst")
+        part = nearest_pairs(pairs, points, k)
         part = settle(part, "descent-block") if blocks > 1 else part
         out = part if out is None else out.unionByName(part)
     return out

@@ -548,14 +548,30 @@ def hybrid_graph(
     return _build(points, "hybrid", {"trees": trees, "leaf": leaf, "degree": degree, "width": width, "alpha": alpha, "seed": seed}, kernel, shard_rows, shard_kind, seed)
 
 
-def fixed_graph(points: PointSet, edges: DataFrame, start: int) -> GraphIndex:
-    """An index of a given graph (src, dst, dist), in one shard."""
+def fixed_graph(points: PointSet, edges: DataFrame, start: int, joined: bool = False) -> GraphIndex:
+    """An index of a given graph (src, dst, dist), in one shard. joined: vertices that the start does not
+    reach get an edge."""
     lists = edges.groupBy("src").agg(F.array_sort(F.collect_list(F.struct("dist", "dst"))).alias("c"))
     rows = points.plain().join(lists, F.col("id") == F.col("src"), "left").select(
         F.lit(0).cast("long").alias("cell"), "id", F.col("id").alias("rep"), "vec", F.coalesce("c.dst", F.array().cast("array<bigint>")).alias("nbrs"), F.coalesce("c.dist", F.array().cast("array<double>")).alias("dists"),
         F.lit(0).alias("level"), F.array().cast("array<array<bigint>>").alias("upper"), (F.col("id") == start).alias("start"), F.lit(0).cast("long").alias("build_comps"), F.lit(0).cast("long").alias("rounds"),
     )
-    return GraphIndex("fixed", {}, points.metric, Shards(1), *resident.store(rows.coalesce(1), "graph"))
+    metric = points.metric
+
+    def one(table: pa.Table) -> pa.Table:
+        table = table.sort_by("id").combine_chunks()
+        loaded = _load(table.select(LOADED), metric)
+        graph = loaded.graph
+        r, c = np.nonzero(graph.nbrs >= 0)
+        graph.dists[graph.nbrs < 0] = np.inf
+        graph.dists[r, c] = table.column("dists").combine_chunks().flatten().to_numpy()
+        K.connect(graph)
+        return _unload(graph, loaded.ids, 0, 0, 0)
+
+    if joined:
+        ship(points.df.sparkSession)
+    rows = rows.groupBy("cell").applyInArrow(one, ROWS) if joined else rows.coalesce(1)
+    return GraphIndex("fixed", {}, metric, Shards(1), *resident.store(rows, "graph"))
 
 
 BUILDERS = {"alpha": alpha_graph, "layered": layered_graph, "tree_mst": tree_mst_graph, "descent": descent_graph, "hybrid": hybrid_graph}

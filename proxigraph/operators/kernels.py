@@ -469,12 +469,12 @@ def layered_search(graph: Graph, queries: np.ndarray, width: int, k: int = 1, ep
     return found
 
 
-def tree_leaves(vecs: np.ndarray, ids: np.ndarray, leaf: int, tree: int = 0, kind: str = "pivots", seed: int = 42, metric: str = "l2") -> list[tuple[str, np.ndarray]]:
-    """(path, positions) of the leaves of a random cluster tree. kind "pivots": members go to the
+def tree_leaves(vecs: np.ndarray, ids: np.ndarray, leaf: int, tree: int = 0, kind: str = "pivots", seed: int = 42, metric: str = "l2", root: str = "") -> list[tuple[str, np.ndarray]]:
+    """(path, positions) of the leaves of a random cluster tree, or of what is below its node `root`. kind "pivots": members go to the
     nearer of two drawn members; "hyperplane": to a side of the plane with a drawn normal through
     the middle of the two members' projections. A node whose points cannot be told apart is cut in halves."""
     vecs = np.asfortranarray(vecs)
-    out, todo = [], [("", np.arange(len(ids)))]
+    out, todo = [], [(root, np.arange(len(ids)))]
     while todo:
         path, own = todo.pop()
         if len(own) <= max(1, leaf):

@@ -10,6 +10,9 @@ from proxigraph.functions.prng import draw
 from proxigraph.operators.model import PointSet
 from proxigraph.runtime import broadcast_if_small, settle
 
+#: Points of a node below which its leaves are grown in one task.
+NODE_ROWS = 8192
+
 
 def plant(points: PointSet, trees: int = 1) -> DataFrame:
     """tree, id, path: all points in the root of each tree."""
@@ -65,7 +68,9 @@ def grow(points: PointSet, levels: int, trees: int = 1, leaf: int = 0, kind: str
 
 def grow_leaves(points: PointSet, trees: int, leaf: int, kind: str = "pivots", seed: int = 42) -> DataFrame:
     """tree, id, path: nodes are split until none has more than `leaf` points; copies of one vector, which
-    no split separates, are halved by draw."""
+    no split separates, are halved by draw. A level is a few settled tables while a node has more than
+    NODE_ROWS points; what is below smaller nodes is grown in a task each."""
+    leaf, last = max(leaf, NODE_ROWS), leaf
     assigned = settle(plant(points, trees), "tree")
     level = -1
     while True:  # a node that one draw does not split is split by a later one
@@ -81,7 +86,31 @@ def grow_leaves(points: PointSet, trees: int, leaf: int, kind: str = "pivots", s
             hit = split.join(big.withColumn("h", F.lit(1)), ["tree", "id"], "left")
             split = settle(hit.select("tree", "id", F.when(F.col("h") == 1, F.concat("path", half)).otherwise(F.col("path")).alias("path")), "tree")
         assigned = split
-    return assigned
+    return settle(_below(assigned, points, last, kind, seed), "tree") if last < leaf else assigned
+
+
+def _below(assigned: DataFrame, points: PointSet, leaf: int, kind: str, seed: int) -> DataFrame:
+    """tree, id, path of the leaves below every node, each node in one task."""
+    import numpy as np
+    import pyarrow as pa
+
+    from proxigraph.operators.kernels import tree_leaves
+    from proxigraph.operators.model import to_matrix
+    from proxigraph.runtime import ship
+
+    metric = points.metric
+    ship(points.df.sparkSession)
+
+    def one(table: pa.Table) -> pa.Table:
+        table = table.sort_by("id").combine_chunks()
+        tree, root = (table.column(c)[0].as_py() for c in ("tree", "path"))
+        ids = table.column("id").to_numpy()
+        paths = np.empty(len(ids), dtype=object)
+        for path, own in tree_leaves(to_matrix(table.column("vec")).T, ids, leaf, tree, kind, seed, metric, root):
+            paths[own] = path
+        return pa.table({"tree": pa.array(np.full(len(ids), tree), pa.int32()), "id": pa.array(ids, pa.int64()), "path": pa.array(paths, pa.string())})
+
+    return assigned.join(points.plain(), "id").select("tree", "id", "path", "vec").groupBy("tree", "path").applyInArrow(one, "tree int, id long, path string")
 
 
 #: Points of a leaf that one task holds on either side.
@@ -175,12 +204,14 @@ def descent_edges(
     n = points.df.count()
     assigned = grow_leaves(points, trees, leaf, "hyperplane", seed)
     edges = settle(nearest(leaf_neighbours(assigned, points, k).dropDuplicates(["src", "dst"]), k), "descent")
-    rounds = 0
+    rounds, before, whole = 0, None, False
     while rounds < max_rounds:
-        after = settle(descent_round(edges, points, k, cap, seed, rounds, blocks), "descent")
+        was = whole
+        whole = cap is None or (undirect(edges).groupBy("src").count().agg(F.max("count")).first()[0] or 0) <= cap
+        after = settle(descent_round(edges, points, k, cap, seed, rounds, blocks, before if was and whole else None), "descent")
         rounds += 1
         new = changed(edges, after).count()
-        edges = after
+        before, edges = edges, after
         if new <= delta * n * k:
             break
     return alpha_prune(undirect(edges), points, degree, alpha), rounds
