@@ -90,10 +90,11 @@ def squares(by_dim: np.ndarray) -> np.ndarray:
 _CHUNK = 1 << 16
 
 
-def gathered(by_dim: np.ndarray, left: np.ndarray, right_by_dim: np.ndarray, right: np.ndarray, metric: str = "l2") -> np.ndarray:
+def gathered(by_dim: np.ndarray, left: np.ndarray, right_by_dim: np.ndarray, right: np.ndarray, metric: str = "l2", most: np.ndarray | None = None) -> np.ndarray:
     """Distances of by_dim[:, left] to right_by_dim[:, right]; index arrays broadcast. Vectors are
     given by dimension; the transpose of contiguous rows is fastest. Sums are running sums along a
-    vector, which is the left fold."""
+    vector, which is the left fold. most, of each pair of one-dimensional index arrays: a distance beyond
+    it may be given as infinite (l2 only); a sum in any order, with room for its rounding, tells these."""
     if left.ndim == 2 and left.shape[1] == 1 and right.shape[0] == 1:
         return np.where(np.isnan(d := block(by_dim.T[left[:, 0]], right_by_dim.T[right[0]], metric)), np.inf, d)
     left, right = np.broadcast_arrays(left, right)
@@ -103,10 +104,18 @@ def gathered(by_dim: np.ndarray, left: np.ndarray, right_by_dim: np.ndarray, rig
         out[:] = 0.0
         return out
     step = max(1, _CHUNK // q.shape[1])
+    top = None if most is None or metric != "l2" else most * most * (1 + 1e-9) + 1e-300
     for lo in range(0, len(left), step):
         t = x.take(right[lo: lo + step], axis=0)
         if metric == "l2":
             t -= q.take(left[lo: lo + step], axis=0)
+            if top is not None:
+                near = np.flatnonzero(~(np.einsum("ij,ij->i", t, t) > top[lo: lo + step]))
+                out[lo: lo + step] = np.inf
+                t = t[near]
+                t *= t
+                out[lo + near] = np.add.accumulate(t, axis=1, out=t)[:, -1]
+                continue
             t *= t
         else:
             t *= q.take(left[lo: lo + step], axis=0)

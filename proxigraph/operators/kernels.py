@@ -165,7 +165,8 @@ def _beam_block(graph: Graph, queries, width, k, eps, visited, starts, max_hops)
         if not len(r):
             continue
         new = np.full(near.shape, np.inf)
-        new[r, c] = gathered(queries, live[r], graph.vecs, near[r, c], graph.metric)
+        # beyond the last of a full beam no vertex enters it
+        new[r, c] = gathered(queries, live[r], graph.vecs, near[r, c], graph.metric, dist[live[r], -1])
         if visited == "seen":
             closed[live[r], near[r, c]] = True
         inside[live[r], near[r, c]] = True
@@ -231,7 +232,7 @@ def prune(
             alive[rows, at] = False
             count[rows] += 1
             r, col = np.nonzero(alive[rows])
-            apart = gathered(vecs, c[r], vecs, cand[rows[r], col], metric)
+            apart = gathered(vecs, c[r], vecs, cand[rows[r], col], metric, dist[rows[r], col])  # alpha is 1 at least
             drop = alpha * apart <= dist[rows[r], col]
             alive[rows[r[drop]], col[drop]] = False
             rows = rows[(count[rows] < degree) & alive[rows].any(axis=1)]
@@ -635,6 +636,9 @@ def descent_round(vecs, src, dst, dist, k: int, cap: int | None, ids, seed: int,
     begin = np.searchsorted(s, np.arange(n + 1))
     deg = np.diff(begin)
     old = np.unique(src * n + dst)
+    kth = np.full(n, -np.inf)  # of a full list: what is beyond its last edge does not enter it
+    np.maximum.at(kth, src, dist)
+    kth[np.bincount(src, minlength=n) < k] = np.inf
     fresh = np.ones(len(s), dtype=bool)
     if known is not None and len(s) and (cap is None or deg.max() < cap):
         fresh = ~(np.isin(s * n + t, known) | np.isin(t * n + s, known))
@@ -649,12 +653,15 @@ def descent_round(vecs, src, dst, dist, k: int, cap: int | None, ids, seed: int,
         hop_s, hop_t = np.repeat(hs, many)[way], t[at[way]]
         mine = (src >= lo) & (src < hi)
         have = np.sort(src[mine] * n + dst[mine])
-        pairs = np.unique(np.concatenate([hop_s * n + hop_t, hs * n + hm]))
+        pairs = np.sort(np.concatenate([hop_s * n + hop_t, hs * n + hm]))
+        pairs = pairs[np.diff(pairs, prepend=-1) > 0]
         pairs = pairs[~np.isin(pairs, have, assume_unique=True)]
         a, b = pairs // n, pairs % n
         a, b = a[a != b], b[a != b]
         spent += len(a)
-        far = np.concatenate([gathered(vecs, a, vecs, b, metric), dist[mine]])
+        far = gathered(vecs, a, vecs, b, metric, kth[a])
+        near = np.isfinite(far) | ~np.isfinite(kth[a])
+        a, b, far = a[near], b[near], np.concatenate([far[near], dist[mine]])
         a, b = np.concatenate([a, src[mine]]), np.concatenate([b, dst[mine]])
         best = np.lexsort((b, far, a))
         a, b, far = a[best], b[best], far[best]
