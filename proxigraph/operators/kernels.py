@@ -232,8 +232,8 @@ def prune(
             alive[rows, at] = False
             count[rows] += 1
             r, col = np.nonzero(alive[rows])
-            apart = gathered(vecs, c[r], vecs, cand[rows[r], col], metric, dist[rows[r], col])  # alpha is 1 at least
-            drop = alpha * apart <= dist[rows[r], col]
+            own_dist = dist[rows[r], col]
+            drop = alpha * gathered(vecs, c[r], vecs, cand[rows[r], col], metric, own_dist / alpha) <= own_dist
             alive[rows[r[drop]], col[drop]] = False
             rows = rows[(count[rows] < degree) & alive[rows].any(axis=1)]
     if keep_pruned:

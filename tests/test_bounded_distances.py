@@ -40,3 +40,23 @@ def test_a_descent_round_folds_few_pairs(monkeypatch):
     monkeypatch.setattr(K, "gathered", noted)
     assert build() == want
     assert sum(f for _, f in folded) < 0.7 * sum(n for n, _ in folded)
+
+
+def test_a_prune_folds_about_what_it_drops(monkeypatch):
+    rng = np.random.default_rng(6)
+    x = np.asfortranarray(rng.normal(size=(8, 300)))
+    own, plain, folded = np.arange(50), distance.gathered, []
+    cand = np.argsort(rng.random((50, 300)), axis=1)[:, :120]
+    far = plain(x, own[:, None].repeat(120, 1), x, cand)
+    monkeypatch.setattr(K, "gathered", lambda *args: plain(*args[:5]))
+    want = K.prune(x, own, cand, far, 16, 1.2)
+
+    def noted(*args):
+        d = plain(*args)
+        folded.append(int(np.isfinite(d).sum()))
+        return d
+
+    monkeypatch.setattr(K, "gathered", noted)
+    got = K.prune(x, own, cand, far, 16, 1.2)
+    assert (got[0] == want[0]).all() and (got[1] == want[1]).all()
+    assert sum(folded) <= cand.size  # each candidate is dropped once at most
