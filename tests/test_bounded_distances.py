@@ -47,7 +47,7 @@ def test_a_prune_folds_about_what_it_drops(monkeypatch):
     x = np.asfortranarray(rng.normal(size=(8, 300)))
     own, plain, folded = np.arange(50), distance.gathered, []
     cand = np.argsort(rng.random((50, 300)), axis=1)[:, :120]
-    far = plain(x, own[:, None].repeat(120, 1), x, cand)
+    far = plain(x, own.repeat(120), x, cand.ravel()).reshape(cand.shape)
     monkeypatch.setattr(K, "gathered", lambda *args: plain(*args[:5]))
     want = K.prune(x, own, cand, far, 16, 1.2)
 
