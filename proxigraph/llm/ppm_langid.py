@@ -143,11 +143,11 @@ class Model:
                 found[s[2], s[1], s[0]] = i
         return found.reshape(-1)
 
-    def _nats(self, sym: np.ndarray) -> np.ndarray:
+    def _nats(self, sym: np.ndarray, out: np.ndarray | None = None) -> np.ndarray:
         """Nats of each byte class after the first ORDER ones, under each language."""
         a = self.size
         node = self.context[(sym[:-3] * a + sym[1:-2]) * a + sym[2:-1]]
-        return self.cost[node * a + sym[3:]]
+        return np.take(self.cost, node * a + sym[3:], axis=0, out=out, mode="clip")
 
     def code_lengths(self, texts: list[str | None]) -> np.ndarray:
         """Nats of each whole text under each language."""
@@ -170,8 +170,8 @@ class Model:
             sym = np.concatenate([np.zeros(ORDER, np.int32), self.symbol[buf]])
             for k in range(ORDER):  # what stands before a text is no byte
                 sym[stop - k + ORDER - 1] = 0
-            ends = np.cumsum(self._nats(sym), axis=0, dtype=np.float64)
-            ends = np.concatenate([np.zeros((1, ends.shape[1])), ends])
+            ends = np.zeros((len(sym) - ORDER + 1, out.shape[1]))
+            np.cumsum(self._nats(sym, ends[1:]), axis=0, out=ends[1:])
             begin = stop - size - ORDER
             out[lo:hi] = ends[begin + size] - ends[begin]
         return out

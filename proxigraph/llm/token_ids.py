@@ -11,6 +11,7 @@ from itertools import chain
 import numpy as np
 
 from proxigraph.llm.textops import LONG, chunks, mix64, slice_hashes
+from proxigraph.runtime import kept
 
 VOCABULARY = "byte_bpe_50k.json"
 CHUNK_BYTES = 1 << 19
@@ -201,11 +202,6 @@ def _cut(text: str) -> Iterator[str]:
     yield text[start:]
 
 
-_ENCODERS: dict[str, Encoder] = {}
-
-
 def encoder(path: str) -> Encoder:
-    """The worker's encoder to the library's default ids."""
-    if path not in _ENCODERS:
-        _ENCODERS[path] = Encoder(path, added_tokens=True)
-    return _ENCODERS[path]
+    """The encoder to the library's default ids, which the worker keeps while it runs one kernel."""
+    return kept(f"encoder {path}", lambda: Encoder(path, added_tokens=True))

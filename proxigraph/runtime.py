@@ -6,7 +6,7 @@ import os
 import tempfile
 import uuid
 import zipfile
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
@@ -15,6 +15,9 @@ from pyspark.sql.types import StructType, _parse_datatype_string
 
 _LOCAL_DIRS: dict[str, str] = {}
 _SHIPPED: set[str] = set()
+#: Of a worker: the kernel that it ran last, and what that kernel keeps from task to task.
+_KERNEL: list[str] = [""]
+_KEPT: dict[str, object] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -120,12 +123,33 @@ def _give_back() -> None:
         trim(0)
 
 
+def kept(key: str, make: Callable[[], object]):
+    """What make() gives, held by this worker for later tasks of the kernel that asks; it is freed when
+    the worker turns to another kernel, as workers serve all stages of an application."""
+    if key not in _KEPT:
+        _KEPT[key] = make()
+    return _KEPT[key]
+
+
+def _turn_to(kernel: str) -> None:
+    if _KERNEL[0] != kernel:
+        _KERNEL[0] = kernel
+        _KEPT.clear()
+
+
 def map_arrow(df: DataFrame, function, schema, rows: int = KERNEL_ROWS) -> DataFrame:
     """df.mapInArrow(function, schema) with this package at hand in the workers. Batches are cut into
     slices of `rows` rows, so that what a kernel copies out of a batch of long texts stays small;
-    empty batches are left out."""
+    empty batches are left out. Whoever runs the result, this session hands Python KERNEL_ROWS rows at
+    once from here on (fewer, if it was set so): batches of 10,000 long texts, Spark's default, stand
+    in the memory of the executor and of Python, in and out."""
+    spark, name = df.sparkSession, "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(name)) <= KERNEL_ROWS:
+        spark.conf.set(name, str(KERNEL_ROWS))
+    kernel = f"{function.__module__}.{function.__qualname__}"
 
     def sliced(batches):
+        _turn_to(kernel)
         yield from function(b.slice(at, rows) for b in batches for at in range(0, b.num_rows, rows))
         _give_back()
 
