@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from proxigraph.functions.distance import close_pairs
+from proxigraph.functions.distance import block, close_pairs
 from proxigraph.operators.model import PointSet, to_matrix
 from proxigraph.runtime import map_arrow, settle
 
@@ -112,6 +112,42 @@ def stream_cells(batches: Iterator[pa.RecordBatch]):
                 yield True, part, whole
 
 
+def every_pair(q_ids, q, ids, x, metric: str) -> Iterator[pa.RecordBatch]:
+    """qid, id, dist of all pairs, BLOCK_ROWS of them at once."""
+    wide = max(1, BLOCK_ROWS // max(1, len(x)))
+    for a in range(0, len(q), wide):
+        d = block(q[a: a + wide], x, metric)
+        yield pa.RecordBatch.from_arrays([pa.array(np.repeat(q_ids[a: a + wide], len(x))), pa.array(np.tile(ids, len(d))), pa.array(d.ravel())], ["qid", "id", "dist"])
+
+
+def all_pairs(base: PointSet, queries: PointSet) -> DataFrame:
+    """qid, id, dist of every query with every point, for vectors of one length without null components.
+    Few queries are broadcast after their size is checked; more are dealt out against blocks of points."""
+    metric, q = base.metric, queries.plain()
+    spark = q.sparkSession
+    size = q.agg(F.sum(F.size("vec")).alias("n")).first()["n"] or 0
+    if size * 8 <= BROADCAST_BYTES:
+        table = q.toArrow()
+        shared = spark.sparkContext.broadcast((table.column("id").to_numpy(), to_matrix(table.column("vec"))))
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                yield from every_pair(*shared.value, batch.column(0).to_numpy(), to_matrix(batch.column(1)), metric)
+
+        return map_arrow(base.plain(), run, FOUND)
+
+    blocks = max(1, -(-base.df.count() // BIN_ROWS))
+    left = base.plain().select(F.pmod(F.xxhash64("id"), F.lit(blocks)).alias("cell"), F.lit(0).alias("kind"), "id", "vec")
+    right = q.select(F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))).alias("cell"), F.lit(1).alias("kind"), "id", "vec")
+    both = left.unionByName(right).repartition("cell").sortWithinPartitions("cell", "kind")
+
+    def pair(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for _, table, held in stream_cells(batches):
+            yield from every_pair(table.column("id").to_numpy(), to_matrix(table.column("vec")), held.column("id").to_numpy(), to_matrix(held.column("vec")), metric)
+
+    return map_arrow(both, pair, FOUND)
+
+
 def top_k(found: DataFrame, k: int) -> DataFrame:
     """qid, id, dist, rank: the k smallest (dist, id) of each query."""
     order = Window.partitionBy("qid").orderBy("dist", "id")
@@ -249,4 +285,4 @@ def medoid(points: PointSet) -> DataFrame:
     return d.orderBy("dist", "id").limit(1)
 
 
-__all__ = ["box_search", "exact_knn", "exact_knn_graph", "exact_range", "medoid", "nearest_of", "range_by_pivot", "range_count", "settle", "stream_cells", "top_k"]
+__all__ = ["all_pairs", "box_search", "exact_knn", "exact_knn_graph", "exact_range", "medoid", "nearest_of", "range_by_pivot", "range_count", "settle", "stream_cells", "top_k"]

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from proxigraph.functions import distance
@@ -415,9 +415,24 @@ def sql_vector_functions(spark, sf_dir):
 
     register(spark)
     base, q = _emb(spark, sf_dir)
-    base.plain().createOrReplaceTempView("proxigraph_base")
-    q.plain().createOrReplaceTempView("proxigraph_queries")
-    return spark.sql("SELECT q.id AS qid, p.id AS id, round(vec_l2(p.vec, q.vec), 6) AS dist FROM proxigraph_base p CROSS JOIN proxigraph_queries q")
+    return vector_function_pairs(base, q)
+
+
+def vector_function_pairs(base: PointSet, q: PointSet) -> DataFrame:
+    """qid, id and dist of all pairs. Vectors of the queries' most common length without a null component meet in
+    blocks, which give vec_l2's bits; pairs with any other vector, null ones as well, are vec_l2's own."""
+    spark = base.df.sparkSession
+    common = q.plain().filter("vec is not null").groupBy(F.size("vec").alias("d")).count().orderBy(F.desc("count"), "d").first()
+    even = F.coalesce((F.size("vec") == (common["d"] if common else 0)) & ~F.exists("vec", lambda x: x.isNull()), F.lit(False))
+    for name, points in (("base", base), ("queries", q)):
+        points.plain().withColumn("even", even).createOrReplaceTempView(f"proxigraph_{name}")
+    met = exact.all_pairs(*(PointSet(x.plain().filter(even)) for x in (base, q)))
+    met.createOrReplaceTempView("proxigraph_met")
+    return spark.sql(
+        "SELECT qid, id, round(dist, 6) AS dist FROM proxigraph_met"
+        " UNION ALL SELECT q.id, p.id, round(vec_l2(p.vec, q.vec), 6) FROM (SELECT * FROM proxigraph_base WHERE NOT even) p CROSS JOIN proxigraph_queries q"
+        " UNION ALL SELECT q.id, p.id, round(vec_l2(p.vec, q.vec), 6) FROM (SELECT * FROM proxigraph_base WHERE even) p CROSS JOIN (SELECT * FROM proxigraph_queries WHERE NOT even) q"
+    )
 
 
 @query(f"WITH {D.WHOLE}, {D.graph(5, 'p', 'g')}, {D.graph(3, 'p', 'h')} SELECT src, dst FROM g UNION SELECT src, dst FROM h")
