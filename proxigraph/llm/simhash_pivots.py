@@ -71,8 +71,9 @@ def normal(text: str | None) -> bytes:
     return b" ".join((text or "").encode("utf-8", "surrogatepass").lower().split())
 
 
-def shingle_hashes(norm: list[bytes], shingle_words: int) -> tuple[np.ndarray, np.ndarray]:
-    """XXH64 of the shingles of texts with single spaces between words, and each one's text."""
+def shingle_slices(norm: list[bytes], shingle_words: int) -> tuple[bytes, np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Of texts with single spaces between words: all of them in one buffer, the starts and stops of its words, and of
+    each shingle its first word, its last one and its text."""
     buf = b"\n".join(norm) + b"\n"
     raw = np.frombuffer(buf, dtype=np.uint8)
     stop = np.flatnonzero((raw == 32) | (raw == 10))  # ends of words, and of empty texts
@@ -84,8 +85,14 @@ def shingle_hashes(norm: list[bytes], shingle_words: int) -> tuple[np.ndarray, n
     first = np.flatnonzero(np.diff(doc, prepend=-1))
     size = np.diff(np.append(first, n))
     last = np.minimum(np.arange(n) + shingle_words - 1, np.repeat(first + size - 1, size))
-    whole = np.arange(n) - np.repeat(first, size) <= np.maximum(np.repeat(size, size) - shingle_words, 0)
-    return xxh64_slices(buf, start[whole], stop[last[whole]], SEED), doc[whole]
+    whole = np.flatnonzero(np.arange(n) - np.repeat(first, size) <= np.maximum(np.repeat(size, size) - shingle_words, 0))
+    return buf, start, stop, whole, last[whole], doc[whole]
+
+
+def shingle_hashes(norm: list[bytes], shingle_words: int) -> tuple[np.ndarray, np.ndarray]:
+    """XXH64 of the shingles of texts with single spaces between words, and each one's text."""
+    buf, start, stop, begin, last, doc = shingle_slices(norm, shingle_words)
+    return xxh64_slices(buf, start[begin], stop[last], SEED), doc
 
 
 def fingerprint_texts(texts: list[str | None], shingle_words: int = SHINGLE_WORDS) -> np.ndarray:

@@ -1,3 +1,4 @@
+import numpy as np
 import pandas as pd
 import pytest
 
@@ -93,3 +94,53 @@ def test_odd_rows_stay_whole(spark, small_dir):
     rows = spark.createDataFrame([(1, None, "en", "a", None), (2, "", "en", "a", 0), (None, "no id", "en", "a", 5), (None, "no id", "en", "a", 5), (3, "x", None, None, 1), (3, "x", None, None, 1)], DOCS)
     kept = corpus_pipeline.drop_near_duplicates(spark, rows, small_dir)
     assert kept.columns == rows.columns and sorted(r["doc_id"] or -1 for r in kept.collect()) == [-1, -1, 1, 3]
+
+
+def test_only_texts_that_may_be_similar_are_sent(spark, monkeypatch):
+    """A line that many texts share makes no pair of them travel (before: texts went to cells for every pair that
+    shared an early key, whose number grows with the square of the table)."""
+    monkeypatch.setattr(shingle_sets, "COMMON", 1 << 40)
+    line = "this line is on every page of the site and never changes "
+    texts = [line + " ".join(f"t{d}x{i}" for i in range(60)) for d in range(40)]
+    sent, settle = [], shingle_sets.settle
+
+    def noted(df, name, *more):
+        out = settle(df, name, *more)
+        if name == "shingle-needed":
+            sent.append(out.count())
+        return out
+
+    monkeypatch.setattr(shingle_sets, "settle", noted)
+    rows = spark.createDataFrame([(i, t, "en", "a", 0) for i, t in enumerate([*texts, texts[7] + " end"])], DOCS)
+    got = {r["doc_id"]: r["component_id"] for r in shingle_sets.similar(rows, 5, 0.8).collect()}
+    assert got == {i: i for i in range(40)} | {40: 7}
+    assert sent and sum(sent) == 2
+
+
+@pytest.mark.parametrize("n", [1, 40, 900, 5000])
+def test_sketches_bound_what_only_one_set_holds(n):
+    rng = np.random.default_rng(n)
+    a = np.unique(rng.integers(0, 1 << 64, n, dtype=np.uint64))
+    for kept in (0, 0.5, 0.9, 1):
+        b = np.unique(np.append(a[: int(len(a) * kept)], rng.integers(0, 1 << 64, max(1, n // 7), dtype=np.uint64)))
+        apart = len(np.setxor1d(a, b))
+        bound = shingle_sets.least_apart(shingle_sets.sketch(a), shingle_sets.sketch(b))
+        assert bound <= apart and bound == shingle_sets.least_apart(shingle_sets.sketch(b), shingle_sets.sketch(a))
+    other = np.unique(rng.integers(0, 1 << 64, n, dtype=np.uint64))  # an unrelated set of that size cannot have 0.8
+    assert n < 40 or shingle_sets.least_apart(shingle_sets.sketch(a), shingle_sets.sketch(other)) > (len(a) + len(other)) / 9
+
+
+@pytest.mark.parametrize("packed", [500_000, 16])
+def test_keys_of_several_rows(spark, monkeypatch, packed):
+    """The keys that rows share, in any order and however many are held at once."""
+    monkeypatch.setattr(shingle_sets, "PACKED", packed)
+    rng = np.random.default_rng(5)
+    keys = [[int(k) for k in rng.choice(400, size=rng.integers(0, 9), replace=False)] for _ in range(120)]
+    keys = [[(k * 0x9E3779B97F4A7C15 + 77) % (1 << 64) - (1 << 63) for k in [*ks, 1000]] for ks in keys]
+    rows = spark.createDataFrame(list(enumerate(keys)), "node long, keys array<long>").repartition(3)
+    every = [(k, node, place) for node, ks in enumerate(keys) for place, k in enumerate(ks)]
+    many = pd.Series([k for k, _, _ in every]).value_counts()
+    for parts in (1, 7):
+        got = [tuple(r) for r in shingle_sets._repeated(rows, parts).collect()]
+        assert sorted(got) == sorted(x for x in every if many[x[0]] > 1)
+    assert shingle_sets._repeated(rows.limit(0), 1).count() == 0
