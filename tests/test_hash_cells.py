@@ -75,3 +75,39 @@ def test_library_meets_in_cells(spark, monkeypatch, small_dir):
     monkeypatch.setattr(BucketedRandomProjectionLSHModel, "approxSimilarityJoin", fail)
     got = hashing.library_lsh(base, q, 10).toPandas()
     assert {i: set(g.id) for i, g in got.groupby("qid")} == want
+
+
+@pytest.mark.parametrize("most", [1, 25, 140, 300])
+def test_cut_sends_only_the_last_range(spark, monkeypatch, most):
+    """A bound on the candidates makes a cell return k of them and those of one range of ids (before: as many as the bound
+    from every bucket, so all pairs as the bound grows)."""
+    x = np.random.default_rng(11).normal(size=(1200, 12))
+    x[5] = np.nan
+    base, q = PointSet(spark.createDataFrame([(7 * i, v.tolist()) for i, v in enumerate(x)], "id long, vec array<double>")).split_queries(10)
+    monkeypatch.setattr(hashing, "RANGE_ROWS", 32)
+    monkeypatch.setattr(hashing, "CELL_ROWS", 256)
+    seen = []
+    settle = hashing.settle
+
+    def noted(df, name, *more):
+        out = settle(df, name, *more)
+        if name == "candidates":
+            seen.append(max(r["n"] for r in out.selectExpr("qid", "size(ids) AS n").groupBy("qid").agg({"n": "sum"}).toDF("qid", "n").collect()))
+        return out
+
+    monkeypatch.setattr(hashing, "settle", noted)
+    tables, bits, probes = 3, 4, 3
+    index = hashing.HashIndex.build(base, "cross", tables, bits)
+    spent: list[str] = []
+    found = index.search(q, 5, probes, most, spent)
+    own, asked = (hashing.buckets(p, tables, bits, m, "cross").toPandas() for p, m in ((base, 1), (q, probes)))
+    met = asked.merge(own, on=["tbl", "bucket"], suffixes=("_q", ""))
+    met = met[met.id != 35].groupby(["id_q", "id"]).agg({"probe_q": "min"}).reset_index().sort_values(["id_q", "probe_q", "id"]).groupby("id_q").head(most)
+    want = {i: sorted((float(np.sqrt(((x[j // 7] - x[i // 7]) ** 2).sum())), j) for j in g.id)[:5] for i, g in met.groupby("id_q")}
+    got = {}
+    for r in found.results.orderBy("qid", "rank").collect():
+        got.setdefault(r["qid"], []).append((r["dist"], r["id"]))
+    assert {i: [j for _, j in v] for i, v in got.items()} == {i: [j for _, j in v] for i, v in want.items()}
+    assert np.allclose([d for i in sorted(got) for d, _ in got[i]], [d for i in sorted(got) for d, _ in want[i]])
+    visits = tables * probes * max([1, *(many for _, many in index.large.values())])
+    assert seen[0] <= 5 * visits + 2 * 32 * 2 and len(spent) == 3
